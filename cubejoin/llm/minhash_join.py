@@ -13,7 +13,11 @@ first ``coordinates - match + 1``, so only those are posted.
 *skip*: a posting list first joins its members to one pivot (its most typical
 member).  Members which fall into the pivot's component need no further
 comparison with each other; only the others meet the rest of the list, and a
-one-bit sketch drops most of these meetings inside the join.
+one-bit sketch drops most of these meetings inside the join.  In lists of more
+than ``direct`` members the others meet through the exact shingle sets instead:
+each set's rarest shingles (the necessary prefix of its Jaccard bound) are
+posted, and a shared shingle counts only where its positions leave room for the
+overlap that a link needs.  No list is cut short and no group emits all pairs.
 
 *count*: a candidate pair is kept if its signatures agree in at least ``match``
 coordinates, and becomes a link only if the exact shingle sets say so.
@@ -45,7 +49,8 @@ class JoinSettings:
     similarity_percent: links have 100 * |A n B| >= this * |A u B|.
     coordinates / match: signature length and the collisions that make a candidate.
     sketch_distance: largest Hamming distance of the 64 one-bit sketches of a candidate.
-    bucket_bits: size (2**bits counters, fixed) of the token frequency sketch.
+    bucket_bits: size (2**bits counters, fixed) of the frequency sketches.
+    direct: posting lists up to this length compare their stray members directly.
     """
 
     similarity_percent: int = 85
@@ -53,6 +58,7 @@ class JoinSettings:
     match: int = 36
     sketch_distance: int = 18
     bucket_bits: int = 20
+    direct: int = 16
     seed: int = 7
 
     @property
@@ -178,6 +184,84 @@ def _set_kernel(text: str):
     return run
 
 
+def _set_rows(batch) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    lists = batch.column(batch.schema.get_field_index("shingles"))
+    ends = lists.offsets.to_numpy()
+    values = lists.values.to_numpy(zero_copy_only=False).view(np.uint64)
+    return batch.column(batch.schema.get_field_index("id")).to_numpy(), ends, values
+
+
+def _set_frequency_kernel(settings: JoinSettings):
+    def run(batches):
+        counts = np.zeros(1 << settings.bucket_bits, np.int64)
+        down = np.uint64(64 - settings.bucket_bits)
+        for batch in batches:
+            if batch.num_rows:
+                _, ends, values = _set_rows(batch)
+                counts += np.bincount((values[ends[0] : ends[-1]] >> down).astype(np.int64), minlength=len(counts))
+        used = np.flatnonzero(counts)
+        for lo in range(0, len(used), 1 << 16):
+            at = used[lo : lo + (1 << 16)]
+            yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), pa.array(counts[at])], names=["bucket", "n"])
+
+    return run
+
+
+def _set_prefix_kernel(settings: JoinSettings, frequencies):
+    def run(batches):
+        table = np.frombuffer(frequencies.value, dtype=np.int64)
+        down = np.uint64(64 - settings.bucket_bits)
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            ids, ends, values = _set_rows(batch)
+            for row in range(batch.num_rows):
+                own = values[ends[row] : ends[row + 1]]
+                n = len(own)
+                need = -(-settings.similarity_percent * n // 100)
+                order = np.lexsort((own, table[(own >> down).astype(np.int64)]))[: n - need + 1]
+                k = len(order)
+                yield pa.RecordBatch.from_arrays(
+                    [pa.array(own[order].view(np.int64)), pa.array(np.full(k, ids[row])), pa.array(np.arange(k, dtype=np.int32)), pa.array(np.full(k, n, np.int64))],
+                    names=["token", "id", "rank", "n"],
+                )
+
+    return run
+
+
+def _sketch(spark: SparkSession, counted: DataFrame, settings: JoinSettings):
+    """Broadcast counters of a (bucket, n) frame: a fixed size, whatever the corpus."""
+    got = counted.groupBy("bucket").agg(F.sum("n").alias("n")).toArrow()
+    table = np.zeros(1 << settings.bucket_bits, np.int64)
+    table[got.column("bucket").to_numpy()] = got.column("n").to_numpy()
+    return spark.sparkContext.broadcast(table.tobytes())
+
+
+def _sets_of(docs: DataFrame, wanted: DataFrame) -> DataFrame:
+    """Exact shingle sets of the documents whose id is in ``wanted`` (doc_id, distinct)."""
+    texts = docs.join(wanted.hint("shuffle_hash"), "doc_id", "left_semi")
+    return texts.mapInArrow(_set_kernel("text"), "id long, shingles array<long>")
+
+
+def _set_prefix_pairs(work: Workspace, sets: DataFrame, roots: DataFrame, settings: JoinSettings) -> DataFrame:
+    """Pairs (a, b) of different roots which the exact prefix and position bounds cannot exclude."""
+    spark = work.spark
+    frequencies = _sketch(spark, sets.mapInArrow(_set_frequency_kernel(settings), "bucket int, n long"), settings)
+    rows = sets.mapInArrow(_set_prefix_kernel(settings, frequencies), "token long, id long, rank int, n long")
+    rows = work.table("prefix_rows", rows.join(roots, "id", "left").withColumn("root", F.coalesce("root", "id")))
+    held = rows.groupBy("token", "root").agg(F.count("*").alias("c"))
+    major = held.groupBy("token").agg(F.max(F.struct("c", "root")).alias("m"), F.count("*").alias("roots")).where("roots > 1")
+    major = work.table("majors", major.select("token", F.col("m.root").alias("major")))
+    marked = rows.join(major, "token")
+    stray = marked.where("root <> major").select("token", F.col("id").alias("sid"), F.col("n").alias("sn"), F.col("rank").alias("srank"), F.col("root").alias("sroot"))
+    p = settings.similarity_percent
+    room = F.least(F.col("n") - F.col("rank"), F.col("sn") - F.col("srank"))  # the shared shingle and all after it
+    fits = (100 + p) * room >= p * (F.col("n") + F.col("sn"))
+    sized = 100 * F.least("n", "sn") >= p * F.greatest("n", "sn")
+    meets = (F.col("sroot") != F.col("root")) & ((F.col("root") == F.col("major")) | (F.col("sid") < F.col("id"))) & sized & fits
+    return marked.join(stray, "token").where(meets).select(F.least("id", "sid").alias("a"), F.greatest("id", "sid").alias("b")).distinct()
+
+
 def _confirm(work: Workspace, label: str, docs: DataFrame, signatures: DataFrame, pairs: DataFrame, settings: JoinSettings) -> DataFrame:
     """Links among candidate pairs (a, b): collision count, then exact sets."""
     one = signatures.select(F.col("doc_id").alias("a"), F.col("signature").alias("sa"))
@@ -185,8 +269,7 @@ def _confirm(work: Workspace, label: str, docs: DataFrame, signatures: DataFrame
     equal = F.aggregate(F.zip_with("sa", "sb", lambda x, y: F.when(x == y, 1).otherwise(0)), F.lit(0), lambda s, x: s + x)
     candidates = work.table(f"{label}_candidates", pairs.join(one, "a").join(two, "b").where(equal >= settings.match).select("a", "b"))
     wanted = candidates.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
-    texts = docs.join(wanted.hint("shuffle_hash"), "doc_id", "left_semi")
-    sets = work.table(f"{label}_sets", texts.mapInArrow(_set_kernel("text"), "id long, shingles array<long>"))
+    sets = work.table(f"{label}_sets", _sets_of(docs, wanted))
     left = sets.select(F.col("id").alias("a"), F.col("shingles").alias("la"))
     right = sets.select(F.col("id").alias("b"), F.col("shingles").alias("lb"))
     common = F.size(F.array_intersect("la", "lb"))
@@ -217,15 +300,10 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, settings: JoinSettings
     leaders = filled.join(classes.select(F.col("class_id").alias("doc_id"), *key), ["doc_id", *key], "left_semi")
     leaders = work.table("leaders", leaders.select("doc_id", "n_shingles", "signature").dropDuplicates(["doc_id"]))
 
-    counted = leaders.mapInArrow(_frequency_kernel(settings), "bucket int, n long").groupBy("bucket").agg(F.sum("n").alias("n"))
-    table = np.zeros(1 << settings.bucket_bits, np.int64)  # fixed size, whatever the corpus
-    got = counted.toArrow()
-    table[got.column("bucket").to_numpy()] = got.column("n").to_numpy()
-    frequencies = spark.sparkContext.broadcast(table.tobytes())
-
+    frequencies = _sketch(spark, leaders.mapInArrow(_frequency_kernel(settings), "bucket int, n long"), settings)
     posted = leaders.mapInArrow(_posting_kernel(settings, frequencies), "token long, id long, n long, sketch long, typical long")
     pivots = posted.groupBy("token").agg(F.max(F.struct("typical", "id", "n", "sketch")).alias("p"), F.count("*").alias("held")).where("held > 1")
-    postings = work.table("postings", posted.join(pivots.select("token", F.col("p.id").alias("pivot"), F.col("p.n").alias("pivot_n"), F.col("p.sketch").alias("pivot_sketch")), "token").drop("typical"))
+    postings = work.table("postings", posted.join(pivots.select("token", F.col("p.id").alias("pivot"), F.col("p.n").alias("pivot_n"), F.col("p.sketch").alias("pivot_sketch"), "held"), "token").drop("typical"))
 
     percent = settings.similarity_percent
     alike = lambda s, t, n, m: (F.bit_count(F.col(s).bitwiseXOR(F.col(t))) <= settings.sketch_distance) & (100 * F.least(n, m) >= percent * F.greatest(n, m))
@@ -237,13 +315,18 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, settings: JoinSettings
     root = grouped.select(F.col("node").alias("id"), "root")
     pivot_root = grouped.select(F.col("node").alias("pivot"), F.col("root").alias("pivot_root"))
     placed = postings.join(root, "id", "left").join(pivot_root, "pivot", "left")
-    placed = placed.select("token", "id", "n", "sketch", F.coalesce("root", "id").alias("root"), F.coalesce("pivot_root", "pivot").alias("pivot_root"))
+    placed = placed.select("token", "id", "n", "sketch", "held", F.coalesce("root", "id").alias("root"), F.coalesce("pivot_root", "pivot").alias("pivot_root"))
     mixed = placed.where("root <> pivot_root").select("token").distinct()
     placed = work.table("placed", placed.join(mixed, "token", "left_semi"))
-    stray = placed.where("root <> pivot_root").select("token", F.col("id").alias("sid"), F.col("n").alias("sn"), F.col("sketch").alias("ss"), F.col("root").alias("sroot"))
+    short = placed.where(F.col("held") <= settings.direct)
+    stray = short.where("root <> pivot_root").select("token", F.col("id").alias("sid"), F.col("n").alias("sn"), F.col("sketch").alias("ss"), F.col("root").alias("sroot"))
     meets = (F.col("sroot") != F.col("root")) & ((F.col("root") == F.col("pivot_root")) | (F.col("sid") < F.col("id"))) & alike("sketch", "ss", "n", "sn")
-    rest = placed.join(stray, "token").where(meets).select(F.least("id", "sid").alias("a"), F.greatest("id", "sid").alias("b")).distinct()
-    rest = work.table("rest", rest.join(stars, ["a", "b"], "left_anti"))
+    few = short.join(stray, "token").where(meets).select(F.least("id", "sid").alias("a"), F.greatest("id", "sid").alias("b")).distinct()
+    crowd = placed.where(F.col("held") > settings.direct).select(F.col("id").alias("doc_id")).distinct()
+    crowd_sets = work.table("crowd_sets", _sets_of(docs, crowd))
+    many = _set_prefix_pairs(work, crowd_sets, root, settings)
+    rest = work.table("rest", few.union(many).distinct().join(stars, ["a", "b"], "left_anti"))
+    work.drop("crowd_sets", "placed", "postings")
     second = _confirm(work, "second", docs, leaders, rest, settings)
 
     final = connected_components(work, first.union(second), "final_cc")

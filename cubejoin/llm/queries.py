@@ -5,8 +5,9 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from . import bpe_codec, decontaminate, minhash_join
+from . import bpe_codec, contextual_pii, decontaminate, hilbert_ann, html_wrapper, language_gru, license_digest, minhash_join, quality_ftrl, secret_automata
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -20,20 +21,59 @@ def vocabulary_path() -> str:
     return str(public_tokenizers.path("byte_bpe_50k.json"))
 
 
+def op1_html_wrapper_induction(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html_wrapper.extract(spark, _table(spark, sf_dir, "pages"))
+
+
 def op2_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return minhash_join.near_duplicates(spark, _table(spark, sf_dir, "documents"))
 
 
+def op3_hilbert_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return hilbert_ann.nearest(spark, _table(spark, sf_dir, "embeddings"), F.col("vec_id") % 20 == 0)
+
+
 def op4_bpe_round_trip(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe_codec.round_trip(spark, _table(spark, sf_dir, "documents"), vocabulary_path())
 
 
+def op5_secret_automata(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return secret_automata.scan(spark, _table(spark, sf_dir, "documents"))
+
+
+def op6_contextual_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return contextual_pii.personal_data(spark, _table(spark, sf_dir, "documents")).drop("text_key", "found")
+
+
 def op7_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.contamination(spark, _table(spark, sf_dir, "documents"), _table(spark, sf_dir, "benchmark"))
 
 
+def op8_license_digests(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return license_digest.scan(spark, _table(spark, sf_dir, "documents"))
+
+
+def op9_language_gru(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return language_gru.identify_languages(spark, _table(spark, sf_dir, "documents"))
+
+
+def op10_quality_ftrl(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality_ftrl.classify(spark, _table(spark, sf_dir, "documents"), _table(spark, sf_dir, "labels"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = [op2_minhash_near_dedup, op4_bpe_round_trip, op7_benchmark_decontamination]
+    found = [
+        op1_html_wrapper_induction,
+        op2_minhash_near_dedup,
+        op3_hilbert_neighbours,
+        op4_bpe_round_trip,
+        op5_secret_automata,
+        op6_contextual_pii,
+        op7_benchmark_decontamination,
+        op8_license_digests,
+        op9_language_gru,
+        op10_quality_ftrl,
+    ]
     return {f.__name__: f for f in found}
 
 
@@ -96,4 +136,4 @@ FROM spelled s LEFT JOIN hits USING (doc_id) LEFT JOIN named USING (doc_id)
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op2_minhash_near_dedup": _SHINGLED, "op7_benchmark_decontamination": _WINDOWED}
+    return {"op2_minhash_near_dedup": _SHINGLED, "op7_benchmark_decontamination": _WINDOWED, "op8_license_digests": license_digest.scan_sql()}
