@@ -37,7 +37,7 @@ from pyspark.sql import functions as F
 
 from .components import connected_components
 from .textbatch import NON_BLANK, Words, gram_hashes, mix, slices
-from .workspace import Workspace
+from .workspace import Workspace, small_batches
 
 SHINGLE_WORDS = 5
 
@@ -231,7 +231,8 @@ def _set_prefix_kernel(settings: JoinSettings, frequencies):
 
 def _sketch(spark: SparkSession, counted: DataFrame, settings: JoinSettings):
     """Broadcast counters of a (bucket, n) frame: a fixed size, whatever the corpus."""
-    got = counted.groupBy("bucket").agg(F.sum("n").alias("n")).toArrow()
+    with small_batches(spark):
+        got = counted.groupBy("bucket").agg(F.sum("n").alias("n")).toArrow()
     table = np.zeros(1 << settings.bucket_bits, np.int64)
     table[got.column("bucket").to_numpy()] = got.column("n").to_numpy()
     return spark.sparkContext.broadcast(table.tobytes())

@@ -10,6 +10,8 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 
@@ -32,6 +34,19 @@ def shared_folder(spark: SparkSession) -> str:
     return _LOCAL_FOLDERS[app]
 
 
+@contextmanager
+def small_batches(spark: SparkSession, rows: int = 512) -> Iterator[None]:
+    """Fewer rows per Arrow batch while an eager step runs: long texts then take little memory in
+    the JVM's buffers and the Python workers."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    before = spark.conf.get(key)
+    spark.conf.set(key, str(rows))
+    try:
+        yield
+    finally:
+        spark.conf.set(key, before)
+
+
 class Workspace:
     """Named Parquet tables of one operator run.
 
@@ -47,7 +62,8 @@ class Workspace:
     def table(self, name: str, frame: DataFrame) -> DataFrame:
         path = f"{self.root}/{name}"
         schema = frame.schema
-        frame.write.mode("overwrite").parquet(path)
+        with small_batches(self.spark):
+            frame.write.mode("overwrite").parquet(path)
         self._paths[name] = path
         return self.spark.read.schema(schema).parquet(path)
 
