@@ -222,7 +222,7 @@ def shared_files_join(spark: SparkSession, query: ConjunctiveQuery, relations: M
         stored.repartition("block").write.mode("overwrite").partitionBy("block").parquet(target)
         read = spark.read.schema(stored.schema).parquet(target)
         offsets = missing_offsets(held, order, shares)
-        rows = read.withColumn("cell", F.col("base") + F.explode(F.array(*map(F.lit, offsets))))
+        rows = read.withColumn("offset", F.explode(F.array(*map(F.lit, offsets)))).withColumn("cell", F.col("base") + F.col("offset"))
         routed.append(rows.select("cell", F.lit(j).alias("atom"), *(f"v{k}" for k in range(width)), F.lit(1).cast("long").alias("w")))
     kernel = KernelPlan(order, tuple(scopes), tuple((x.level, x.at_depth, x.inputs) for x in plan.lifts), plan.index, plan.search, False)
     rows = exchange(reduce(DataFrame.unionAll, routed), plan.tasks or prod(shares))

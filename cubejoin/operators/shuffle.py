@@ -140,7 +140,7 @@ def route_rows(frames: Sequence[DataFrame], scopes: Sequence[Sequence[str]], ord
         if offsets == [0]:
             rows = rows.withColumnRenamed("base", "cell")
         else:
-            rows = rows.withColumn("cell", F.col("base") + F.explode(F.array(*map(F.lit, offsets)))).drop("base")
+            rows = rows.withColumn("offset", F.explode(F.array(*map(F.lit, offsets)))).withColumn("cell", F.col("base") + F.col("offset"))
         routed.append(rows.select("cell", F.lit(j).alias("atom"), *(f"v{k}" for k in range(width)), "w"))
     return reduce(DataFrame.unionAll, routed)
 
