@@ -1,18 +1,32 @@
-"""Corpus preparation: five operators in a row, each over all its predecessor kept."""
+"""Corpus preparation: five operators in a row, each over all that its predecessor kept."""
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from cubejoin.llm import bpe_codec, decontaminate, minhash_join
+from cubejoin.llm import bpe_codec, contextual_pii, decontaminate, language_gru, minhash_join
 from cubejoin.llm.queries import vocabulary_path
 from cubejoin.llm.workspace import Workspace
 
+#: Mean label probability below which no language is believed.
+LANGUAGE_FLOOR = 0.3
+
+
+def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents without letters or without a language go.
+
+    The network learns from the documents themselves; which language a kept
+    document has is not changed.
+    """
+    labelled = language_gru.identify_languages(spark, docs)
+    good = labelled.where((F.col("lang_pred") != "und") & (F.col("score") >= LANGUAGE_FLOOR)).select("doc_id").distinct()
+    return docs.join(good, "doc_id", "left_semi").select(docs.columns)
+
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each near-duplicate group stays."""
-    kept = minhash_join.near_duplicates(spark, docs).where("kept").select("doc_id")
+    """One document of each near-duplicate group stays: that of smallest doc_id."""
+    kept = minhash_join.near_duplicates(spark, docs).where("kept").select("doc_id").distinct()
     return docs.join(kept, "doc_id", "left_semi").select(docs.columns)
 
 
@@ -23,14 +37,27 @@ def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
     return docs.join(dirty, "doc_id", "left_anti").select(docs.columns)
 
 
+def pii_redaction(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Personal data in texts is replaced by its kind; n_chars follows."""
+    found = contextual_pii.personal_data(spark, docs)
+    spans = Workspace(spark, "pii_spans").table("found", found.select("doc_id", "text_key", "found"))
+    return contextual_pii.redact(docs, spans)
+
+
 def tokenised(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Token count and digests of every document."""
+    """Token count and digests of every document that is left."""
     return bpe_codec.round_trip(spark, docs, vocabulary_path())
 
 
-STAGES = [("minhash_near_dedup", near_dedup), ("benchmark_decontamination", decontamination), ("bpe_round_trip", tokenised)]
+STAGES = [
+    ("language_id", language_id),
+    ("minhash_near_dedup", near_dedup),
+    ("benchmark_decontamination", decontamination),
+    ("pii_redaction", pii_redaction),
+    ("bpe_round_trip", tokenised),
+]
 
-#: Signatures, automata and networks have no SQL form; tests compare with brute force.
+#: Networks, signatures and bootstrapped patterns have no SQL form; tests compare with brute force.
 ORACLE_SQL = None
 
 
