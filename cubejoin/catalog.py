@@ -357,7 +357,7 @@ def oracle_sql() -> dict[str, str]:
     out["level_cost_exact"] = with_graph("custord", _COST_SQL + "SELECT 0 AS level, round(2.0 * s, 2) AS cost FROM s UNION ALL SELECT 1, round(sum(2 * a * log2(1 + b / a)), 2) FROM two UNION ALL SELECT 2, round(sum(2 * a * log2(1 + b / a)), 2) FROM three")
     out["level_cost_bound"] = with_graph("custord", _COST_SQL + "SELECT 0 AS level, round(2.0 * s, 2) AS cost FROM s UNION ALL SELECT 1, round(2 * sum(a) * log2(1 + sum(b) / sum(a)), 2) FROM two UNION ALL SELECT 2, round(2 * sum(a) * log2(1 + sum(b) / sum(a)), 2) FROM three")
     powers = "SELECT CAST(1 << i.range AS INTEGER) AS p1, CAST(1 << j.range AS INTEGER) AS p2, CAST(1 << ({b} - i.range - j.range) AS INTEGER) AS p3 FROM range({b} + 1) i, range({b} + 1) j WHERE i.range + j.range <= {b}"
-    out["share_enumeration"] = f"SELECT p1, p2, p3, round(p1 * 0.99 + p2 * 0.98 + p3 * 0.97, 4) AS evenness FROM ({powers.format(b=10)}) t"
+    out["share_enumeration"] = f"SELECT p1, p2, p3, CAST(round(p1 * 0.99 + p2 * 0.98 + p3 * 0.97, 4) AS DOUBLE) AS evenness FROM ({powers.format(b=10)}) t"
     out["replicated_cost_table"] = f"SELECT p1, p2, p3, CAST(1.0 * p2 * p3 + 10.0 * p3 + 100.0 AS DOUBLE) AS cost FROM ({powers.format(b=6)}) t"
     out["order_enumeration"] = "WITH v(c) AS (VALUES ('x'), ('y'), ('z'), ('u')) SELECT a.c || b.c || d.c || e.c AS o FROM v a, v b, v d, v e WHERE a.c <> b.c AND a.c <> d.c AND a.c <> e.c AND b.c <> d.c AND b.c <> e.c AND d.c <> e.c"
     out["lift_clique"] = "SELECT * FROM (VALUES (1, 0, '3,4'), (2, 1, '1,5'), (3, 2, '2,4')) t(level, depth, inputs)"

@@ -17,6 +17,8 @@ from ..query import ConjunctiveQuery, fold_predicates
 from .kernel import KernelPlan, join_cell
 from .shuffle import encode_domains, exchange, from_code, join_code, route_rows
 
+#: Column of a result's multiplicity; no variable may have this name.
+WEIGHT = "__weight"
 PROFILE_SCHEMA = "cell int, rows_in long, rows_out long, probes long, comparisons long, visited array<long>, nodes_built long, index_bytes long, seconds double"
 
 
@@ -64,7 +66,7 @@ def _kernel(plan: KernelPlan, mode: str, limit: int | None):
             def emit(columns, weight, found=found):
                 if weight is None:
                     weight = np.ones(len(columns[0]), np.int64)
-                found.append(pa.RecordBatch.from_arrays([*map(pa.array, columns), pa.array(weight)], names=[*names, "w"]))
+                found.append(pa.RecordBatch.from_arrays([*map(pa.array, columns), pa.array(weight)], names=[*names, WEIGHT]))
 
             if mode == "tuples" and limit is None and plan.index == "packed" and plan.search == "vector":
                 yield from _streamed(plan, blocks, weights, names)
@@ -106,7 +108,7 @@ def _streamed(plan: KernelPlan, blocks, weights, names):
 
         def emit(columns, weight, found=found):
             weight = np.ones(len(columns[0]), np.int64) if weight is None else weight
-            found.append(pa.RecordBatch.from_arrays([*map(pa.array, columns), pa.array(weight)], names=[*names, "w"]))
+            found.append(pa.RecordBatch.from_arrays([*map(pa.array, columns), pa.array(weight)], names=[*names, WEIGHT]))
 
         join_cell(plan, cut, held, emit)
         yield from found
@@ -165,15 +167,15 @@ def cube_join(spark: SparkSession, query: ConjunctiveQuery, relations: Mapping[s
         counts = routed.mapInArrow(_kernel(kernel, "count", limit), "n long")
         total = F.coalesce(F.sum("n"), F.lit(0)).cast("long")
         return counts.agg((F.least(total, F.lit(limit)) if limit is not None else total).alias("n"))
-    schema = ", ".join([*(f"`{v}` long" for v in order), "w long"])
+    schema = ", ".join([*(f"`{v}` long" for v in order), f"{WEIGHT} long"])
     rows = routed.mapInArrow(_kernel(kernel, "tuples", None if late else limit), schema)
     rows = decode(rows, query.head, kinds, dictionary)
     if late:
         rows = rows.where(reduce(and_, (condition(*(F.col(v) for v in vs)) for vs, condition in late)))
     if mode == "count":
-        return rows.agg(F.coalesce(F.sum("w"), F.lit(0)).cast("long").alias("n"))
+        return rows.agg(F.coalesce(F.sum(WEIGHT), F.lit(0)).cast("long").alias("n"))
     if bag:
-        rows = rows.withColumn("_", F.explode(F.sequence(F.lit(1).cast("long"), F.col("w"))))
+        rows = rows.withColumn("_", F.explode(F.sequence(F.lit(1).cast("long"), F.col(WEIGHT))))
     rows = rows.select(*query.head)
     return rows.limit(limit) if limit is not None else rows
 
@@ -228,5 +230,5 @@ def shared_files_join(spark: SparkSession, query: ConjunctiveQuery, relations: M
     rows = exchange(reduce(DataFrame.unionAll, routed), plan.tasks or prod(shares))
     if mode == "count":
         return rows.mapInArrow(_kernel(kernel, "count", None), "n long").agg(F.coalesce(F.sum("n"), F.lit(0)).cast("long").alias("n"))
-    schema = ", ".join([*(f"`{v}` long" for v in order), "w long"])
+    schema = ", ".join([*(f"`{v}` long" for v in order), f"{WEIGHT} long"])
     return decode(rows.mapInArrow(_kernel(kernel, "tuples", None), schema), query.head, kinds, dictionary).select(*query.head)

@@ -102,12 +102,13 @@ def windowed_triangles(events_edges: DataFrame, length: str = "1 day") -> DataFr
     ordinary partitioned join and no window's edges meet in one task.
     """
     spark = events_edges.sparkSession
-    stamped = events_edges.select(F.unix_micros(F.window("ts", length)["start"]).alias("w"), "src", "dst").distinct()
+    stamped = events_edges.select(F.unix_micros(F.window("ts", length)["start"].cast("timestamp")).alias("w"), "src", "dst").distinct()
     query = ConjunctiveQuery(("w", "x", "y", "z"), (Atom("e", ("w", "x", "y")), Atom("e", ("w", "y", "z")), Atom("e", ("w", "x", "z"))))
     from ..operators.executor import cube_join
 
     rows = cube_join(spark, query, {"e": stamped}, quick_plan(query))
-    return rows.groupBy(F.timestamp_micros("w").alias("lo")).agg(F.count("*").alias("n"))
+    kind = events_edges.schema["ts"].dataType
+    return rows.groupBy(F.timestamp_micros("w").cast(kind).alias("lo")).agg(F.count("*").alias("n"))
 
 
 def degree_state(stream: DataFrame) -> DataFrame:
