@@ -174,11 +174,15 @@ class LanguageModel:
 def training_words(docs: DataFrame, settings: GruSettings) -> DataFrame:
     """(lang, word, n) of the bounded training sample: documents with remainder <> 2 and a language."""
     learn = docs.where((F.crc32(F.col("doc_id").cast("string")) % 4 != 2) & F.col("lang").isNotNull() & F.col("text").isNotNull())
+    often = learn.groupBy("lang").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "lang").limit(settings.max_languages).collect()  # at most max_languages rows
+    # A hash threshold per language leaves about twice the wanted documents, so the ranking below is small.
+    spot = F.pmod(F.xxhash64("doc_id", F.lit(settings.seed)), F.lit(1 << 40))
+    chosen = F.lit(False)
+    for row in often:
+        chosen = chosen | ((F.col("lang") == row.lang) & (spot < int(min(1.0, 2 * settings.docs_per_language / row.n) * (1 << 40))))
     order = Window.partitionBy("lang").orderBy(F.xxhash64("doc_id"), "doc_id")
-    ids = learn.select("doc_id", "lang").withColumn("k", F.row_number().over(order)).where(F.col("k") <= settings.docs_per_language)
-    often = ids.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(settings.max_languages)
-    ids = ids.join(F.broadcast(often.select("lang")), "lang", "left_semi").select("doc_id")  # at most docs_per_language * max_languages ids
-    sample = learn.join(F.broadcast(ids), "doc_id", "left_semi")
+    ids = learn.where(chosen).select("doc_id", "lang").withColumn("k", F.row_number().over(order)).where(F.col("k") <= settings.docs_per_language).select("doc_id")
+    sample = learn.join(F.broadcast(ids), "doc_id", "left_semi")  # at most docs_per_language * max_languages ids
     words = sample.select("lang", F.explode(F.regexp_extract_all(F.lower("text"), F.lit(r"[a-z\x{80}-\x{10FFFF}]+"), F.lit(0))).alias("word"))
     return words.groupBy("lang", "word").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "word", "lang").limit(settings.max_words)
 
