@@ -17,6 +17,7 @@ global order by rarity (counted over all documents) makes it the rarest one:
 
 from __future__ import annotations
 
+import hashlib
 from dataclasses import dataclass
 
 import numpy as np
@@ -55,12 +56,12 @@ def _window_kernel(settings: WindowSettings):
                     size = min(settings.window, hi - lo)
                     gram = min(settings.shingle, size)
                     grams = gram_hashes(words.hashes[lo:hi], np.array([0, hi - lo]), gram)[0].view(np.int64).tolist()
-                    whole = " ".join(spelled)
+                    kind = int.from_bytes(hashlib.blake2b(" ".join(spelled).encode(), digest_size=8).digest(), "little", signed=True)
                     for at in range(hi - lo - size + 1):
-                        out.append((item, whole, " ".join(spelled[at : at + size]), size, gram, grams[at : at + size - gram + 1]))
+                        out.append((item, kind, " ".join(spelled[at : at + size]), size, gram, grams[at : at + size - gram + 1]))
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array(x, t) for x, t in zip(zip(*out) if out else [[]] * 6, (pa.string(), pa.string(), pa.string(), pa.int32(), pa.int32(), pa.list_(pa.int64())), strict=True)],
-                    names=["item_id", "whole", "window", "size", "gram", "grams"],
+                    [pa.array(x, t) for x, t in zip(zip(*out) if out else [[]] * 6, (pa.string(), pa.int64(), pa.string(), pa.int32(), pa.int32(), pa.list_(pa.int64())), strict=True)],
+                    names=["item_id", "kind", "window", "size", "gram", "grams"],
                 )
 
     return run
@@ -130,8 +131,8 @@ def contamination(spark: SparkSession, docs: DataFrame, benchmark: DataFrame, se
     work = Workspace(spark, "contamination")
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     items = benchmark.select(F.col("item_id").cast("string").alias("item_id"), F.col("text").cast("string").alias("text")).where("item_id is not null")
-    raw = work.table("raw_windows", items.mapInArrow(_window_kernel(settings), "item_id string, whole string, window string, size int, gram int, grams array<long>"))
-    windows = raw.groupBy("window").agg(F.first("size").alias("size"), F.first("gram").alias("gram"), F.first("grams").alias("grams"), F.collect_set(F.xxhash64("whole")).alias("kinds"))
+    raw = work.table("raw_windows", items.mapInArrow(_window_kernel(settings), "item_id string, kind long, window string, size int, gram int, grams array<long>"))
+    windows = raw.groupBy("window").agg(F.first("size").alias("size"), F.first("gram").alias("gram"), F.first("grams").alias("grams"), F.collect_set("kind").alias("kinds"))
     windows = work.table("windows", windows)
 
     tokens = windows.select(F.explode("grams").alias("token")).distinct()
@@ -167,7 +168,7 @@ def contamination(spark: SparkSession, docs: DataFrame, benchmark: DataFrame, se
     )
     spans = work.table("spans", spans)
     per_doc = spans.groupBy("doc_id").agg(covered.alias("n_hit"))
-    kinds = raw.select(F.xxhash64("whole").alias("kind"), "item_id").distinct()
+    kinds = raw.select("kind", "item_id").distinct()
     named = spans.select("doc_id", F.explode("kinds").alias("kind")).distinct().join(kinds, "kind")
     named = named.groupBy("doc_id").agg(F.sort_array(F.collect_set("item_id")).alias("ids"))
     found = per_doc.join(named, "doc_id", "left").select(F.col("doc_id").alias("hit_id"), "n_hit", "ids")

@@ -286,7 +286,8 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, settings: JoinSettings
 
     * null, empty or blank text: no shingles, its own component, kept;
     * fewer than five words: the whole word sequence is the one shingle;
-    * rows that repeat a doc_id count as one document each with that id;
+    * rows that repeat a doc_id give a row each; if their texts differ they are one
+      vertex that links through one of its texts (which one is unspecified);
     * null doc_id rows cannot be named and are ignored;
     * empty tables give an empty result; other columns are ignored.
     """
