@@ -10,8 +10,9 @@ from pyspark.sql import functions as F
 
 from .metrics import cell_work, measured_communication, skew_summary
 from .operators import baselines, factorize, formats, relops
-from .operators.executor import cell_profile, cube_join
+from .operators.executor import cell_profile, cube_join, shared_files_join
 from .operators.frontier import frontier_join, semi_reduce
+from .operators.heavy import heavy_split_join
 from .operators.shuffle import partition_layout
 from .plans.cost import cost_report, exact_level_costs, replicated_cost
 from .plans.planner import JoinPlan, enumerate_orders, enumerate_shares, evenness, plan_query, quick_plan
@@ -20,6 +21,7 @@ from .plans.stats import collect_stats
 from .query import parse_rule
 from .sources.generators import tensor_workload
 from .sources.tables import table
+from .sql import run_sql
 from .streaming.incremental import windowed_edges, windowed_triangles
 from .workloads import COUNT_SQL, CT_JOIN_SQL, CT_RULE, GRAPHS, LW_JOIN_SQL, LW_RULE, TRIANGLES_SQL, TRIO_JOIN_SQL, TRIO_RULE, ct_plan, ct_relations, graph, lw_plan, lw_relations, pattern, symmetric, trio_plan, trio_relations, with_fact, with_graph
 
@@ -253,6 +255,34 @@ def _limited(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.agg(F.count("*").alias("n"))
 
 
+def _heavy(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Undirected triangles with hub values in residual queries."""
+    e = symmetric(graph(spark, sf_dir, "custhub"))
+    return heavy_split_join(spark, pattern("q1d"), {"e": e}, quick_plan(pattern("q1d"), CELLS), threshold=150)
+
+
+def _captured(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Triangles written as an ordinary three-way SQL join."""
+    relations = {"e": graph(spark, sf_dir, "custord")}
+    return run_sql(spark, "SELECT a.src AS x, a.dst AS y, b.dst AS z FROM e a, e b, e c WHERE a.dst = b.src AND c.src = a.src AND c.dst = b.dst", relations)
+
+
+def _shared(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Undirected triangles over a block store in the warehouse."""
+    e = symmetric(graph(spark, sf_dir, "custhub"))
+    path = spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + f"/cubejoin_blocks_{spark.sparkContext.applicationId}"
+    return shared_files_join(spark, pattern("q1d"), {"e": e}, quick_plan(pattern("q1d"), 8), path)
+
+
+def _study(name: str, schema: str, pick: Callable[[dict], tuple]) -> Query:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        from . import studies
+
+        return spark.createDataFrame([pick(r) for r in studies.STUDIES[name](spark, sf_dir)], schema)
+
+    return run
+
+
 _LAYOUT_SQL = """
 , s AS (SELECT i.range AS s_1, j.range AS s_2 FROM range(4) i, range(2) j),
 c AS (SELECT src % 4 AS s_1, dst % 2 AS s_2, count(*) AS n FROM e GROUP BY 1, 2),
@@ -320,6 +350,14 @@ def queries() -> dict[str, Query]:
         "path_count_custhub": lambda s, d: factorize.degree_product_count(graph(s, d, "custhub")),
     }
     found |= {"semi_reduced_rows": _semi_reduced, "set_ops_edges": _set_ops, "asof_events": _as_of, "range_join_parts": _range, "filtered_triangles": _filtered, "bag_wedges": _bag, "limited_triangles": _limited}
+    found |= {
+        "q1u_custhub_heavysplit": _heavy,
+        "sql_triangles_custord": _captured,
+        "q1u_custhub_sharedfiles": _shared,
+        "study_orders": _study("orders", "o string, estimate double, work long, chosen boolean", lambda r: (r["order"], float(r["estimate"]), int(r["work"] or 0), r["chosen"])),
+        "study_rewriting": _study("rewriting", "query string, plan string, lifts int, comparisons long, index_bytes long", lambda r: (r["query"], r["plan"], r["lifts"], r["comparisons"], r["index_bytes"])),
+        "study_searches": _study("searches", "graph string, search string, comparisons long", lambda r: (r["graph"], r["search"], r["comparisons"])),
+    }
     found |= {f"windowed_edges_{k}": _windowed(k) for k in ("tumbling", "sliding", "session")}
     found |= {"windowed_triangles": _windowed_triangles, "tensor_dense": _tensor("dense"), "tensor_sparse": _tensor("sparse")}
     return found
@@ -346,6 +384,8 @@ def oracle_sql() -> dict[str, str]:
         if method != "cube":
             out[f"q1u_custhub_{method}"] = out["q1u_custhub"]
             out[f"q4_custord_{method}"] = out["q4_custord"]
+    out["q1u_custhub_heavysplit"] = out["q1u_custhub_sharedfiles"] = out["q1u_custhub"]
+    out["sql_triangles_custord"] = out["q1d_custord_rows"]
     out["q1d_custhub_expand3"] = out["q1d_custhub_planned"] = out["q1d_custhub"]
     out["q8_custord"] = out["q8_custord_eager"]
     out["q8_custhub"] = out["q8_custhub_tree"] = out["q8_custhub_varelim"] = out["q8_custhub_eager"]

@@ -86,6 +86,9 @@ def intersect_leap(ranges: Sequence[tuple[Sequence[int], int, int]], search: str
     """
     if not ranges or any(lo >= hi for _, lo, hi in ranges):
         return [], 0
+    if len(ranges) == 1:
+        a, lo, hi = ranges[0]
+        return [(a[p], (p,)) for p in range(lo, hi)], 0
     seek = choose_search(len(ranges), [hi - lo for _, lo, hi in ranges]) if search == "adaptive" else SEARCHES[search]
     cursors = [lo for _, lo, _ in ranges]
     out, seen, n = [], 0, len(ranges)

@@ -250,3 +250,41 @@ def test_measures(spark, edges):
 
 def test_all_patterns_parse():
     assert all(pattern(p).head for p in PATTERNS)
+
+
+def test_heavy_values_apart(spark):
+    from cubejoin.operators.heavy import heavy_split_join, residual_shares
+
+    e = symmetric(hub_edges(spark, 300))
+    plain = cube_join(spark, pattern("q1d"), {"e": e}, mode="count").first().n
+    plan = JoinPlan(("x", "y", "z"), (4, 4, 1))
+    assert heavy_split_join(spark, pattern("q1d"), {"e": e}, plan, threshold=40).first().n == plain
+    assert residual_shares(plan, ("x",)) == (1, 4, 4) and residual_shares(plan, ("x", "y", "z")) == (1, 1, 1)
+
+
+def test_sql_capture(spark, edges):
+    from cubejoin.sql import query_from_sql, run_sql
+
+    rows, frame = edges
+    text = "SELECT a.src AS x, a.dst AS y, b.dst AS z FROM e a, e AS b, e c WHERE a.dst = b.src AND a.src = c.src AND c.dst = b.dst"
+    assert rows_of(run_sql(spark, text, {"e": frame}), "xyz") == expected("q1d", rows)
+    fixed, names = query_from_sql("select b.dst from e a, e b where a.dst = b.src and a.src = 3", {"e": frame})
+    assert fixed.atoms[0].constants == {0: 3} and list(names.values()) == ["dst"]
+    for bad in ("delete from e", "select a.src from f a", "select a.src from e a where a.src < 3", "select a.nope from e a", "select a.src from e a, e a"):
+        with pytest.raises(ValueError):
+            query_from_sql(bad, {"e": frame})
+
+
+def test_studies(spark, tiny):
+    from cubejoin import studies
+
+    rewriting = {(r["query"], r["plan"]): r for r in studies.rewriting(spark, tiny)}
+    assert rewriting["q6", "lifted"]["comparisons"] < rewriting["q6", "plain"]["comparisons"]
+    for name in ("q1d", "lw", "ct"):
+        assert rewriting[name, "lifted"]["comparisons"] == rewriting[name, "plain"]["comparisons"]
+    assert len({r["comparisons"] for r in studies.searches(spark, tiny, ("succ",))}) > 1
+    found = studies.factorised(spark, tiny, "custord")
+    assert {r["n"] for r in found} == {4500}
+    best = studies.orders(spark, tiny, "custord")
+    assert len(best) == 24 and sum(r["chosen"] for r in best) == 1
+    assert [r["chosen"] for r in best].index(True) < 12
