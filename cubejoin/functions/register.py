@@ -9,10 +9,11 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.functions import arrow_udf, pandas_udf
 
 
-@arrow_udf("long")
+@arrow_udf(T.LongType())
 def sorted_intersect_size(a: pa.Array, b: pa.Array) -> pa.Array:
     """Common elements of two sorted duplicate-free arrays; null if either is null."""
     out = []
@@ -29,7 +30,7 @@ def sorted_intersect_size(a: pa.Array, b: pa.Array) -> pa.Array:
     return pa.array(out, pa.int64())
 
 
-@pandas_udf("double")
+@pandas_udf(T.DoubleType())
 def skew_index(v: pd.Series) -> float:
     """Largest over mean."""
     mean = v.mean()

@@ -111,14 +111,21 @@ def _extend(bindings: DataFrame | None, bound: list[str], v: str, parts: list[tu
 
 def semi_reduce(query: ConjunctiveQuery, relations: Mapping[str, DataFrame], rounds: int = 1) -> tuple[ConjunctiveQuery, dict[str, DataFrame]]:
     """Relations without rows that have no partner in some other atom (a full reducer for acyclic
-    queries after enough rounds); the result set stays the same."""
+    queries after enough rounds); the result set stays the same.
+
+    A round reads the relations of the round before, so plans grow by the number
+    of atoms a round: materialise between rounds if more than two are wanted.
+    """
     folded, frames = fold_predicates(query, relations)
     scopes = folded.scopes
     for _ in range(rounds):
-        for sweep in (range(len(scopes)), range(len(scopes) - 1, -1, -1)):
-            for j in sweep:
-                for k in range(len(scopes)):
-                    common = [x for x in scopes[j] if x in scopes[k]]
-                    if j != k and common:
-                        frames[f"r{j}"] = frames[f"r{j}"].join(frames[f"r{k}"].select(*common).distinct(), common, "left_semi")
+        reduced = {}
+        for j, scope in enumerate(scopes):
+            frame = frames[f"r{j}"]
+            for k, other in enumerate(scopes):
+                common = [x for x in scope if x in other]
+                if j != k and common:
+                    frame = frame.join(frames[f"r{k}"].select(*common).distinct(), common, "left_semi")
+            reduced[f"r{j}"] = frame.select(*scope)
+        frames = reduced
     return folded, frames

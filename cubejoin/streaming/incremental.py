@@ -71,16 +71,17 @@ def incremental_counts(stream: DataFrame, query: ConjunctiveQuery, path: str):
 def event_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The events table as a stream."""
     schema = spark.read.parquet(f"{sf_dir}/events.parquet").schema
-    return spark.readStream.schema(schema).option("pathGlobFilter", "events.parquet").parquet(sf_dir)
+    stream = spark.readStream.schema(schema).option("pathGlobFilter", "events.parquet").parquet(sf_dir)
+    return stream.withColumn("ts", F.col("ts").cast("timestamp"))  # watermarks need an instant
 
 
-def windowed_edges(events: DataFrame, kind: str = "tumbling", length: str = "1 day", slide: str | None = None, gap: str = "30 minutes", late: str = "10 minutes") -> DataFrame:
+def windowed_edges(events: DataFrame, kind: str = "tumbling", length: str = "1 day", slide: str | None = None, gap: str = "30 minutes", late: str | None = "10 minutes") -> DataFrame:
     """Events and distinct users per time window: tumbling, sliding or session (per user).
 
     Distinct users are exact in batch; a stream counts them with a sketch, as
-    Spark has no exact distinct over streams.
+    Spark has no exact distinct over streams; ``late=None`` keeps a watermark set before.
     """
-    stamped = events.withWatermark("ts", late) if events.isStreaming else events
+    stamped = events.withWatermark("ts", late) if events.isStreaming and late else events
     if kind == "session":
         grouped = stamped.groupBy(F.session_window("ts", gap).alias("w"), "user_id").agg(F.count("*").alias("n"))
         return grouped.select(F.col("w.start").alias("lo"), F.col("w.end").alias("hi"), "user_id", "n")

@@ -73,7 +73,7 @@ def test_incremental_stream(spark, tmp_path):
 
 def test_event_windows(spark, tiny, tmp_path):
     events = event_stream(spark, tiny)
-    counted = windowed_edges(deduplicated(events, ["event_id"]))
+    counted = windowed_edges(deduplicated(events, ["event_id"]), late=None)
     running = counted.writeStream.format("memory").queryName("windows").outputMode("append").trigger(availableNow=True).start()
     running.awaitTermination(180)
     batch = windowed_edges(load_tables(spark, tiny, ("events",))["events"])
