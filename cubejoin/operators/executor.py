@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 
 from ..plans.planner import JoinPlan, quick_plan
 from ..query import ConjunctiveQuery, fold_predicates
-from .kernel import KernelPlan, join_cell
+from .kernel import CellJoin, KernelPlan, join_cell
 from .shuffle import encode_domains, exchange, from_code, join_code, route_rows
 
 #: Column of a result's multiplicity; no variable may have this name.
@@ -85,33 +85,12 @@ def _kernel(plan: KernelPlan, mode: str, limit: int | None):
 
 
 def _streamed(plan: KernelPlan, blocks, weights, names):
-    """Result batches of a cell, few at a time: the first variable's values are taken in slices, so
-    the buffer holds the results of one slice only."""
+    """Result batches of a cell as they are found, one chunk at a time."""
     if any(len(b[0]) == 0 for b in blocks):
         return
-    top = [j for j, s in enumerate(plan.scopes) if s[0] == plan.order[0]]
-    lead = min(top, key=lambda j: len(blocks[j][0]))
-    values = np.unique(blocks[lead][0])
-    per = max(1, len(values) // max(1, sum(len(b[0]) for b in blocks) // 200_000 + 1))
-    for lo in range(0, len(values), per):
-        first, last = values[lo], values[min(lo + per, len(values)) - 1]
-        cut, held = [], []
-        for j, block in enumerate(blocks):
-            if j in top:
-                a, b = np.searchsorted(block[0], first), np.searchsorted(block[0], last, "right")
-                cut.append([c[a:b] for c in block])
-                held.append(weights[j][a:b])
-            else:
-                cut.append(block)
-                held.append(weights[j])
-        found: list[pa.RecordBatch] = []
-
-        def emit(columns, weight, found=found):
-            weight = np.ones(len(columns[0]), np.int64) if weight is None else weight
-            found.append(pa.RecordBatch.from_arrays([*map(pa.array, columns), pa.array(weight)], names=[*names, WEIGHT]))
-
-        join_cell(plan, cut, held, emit)
-        yield from found
+    for columns, weight in CellJoin(plan, blocks, weights).results():
+        weight = np.ones(len(columns[0]), np.int64) if weight is None else weight
+        yield pa.RecordBatch.from_arrays([*map(pa.array, columns), pa.array(weight)], names=[*names, WEIGHT])
 
 
 def bind_relations(query: ConjunctiveQuery, relations: Mapping[str, DataFrame]) -> tuple[ConjunctiveQuery, list[DataFrame], dict, DataFrame | None]:

@@ -70,7 +70,7 @@ class _Input:
 
 
 class CellJoin:
-    """Joins the blocks of one cell; ``emit`` gets tuples of columns in order of variables, and weights."""
+    """Joins the blocks of one cell; results come in chunks, so output of any size takes bounded memory."""
 
     def __init__(self, plan: KernelPlan, blocks: list[list[np.ndarray]], weights: list[np.ndarray | None], counters: CellCounters | None = None):
         self.plan = plan
@@ -89,12 +89,18 @@ class CellJoin:
             self.counters.rows_in += len(coded[0])
             self.counters.index_bytes += trie.nbytes
 
-    def run(self, emit: Callable[[list[np.ndarray], np.ndarray | None], None] | None, limit: int | None = None) -> int:
-        """Total (weighted) number of results; tuples go to ``emit`` if given."""
-        self.emit, self.limit, self.total = emit, limit, 0
+    def results(self, limit: int | None = None, tuples: bool = True) -> Iterator[tuple[list[np.ndarray], np.ndarray | None]]:
+        """Chunks of result columns (in order of variables) and weights, as they are found; without
+        ``tuples`` nothing is yielded and only ``total`` grows."""
+        self.tuples, self.limit, self.total = tuples, limit, 0
         nodes = [np.zeros(1, np.int64) for _ in self.tries]
         weight = np.ones(1, np.int64) if self.plan.bag else None
-        self._extend(0, [], nodes, weight, {})
+        yield from self._extend(0, [], nodes, weight, {})
+
+    def run(self, emit: Callable[[list[np.ndarray], np.ndarray | None], None] | None, limit: int | None = None) -> int:
+        """Total (weighted) number of results; chunks go to ``emit`` if given."""
+        for columns, weight in self.results(limit, emit is not None):
+            emit(columns, weight)
         return self.total
 
     def _atom_input(self, j: int, level: int, nodes: np.ndarray) -> _Input:
@@ -182,7 +188,7 @@ class CellJoin:
         inputs += [self._atom_input(j, level, nodes[j]) for j, s in enumerate(self.plan.scopes) if v in s and j not in covered]
         return inputs
 
-    def _extend(self, level: int, bound: list[np.ndarray], nodes: list[np.ndarray], weight: np.ndarray | None, temps: dict) -> None:
+    def _extend(self, level: int, bound: list[np.ndarray], nodes: list[np.ndarray], weight: np.ndarray | None, temps: dict) -> Iterator[tuple[list[np.ndarray], np.ndarray | None]]:
         n = len(nodes[0])
         if not n or (self.limit is not None and self.total >= self.limit):
             return
@@ -201,7 +207,7 @@ class CellJoin:
         last = level == len(self.plan.order) - 1
         sizes = np.minimum.reduce([i.hi - i.lo for i in inputs])
         self._level = level
-        if last and self.emit is None and len(inputs) == 1 and weight is None:
+        if last and not self.tuples and len(inputs) == 1 and weight is None:
             self.total += int(sizes.sum())
             self.counters.rows_out += int(sizes.sum())
             return
@@ -225,14 +231,14 @@ class CellJoin:
                 found = int(new_weight.sum()) if new_weight is not None else len(binding)
                 self.total += found
                 self.counters.rows_out += found
-                if self.emit is not None:
+                if self.tuples:
                     columns = [*(b[binding] for b in bound), codes]
-                    self.emit([d[c] for d, c in zip(self.domains, columns, strict=True)], new_weight)
+                    yield [d[c] for d, c in zip(self.domains, columns, strict=True)], new_weight
                 if self.limit is not None and self.total >= self.limit:
                     return
             else:
                 carried_temps = {k: (t, ref[binding]) for k, (t, ref) in temps.items() if k > level}
-                self._extend(level + 1, [*(b[binding] for b in bound), codes], below, new_weight, carried_temps)
+                yield from self._extend(level + 1, [*(b[binding] for b in bound), codes], below, new_weight, carried_temps)
 
     def _chunks(self, sizes: np.ndarray) -> Iterator[tuple[int, int]]:
         """Binding ranges whose expansions stay within ``chunk_rows`` (one binding at least)."""
