@@ -72,13 +72,22 @@ COPYRIGHT_LINE = r"(?m)^[^a-z0-9\n]*(?:copyright|\(c\)|all rights reserved)[^\n]
 NOT_WORD = r"[^a-z0-9\x{80}-\x{10FFFF}]+"
 
 
-def canonical(text: Column) -> Column:
-    """The form whose digest is looked up; idempotent for equal texts, null stays null."""
+def _spelled(text: Column) -> Column:
+    """ASCII case, copyright lines and spellings; keeps line borders, and acts on each line alone."""
     out = F.translate(text, _UPPER, _LOWER)
     out = F.regexp_replace(out, COPYRIGHT_LINE, "")
     for written, form in SPELLINGS:
         out = F.replace(out, F.lit(written), F.lit(form))
-    return F.trim(F.regexp_replace(out, NOT_WORD, " "))
+    return out
+
+
+def _spaced(text: Column) -> Column:
+    return F.trim(F.regexp_replace(text, NOT_WORD, " "))
+
+
+def canonical(text: Column) -> Column:
+    """The form whose digest is looked up; idempotent for equal texts, null stays null."""
+    return _spaced(_spelled(text))
 
 
 def known_digests(spark: SparkSession) -> DataFrame:
@@ -98,12 +107,15 @@ def scan(spark: SparkSession, docs: DataFrame, catalogue: DataFrame | None = Non
     """
     known = F.broadcast(known_digests(spark)) if catalogue is None else catalogue
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    whole = F.struct(F.lit(0).alias("part"), F.col("text").alias("body"))
-    lines = F.transform(F.split("text", "\n"), lambda x, i: F.struct((i + 1).alias("part"), x.alias("body")))
-    blocks = F.transform(F.split("text", "\n[ \t]*\n"), lambda x, i: F.struct((-1 - i).alias("part"), x.alias("body")))
-    inner = F.when(F.contains("text", F.lit("\n")), F.concat(lines, F.when(F.contains(F.regexp_replace("text", "[ \t]", ""), F.lit("\n\n")), blocks).otherwise(F.array().cast("array<struct<part:int,body:string>>")))).otherwise(F.array().cast("array<struct<part:int,body:string>>"))
-    texts = rows.where("text is not null").select("doc_id", F.explode(F.concat(F.array(whole), inner)).alias("t"))
-    hits = texts.select("doc_id", F.col("t.part").alias("part"), F.sha2(canonical(F.col("t.body")), 256).alias("digest")).join(known, "digest")
+    # Spellings never cross a line border, so the lines of the spelled document are the spelled lines.
+    rows_spelled = rows.where("text is not null").withColumn("spelled", _spelled(F.col("text")))
+    none = F.array().cast("array<struct<part:int,body:string>>")
+    whole = F.array(F.struct(F.lit(0).alias("part"), F.col("spelled").alias("body")))
+    lines = F.transform(F.split("spelled", "\n"), lambda x, i: F.struct((i + 1).alias("part"), x.alias("body")))
+    blocks = F.transform(F.split("text", "\n[ \t]*\n"), lambda x, i: F.struct((-1 - i).alias("part"), _spelled(x).alias("body")))
+    inner = F.when(F.contains("text", F.lit("\n")), F.concat(lines, F.when(F.col("text").rlike("\n[ \t]*\n"), blocks).otherwise(none))).otherwise(none)
+    texts = rows_spelled.select("doc_id", F.explode(F.concat(whole, inner)).alias("t"))
+    hits = texts.select("doc_id", F.col("t.part").alias("part"), F.sha2(_spaced(F.col("t.body")), 256).alias("digest")).join(known, "digest")
     per_doc = hits.groupBy("doc_id").agg(
         F.countDistinct("part").alias("n_texts"),
         F.array_join(F.sort_array(F.collect_set("license")), ",").alias("licenses"),
