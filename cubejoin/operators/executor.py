@@ -170,6 +170,32 @@ def decode(rows: DataFrame, head, kinds: Mapping, dictionary: DataFrame | None)
     return rows
 
 
+def count_by(spark: SparkSession, query: ConjunctiveQuery, relations: Mapping[str, DataFrame], pivot: str, plan: JoinPlan | None = None) -> DataFrame:
+    """(pivot, c): results per value of one variable; chunks are aggregated where they are found, so no
+    result leaves its cell.  Set semantics, no filters across atoms."""
+    folded, frames, kinds, dictionary = bind_relations(query, relations)
+    if folded.filters:
+        raise ValueError("count_by takes no filters across atoms")
+    plan = plan or quick_plan(query)
+    order = plan.order
+    scopes = [tuple(sorted(a.vars, key=order.index)) for a in folded.atoms]
+    kernel = KernelPlan(order, tuple(scopes), tuple((x.level, x.at_depth, x.inputs) for x in plan.lifts))
+    at = order.index(pivot)
+
+    def run(batches):
+        for _, table in _cells(batches):
+            blocks, weights = _blocks(table, kernel)
+            if any(len(b[0]) == 0 for b in blocks):
+                continue
+            for columns, _ in CellJoin(kernel, blocks, weights).results():
+                values, counts = np.unique(columns[at], return_counts=True)
+                yield pa.RecordBatch.from_arrays([pa.array(values), pa.array(counts)], names=[pivot, "c"])
+
+    routed = exchange(route_rows(frames, scopes, order, plan.shares, plan.hashing), plan.tasks or prod(plan.shares))
+    counted = routed.mapInArrow(run, f"`{pivot}` long, c long").groupBy(pivot).agg(F.sum("c").cast("long").alias("c"))
+    return decode(counted, (pivot,), kinds, dictionary)
+
+
 def cell_profile(spark: SparkSession, query: ConjunctiveQuery, relations: Mapping[str, DataFrame], plan: JoinPlan) -> DataFrame:
     """Work of each non-empty cell, as each did it alone."""
     return cube_join(spark, query, relations, plan, profile=True)

@@ -7,8 +7,8 @@ from collections.abc import Mapping, Sequence
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..query import ConjunctiveQuery, fold_predicates
-from .executor import cube_join
+from ..query import ConjunctiveQuery
+from .executor import count_by, cube_join
 
 
 def bags_joined_at(query: ConjunctiveQuery, pivot: str) -> list[list[int]]:
@@ -50,30 +50,9 @@ def eliminate_variables(spark: SparkSession, query: ConjunctiveQuery, relations:
 
 
 def eager_count(spark: SparkSession, query: ConjunctiveQuery, relations: Mapping[str, DataFrame], pivot: str) -> DataFrame:
-    """Count with aggregation pushed below the bags' joins: the last edge of a bag is counted, not
-    expanded, and bags of equal form are counted once.
-
-    A triangle bag (pivot, x, y) sums, per pivot, the matches of each edge at
-    the pivot; other bags are counted from their listing.
-    """
-    folded, frames = fold_predicates(query, relations)
-    counts: list[DataFrame] = []
-    for atoms in bags_joined_at(folded, pivot):
-        scopes = [folded.scopes[j] for j in atoms]
-        at = [j for j in atoms if pivot in folded.scopes[j]]
-        inner = [j for j in atoms if pivot not in folded.scopes[j]]
-        if len(atoms) == 3 and len(at) == 2 and len(inner) == 1 and all(len(s) == 2 for s in scopes):
-            x, y = folded.scopes[inner[0]]
-            one = next(j for j in at if x in folded.scopes[j])
-            two = next(j for j in at if y in folded.scopes[j])
-            e = frames[f"r{inner[0]}"].distinct()
-            a, b = frames[f"r{one}"].distinct(), frames[f"r{two}"].distinct()
-            # Semi-joined first, so only edges that close something are expanded.
-            e = e.join(a.select(x).distinct(), x, "left_semi").join(b.select(y).distinct(), y, "left_semi")
-            counts.append(e.join(a, x).join(b, [y, pivot]).groupBy(pivot).agg(F.count("*").alias("c")))
-        else:
-            counts.append(cube_join(spark, _bag(query, atoms), relations).groupBy(pivot).agg(F.count("*").alias("c")))
-    return _product_of_counts(counts, pivot)
+    """Count with aggregation pushed below the bags' join, into the cells: each bag becomes (pivot,
+    count) where its results are found, and nothing of a bag is listed or shuffled."""
+    return _product_of_counts([count_by(spark, _bag(query, atoms), relations, pivot) for atoms in bags_joined_at(query, pivot)], pivot)
 
 
 def _product_of_counts(counts: list[DataFrame], pivot: str) -> DataFrame:
