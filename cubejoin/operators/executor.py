@@ -41,16 +41,15 @@ def _cells(batches):
         yield current, pa.Table.from_batches(held)
 
 
-def _blocks(table: pa.Table, plan: KernelPlan) -> tuple[list[list[np.ndarray]], list[np.ndarray]]:
-    """Columns and weights of each relation of a cell, from rows sorted by relation and values."""
+def _blocks(table: pa.Table, plan: KernelPlan) -> tuple[list[list[np.ndarray]], list[np.ndarray | None]]:
+    """Columns (in any row order) and weights of each relation of a cell."""
     atoms = table.column("atom").to_numpy()
-    weights = table.column("w").to_numpy()
+    columns = {n: table.column(n).to_numpy() for n in table.column_names if n not in ("cell", "atom")}
     blocks, held = [], []
     for j, scope in enumerate(plan.scopes):
-        lo, hi = np.searchsorted(atoms, j), np.searchsorted(atoms, j, "right")
-        part = table.slice(lo, hi - lo)
-        blocks.append([part.column(f"v{k}").to_numpy() for k in range(len(scope))])
-        held.append(weights[lo:hi])
+        own = np.flatnonzero(atoms == j)
+        blocks.append([columns[f"v{k}"][own].astype(np.int64) for k in range(len(scope))])
+        held.append(columns["w"][own] if "w" in columns else None)
     return blocks, held
 
 
@@ -223,14 +222,14 @@ def shared_files_join(spark: SparkSession, query: ConjunctiveQuery, relations: M
         base = F.lit(0)
         for k, v in enumerate(held, 1):
             base = base + F.col(f"s_{k}") * F.lit(step[order.index(v)])
-        columns = [F.col(v).alias(f"v{k}") for k, v in enumerate(held)] + [F.lit(None).cast("long").alias(f"v{k}") for k in range(len(held), width)]
+        columns = [F.col(v).alias(f"v{k}") for k, v in enumerate(held)] + [F.lit(0).cast("long").alias(f"v{k}") for k in range(len(held), width)]
         stored = marked.select("block", base.alias("base"), *columns)
         target = f"{path}/atom={j}"
         stored.repartition("block").write.mode("overwrite").partitionBy("block").parquet(target)
         read = spark.read.schema(stored.schema).parquet(target)
         offsets = missing_offsets(held, order, shares)
         rows = read.withColumn("offset", F.explode(F.array(*map(F.lit, offsets)))).withColumn("cell", F.col("base") + F.col("offset"))
-        routed.append(rows.select("cell", F.lit(j).alias("atom"), *(f"v{k}" for k in range(width)), F.lit(1).cast("long").alias("w")))
+        routed.append(rows.select("cell", F.lit(j).alias("atom"), *(f"v{k}" for k in range(width))))
     kernel = KernelPlan(order, tuple(scopes), tuple((x.level, x.at_depth, x.inputs) for x in plan.lifts), plan.index, plan.search, False)
     rows = exchange(reduce(DataFrame.unionAll, routed), plan.tasks or prod(shares))
     if mode == "count":

@@ -69,6 +69,30 @@ class _Input:
         return at, (self.keys[at] == wanted) if len(self.keys) else np.zeros(len(at), bool)
 
 
+def sort_rows(columns: list[np.ndarray], sizes: list[int], weights: np.ndarray | None, bag: bool) -> tuple[list[np.ndarray], np.ndarray | None]:
+    """Rows of codes in lexicographic order; sets without repeats, as packed integers where they fit."""
+    room = 1
+    for n in sizes:
+        room *= max(n, 1)
+    if not bag and room < 1 << 62:
+        packed = columns[0].astype(np.int64)
+        for c, n in zip(columns[1:], sizes[1:], strict=True):
+            packed = packed * n + c
+        if not np.all(packed[1:] > packed[:-1]):
+            packed.sort()
+            keep = np.ones(len(packed), bool)
+            np.not_equal(packed[1:], packed[:-1], out=keep[1:])
+            packed = packed[keep]
+            out = []
+            for n in reversed(sizes[1:]):
+                packed, c = np.divmod(packed, n)
+                out.append(c)
+            columns = [packed, *reversed(out)]
+        return columns, None
+    order = np.lexsort(columns[::-1])
+    return [c[order] for c in columns], weights[order] if weights is not None else None
+
+
 class CellJoin:
     """Joins the blocks of one cell; results come in chunks, so output of any size takes bounded memory."""
 
@@ -83,10 +107,11 @@ class CellJoin:
         self.tries, self.keys = [], []
         for j, scope in enumerate(plan.scopes):
             coded = [np.searchsorted(self.domains[plan.order.index(v)], c) for v, c in zip(scope, blocks[j], strict=True)]
-            trie = PackedTrie.build(coded, unique=not plan.bag, weights=weights[j])
+            coded, weight = sort_rows(coded, [len(self.domains[plan.order.index(v)]) for v in scope], weights[j], plan.bag)
+            trie = PackedTrie.build(coded, unique=not plan.bag, weights=weight)
             self.tries.append(trie)
             self.keys.append([trie.parents(d) * len(self.domains[plan.order.index(v)]) + trie.values[d] for d, v in enumerate(scope)])
-            self.counters.rows_in += len(coded[0])
+            self.counters.rows_in += len(blocks[j][0])
             self.counters.index_bytes += trie.nbytes
 
     def results(self, limit: int | None = None, tuples: bool = True) -> Iterator[tuple[list[np.ndarray], np.ndarray | None]]:
@@ -264,7 +289,8 @@ class ScalarJoin:
         for block in blocks:
             self.counters.rows_in += len(block[0])
             if self.packed:
-                trie = PackedTrie.build(block)
+                order = np.lexsort(block[::-1])
+                trie = PackedTrie.build([c[order] for c in block])
                 self.tries.append(PackedTrie([v.tolist() for v in trie.values], [o.tolist() for o in trie.offsets]))
                 self.counters.index_bytes += trie.nbytes
             else:

@@ -122,7 +122,8 @@ def missing_offsets(scope: Sequence[str], order: Sequence[str], shares: Sequence
 
 
 def route_rows(frames: Sequence[DataFrame], scopes: Sequence[Sequence[str]], order: Sequence[str], shares: Sequence[int], hashing: str = "xxhash64", weight: str | None = None) -> DataFrame:
-    """Rows (cell, atom, v1.., w) of all relations: each row goes to every cell that agrees with its identifiers."""
+    """Rows (cell, atom, v0.., and w if there is a weight) of all relations: each row goes to every cell
+    that agrees with its identifiers."""
     step = strides(shares)
     width = max(map(len, scopes))
     routed = []
@@ -134,21 +135,25 @@ def route_rows(frames: Sequence[DataFrame], scopes: Sequence[Sequence[str]], ord
             base = base + partition_id(F.col(v), shares[at], at + 1, hashing) * F.lit(step[at])
         offsets = missing_offsets(scope, order, shares)
         columns = [F.col(v).cast("long").alias(f"v{k}") for k, v in enumerate(held)]
-        columns += [F.lit(None).cast("long").alias(f"v{k}") for k in range(len(held), width)]
-        w = F.col(weight).cast("long") if weight else F.lit(1).cast("long")
-        rows = frame.select(base.alias("base"), *columns, w.alias("w"))
+        columns += [F.lit(0).cast("long").alias(f"v{k}") for k in range(len(held), width)]  # no nulls: Arrow columns stay integers
+        extra = [F.col(weight).cast("long").alias("w")] if weight else []
+        rows = frame.select(base.alias("base"), *columns, *extra)
         if offsets == [0]:
             rows = rows.withColumnRenamed("base", "cell")
         else:
             rows = rows.withColumn("offset", F.explode(F.array(*map(F.lit, offsets)))).withColumn("cell", F.col("base") + F.col("offset"))
-        routed.append(rows.select("cell", F.lit(j).alias("atom"), *(f"v{k}" for k in range(width)), "w"))
+        routed.append(rows.select("cell", F.lit(j).alias("atom"), *(f"v{k}" for k in range(width)), *(["w"] if weight else [])))
     return reduce(DataFrame.unionAll, routed)
 
 
 def exchange(rows: DataFrame, tasks: int) -> DataFrame:
-    """The one shuffle: cells go to tasks by number, rows sort by cell, relation and variable order."""
-    values = [c for c in rows.columns if c.startswith("v")]
-    return rows.repartitionById(tasks, F.pmod(F.col("cell"), F.lit(tasks)).cast("int")).sortWithinPartitions("cell", "atom", *values)
+    """The one shuffle: cells go to tasks by number, rows are grouped by cell.
+
+    The sort has one integer key, which Spark sorts by radix and spills if it
+    must; the relations of a cell are sorted in the kernel, where they are
+    buffered anyway and sort as packed integers.
+    """
+    return rows.repartitionById(tasks, F.pmod(F.col("cell"), F.lit(tasks)).cast("int")).sortWithinPartitions("cell")
 
 
 def encode_domains(frames: Mapping[str, DataFrame], columns: Mapping[str, Sequence[str]]) -> tuple[dict[str, DataFrame], DataFrame]:

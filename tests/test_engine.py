@@ -288,3 +288,12 @@ def test_studies(spark, tiny):
     best = studies.orders(spark, tiny, "custord")
     assert len(best) == 24 and sum(r["chosen"] for r in best) == 1
     assert [r["chosen"] for r in best].index(True) < 12
+
+
+def test_large_keys_and_mixed_arity(spark):
+    big = 2**62 + 1
+    a = spark.createDataFrame([(big, 1, 2), (big + 2, 1, 2)], "x long, y long, z long")
+    b = spark.createDataFrame([(big,), (big + 4,)], "x long")
+    query = parse_rule("Q(x, y, z) :- a(x, y, z), b(x)")
+    assert rows_of(cube_join(spark, query, {"a": a, "b": b}), "xyz") == [(big, 1, 2)]
+    assert cube_join(spark, parse_rule("Q(x) :- b(x), a(x, 1, 2)"), {"a": a, "b": b}, mode="count").first().n == 1
