@@ -8,7 +8,8 @@ its bytes alone, each distinct run is computed once per worker and reused from
 a bounded table: the result is that of labelling every position of every text.
 
 Training is backpropagation through time in numpy on the driver, on a bounded,
-documented sample (``docs_per_language`` documents, ``max_words`` runs).
+documented sample (``docs_per_language`` documents and ``max_words`` distinct
+segments of each language).
 """
 
 from __future__ import annotations
@@ -29,8 +30,8 @@ LETTERS = byte_class(lambda b: 0x61 <= b <= 0x7A or b >= 0x80)
 
 @dataclass(frozen=True)
 class GruSettings:
-    """hidden: units a direction; segment: bytes of a segment; docs_per_language, max_words,
-    max_languages: bounds of the training sample; epochs, batch, rate, seed: training;
+    """hidden: units a direction; segment: bytes of a segment; docs_per_language, max_words
+    (both for each language), max_languages: bounds of the training sample; epochs, batch, rate, seed: training;
     memo: distinct runs remembered by a worker."""
 
     hidden: int = 16
@@ -172,7 +173,12 @@ class LanguageModel:
 
 
 def training_words(docs: DataFrame, settings: GruSettings) -> DataFrame:
-    """(lang, word, n) of the bounded training sample: documents with remainder <> 2 and a language."""
+    """(lang, word, n) of the bounded training sample: documents with remainder <> 2 and a language.
+
+    Words are the runs' segments of ``segment`` bytes, as in labelling.  Each
+    language has a bound of its own; where it binds, frequent words come first,
+    equally frequent ones in a seeded hash order.
+    """
     learn = docs.where((F.crc32(F.col("doc_id").cast("string")) % 4 != 2) & F.col("lang").isNotNull() & F.col("text").isNotNull())
     often = learn.groupBy("lang").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "lang").limit(settings.max_languages).collect()  # at most max_languages rows
     # A hash threshold per language leaves about twice the wanted documents, so the ranking below is small.
@@ -184,7 +190,13 @@ def training_words(docs: DataFrame, settings: GruSettings) -> DataFrame:
     ids = learn.where(chosen).select("doc_id", "lang").withColumn("k", F.row_number().over(order)).where(F.col("k") <= settings.docs_per_language).select("doc_id")
     sample = learn.join(F.broadcast(ids), "doc_id", "left_semi")  # at most docs_per_language * max_languages ids
     words = sample.select("lang", F.explode(F.regexp_extract_all(F.lower("text"), F.lit(r"[a-z\x{80}-\x{10FFFF}]+"), F.lit(0))).alias("word"))
-    return words.groupBy("lang", "word").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "word", "lang").limit(settings.max_words)
+    size, run = settings.segment, F.encode("word", "UTF-8")
+    starts = F.sequence(F.lit(0), F.floor((F.octet_length("word") - 1) / size).cast("int"))
+    segments = words.select("lang", F.explode(F.transform(starts, lambda i: F.substring(run, i * size + 1, F.lit(size)))).alias("word"))
+    counted = segments.groupBy("lang", "word").agg(F.count("*").alias("n"))
+    rank = Window.partitionBy("lang").orderBy(F.desc("n"), F.xxhash64("word", F.lit(settings.seed)), "word")
+    chosen = counted.withColumn("k", F.row_number().over(rank)).where(F.col("k") <= settings.max_words).drop("k")
+    return chosen.orderBy(F.desc("n"), "word", "lang")
 
 
 def train(docs: DataFrame, settings: GruSettings = GruSettings()) -> LanguageModel | None:
@@ -193,7 +205,7 @@ def train(docs: DataFrame, settings: GruSettings = GruSettings()) -> LanguageMod
     if not got["lang"]:
         return None
     languages = sorted(set(got["lang"]))
-    words = [w.encode()[: settings.segment] for w in got["word"]]
+    words = [bytes(w) for w in got["word"]]
     labels = np.array([languages.index(x) for x in got["lang"]])
     weights = np.log1p(np.array(got["n"], dtype=np.float64))
     mass = np.bincount(labels, weights, minlength=len(languages))

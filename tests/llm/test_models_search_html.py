@@ -53,6 +53,18 @@ def test_language_edge_cases(spark):
     assert language_gru.identify_languages(spark, frame.limit(0)).count() == 0
 
 
+def test_training_bound_is_per_language(spark):
+    rows = [(i, " ".join(f"w{'abcdefghij'[i % 10]}{'klmnopqrst'[j % 10]}{'abcdefghij'[j // 10]}{'uvxy'[i // 10]}" for j in range(100)), "big") for i in range(40)]
+    rows += [(1000 + i, "ж" * (30 + i), "rare") for i in range(4)]
+    small = language_gru.GruSettings(max_words=50)
+    got = language_gru.training_words(spark.createDataFrame(rows, DOC + ", lang string"), small).collect()
+    assert {x: sum(r.lang == x for r in got) for x in ("big", "rare")}["big"] == 50 and {r.lang for r in got} == {"big", "rare"}
+    assert len({bytes(r.word)[:2] for r in got if r.lang == "big"}) > 5  # not only the first of the alphabet
+    assert all(len(r.word) <= small.segment for r in got)
+    learnt = [i for i, _, x in rows if x == "rare" and zlib.crc32(str(i).encode()) % 4 != 2]
+    assert sum(len(r.word) * r.n for r in got if r.lang == "rare") == sum(2 * (i - 970) for i in learnt)  # whole runs
+
+
 def test_memo_equals_direct_labelling(spark):
     net = language_gru.ByteGru(4, 2, 3)
     model = language_gru.LanguageModel(net, ["p", "q"], language_gru.GruSettings(hidden=4, memo=3))
