@@ -3,12 +3,15 @@
 A text is brought to a canonical form (ASCII case, copyright lines removed,
 equivalent spellings unified, punctuation and space runs turned into one space)
 and its digest is hash-joined with the digests of known licence texts.  The
-whole document and each of its lines and paragraphs are looked up, always as
-entire texts: a licence inside other words does not match.
+whole document, each of its lines and paragraphs, and each run of as many
+consecutive paragraphs as a known text has, are looked up, always as entire
+texts: a licence inside the words of other paragraphs does not match.
 """
 
 from __future__ import annotations
 
+import re
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -68,17 +71,30 @@ KNOWN = (
 )
 
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
-COPYRIGHT_LINE = r"(?m)^[^a-z0-9\n]*(?:copyright|\(c\)|all rights reserved)[^\n]*$"
+#: Lines that are copyright notices: the word with (c), a year or a holder (not the words that follow it in licence bodies), a sign, or the reservation alone.
+COPYRIGHT_LINE = (
+    r"(?m)^[^a-z0-9\n]*(?:copyright(?![a-z0-9])(?![^a-z0-9\n]*(?:notices?|holders?|owners?|laws?|licen[sc]es?|licensors?|and|or|in|is|are|as|to|for|on|of|statements?|information|interests?|protection|ownership|treaty|disclaimers?)(?![a-z0-9]))[^\n]*"
+    r"|\(c\)[ \t]*(?:copyright|by(?![a-z0-9])|[^\n]*(?<![0-9])(?:19|20)[0-9]{2}(?![0-9]))[^\n]*|\x{a9}[^\n]*|all rights reserved[^a-z0-9\n]*)$"
+)
+#: Title lines of the full texts in the catalogue.
+TITLE_LINE = r"(?m)^[^a-z0-9\n]*(?:the )?(?:mit|expat|isc|0bsd|bsd[ -]zero[ -]clause|zero[ -]clause[ -]bsd|bsd[ -]0[ -]clause)(?:[ -]license)?[^a-z0-9\n]*(?:(?:mit|expat|isc|0bsd)(?:[ -]license)?)?[^a-z0-9\n]*$"
+#: Lines without words part paragraphs, so that comment signs may stand in them.
+PARTING = r"\n(?:[^a-z0-9\x{80}-\x{10FFFF}\n]*\n)+"
+#: The SQL twin (whole texts, lines and single paragraphs) keeps its first rule for copyright lines.
+SQL_COPYRIGHT_LINE = r"(?m)^[^a-z0-9\n]*(?:copyright|\(c\)|all rights reserved)[^\n]*$"
 NOT_WORD = r"[^a-z0-9\x{80}-\x{10FFFF}]+"
 
 
 def _spelled(text: Column) -> Column:
     """ASCII case, copyright lines and spellings; keeps line borders, and acts on each line alone."""
     out = F.translate(text, _UPPER, _LOWER)
-    out = F.regexp_replace(out, COPYRIGHT_LINE, "")
+    return _equal_spellings(F.regexp_replace(out, COPYRIGHT_LINE, ""))
+
+
+def _equal_spellings(text: Column) -> Column:
     for written, form in SPELLINGS:
-        out = F.replace(out, F.lit(written), F.lit(form))
-    return out
+        text = F.replace(text, F.lit(written), F.lit(form))
+    return text
 
 
 def _spaced(text: Column) -> Column:
@@ -96,14 +112,44 @@ def known_digests(spark: SparkSession) -> DataFrame:
     return raw.select(F.sha2(canonical(F.col("text")), 256).alias("digest"), "license").distinct()
 
 
-def scan(spark: SparkSession, docs: DataFrame, catalogue: DataFrame | None = None) -> DataFrame:
+#: Numbers of paragraphs of the built-in texts.
+PARAGRAPHS = tuple(sorted({len(re.split("\n[ \t]*\n", text)) for _, text in KNOWN}))
+
+
+def _paragraph_runs(spelled: Column, lengths: tuple[int, ...]) -> Column:
+    """(part, body) of each run of paragraphs, canonical; part 0 where the run is all of the document.
+
+    Title lines part paragraphs as copyright lines do.  Spellings are unified
+    again once a paragraph is one line, as a text may be wrapped between two words.
+    """
+    paragraphs = F.split(F.regexp_replace(spelled, TITLE_LINE, ""), PARTING)
+    paragraphs = F.filter(F.transform(paragraphs, lambda x: _equal_spellings(_spaced(x))), lambda x: x != "")
+
+    def run_of(of: Column, n: Column, k: int):
+        return lambda i: F.struct(F.when(n == k, 0).otherwise(-1 - i - n * k).alias("part"), F.array_join(F.slice(of, i + 1, k), " ").alias("body"))
+
+    def runs(of: Column) -> Column:
+        n = F.size(of)
+        found = []
+        for k in lengths:
+            every = F.transform(F.sequence(F.lit(0), n - k), run_of(of, n, k))
+            # Single paragraphs are looked up as they stand in the text; here only one that is all of the document.
+            found.append(F.when(n == k if k == 1 else n >= k, every).otherwise(F.array().cast("array<struct<part:int,body:string>>")))
+        return F.concat(*found)
+
+    return F.flatten(F.transform(F.array(paragraphs), runs))  # one evaluation of the paragraphs
+
+
+def scan(spark: SparkSession, docs: DataFrame, catalogue: DataFrame | None = None, paragraphs: tuple[int, ...] = PARAGRAPHS) -> DataFrame:
     """One row per document: doc_id, n_texts (texts that are known licences), licenses, whole_license.
 
     ``licenses`` lists the distinct identifiers, sorted and comma-joined;
     ``whole_license`` is the identifier of the document as a whole, if any.
     Null or empty texts match nothing; repeated doc_id values share results; a
     user's ``catalogue`` (digest, license) of any size may replace the built-in
-    one, which is broadcast because its size is fixed.
+    one, which is broadcast because its size is fixed; ``paragraphs`` are the
+    numbers of paragraphs of its texts.  Title and copyright lines around a
+    full text do not count against the document as a whole.
     """
     known = F.broadcast(known_digests(spark)) if catalogue is None else catalogue
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
@@ -114,8 +160,12 @@ def scan(spark: SparkSession, docs: DataFrame, catalogue: DataFrame | None = Non
     lines = F.transform(F.split("spelled", "\n"), lambda x, i: F.struct((i + 1).alias("part"), x.alias("body")))
     blocks = F.transform(F.split("text", "\n[ \t]*\n"), lambda x, i: F.struct((-1 - i).alias("part"), _spelled(x).alias("body")))
     inner = F.when(F.contains("text", F.lit("\n")), F.concat(lines, F.when(F.col("text").rlike("\n[ \t]*\n"), blocks).otherwise(none))).otherwise(none)
-    texts = rows_spelled.select("doc_id", F.explode(F.concat(whole, inner)).alias("t"))
-    hits = texts.select("doc_id", F.col("t.part").alias("part"), F.sha2(_spaced(F.col("t.body")), 256).alias("digest")).join(known, "digest")
+    several = F.when(F.contains("text", F.lit("\n")), _paragraph_runs(F.col("spelled"), paragraphs)).otherwise(none)
+    digests = F.concat(
+        F.transform(F.concat(whole, inner), lambda t: F.struct(t["part"].alias("part"), F.sha2(_spaced(t["body"]), 256).alias("digest"))),
+        F.transform(several, lambda t: F.struct(t["part"].alias("part"), F.sha2(t["body"], 256).alias("digest"))),
+    )
+    hits = rows_spelled.select("doc_id", F.explode(digests).alias("t")).select("doc_id", "t.part", "t.digest").join(known, "digest")
     per_doc = hits.groupBy("doc_id").agg(
         F.countDistinct("part").alias("n_texts"),
         F.array_join(F.sort_array(F.collect_set("license")), ",").alias("licenses"),
@@ -130,7 +180,7 @@ def _quoted(s: str) -> str:
 
 
 def _sql_canonical(text: str) -> str:
-    out = f"regexp_replace(translate({text}, '{_UPPER}', '{_LOWER}'), {_quoted(COPYRIGHT_LINE)}, '', 'g')"
+    out = f"regexp_replace(translate({text}, '{_UPPER}', '{_LOWER}'), {_quoted(SQL_COPYRIGHT_LINE)}, '', 'g')"
     for written, form in SPELLINGS:
         out = f"replace({out}, {_quoted(written)}, {_quoted(form)})"
     return f"trim(regexp_replace({out}, {_quoted(NOT_WORD)}, ' ', 'g'))"

@@ -205,3 +205,22 @@ def test_credentials_behind_separators_and_dotted_tokens(spark):
     for i, (text, token, kind) in texts.items():
         places = [m.start() for m in re.finditer(re.escape(token), text)] if token else []
         assert got[i] == ",".join(f"{kind}:{a}:{a + len(token)}" for a in places), i
+
+
+def test_licences_inside_documents(spark):
+    import textwrap
+
+    texts = {k: t for k, t in license_digest.KNOWN if "\n\n" in t}
+    wrapped = {k: "\n\n".join(textwrap.fill(p, 72) for p in t.split("\n\n")) for k, t in texts.items()}
+    isc = texts["ISC"].replace("above copyright notice", "above\ncopyright notice")
+    rows = [
+        (1, "A program.\n\n" + wrapped["MIT"] + "\n\nint main() {}\n\nMore."),
+        (2, "MIT License\n\nCopyright (c) 2024 Jane Doe\n\n" + wrapped["MIT"] + "\n"),
+        (3, "ISC License\n\nCopyright 2024 Jane Doe\n\n" + isc),
+        (4, "\n".join(" * " + x for x in ("The MIT License (MIT)\nCopyright Jane Doe\n\n" + wrapped["MIT"]).split("\n")) + "\n */\n\ncode"),
+        (5, wrapped["0BSD"] + "\n\nand prose"),
+        (6, texts["MIT"].replace("COPYRIGHT HOLDERS", "COPYRIGHT\nHOLDERS")),
+        (7, texts["MIT"].split("\n\n")[0] + "\n\nother words\n\n" + texts["MIT"].split("\n\n")[2]),
+    ]
+    got = {r.doc_id: (r.licenses, r.whole_license, r.n_texts) for r in license_digest.scan(spark, spark.createDataFrame(rows, DOC)).collect()}
+    assert got == {1: ("MIT", "", 1), 2: ("MIT", "MIT", 1), 3: ("ISC", "ISC", 1), 4: ("MIT", "", 1), 5: ("0BSD", "", 1), 6: ("MIT", "MIT", 1), 7: ("", "", 0)}
