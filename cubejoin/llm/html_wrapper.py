@@ -37,6 +37,11 @@ ROLES = frozenset("navigation banner contentinfo complementary search alert aler
 MARKS = frozenset(
     "ad ads adv advert adverts advertisement advertising banner sponsor sponsored promo promotion sidebar side nav navbar navigation menu breadcrumb breadcrumbs topbar header masthead footer cookie cookies consent gdpr notice notices notification alert popup modal overlay newsletter subscribe subscription signup login comment comments commentlist disqus respond reply replies discussion related recommended recommendations share sharing social widget toolbar pagination pager skip".split()
 )
+#: Marks that inside an article decide only as a whole class: elsewhere in a name they are layout or plain words.
+SOFT = frozenset("header masthead footer side sidebar banner discussion related recommended notice notices alert reply replies respond navigation menu skip overlay social".split())
+NEGATIONS = frozenset("no without has with hide".split())
+#: Elements inside an article that no mark drops.
+KEPT = frozenset("h1 h2 h3 h4 h5 h6 hgroup header section".split())
 CLOSES_P = frozenset("address article aside blockquote details div dl fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hr main menu nav ol p pre section table ul".split())
 #: An opening tag closes an open one of these, up to the given borders.
 IMPLIED = {
@@ -67,13 +72,15 @@ class WrapperSettings:
 class Dom:
     """A page as parallel lists in document order; node 0 is the root."""
 
-    __slots__ = ("tags", "parents", "children", "dropped", "mains", "texts", "shapes")
+    __slots__ = ("tags", "parents", "children", "dropped", "mains", "texts", "shapes", "marks")
 
     def __init__(self, source: str):
         self.tags, self.parents, self.children = ["#root"], [-1], [[]]
         self.dropped, self.mains = [False], [False]
         self.texts: list[tuple[int, str]] = []  # (node, raw text), in page order; (node, None) is a border
+        self.marks: list[tuple[int, bool]] = []  # (node, whole class), for _settle
         self._parse(source)
+        self._settle()
         self.shapes: list[int] = []
 
     def _add(self, tag: str, parent: int, attributes: str) -> int:
@@ -98,11 +105,58 @@ class Dom:
                 elif name == "hidden" or (name == "aria-hidden" and value == "true") or (name == "style" and "display:none" in value.replace(" ", "").lower()):
                     dropped = True
                 elif name in ("class", "id") and tag not in ("html", "body", "article", "main"):
-                    dropped = dropped or any(w.lower() in MARKS for w in _WORDS.findall(value))
+                    self._mark(node, tag, name, value, inside)
         self.dropped.append(dropped)
         self.mains.append(main)
         return node
 
+    def _mark(self, node: int, tag: str, name: str, value: str, inside: bool) -> None:
+        """Notes whether a class or id value marks furniture; ``_settle`` decides."""
+        if inside and tag in KEPT:
+            return
+        for token in value.split():
+            words = [w.lower() for w in _WORDS.findall(token)]
+            if len(words) == 1:
+                if words[0] in MARKS and not (inside and (words[0] in ("header", "masthead") or (name == "id" and words[0] in SOFT))):
+                    self.marks.append((node, True))
+            elif not inside or name == "class":
+                found = [w for i, w in enumerate(words) if w in MARKS and not (i and words[i - 1] in NEGATIONS)]
+                if any(not inside or w not in SOFT for w in found):
+                    self.marks.append((node, False))
+
+    def _settle(self) -> None:
+        """Marked elements drop with all they hold, save those that hold the article.
+
+        That is the outermost article or main element with most text or, on a page
+        without one, most of the text (for marks which are only part of a name).
+        """
+        if not self.marks:
+            return
+        n, parents, sizes = len(self.tags), self.parents, [0] * len(self.tags)
+        tops = [x for x in range(1, n) if self.mains[x] and not self.mains[parents[x]] and not self.dropped[x]]
+        out = self.dropped.copy()
+        if not tops:
+            for node, is_whole in self.marks:
+                out[node] = out[node] or is_whole
+            for node in range(1, n):
+                out[node] = out[node] or out[parents[node]]
+        for node, text in self.texts:
+            if text and not out[node]:
+                sizes[node] += len(text.strip())
+        for node in range(n - 1, 0, -1):
+            sizes[parents[node]] += sizes[node]
+        holders = set()
+        if tops:
+            node = parents[max(tops, key=lambda x: (sizes[x], -x))]
+            while node > 0:
+                holders.add(node)
+                node = parents[node]
+        for node, is_whole in self.marks:
+            holds = node in holders if tops else not is_whole and 2 * sizes[node] > sizes[0]
+            self.dropped[node] = self.dropped[node] or not holds
+        for node in range(1, n):
+            self.dropped[node] = self.dropped[node] or self.dropped[parents[node]]
+
     def _parse(self, source: str) -> None:
         at, open_node = 0, 0
         tags, parents, texts = self.tags, self.parents, self.texts

@@ -206,6 +206,17 @@ def test_constant_nodes_are_template(spark):
     assert got[100].text == "Same\nText"  # equal pages prove nothing
 
 
+def test_words_of_class_names_do_not_drop_the_article():
+    def text(source):
+        dom = html_wrapper.Dom(source)
+        return "|".join(t for _, t in dom.blocks(dom.content_nodes()))
+
+    assert text("<article><div class='entry-header'><h1>Title</h1></div><h2 id='related-work'>R</h2><section id='discussion'><p>D</p></section><h2 id='side-effects'>S</h2><div class='share-buttons'>x</div></article>") == "Title|R|D|S"
+    assert text("<div class='content no-sidebar'><p>All</p></div><div class='site-header'>x</div>") == "All"
+    assert text("<div class='has sidebar'><article>A</article></div><div id='comments'><article>B</article></div>") == "A"
+    assert text("<div class='sidebar-left layout'><p>Most of the text is here</p></div><div class='sidebar'>x</div>") == "Most of the text is here"
+
+
 def test_tree_matching_is_optimal_on_small_trees():
     def size(a, b, x=0, y=0):
         if a.tags[x] != b.tags[y]:
