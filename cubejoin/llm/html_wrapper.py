@@ -1,9 +1,10 @@
 """Main-text extraction by wrapper induction.
 
 Pages of one host share a template.  Every page's DOM is aligned with the
-host's exemplar (its shortest page) by simple tree matching.  An aligned text
-node that reads the same on nearly all different pages of the host is template;
-the others are slots.  Slots under elements whose role is navigation, page
+host's exemplars (up to three pages of typical size in tags) by simple tree
+matching.  A text node aligned with any exemplar that reads the same on nearly
+all different pages of the host that fit this exemplar is template; the others
+are slots.  Slots under elements whose role is navigation, page
 header or footer, sidebar, notice, advert, form, comment or code are no content
 either; of the rest, those inside the article (or main) element are the text,
 or all of them where a page has no such element.
@@ -65,7 +66,7 @@ class WrapperSettings:
     number of different pages that can tell; broadcast_bytes: largest total of exemplars that is broadcast."""
 
     share: float = 0.9
-    pages: int = 8
+    pages: int = 2
     broadcast_bytes: int = 16 << 20
 
 
@@ -324,10 +325,22 @@ class _Exemplars:
         return self.kept[source]
 
 
-def _aligned_blocks(page: Dom, model: Dom) -> list[tuple[int, str]]:
-    """(exemplar node or -1, text) of the page's content blocks."""
-    matching = tree_matching(page, model)
-    return [(matching.get(node, -1), text) for node, text in page.blocks(page.content_nodes())]
+def _aligned_blocks(page: Dom, models: list[Dom]) -> tuple[list[tuple[list[tuple[int, int]], str]], list[int]]:
+    """([(exemplar, node)], text) of the page's content blocks, and the exemplars that the page fits.
+
+    A page fits an exemplar if at least half of its nodes align.
+    """
+    matchings, fits, shapes = [], [], set()
+    for k, model in enumerate(models):
+        shape = model.shape()[0]
+        if shape in shapes:  # aligns as an earlier one does
+            continue
+        shapes.add(shape)
+        matching = tree_matching(page, model)
+        matchings.append((k, matching))
+        if 2 * len(matching) >= len(model.tags):
+            fits.append(k)
+    return [([(k, m[node]) for k, m in matchings if node in m], text) for node, text in page.blocks(page.content_nodes())], fits
 
 
 def _count_kernel(batches):
@@ -335,14 +348,15 @@ def _count_kernel(batches):
     for batch in batches:
         for lo in range(0, batch.num_rows, 256):
             part = batch.slice(lo, 256)
-            hosts, digests, nodes = [], [], []
-            for host, source, model in zip(*(part.column(i).to_pylist() for i in range(3)), strict=True):
-                blocks = _aligned_blocks(Dom(source), exemplars.dom(model))
+            hosts, digests, fitting, nodes = [], [], [], []
+            for host, source, models in zip(*(part.column(i).to_pylist() for i in range(3)), strict=True):
+                blocks, fits = _aligned_blocks(Dom(source), [exemplars.dom(m) for m in models])
                 hosts.append(host)
                 digests.append(_digest("\n".join(t for _, t in blocks)))
-                nodes.append([{"node": n, "text": _digest(t)} for n, t in blocks if n >= 0])
-            kind = pa.list_(pa.struct([("node", pa.int32()), ("text", pa.int64())]))
-            yield pa.RecordBatch.from_arrays([pa.array(hosts, pa.string()), pa.array(digests, pa.int64()), pa.array(nodes, kind)], names=["host", "page", "nodes"])
+                fitting.append(fits)
+                nodes.append([{"exemplar": k, "node": n, "text": _digest(t)} for at, t in blocks for k, n in at if k in fits])
+            kind = pa.list_(pa.struct([("exemplar", pa.int32()), ("node", pa.int32()), ("text", pa.int64())]))
+            yield pa.RecordBatch.from_arrays([pa.array(hosts, pa.string()), pa.array(digests, pa.int64()), pa.array(fitting, pa.list_(pa.int32())), pa.array(nodes, kind)], names=["host", "page", "fits", "nodes"])
 
 
 def _extract_kernel(batches):
@@ -351,11 +365,12 @@ def _extract_kernel(batches):
         for lo in range(0, batch.num_rows, 256):
             part = batch.slice(lo, 256)
             texts = []
-            for source, model, template in zip(*(part.column(i).to_pylist() for i in range(2, 5)), strict=True):
+            for source, models, template in zip(*(part.column(i).to_pylist() for i in range(2, 5)), strict=True):
                 dom = Dom(source or "")
                 if template:
-                    known = {(t["node"], t["text"]) for t in template}
-                    blocks = [t for n, t in _aligned_blocks(dom, exemplars.dom(model)) if (n, _digest(t)) not in known]
+                    known = {(t["exemplar"], t["node"], t["text"]) for t in template}
+                    aligned, _ = _aligned_blocks(dom, [exemplars.dom(m) for m in models])
+                    blocks = [t for at, t in aligned if not any((k, n, _digest(t)) in known for k, n in at)]
                 else:
                     blocks = [t for _, t in dom.blocks(dom.content_nodes())]
                 texts.append("\n".join(blocks))
@@ -370,30 +385,37 @@ def extract(spark: SparkSession, pages: DataFrame, settings: WrapperSettings = W
 
     Null html counts as empty (text ""); a null or odd url has the host "" and
     is treated alone with its like; hosts with fewer than ``pages`` different
-    pages have no template; repeated rows give repeated rows; an empty table
+    pages (that is one, by default) have no template; repeated rows give repeated rows; an empty table
     gives none; extra columns are ignored.
     """
     work = Workspace(spark, "wrapper")
     host = F.coalesce(F.regexp_extract(F.lower("url"), r"^[a-z][a-z0-9+.-]*://([^/?#]*)", 1), F.lit(""))
     rows = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.col("html").cast("string").alias("html")).withColumn("host", host)
     filled = rows.where("html is not null and html <> ''")
-    picked = filled.groupBy("host").agg(F.min(F.struct(F.length("html").alias("n"), F.col("page_id").alias("id"))).alias("m"), F.count("*").alias("c")).where(F.col("c") >= settings.pages)
-    picked = work.table("picked", picked.select("host", "m.n", F.col("m.id").alias("page_id")))
+    # Typical pages: those nearest to the quartiles of the host's page sizes in tags.
+    sized = filled.withColumn("tags", F.length("html") - F.length(F.replace("html", F.lit("<"), F.lit(""))))
+    typical = sized.groupBy("host").agg(F.percentile_approx("tags", [0.5, 0.25, 0.75]).alias("q"), F.count("*").alias("c")).where(F.col("c") >= settings.pages)
+    typical = work.table("typical", typical.select("host", "q"))
+    near = lambda k: F.min(F.struct(F.abs(F.col("tags") - F.col("q")[k]).alias("d"), F.col("page_id").alias("id"), F.length("html").alias("n")))
+    picked = sized.select("host", "page_id", "tags", "html").join(F.broadcast(typical) if typical.count() <= 100_000 else typical, "host").groupBy("host").agg(*[near(k).alias(f"m{k}") for k in range(3)])
+    picked = picked.select("host", F.explode(F.array_distinct(F.array("m0.id", "m1.id", "m2.id"))).alias("page_id"), (F.col("m0.n") + F.col("m1.n") + F.col("m2.n")).alias("n"))
+    picked = work.table("picked", picked)
     total = picked.agg(F.sum("n").alias("n")).first().n or 0
     small = total * 4 <= settings.broadcast_bytes  # bytes of all exemplars at most
     chosen = F.broadcast(picked.drop("n")) if small else picked.drop("n")
-    exemplars = filled.join(chosen, ["host", "page_id"]).groupBy("host").agg(F.min("html").alias("exemplar"))
+    exemplars = filled.join(chosen, ["host", "page_id"]).groupBy("host", "page_id").agg(F.min("html").alias("html"))
+    exemplars = exemplars.groupBy("host").agg(F.array_sort(F.collect_list("html")).alias("exemplar"))  # three at most
     exemplars = work.table("exemplars", exemplars)
     known = F.broadcast(exemplars) if small else exemplars
 
     seen = filled.join(known, "host").select("host", "html", "exemplar")
-    seen = seen.mapInArrow(_count_kernel, "host string, page long, nodes array<struct<node:int,text:long>>")
+    seen = seen.mapInArrow(_count_kernel, "host string, page long, fits array<int>, nodes array<struct<exemplar:int,node:int,text:long>>")
     # Equal pages count once; a page's nodes follow from its digest, so any copy will do.
     counted = work.table("counted", seen)
-    n_pages = counted.groupBy("host").agg(F.countDistinct("page").alias("pages")).where(F.col("pages") >= settings.pages)
-    nodes = counted.select("host", "page", F.explode("nodes").alias("x")).select("host", "page", "x.node", "x.text").distinct()
-    often = nodes.groupBy("host", "node", "text").agg(F.count("*").alias("c")).join(n_pages, "host").where(F.col("c") >= settings.share * F.col("pages"))
-    templates = often.groupBy("host").agg(F.collect_list(F.struct("node", "text")).alias("template"))
+    n_pages = counted.select("host", "page", F.explode("fits").alias("exemplar")).groupBy("host", "exemplar").agg(F.countDistinct("page").alias("pages")).where(F.col("pages") >= settings.pages)
+    nodes = counted.select("host", "page", F.explode("nodes").alias("x")).select("host", "page", "x.exemplar", "x.node", "x.text").distinct()
+    often = nodes.groupBy("host", "exemplar", "node", "text").agg(F.count("*").alias("c")).join(n_pages, ["host", "exemplar"]).where(F.col("c") >= settings.share * F.col("pages"))
+    templates = often.groupBy("host").agg(F.collect_list(F.struct("exemplar", "node", "text")).alias("template"))
     templates = work.table("templates", exemplars.join(templates, "host"))
 
     known = F.broadcast(templates) if small else templates

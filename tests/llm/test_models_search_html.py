@@ -206,6 +206,14 @@ def test_constant_nodes_are_template(spark):
     assert got[100].text == "Same\nText"  # equal pages prove nothing
 
 
+def test_small_hosts_and_stubs_have_templates(spark):
+    page = lambda i: f"<html><body><div><p>Welcome to the site</p></div><div><p>Story {i} told</p></div><div><p>All rights reserved</p></div></body></html>"
+    rows = [(i, f"http://small{i % 2}.example/p", page(i)) for i in range(4)] + [(10 + i, "http://stub.example/p", page(i)) for i in range(12)] + [(99, "http://stub.example/p", "<p>moved</p>"), (98, "http://one.example/", page(1))]
+    got = extract(spark, rows)
+    assert all(got[i].text == f"Story {i % 10 if i < 10 else i - 10} told" for i in [*range(4), *range(10, 22)])
+    assert got[99].text == "moved" and got[98].text == "Welcome to the site\nStory 1 told\nAll rights reserved"
+
+
 def test_words_of_class_names_do_not_drop_the_article():
     def text(source):
         dom = html_wrapper.Dom(source)
