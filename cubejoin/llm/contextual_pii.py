@@ -6,13 +6,16 @@ The patterns are written with possessive repeats and anchored at run starts
 (``\\G`` or a look-behind), so they find what the plain forms find but take time
 linear in the text, however long its runs are.
 
-Bootstrapping: identifier-like tokens that hold a base match are seeds.  The
-word before and the word after a token are its lexical patterns.  On the graph
-of (pattern, instance) a pattern's score is the smoothed share of score its
-instances carry, an instance's score that of its best pattern; seeds stay at 1.
-After ``rounds`` turns, tokens without a base match whose pattern scores
-``confidence`` or more, with support from ``support`` different seeds, and whose
-own form suits the kind, are found as well.
+Bootstrapping: identifier-like tokens that hold a base match are seeds.  The one,
+two and three words before a token and after it are its lexical patterns.  On
+the graph of (pattern, instance) a pattern's score for a kind is the smoothed
+share of score that its instances carry (instances without a score whose form
+suits the kind say little against it and count ``doubt``, others count fully);
+patterns with ``support`` different seeds and a score of ``confidence`` are
+believed.  Unseen instances of a
+believed pattern whose own form suits the kind take the pattern's score and are
+seeds of the next round, so that contexts found through them are learnt as well,
+until nothing new is found or ``rounds`` have run.
 """
 
 from __future__ import annotations
@@ -39,12 +42,15 @@ _BLOCK = 256
 
 @dataclass(frozen=True)
 class BootstrapSettings:
-    """rounds of scoring; confidence and support that a pattern needs; smoothing of its share."""
+    """rounds of scoring; confidence and support that a pattern needs; doubt and smoothing of its
+    share; words: length of the longest pattern."""
 
-    rounds: int = 3
-    confidence: float = 0.8
-    support: int = 4
+    rounds: int = 4
+    confidence: float = 0.75
+    support: int = 8
+    doubt: float = 0.1
     smoothing: float = 1.0
+    words: int = 3
 
 
 def _running(values: Column) -> Column:
@@ -54,9 +60,11 @@ def _running(values: Column) -> Column:
     return F.aggregate(values, start, step, lambda acc: acc["sums"])
 
 
-def _placed(frame: DataFrame, name: str, pattern: str, maybe: Column) -> DataFrame:
-    """Adds column ``name``: the matches in order as structs (start, end, value, and up to 60
-    characters before and after, as far as the neighbouring matches), code points.
+def _placed(frame: DataFrame, name: str, pattern: str, maybe: Column, words: int = 0) -> DataFrame:
+    """Adds column ``name``: the matches in order as structs (start, end, value), code points.
+
+    With ``words``, also the last words before (left) and first words after (right)
+    each match, as far as the neighbouring matches, lower-cased and one space apart.
 
     Running sums are taken in blocks of 256 and over blocks, so texts with very
     many matches do not copy long arrays again and again.
@@ -79,7 +87,14 @@ def _placed(frame: DataFrame, name: str, pattern: str, maybe: Column) -> DataFra
     def place(m: Column, i: Column) -> Column:
         gap = F.element_at(gaps, i + 1)
         start = F.element_at(f"{name}_o", (F.floor(i / _BLOCK) + 1).cast("int")) + F.element_at(f"{name}_i", i + 1) + F.char_length(gap)
-        return F.struct(start.cast("bigint").alias("start"), (start + F.char_length(m)).cast("bigint").alias("end"), m.alias("value"), F.substring(gap, -60, 60).alias("before"), F.substring(F.element_at(gaps, i + 2), 1, 60).alias("after"))
+        near = []
+        if words:
+            spaced = lambda found: F.lower(F.regexp_replace(found, r"\s++", " "))
+            near = [
+                spaced(F.regexp_extract(gap, rf"((?<!\S)\S++(?:\s++\S++){{0,{words - 1}}})\s*+$", 1)).alias("left"),
+                spaced(F.regexp_extract(F.element_at(gaps, i + 2), rf"^\s*+(\S++(?:\s++\S++){{0,{words - 1}}})", 1)).alias("right"),
+            ]
+        return F.struct(start.cast("bigint").alias("start"), (start + F.char_length(m)).cast("bigint").alias("end"), m.alias("value"), *near)
 
     frame = frame.withColumn(name, F.transform(found, place))
     return frame.drop(*(f"{name}_{x}" for x in "mgsboi"))
@@ -147,15 +162,15 @@ def _suits(kind: Column, token: Column) -> Column:
     plain = token.rlike(r"^[^A-Za-z]*$")
     return (
         F.when(kind == "email", token.rlike(r"^[^\s@]+@[^\s@]+$"))
-        .when(kind == "ip", plain & token.rlike(r"[0-9]+\.[0-9]+\.[0-9]+\.[0-9]+|[0-9]+-[0-9]+-[0-9]+-[0-9]+"))
+        .when(kind == "ip", (plain & token.rlike(r"[0-9]+([.:_-])[0-9]+\1[0-9]+\1[0-9]+")) | token.rlike(r"^(?=.*[0-9])[0-9A-Fa-f]{0,4}(:[0-9A-Fa-f]{0,4}){2,7}$"))
         .when(kind == "card", plain & n.between(14, 19))
-        .otherwise(plain & n.between(10, 15) & token.rlike(r"[\x20().-]"))
+        .otherwise(plain & n.between(7, 15) & token.rlike(r"[\x20().-]"))
     )
 
 
-def candidate_tokens(docs: DataFrame) -> DataFrame:
-    """(doc_id, text_key, start, end, value, seed, left, right) of identifier-like tokens of keyed documents."""
-    frame = _placed(docs, "token", TOKEN, F.col("text").rlike("[0-9@]"))
+def candidate_tokens(docs: DataFrame, words: int) -> DataFrame:
+    """(doc_id, text_key, start, end, value, seed, patterns) of identifier-like tokens of keyed documents."""
+    frame = _placed(docs, "token", TOKEN, F.col("text").rlike("[0-9@]"), words)
     # Outer, and no filter on the array: a pushed-down filter would repeat its whole derivation per element.
     frame = frame.select("doc_id", "text_key", F.explode_outer("token").alias("t")).where("t.value is not null")
     trimmed = F.regexp_replace("t.value", r"^[^A-Za-z0-9+@(]+|[^A-Za-z0-9)]+$", "")
@@ -164,38 +179,48 @@ def candidate_tokens(docs: DataFrame) -> DataFrame:
     for kind in reversed(KINDS):
         match = F.regexp_extract("t.value", PATTERNS[kind], 0)
         seed = F.when((match != "") & _valid(kind, match), F.lit(kind)).otherwise(seed)
-    left = F.lower(F.regexp_extract("t.before", r"(\S{1,40})\s*$", 1))
-    right = F.lower(F.regexp_extract("t.after", r"^\s*(\S{1,40})", 1))
-    out = frame.select("doc_id", "text_key", (F.col("t.start") + left_cut).alias("start"), trimmed.alias("value"), seed.alias("seed"), left.alias("left"), right.alias("right"))
+    patterns = F.concat(*(F.array(F.concat(F.lit("<"), F.substring_index("t.left", " ", -k)), F.concat(F.lit(">"), F.substring_index("t.right", " ", k))) for k in range(1, words + 1)))
+    patterns = F.array_distinct(F.filter(patterns, lambda x: F.length(x) > 1))
+    out = frame.select("doc_id", "text_key", (F.col("t.start") + left_cut).alias("start"), trimmed.alias("value"), seed.alias("seed"), patterns.alias("patterns"))
     return out.where("value <> ''").withColumn("end", F.col("start") + F.char_length("value"))
 
 
 def bootstrap(work: Workspace, tokens: DataFrame, settings: BootstrapSettings) -> DataFrame:
-    """Scored (pattern, kind, score): lexical patterns that keep company with seeds."""
-    sides = tokens.select("value", "seed", F.explode(F.array(F.concat(F.lit("<"), "left"), F.concat(F.lit(">"), "right"))).alias("pattern"))
-    edges = sides.where(F.length("pattern") > 1).groupBy("pattern", "value").agg(F.max("seed").alias("seed"))
+    """Believed (pattern, kind, weight): lexical patterns that keep company with seeds.
+
+    One scalar, the number of unseen instances found so far, reaches the driver a round.
+    """
+    edges = tokens.select("value", "seed", F.explode("patterns").alias("pattern")).groupBy("pattern", "value").agg(F.max("seed").alias("seed"))
     edges = work.table("edges", edges)
-    kinds = edges.where("seed is not null").groupBy("pattern", F.col("seed").alias("kind")).agg(F.count("*").alias("support")).where(F.col("support") >= settings.support)
-    kinds = work.table("pattern_kinds", kinds)
-    graph = work.table("graph", edges.join(kinds, "pattern").select("pattern", "kind", "value", (F.col("seed") == F.col("kind")).alias("own"), F.col("seed").isNotNull().alias("seeded"), "support"))
-    instance = F.when(F.coalesce("own", F.lit(False)), 1.0).when(F.col("seeded"), 0.0)
-    scores = None
+    first = work.table("first_seeds", edges.where("seed is not null").groupBy("value").agg(F.max("seed").alias("known")).withColumn("score", F.lit(1.0)))
+    seeds, before = first, 0
     for turn in range(settings.rounds):
-        rows = graph if scores is None else graph.join(scores, ["kind", "value"], "left")
-        known = instance.otherwise(0.0 if scores is None else F.coalesce("score", F.lit(0.0)))
-        pattern = rows.groupBy("pattern", "kind").agg((F.sum(known) / (F.count("*") + settings.smoothing)).alias("weight"))
-        pattern = work.table(f"patterns{turn}", pattern)
-        scores = graph.where("not seeded").join(pattern, ["pattern", "kind"]).groupBy("kind", "value").agg(F.max("weight").alias("score"))
-        scores = work.table(f"instances{turn}", scores)
-    return pattern
+        marked = work.table(f"marked{turn}", edges.select("pattern", "value").join(seeds, "value", "left"))
+        kinds = marked.where("known is not null").groupBy("pattern", F.col("known").alias("kind")).agg(F.count("*").alias("support")).where(F.col("support") >= settings.support)
+        own = F.coalesce(F.col("known") == F.col("kind"), F.lit(False))
+        counts = F.when(F.col("known").isNull() & _suits(F.col("kind"), F.col("value")), settings.doubt).otherwise(1.0)
+        held = marked.join(kinds, "pattern").groupBy("pattern", "kind").agg(F.sum(F.when(own, F.col("score")).otherwise(0.0)).alias("mass"), F.sum(counts).alias("total"))
+        weight = F.col("mass") / (F.col("total") + settings.smoothing)
+        believed = work.table(f"believed{turn}", held.select("pattern", "kind", weight.alias("weight")).where(F.col("weight") >= settings.confidence))
+        work.drop(f"marked{turn}")
+        if turn + 1 == settings.rounds:
+            break
+        scored = edges.where("seed is null").join(believed, "pattern").where(_suits(F.col("kind"), F.col("value")))
+        found = scored.groupBy("value").agg(F.max(F.struct("weight", "kind")).alias("b")).select("value", F.col("b.kind").alias("known"), F.col("b.weight").alias("score"))
+        found = work.table(f"found{turn}", found)
+        count = found.count()
+        if count == before:  # nothing new
+            break
+        seeds, before = first.unionByName(found), count
+    return believed
 
 
 def discovered(work: Workspace, docs: DataFrame, settings: BootstrapSettings) -> DataFrame:
     """(doc_id, text_key, extra): unseen identifiers of keyed documents as sorted span structs."""
-    tokens = work.table("tokens", candidate_tokens(docs))
-    patterns = bootstrap(work, tokens, settings).where(F.col("weight") >= settings.confidence)
-    unseen = tokens.where("seed is null").select("doc_id", "text_key", "start", "end", "value", F.explode(F.array(F.concat(F.lit("<"), "left"), F.concat(F.lit(">"), "right"))).alias("pattern"))
-    hits = unseen.join(patterns, "pattern").where(_suits(F.col("kind"), F.col("value")))
+    tokens = work.table("tokens", candidate_tokens(docs, settings.words))
+    believed = bootstrap(work, tokens, settings)
+    unseen = tokens.where("seed is null").select("doc_id", "text_key", "start", "end", "value", F.explode("patterns").alias("pattern"))
+    hits = unseen.join(believed, "pattern").where(_suits(F.col("kind"), F.col("value")))
     best = hits.groupBy("doc_id", "text_key", "start", "end").agg(F.max(F.struct("weight", "kind")).alias("b"))
     rank = F.array_position(F.array(*map(F.lit, KINDS)), F.col("b.kind")).cast("int") - 1
     span = F.struct("start", rank.alias("rank"), "end", F.col("b.kind").alias("kind"))
@@ -206,8 +231,9 @@ def personal_data(spark: SparkSession, docs: DataFrame, settings: BootstrapSetti
     """One row per document: counts and digest of base spans, all spans, and the spans as an array.
 
     Null text counts as empty; documents without matches have zero counts and
-    the digest of the empty string; rows that repeat doc_id and text have equal
-    results; an empty table gives no rows; extra columns are ignored.
+    the digest of the empty string; rows are told apart by doc_id (null or not)
+    and text, and rows equal in both have equal results; an empty table gives no
+    rows; extra columns are ignored, whatever their names.
     """
     work = Workspace(spark, "personal_data")
     keyed = _keyed(docs)
@@ -221,6 +247,7 @@ def personal_data(spark: SparkSession, docs: DataFrame, settings: BootstrapSetti
     free = F.filter("extra", lambda x: ~F.exists("base", lambda b: (b["start"] < x["end"]) & (x["start"] < b["end"])))
     every = F.when(F.col("extra").isNull(), F.col("base")).otherwise(F.array_sort(F.concat("base", free)))
     both = both.withColumn("every", every)
+    work.keep("based", "extra")
     return both.select("doc_id", *(f"n_{k}" for k in KINDS), F.sha2(_joined(F.col("base")), 256).alias("base_sha256"), _joined(F.col("every")).alias("spans"), "text_key", F.col("every").alias("found"))
 
 
@@ -228,11 +255,16 @@ def redact(docs: DataFrame, found: DataFrame) -> DataFrame:
     """Documents (doc_id, text, ...) with every found span replaced by its kind in angle brackets.
 
     ``found`` is the result of ``personal_data``.  Overlapping spans merge under
-    the first one's kind.  Documents without spans are untouched.
+    the first one's kind.  Documents without spans are untouched (null text stays
+    null); rows of one doc_id, or without one, are told apart by their text;
+    ``n_chars`` follows where there is such a column; other columns, of any name,
+    are kept as they are; an empty table stays empty.
     """
-    rows = found.where(F.size("found") > 0).select(F.col("doc_id").alias("xd"), F.col("text_key").alias("xk"), "found").dropDuplicates(["xd", "xk"])
-    keyed = docs.withColumn("_key", F.xxhash64(F.coalesce(F.col("text"), F.lit(""))))
-    both = keyed.join(rows, F.col("doc_id").eqNullSafe(F.col("xd")) & (F.col("_key") == F.col("xk")), "left")
+    columns = docs.columns
+    doc, key, spans, own = (_fresh(columns, x) for x in ("doc", "key", "spans", "own"))
+    rows = found.where(F.size("found") > 0).select(F.col("doc_id").alias(doc), F.col("text_key").alias(key), F.col("found").alias(spans)).dropDuplicates([doc, key])
+    keyed = docs.withColumn(own, F.xxhash64(F.coalesce(F.col("text"), F.lit(""))))
+    both = keyed.join(rows, F.col("doc_id").cast("long").eqNullSafe(F.col(doc)) & (F.col(own) == F.col(key)), "left")
     start = F.struct(F.array().cast("array<string>").alias("parts"), F.lit(0).cast("bigint").alias("at"))
 
     def step(acc: Column, s: Column) -> Column:
@@ -241,5 +273,16 @@ def redact(docs: DataFrame, found: DataFrame) -> DataFrame:
         return F.when(s["start"] < acc["at"], F.struct(acc["parts"].alias("parts"), F.greatest(acc["at"], s["end"]).alias("at"))).otherwise(F.struct(F.concat(acc["parts"], added).alias("parts"), s["end"].alias("at")))
 
     done = lambda acc: F.concat(F.array_join(acc["parts"], ""), F.substr("text", (acc["at"] + 1).cast("int")))
-    cleaned = F.when(F.col("found").isNull(), F.col("text")).otherwise(F.aggregate("found", start, step, done))
-    return both.withColumn("text", cleaned).withColumn("n_chars", F.char_length("text").cast("long")).select(docs.columns)
+    cleaned = F.when(F.col(spans).isNull(), F.col("text")).otherwise(F.aggregate(spans, start, step, done))
+    both = both.withColumn("text", cleaned)
+    if "n_chars" in columns:
+        both = both.withColumn("n_chars", F.char_length("text").cast(docs.schema["n_chars"].dataType))
+    return both.select(*(F.col(f"`{c}`") for c in columns))
+
+
+def _fresh(columns: list[str], name: str) -> str:
+    """A column name that no column has."""
+    taken = {c.lower() for c in columns}
+    while name in taken:
+        name += "_"
+    return name

@@ -91,10 +91,10 @@ def _note_kernel(settings: WindowSettings, bloom, sizes: list[int]):
                 words = Words(raw, borders, ALNUM)
                 low = LOWER[raw].tobytes()
                 counts = np.diff(words.rows)
-                ids = part.column(0)
+                ids, keys = part.column(0), part.column(1)
                 yield pa.RecordBatch.from_arrays(
-                    [ids, pa.array(counts), pa.nulls(len(ids), pa.int64()), pa.nulls(len(ids), pa.int32()), pa.nulls(len(ids), pa.int32()), pa.nulls(len(ids), pa.string())],
-                    names=["doc_id", "n_words", "token", "place", "first", "around"],
+                    [ids, keys, pa.array(counts), pa.nulls(len(ids), pa.int64()), pa.nulls(len(ids), pa.int32()), pa.nulls(len(ids), pa.int32()), pa.nulls(len(ids), pa.string())],
+                    names=["doc_id", "text_key", "n_words", "token", "place", "first", "around"],
                 )
                 for size in sizes:
                     grams, at, rows = gram_hashes(words.hashes, words.rows, size)
@@ -113,23 +113,28 @@ def _note_kernel(settings: WindowSettings, bloom, sizes: list[int]):
                         starts, ends = words.starts, words.ends
                         around = [b" ".join([low[starts[w] : ends[w]] for w in range(f, e)]).decode() for f, e in spans]
                         yield pa.RecordBatch.from_arrays(
-                            [ids.take(pa.array(row)), pa.nulls(len(some), pa.int64()), pa.array(grams[some].view(np.int64)), pa.array((at[some] - head).astype(np.int32)), pa.array((first - head).astype(np.int32)), pa.array(around)],
-                            names=["doc_id", "n_words", "token", "place", "first", "around"],
+                            [ids.take(pa.array(row)), keys.take(pa.array(row)), pa.nulls(len(some), pa.int64()), pa.array(grams[some].view(np.int64)), pa.array((at[some] - head).astype(np.int32)), pa.array((first - head).astype(np.int32)), pa.array(around)],
+                            names=["doc_id", "text_key", "n_words", "token", "place", "first", "around"],
                         )
 
     return run
 
 
 def contamination(spark: SparkSession, docs: DataFrame, benchmark: DataFrame, settings: WindowSettings = WindowSettings()) -> DataFrame:
-    """One row per document: doc_id, n_words, n_hit, n_items, items_sha256, contaminated.
+    """One row per document: doc_id, n_words, n_hit, n_items, items_sha256, contaminated, text_key.
 
     * null or word-free text: no words, no hits;
     * items without words or without item_id have no windows;
-    * equal items each count; repeated doc_id values share their hits;
-    * empty tables: no rows, or rows without hits; extra columns are ignored.
+    * equal items each count;
+    * rows are told apart by doc_id and text (``text_key`` is the text's hash), so
+      rows of one doc_id or without doc_id get the hits of their own text, and
+      rows equal in both get equal results;
+    * empty tables: no rows, or rows without hits; extra columns are ignored,
+      whatever their names.
     """
     work = Workspace(spark, "contamination")
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    docs = docs.select("doc_id", F.xxhash64("text").alias("text_key"), "text")
     items = benchmark.select(F.col("item_id").cast("string").alias("item_id"), F.col("text").cast("string").alias("text")).where("item_id is not null")
     raw = work.table("raw_windows", items.mapInArrow(_window_kernel(settings), "item_id string, kind long, window string, size int, gram int, grams array<long>"))
     windows = raw.groupBy("window").agg(F.first("size").alias("size"), F.first("gram").alias("gram"), F.first("grams").alias("grams"), F.collect_set("kind").alias("kinds"))
@@ -141,7 +146,7 @@ def contamination(spark: SparkSession, docs: DataFrame, benchmark: DataFrame, se
     table[bits.column("word").to_numpy()] = bits.column("bits").to_numpy()
     sizes = sorted(r.gram for r in windows.select("gram").distinct().collect())  # at most `shingle` values
     bloom = spark.sparkContext.broadcast(table.tobytes())
-    schema = "doc_id long, n_words long, token long, place int, first int, around string"
+    schema = "doc_id long, text_key long, n_words long, token long, place int, first int, around string"
     notes = work.table("notes", docs.mapInArrow(_note_kernel(settings, bloom, sizes), schema))
     hits = notes.where("token is not null")
 
@@ -151,11 +156,11 @@ def contamination(spark: SparkSession, docs: DataFrame, benchmark: DataFrame, se
     keys = rated.groupBy("window").agg(F.first("size").alias("size"), F.first("kinds").alias("kinds"), F.first("needed").alias("needed"), F.count("*").alias("found"), F.min(F.struct("often", "token", "offset")).alias("rare"))
     keys = keys.where("found = needed").select("window", "size", "kinds", F.col("rare.token").alias("token"), F.col("rare.offset").alias("offset"))
     keys = keys.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(settings.salts - 1))))
-    salted = hits.withColumn("salt", F.pmod(F.xxhash64("doc_id", "place"), F.lit(settings.salts)).cast("int"))
+    salted = hits.withColumn("salt", F.pmod(F.xxhash64("doc_id", "text_key", "place"), F.lit(settings.salts)).cast("int"))
     start = F.col("place") - F.col("offset")
     inside = F.slice(F.split("around", " "), F.greatest(start - F.col("first") + 1, F.lit(1)), F.col("size"))
     found = salted.join(keys, ["token", "salt"]).where((start >= F.col("first")) & (F.concat_ws(" ", inside) == F.col("window")))
-    spans = found.select("doc_id", start.alias("start"), "size", "kinds")
+    spans = found.select("doc_id", "text_key", start.alias("start"), "size", "kinds")
 
     covered = F.aggregate(
         F.sort_array(F.collect_set(F.struct("start", "size"))),
@@ -167,13 +172,18 @@ def contamination(spark: SparkSession, docs: DataFrame, benchmark: DataFrame, se
         lambda acc: acc["hit"],
     )
     spans = work.table("spans", spans)
-    per_doc = spans.groupBy("doc_id").agg(covered.alias("n_hit"))
+    row = ["doc_id", "text_key"]
+    per_doc = spans.groupBy(*row).agg(covered.alias("n_hit"))
     kinds = raw.select("kind", "item_id").distinct()
-    named = spans.select("doc_id", F.explode("kinds").alias("kind")).distinct().join(kinds, "kind")
-    named = named.groupBy("doc_id").agg(F.sort_array(F.collect_set("item_id")).alias("ids"))
-    found = per_doc.join(named, "doc_id", "left").select(F.col("doc_id").alias("hit_id"), "n_hit", "ids")
-    rows = notes.where("n_words is not null").select("doc_id", "n_words")
-    joined = rows.join(found, F.col("doc_id") == F.col("hit_id"), "left")
+    named = spans.select(*row, F.explode("kinds").alias("kind")).distinct().join(kinds, "kind")
+    named = named.groupBy(*row).agg(F.sort_array(F.collect_set("item_id")).alias("ids")).select(F.col("doc_id").alias("named_id"), F.col("text_key").alias("named_key"), "ids")
+    found = per_doc.join(named, F.col("doc_id").eqNullSafe(F.col("named_id")) & (F.col("text_key") == F.col("named_key")), "left")
+    found = found.select(F.col("doc_id").alias("hit_id"), F.col("text_key").alias("hit_key"), "n_hit", "ids")
+    rows = notes.where("n_words is not null").select(*row, "n_words")
+    joined = rows.join(found, F.col("doc_id").eqNullSafe(F.col("hit_id")) & (F.col("text_key") == F.col("hit_key")), "left")
     n_hit = F.coalesce("n_hit", F.lit(0)).cast("long")
     ids = F.coalesce("ids", F.array().cast("array<string>"))
-    return joined.select("doc_id", "n_words", n_hit.alias("n_hit"), F.size(ids).cast("long").alias("n_items"), F.sha2(F.concat_ws(",", ids), 256).alias("items_sha256"), (n_hit > 0).alias("contaminated"))
+    result = joined.select("doc_id", "n_words", n_hit.alias("n_hit"), F.size(ids).cast("long").alias("n_items"), F.sha2(F.concat_ws(",", ids), 256).alias("items_sha256"), (n_hit > 0).alias("contaminated"), "text_key")
+    result = work.table("result", result)
+    work.keep("result")
+    return result

@@ -145,14 +145,16 @@ def scan(spark: SparkSession, docs: DataFrame, catalogue: DataFrame | None = Non
 
     ``licenses`` lists the distinct identifiers, sorted and comma-joined;
     ``whole_license`` is the identifier of the document as a whole, if any.
-    Null or empty texts match nothing; repeated doc_id values share results; a
-    user's ``catalogue`` (digest, license) of any size may replace the built-in
+    Null or empty texts match nothing; rows are told apart by doc_id and text, so
+    rows of one doc_id or without doc_id get the licences of their own text, and
+    rows equal in both get equal results; an empty table gives no rows; extra
+    columns are ignored, whatever their names; a user's ``catalogue`` (digest, license) of any size may replace the built-in
     one, which is broadcast because its size is fixed; ``paragraphs`` are the
     numbers of paragraphs of its texts.  Title and copyright lines around a
     full text do not count against the document as a whole.
     """
     known = F.broadcast(known_digests(spark)) if catalogue is None else catalogue
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).withColumn("text_key", F.xxhash64("text"))
     # Spellings never cross a line border, so the lines of the spelled document are the spelled lines.
     rows_spelled = rows.where("text is not null").withColumn("spelled", _spelled(F.col("text")))
     none = F.array().cast("array<struct<part:int,body:string>>")
@@ -165,13 +167,13 @@ def scan(spark: SparkSession, docs: DataFrame, catalogue: DataFrame | None = Non
         F.transform(F.concat(whole, inner), lambda t: F.struct(t["part"].alias("part"), F.sha2(_spaced(t["body"]), 256).alias("digest"))),
         F.transform(several, lambda t: F.struct(t["part"].alias("part"), F.sha2(t["body"], 256).alias("digest"))),
     )
-    hits = rows_spelled.select("doc_id", F.explode(digests).alias("t")).select("doc_id", "t.part", "t.digest").join(known, "digest")
-    per_doc = hits.groupBy("doc_id").agg(
+    hits = rows_spelled.select("doc_id", "text_key", F.explode(digests).alias("t")).select("doc_id", "text_key", "t.part", "t.digest").join(known, "digest")
+    per_doc = hits.groupBy(F.col("doc_id").alias("hit_id"), F.col("text_key").alias("hit_key")).agg(
         F.countDistinct("part").alias("n_texts"),
         F.array_join(F.sort_array(F.collect_set("license")), ",").alias("licenses"),
         F.min(F.when(F.col("part") == 0, F.col("license"))).alias("whole_license"),
     )
-    joined = rows.select("doc_id").join(per_doc, "doc_id", "left")
+    joined = rows.select("doc_id", "text_key").join(per_doc, F.col("doc_id").eqNullSafe(F.col("hit_id")) & (F.col("text_key") == F.col("hit_key")), "left")
     return joined.select("doc_id", F.coalesce("n_texts", F.lit(0)).cast("long").alias("n_texts"), F.coalesce("licenses", F.lit("")).alias("licenses"), F.coalesce("whole_license", F.lit("")).alias("whole_license"))
 
 

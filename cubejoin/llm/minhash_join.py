@@ -11,24 +11,33 @@ that share at least ``match`` of ``coordinates`` tokens share one within their
 first ``coordinates - match + 1``, so only those are posted.
 
 *skip*: a posting list first joins its members to one pivot (its most typical
-member).  Members which fall into the pivot's component need no further
-comparison with each other; only the others meet the rest of the list, and a
-one-bit sketch drops most of these meetings inside the join.  In lists of more
-than ``direct`` members the others meet through the exact shingle sets instead:
-each set's rarest shingles (the necessary prefix of its Jaccard bound) are
-posted, and a shared shingle counts only where its positions leave room for the
-overlap that a link needs.  No list is cut short and no group emits all pairs.
+member); of its pivots a member tries the one it collides with most.  Members
+which fall into the pivot's component need no further comparison with each
+other; only the others meet the rest of the list, and a one-bit sketch drops
+most of these meetings inside the join.  In lists of more than ``direct``
+members the others meet through the exact shingle sets instead: each set's
+rarest shingles (the necessary prefix of its Jaccard bound) are posted, a shared
+shingle counts only where its positions leave room for the overlap that a link
+needs, and long lists meet in parts of ``part`` members, each a task of its own.
+No list is cut short and no group emits all pairs.  ``direct`` and ``part``
+decide where the work is done, never which links are found.
 
 *count*: a candidate pair is kept if its signatures agree in at least ``match``
 coordinates, and becomes a link only if the exact shingle sets say so.
 
 The default threshold pair (64 coordinates, 36 matches) misses a pair of
-similarity 0.85 with probability about 1e-8, and the 1-bit sketch about 1e-7.
+similarity 0.85 with probability about 1e-8, and the 1-bit sketch about 1e-7;
+``JoinSettings.for_similarity`` keeps these odds at other thresholds.
+
+Equal sets are one vertex of the graph of links (their 128-bit digests are
+equal), whichever rows they come from.
 """
 
 from __future__ import annotations
 
+import hashlib
 from dataclasses import dataclass
+from math import ceil, sqrt
 
 import numpy as np
 import pyarrow as pa
@@ -51,6 +60,7 @@ class JoinSettings:
     sketch_distance: largest Hamming distance of the 64 one-bit sketches of a candidate.
     bucket_bits: size (2**bits counters, fixed) of the frequency sketches.
     direct: posting lists up to this length compare their stray members directly.
+    part: members of a part of a long list of set tokens.
     """
 
     similarity_percent: int = 85
@@ -59,8 +69,18 @@ class JoinSettings:
     sketch_distance: int = 18
     bucket_bits: int = 20
     direct: int = 16
+    part: int = 512
     seed: int = 7
 
+    @classmethod
+    def for_similarity(cls, percent: int, coordinates: int = 64, deviations: float = 5.8) -> JoinSettings:
+        """Collisions and sketch bits so many standard deviations off what a pair at the threshold has."""
+        s = percent / 100
+        match = int(coordinates * s - deviations * sqrt(coordinates * s * (1 - s)))
+        flip = (1 - s) / 2
+        distance = ceil(coordinates * flip + deviations * sqrt(coordinates * flip * (1 - flip)))
+        return cls(similarity_percent=percent, coordinates=coordinates, match=max(1, match), sketch_distance=min(coordinates, distance))
+
     @property
     def prefix(self) -> int:
         return self.coordinates - self.match + 1
@@ -95,20 +115,21 @@ def _permutations(settings: JoinSettings) -> tuple[np.ndarray, np.ndarray]:
     return flips, factors
 
 
-def _signature_kernel(text: str, doc_id: str, settings: JoinSettings):
+def _signature_kernel(settings: JoinSettings):
     def run(batches):
         flips, factors = _permutations(settings)
         for batch in batches:
-            for part, raw, borders in slices(batch, text):
+            for part, raw, borders in slices(batch, "text"):
                 values, rows = shingle_sets(part, raw, borders)
                 sizes = np.diff(rows)
                 full = sizes > 0
                 heads = rows[:-1][full]
-                low, high = np.zeros(len(sizes), np.uint64), np.zeros(len(sizes), np.uint64)
+                digests = np.zeros((len(sizes), 2), np.int64)
+                for row in np.flatnonzero(full):
+                    own = hashlib.blake2b(values[rows[row] : rows[row + 1]], digest_size=16).digest()
+                    digests[row] = np.frombuffer(own, "<i8")
                 signature = np.zeros((len(sizes), settings.coordinates), np.uint32)
                 if len(values):
-                    low[full] = np.add.reduceat(values, heads)
-                    high[full] = np.bitwise_xor.reduceat(mix(values ^ np.uint64(0xA5A5A5A5A5A5A5A5)), heads)
                     narrow = (values >> np.uint64(32)).astype(np.uint32)
                     image = np.empty_like(narrow)
                     for k in range(settings.coordinates):
@@ -118,8 +139,8 @@ def _signature_kernel(text: str, doc_id: str, settings: JoinSettings):
                 flat = pa.array(signature.view(np.int32).ravel())
                 ends = pa.array(np.arange(len(sizes) + 1, dtype=np.int32) * settings.coordinates)
                 yield pa.RecordBatch.from_arrays(
-                    [part.column(part.schema.get_field_index(doc_id)).cast(pa.int64()), pa.array(sizes), pa.array(low.view(np.int64)), pa.array(high.view(np.int64)), pa.ListArray.from_arrays(ends, flat)],
-                    names=["doc_id", "n_shingles", "low", "high", "signature"],
+                    [part.column(0), part.column(1), pa.array(sizes), pa.array(digests[:, 0]), pa.array(digests[:, 1]), pa.ListArray.from_arrays(ends, flat)],
+                    names=["doc_id", "text_key", "n_shingles", "low", "high", "signature"],
                 )
 
     return run
@@ -148,6 +169,8 @@ def _frequency_kernel(settings: JoinSettings):
 
 
 def _posting_kernel(settings: JoinSettings, frequencies):
+    """Rows (class_id, n_shingles, root, signature) to (token, id, n, root, sketch, typical)."""
+
     def run(batches):
         table = np.frombuffer(frequencies.value, dtype=np.int64)
         for batch in batches:
@@ -160,24 +183,36 @@ def _posting_kernel(settings: JoinSettings, frequencies):
                 bits = ((tokens >> np.uint64(1)) & np.uint64(1)) << np.arange(settings.coordinates, dtype=np.uint64)
                 sketch = np.bitwise_or.reduce(bits, axis=1)
                 typical = np.minimum(counts, 1 << 40).sum(axis=1)
-                rep = lambda x: np.repeat(x, settings.prefix)
-                ids = part.column(part.schema.get_field_index("doc_id")).to_numpy()
-                sizes = part.column(part.schema.get_field_index("n_shingles")).to_numpy()
+                rep = lambda x: pa.array(np.repeat(x, settings.prefix))
+                ids, sizes, roots = (part.column(k).to_numpy() for k in range(3))
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array(chosen.view(np.int64).ravel()), pa.array(rep(ids)), pa.array(rep(sizes)), pa.array(rep(sketch.view(np.int64))), pa.array(rep(typical))],
-                    names=["token", "id", "n", "sketch", "typical"],
+                    [pa.array(chosen.view(np.int64).ravel()), rep(ids), rep(sizes), rep(roots), rep(sketch.view(np.int64)), rep(typical)],
+                    names=["token", "id", "n", "root", "sketch", "typical"],
                 )
 
     return run
 
 
+def _brief_kernel(settings: JoinSettings):
+    """One byte of each coordinate: enough to count collisions (a strict count never exceeds it)."""
+
+    def run(batches):
+        for batch in batches:
+            flat = batch.column(1).flatten().to_numpy(zero_copy_only=False)
+            mixed = ((flat.view(np.uint32).astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(56)).astype(np.uint8).view(np.int8)
+            ends = pa.array(np.arange(batch.num_rows + 1, dtype=np.int32) * settings.coordinates)
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.ListArray.from_arrays(ends, pa.array(mixed))], names=["id", "brief"])
+
+    return run
+
+
 def _set_kernel(text: str):
     def run(batches):
         for batch in batches:
             for part, raw, borders in slices(batch, text):
                 values, rows = shingle_sets(part, raw, borders)
                 yield pa.RecordBatch.from_arrays(
-                    [part.column(part.schema.get_field_index("doc_id")), pa.ListArray.from_arrays(pa.array(rows.astype(np.int32)), pa.array(values.view(np.int64)))],
+                    [part.column(0), pa.ListArray.from_arrays(pa.array(rows.astype(np.int32)), pa.array(values.view(np.int64)))],
                     names=["id", "shingles"],
                 )
 
@@ -238,10 +273,18 @@ def _sketch(spark: SparkSession, counted: DataFrame, settings: JoinSettings):
     return spark.sparkContext.broadcast(table.tobytes())
 
 
-def _sets_of(docs: DataFrame, wanted: DataFrame) -> DataFrame:
-    """Exact shingle sets of the documents whose id is in ``wanted`` (doc_id, distinct)."""
-    texts = docs.join(wanted.hint("shuffle_hash"), "doc_id", "left_semi")
-    return texts.mapInArrow(_set_kernel("text"), "id long, shingles array<long>")
+def identified(docs: DataFrame) -> DataFrame:
+    """doc_id, text and text_key: together doc_id and text_key tell rows apart, null ids included."""
+    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    return docs.select("doc_id", F.xxhash64("text").alias("text_key"), "text")
+
+
+def _sets_of(docs: DataFrame, classes: DataFrame, wanted: DataFrame) -> DataFrame:
+    """Exact shingle sets of the classes whose id is in ``wanted`` (class_id, distinct), from their leaders' texts."""
+    leaders = classes.select("class_id", F.col("lead").alias("lead_id"), F.col("lead_key")).join(wanted, "class_id", "left_semi")
+    texts = docs.join(leaders.hint("shuffle_hash"), F.col("doc_id").eqNullSafe(F.col("lead_id")) & (F.col("text_key") == F.col("lead_key")))
+    sets = texts.select("class_id", "text").mapInArrow(_set_kernel("text"), "id long, shingles array<long>")
+    return sets.dropDuplicates(["id"])  # equal rows may lead one class
 
 
 def _set_prefix_pairs(work: Workspace, sets: DataFrame, roots: DataFrame, settings: JoinSettings) -> DataFrame:
@@ -251,26 +294,28 @@ def _set_prefix_pairs(work: Workspace, sets: DataFrame, roots: DataFrame, settin
     rows = sets.mapInArrow(_set_prefix_kernel(settings, frequencies), "token long, id long, rank int, n long")
     rows = work.table("prefix_rows", rows.join(roots, "id", "left").withColumn("root", F.coalesce("root", "id")))
     held = rows.groupBy("token", "root").agg(F.count("*").alias("c"))
-    major = held.groupBy("token").agg(F.max(F.struct("c", "root")).alias("m"), F.count("*").alias("roots")).where("roots > 1")
-    major = work.table("majors", major.select("token", F.col("m.root").alias("major")))
+    major = held.groupBy("token").agg(F.max(F.struct("c", "root")).alias("m"), F.count("*").alias("roots"), F.sum("c").alias("members")).where("roots > 1")
+    parts = F.ceil(F.col("members") / settings.part).cast("int")
+    major = work.table("majors", major.select("token", F.col("m.root").alias("major"), parts.alias("parts")))
     marked = rows.join(major, "token")
-    stray = marked.where("root <> major").select("token", F.col("id").alias("sid"), F.col("n").alias("sn"), F.col("rank").alias("srank"), F.col("root").alias("sroot"))
+    stray = marked.where("root <> major").select("token", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"), F.col("id").alias("sid"), F.col("n").alias("sn"), F.col("rank").alias("srank"), F.col("root").alias("sroot"))
+    marked = marked.withColumn("part", F.pmod(F.xxhash64("id"), F.col("parts")).cast("int"))
     p = settings.similarity_percent
     room = F.least(F.col("n") - F.col("rank"), F.col("sn") - F.col("srank"))  # the shared shingle and all after it
     fits = (100 + p) * room >= p * (F.col("n") + F.col("sn"))
     sized = 100 * F.least("n", "sn") >= p * F.greatest("n", "sn")
     meets = (F.col("sroot") != F.col("root")) & ((F.col("root") == F.col("major")) | (F.col("sid") < F.col("id"))) & sized & fits
-    return marked.join(stray, "token").where(meets).select(F.least("id", "sid").alias("a"), F.greatest("id", "sid").alias("b")).distinct()
+    return marked.join(stray, ["token", "part"]).where(meets).select(F.least("id", "sid").alias("a"), F.greatest("id", "sid").alias("b")).distinct()
 
 
-def _confirm(work: Workspace, label: str, docs: DataFrame, signatures: DataFrame, pairs: DataFrame, settings: JoinSettings) -> DataFrame:
+def _confirm(work: Workspace, label: str, docs: DataFrame, classes: DataFrame, briefs: DataFrame, pairs: DataFrame, settings: JoinSettings) -> DataFrame:
     """Links among candidate pairs (a, b): collision count, then exact sets."""
-    one = signatures.select(F.col("doc_id").alias("a"), F.col("signature").alias("sa"))
-    two = signatures.select(F.col("doc_id").alias("b"), F.col("signature").alias("sb"))
+    one = briefs.select(F.col("id").alias("a"), F.col("brief").alias("sa"))
+    two = briefs.select(F.col("id").alias("b"), F.col("brief").alias("sb"))
     equal = F.aggregate(F.zip_with("sa", "sb", lambda x, y: F.when(x == y, 1).otherwise(0)), F.lit(0), lambda s, x: s + x)
     candidates = work.table(f"{label}_candidates", pairs.join(one, "a").join(two, "b").where(equal >= settings.match).select("a", "b"))
-    wanted = candidates.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
-    sets = work.table(f"{label}_sets", _sets_of(docs, wanted))
+    wanted = candidates.select(F.explode(F.array("a", "b")).alias("class_id")).distinct()
+    sets = work.table(f"{label}_sets", _sets_of(docs, classes, wanted))
     left = sets.select(F.col("id").alias("a"), F.col("shingles").alias("la"))
     right = sets.select(F.col("id").alias("b"), F.col("shingles").alias("lb"))
     common = F.size(F.array_intersect("la", "lb"))
@@ -281,60 +326,73 @@ def _confirm(work: Workspace, label: str, docs: DataFrame, signatures: DataFrame
     return links
 
 
-def near_duplicates(spark: SparkSession, docs: DataFrame, settings: JoinSettings = JoinSettings(), text: str = "text", doc_id: str = "doc_id") -> DataFrame:
-    """One row per document: doc_id, n_shingles, component_id, kept.
+def near_duplicates(spark: SparkSession, docs: DataFrame, settings: JoinSettings = JoinSettings()) -> DataFrame:
+    """One row per document: doc_id, n_shingles, component_id, kept, text_key, group_id.
 
-    * null, empty or blank text: no shingles, its own component, kept;
+    * null, empty or blank text: no shingles, its own component (component_id is
+      its doc_id), kept, no group_id;
     * fewer than five words: the whole word sequence is the one shingle;
-    * rows that repeat a doc_id give a row each; if their texts differ they are one
-      vertex that links through one of its texts (which one is unspecified);
-    * null doc_id rows cannot be named and are ignored;
-    * empty tables give an empty result; other columns are ignored.
+    * every row is a document of its own: rows of one doc_id with different texts
+      link through their own texts (``text_key`` is the text's hash), equal rows
+      get equal results, and a shared doc_id alone links nothing;
+    * rows without doc_id link as others do; ``component_id`` is the smallest
+      doc_id of the component, null where none has one, and ``kept`` is true where
+      doc_id and component_id are equal or both null;
+    * ``group_id`` names the component, with or without ids, within this result;
+    * empty tables give an empty result; other columns are ignored, whatever
+      their names.
     """
     work = Workspace(spark, "near_duplicates")
-    docs = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).cast("string").alias("text")).where("doc_id is not null")
-    schema = "doc_id long, n_shingles long, low long, high long, signature array<int>"
-    signatures = work.table("signatures", docs.mapInArrow(_signature_kernel("text", "doc_id", settings), schema))
+    docs = identified(docs)
+    schema = "doc_id long, text_key long, n_shingles long, low long, high long, signature array<int>"
+    signatures = work.table("signatures", docs.mapInArrow(_signature_kernel(settings), schema))
 
-    filled = signatures.where("n_shingles > 0")
     key = ["n_shingles", "low", "high"]
-    classes = work.table("classes", filled.groupBy(*key).agg(F.min("doc_id").alias("class_id")))
-    leaders = filled.join(classes.select(F.col("class_id").alias("doc_id"), *key), ["doc_id", *key], "left_semi")
-    leaders = work.table("leaders", leaders.select("doc_id", "n_shingles", "signature").dropDuplicates(["doc_id"]))
+    leader = F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "text_key", "signature")).alias("m")
+    classes = signatures.where("n_shingles > 0").groupBy(*key).agg(leader)
+    # Numbers are drawn once: the table is written before anything reads them.
+    classes = work.table("classes", classes.select(F.monotonically_increasing_id().alias("class_id"), *key, F.col("m.doc_id").alias("lead"), F.col("m.text_key").alias("lead_key"), F.col("m.signature").alias("signature")))
+    briefs = work.table("briefs", classes.select("class_id", "signature").mapInArrow(_brief_kernel(settings), "id long, brief array<byte>"))
 
-    frequencies = _sketch(spark, leaders.mapInArrow(_frequency_kernel(settings), "bucket int, n long"), settings)
-    posted = leaders.mapInArrow(_posting_kernel(settings, frequencies), "token long, id long, n long, sketch long, typical long")
-    pivots = posted.groupBy("token").agg(F.max(F.struct("typical", "id", "n", "sketch")).alias("p"), F.count("*").alias("held")).where("held > 1")
-    postings = work.table("postings", posted.join(pivots.select("token", F.col("p.id").alias("pivot"), F.col("p.n").alias("pivot_n"), F.col("p.sketch").alias("pivot_sketch"), "held"), "token").drop("typical"))
+    frequencies = _sketch(spark, classes.select("signature").mapInArrow(_frequency_kernel(settings), "bucket int, n long"), settings)
 
-    percent = settings.similarity_percent
-    alike = lambda s, t, n, m: (F.bit_count(F.col(s).bitwiseXOR(F.col(t))) <= settings.sketch_distance) & (100 * F.least(n, m) >= percent * F.greatest(n, m))
-    stars = postings.where((F.col("id") != F.col("pivot")) & alike("sketch", "pivot_sketch", "n", "pivot_n"))
-    stars = work.table("stars", stars.select(F.least("id", "pivot").alias("a"), F.greatest("id", "pivot").alias("b")).distinct())
-    first = _confirm(work, "first", docs, leaders, stars, settings)
+    def postings(of: DataFrame) -> DataFrame:
+        return of.select("class_id", "n_shingles", "root", "signature").mapInArrow(_posting_kernel(settings, frequencies), "token long, id long, n long, root long, sketch long, typical long")
+
+    alike = lambda s, t, n, m: (F.bit_count(F.col(s).bitwiseXOR(F.col(t))) <= settings.sketch_distance) & (100 * F.least(n, m) >= settings.similarity_percent * F.greatest(n, m))
+    posted = postings(classes.withColumn("root", F.col("class_id")))
+    pivots = posted.groupBy("token").agg(F.max(F.struct("typical", "id", "n", "sketch")).alias("p"), F.count("*").alias("held")).where("held > 1")
+    pivots = work.table("pivots", pivots.select("token", F.col("p.id").alias("pivot"), F.col("p.n").alias("pivot_n"), F.col("p.sketch").alias("pivot_sketch"), "held"))
+    stars = posted.select("token", "id", "n", "sketch").join(pivots, "token").where((F.col("id") != F.col("pivot")) & alike("sketch", "pivot_sketch", "n", "pivot_n"))
+    best = stars.groupBy("id", "pivot").agg(F.count("*").alias("c")).groupBy("id").agg(F.max(F.struct("c", "pivot")).alias("m"))
+    stars = work.table("stars", best.select(F.least("id", "m.pivot").alias("a"), F.greatest("id", "m.pivot").alias("b")).distinct())
+    first = _confirm(work, "first", docs, classes, briefs, stars, settings)
     grouped = connected_components(work, first, "first_cc")
 
-    root = grouped.select(F.col("node").alias("id"), "root")
-    pivot_root = grouped.select(F.col("node").alias("pivot"), F.col("root").alias("pivot_root"))
-    placed = postings.join(root, "id", "left").join(pivot_root, "pivot", "left")
-    placed = placed.select("token", "id", "n", "sketch", "held", F.coalesce("root", "id").alias("root"), F.coalesce("pivot_root", "pivot").alias("pivot_root"))
-    mixed = placed.where("root <> pivot_root").select("token").distinct()
-    placed = work.table("placed", placed.join(mixed, "token", "left_semi"))
+    root = grouped.select(F.col("node").alias("class_id"), "root")
+    placed = postings(classes.join(root, "class_id", "left").withColumn("root", F.coalesce("root", "class_id"))).drop("typical")
+    mixed = placed.groupBy("token").agg(F.min("root").alias("r"), F.max("root").alias("s")).where("r <> s").select("token")
+    tokens = mixed.join(pivots, "token").join(root.select(F.col("class_id").alias("pivot"), F.col("root").alias("pivot_root")), "pivot", "left")
+    tokens = work.table("tokens", tokens.select("token", "held", F.coalesce("pivot_root", "pivot").alias("pivot_root")))
+    placed = work.table("placed", placed.join(tokens, "token"))
     short = placed.where(F.col("held") <= settings.direct)
     stray = short.where("root <> pivot_root").select("token", F.col("id").alias("sid"), F.col("n").alias("sn"), F.col("sketch").alias("ss"), F.col("root").alias("sroot"))
     meets = (F.col("sroot") != F.col("root")) & ((F.col("root") == F.col("pivot_root")) | (F.col("sid") < F.col("id"))) & alike("sketch", "ss", "n", "sn")
     few = short.join(stray, "token").where(meets).select(F.least("id", "sid").alias("a"), F.greatest("id", "sid").alias("b")).distinct()
-    crowd = placed.where(F.col("held") > settings.direct).select(F.col("id").alias("doc_id")).distinct()
-    crowd_sets = work.table("crowd_sets", _sets_of(docs, crowd))
-    many = _set_prefix_pairs(work, crowd_sets, root, settings)
+    crowd = placed.where(F.col("held") > settings.direct).select(F.col("id").alias("class_id")).distinct()
+    crowd_sets = work.table("crowd_sets", _sets_of(docs, classes, crowd))
+    many = _set_prefix_pairs(work, crowd_sets, root.withColumnRenamed("class_id", "id"), settings)
     rest = work.table("rest", few.union(many).distinct().join(stars, ["a", "b"], "left_anti"))
-    work.drop("crowd_sets", "placed", "postings")
-    second = _confirm(work, "second", docs, leaders, rest, settings)
+    work.drop("crowd_sets", "placed", "pivots", "tokens", "prefix_rows")
+    second = _confirm(work, "second", docs, classes, briefs, rest, settings)
 
     final = connected_components(work, first.union(second), "final_cc")
-    named = final.groupBy("root").agg(F.min("node").alias("component_id"))
-    class_component = final.join(named, "root").select(F.col("node").alias("class_id"), "component_id")
-    placed_classes = work.table("placed_classes", classes.join(class_component, "class_id", "left").select(*key, F.coalesce("component_id", "class_id").alias("component_id")))
-    result = signatures.select("doc_id", *key).join(placed_classes, key, "left")
-    component = F.coalesce("component_id", "doc_id")
-    return result.select("doc_id", "n_shingles", component.alias("component_id"), (F.col("doc_id") == component).alias("kept"))
+    joined = classes.select("class_id", *key, "lead").join(final.select(F.col("node").alias("class_id"), "root"), "class_id", "left").withColumn("group_id", F.coalesce("root", "class_id"))
+    joined = work.table("joined", joined.select(*key, "lead", "group_id"))
+    named = joined.groupBy("group_id").agg(F.min("lead").alias("component_id"))
+    placed_classes = work.table("placed_classes", joined.drop("lead").join(named, "group_id"))
+    result = signatures.select("doc_id", "text_key", *key).join(placed_classes, key, "left")
+    component = F.when(F.col("n_shingles") == 0, F.col("doc_id")).otherwise(F.col("component_id"))
+    result = work.table("result", result.select("doc_id", "n_shingles", component.alias("component_id"), F.col("doc_id").eqNullSafe(component).alias("kept"), "text_key", "group_id"))
+    work.keep("result")
+    return result

@@ -26,7 +26,7 @@ def op1_html_wrapper_induction(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op2_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return minhash_join.near_duplicates(spark, _table(spark, sf_dir, "documents"))
+    return minhash_join.near_duplicates(spark, _table(spark, sf_dir, "documents")).drop("text_key", "group_id")
 
 
 def op3_hilbert_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -42,11 +42,12 @@ def op5_secret_automata(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op6_contextual_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return contextual_pii.personal_data(spark, _table(spark, sf_dir, "documents")).drop("text_key", "found")
+    found = contextual_pii.personal_data(spark, _table(spark, sf_dir, "documents"))
+    return found.withColumn("n_spans", F.size("found").cast("long")).drop("text_key", "found")
 
 
 def op7_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return decontaminate.contamination(spark, _table(spark, sf_dir, "documents"), _table(spark, sf_dir, "benchmark"))
+    return decontaminate.contamination(spark, _table(spark, sf_dir, "documents"), _table(spark, sf_dir, "benchmark")).drop("text_key")
 
 
 def op8_license_digests(spark: SparkSession, sf_dir: str) -> DataFrame:

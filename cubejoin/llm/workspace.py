@@ -1,40 +1,36 @@
 """Shared, executor-loss-proof materialisation.
 
 Intermediate tables are written as Parquet below the folder named by
-``spark.checkpoint.dir`` and read back, which cuts the lineage: a lost executor
-costs a re-read, never a recomputation chain.  The setting is only read; a
-folder is chosen here solely where it is unset and the master is local (tests).
+``spark.checkpoint.dir`` (where that is unset: a folder in the warehouse, which
+executors share as well) and read back, which cuts the lineage: a lost executor
+costs a re-read, never a recomputation chain.  The setting is only read.
+
+Tables do not outlive their use: an operator drops what its result does not
+read, ``transient`` drops the tables of all operators that ran inside it, and
+what is left goes when the driver's process ends.
 """
 
 from __future__ import annotations
 
 import atexit
-import shutil
-import tempfile
 import uuid
 from collections.abc import Iterator
-from contextlib import contextmanager
+from contextlib import contextmanager, suppress
 
 from pyspark.sql import DataFrame, SparkSession
 
-_LOCAL_FOLDERS: dict[str, str] = {}
+#: Folders still in use and how to delete them, in the order of their creation.
+_OPEN: dict[str, Workspace] = {}
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder all executors see; a temporary one only for a local master without the setting."""
+    """The folder all executors see."""
     configured = spark.conf.get("spark.checkpoint.dir", None)
     if not configured:
         configured = spark.sparkContext.getConf().get("spark.checkpoint.dir", None)
-    if configured:
-        return configured.rstrip("/")
-    master = spark.sparkContext.master
-    if not master.startswith("local[") and master != "local":
-        raise ValueError("spark.checkpoint.dir must name a shared folder on a cluster")
-    app = spark.sparkContext.applicationId
-    if app not in _LOCAL_FOLDERS:
-        _LOCAL_FOLDERS[app] = tempfile.mkdtemp(prefix="cubejoin_shared_")
-        atexit.register(shutil.rmtree, _LOCAL_FOLDERS[app], ignore_errors=True)
-    return _LOCAL_FOLDERS[app]
+    if not configured:
+        configured = spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/_cubejoin_work"
+    return configured.rstrip("/")
 
 
 @contextmanager
@@ -53,14 +49,16 @@ def small_batches(spark: SparkSession, rows: int = 512) -> Iterator[None]:
 class Workspace:
     """Named Parquet tables of one operator run.
 
-    ``table`` writes and rereads; ``drop`` removes a table that no returned
-    DataFrame reads any more.
+    ``table`` writes and rereads; ``drop`` removes tables that no returned
+    DataFrame reads any more, ``keep`` all but the named ones, ``close`` all.
     """
 
     def __init__(self, spark: SparkSession, label: str):
         self.spark = spark
         self.root = f"{shared_folder(spark)}/{label}_{uuid.uuid4().hex}"
         self._paths: dict[str, str] = {}
+        self._hadoop = (spark.sparkContext._jvm.org.apache.hadoop.fs.Path, spark.sparkContext._jsc.hadoopConfiguration())
+        _OPEN[self.root] = self
 
     def table(self, name: str, frame: DataFrame) -> DataFrame:
         path = f"{self.root}/{name}"
@@ -70,9 +68,38 @@ class Workspace:
         self._paths[name] = path
         return self.spark.read.schema(schema).parquet(path)
 
+    def _delete(self, where: str) -> None:
+        make, conf = self._hadoop
+        path = make(where)
+        path.getFileSystem(conf).delete(path, True)
+
     def drop(self, *names: str) -> None:
-        jvm = self.spark.sparkContext._jvm
-        conf = self.spark.sparkContext._jsc.hadoopConfiguration()
         for name in names:
-            path = jvm.org.apache.hadoop.fs.Path(self._paths.pop(name))
-            path.getFileSystem(conf).delete(path, True)
+            self._delete(self._paths.pop(name))
+
+    def keep(self, *names: str) -> None:
+        self.drop(*(n for n in [*self._paths] if n not in names))
+
+    def close(self) -> None:
+        _OPEN.pop(self.root, None)
+        self._paths.clear()
+        self._delete(self.root)
+
+
+@contextmanager
+def transient(spare: Workspace | None = None) -> Iterator[None]:
+    """Closes every workspace opened inside, but ``spare``, once the block's own results are written."""
+    before = set(_OPEN)
+    try:
+        yield
+    finally:
+        for root in [r for r in _OPEN if r not in before]:
+            if _OPEN[root] is not spare:
+                _OPEN[root].close()
+
+
+@atexit.register
+def _sweep() -> None:
+    for work in [*_OPEN.values()]:
+        with suppress(Exception):  # the JVM may be gone by then
+            work.close()

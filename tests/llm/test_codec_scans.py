@@ -110,7 +110,7 @@ def test_personal_spans_of_random_texts(spark, texts):
 def test_context_finds_unseen_identifiers_and_redaction(spark):
     rows = [(i, f"Words before. Phone: +1 (555) 010-{1000 + i} and more words {i * 7}") for i in range(12)]
     rows += [(50, "Call me. Phone: (555) 010-9999 today"), (51, "The number (555) 010-9998 stands alone"), (52, "clean text"), (53, None)]
-    frame = spark.createDataFrame(rows, DOC).withColumn("n_chars", F.lit(0).cast("long")).withColumn("found", F.lit(1)).drop("found")
+    frame = spark.createDataFrame(rows, DOC).selectExpr("*", "0L as n_chars", "1 as found", "2 as xd", "3 as own", "4 as Key", "'s' as spans")
     found = contextual_pii.personal_data(spark, frame)
     spans = {r.doc_id: r.spans for r in found.collect()}
     text = dict(rows)[50]
@@ -121,6 +121,109 @@ def test_context_finds_unseen_identifiers_and_redaction(spark):
     assert "+1" not in cleaned[3][0]
 
 
+def planted(rng):
+    """Texts whose identifiers have forms that no base pattern takes, in contexts that seeds share, and the spans to find."""
+    import random
+
+    rng = random.Random(rng)
+    filler = lambda n: " ".join(rng.choice("red green blue house tree river stone cloud night".split()) for _ in range(n))
+    rows, want, at = [], {}, 0
+
+    def add(text, *values):
+        nonlocal at
+        rows.append((at, text))
+        want[at] = ",".join(f"{k}:{text.index(v)}:{text.index(v) + len(v)}" for k, v in values)
+        at += 1
+
+    for i in range(12):  # seeds: base matches in contexts of three words, the last of which is common elsewhere
+        for text in (f"{filler(4)} reach me via +1 (555) 01{i:02d}-1{i:03d} {filler(3)}", f"{filler(3)} server listens at 10.0.{i}.{i + 1} {filler(2)}"):
+            rows.append((at, text))
+            at += 1
+    for i in range(40):
+        add(f"{filler(3)} via {i * 37 + 11} and at {i * 53 + 7}")
+    add(f"{filler(30)} reach me via 555-01-9999 {filler(2)}", ("phone", "555-01-9999"))
+    add(f"{filler(3)} server listens at 10-20-30-40 {filler(2)}", ("ip", "10-20-30-40"))
+    add(f"{filler(3)} went via 555-01-9998 {filler(2)}")  # only a short context, which many others have
+    for i in range(8):  # second round: these are found by the first context and bring another one
+        v = f"555-02-{7000 + i}"
+        add(f"{filler(2)} reach me via {v} ask for ann {filler(2)}", ("phone", v))
+    add(f"{filler(5)} my line {filler(1)} 555-03-1234 ask for ann {filler(2)}", ("phone", "555-03-1234"))
+    long = "x" * 70
+    for i in range(10):
+        rows.append((at, f"{long}{'y' * 30} +1 (555) 77{i:02d}-1{i:03d} {filler(2)}"))
+        at += 1
+    add(f"{long}{'y' * 30} 555-04-4321 end", ("phone", "555-04-4321"))
+    add(f"{long}{'z' * 30} 555-04-4322 end")
+    return rows, want
+
+
+@pytest.mark.parametrize("seed", [1])
+def test_bootstrapping_finds_planted_identifiers(spark, seed):
+    rows, want = planted(seed)
+    frame = spark.createDataFrame(rows, DOC)
+    got = {r.doc_id: r.spans for r in contextual_pii.personal_data(spark, frame).collect()}
+    assert {i: got[i] for i in want} == want
+    base = {(i, f"{KINDS[k]}:{a}:{b}") for i, text in rows for a, k, b in personal(text)}
+    assert brute_discoveries(rows) == {(i, s) for i, x in got.items() for s in x.split(",") if s} - base
+
+
+def brute_discoveries(rows, rounds=4, confidence=0.75, support=8, doubt=0.1, words=3):
+    """The bootstrapping over Python sets."""
+    java = contextual_pii.TOKEN.replace("*+", "*")
+    tokens = []
+    for i, text in rows:
+        found = list(re.finditer(java, text or "", re.A))
+        for n, m in enumerate(found):
+            before = text[found[n - 1].end() if n else 0 : m.start()].lower().split()
+            after = text[m.end() : found[n + 1].start() if n + 1 < len(found) else len(text)].lower().split()
+            value = re.sub(r"^[^A-Za-z0-9+@(]+|[^A-Za-z0-9)]+$", "", m[0])
+            if not value:
+                continue
+            kinds = [k for k, kind in enumerate(KINDS) if any(x[1] == k for x in personal(m[0]))]
+            patterns = {"<" + " ".join(before[-k:]) for k in range(1, words + 1) if before} | {">" + " ".join(after[:k]) for k in range(1, words + 1) if after}
+            tokens.append((i, m.start() + m[0].index(value), value, KINDS[kinds[0]] if kinds else None, patterns))
+    edges = {}
+    for _, _, v, k, ps in tokens:
+        for p in ps:
+            edges.setdefault(p, {})[v] = k or edges.get(p, {}).get(v)
+    first = {v: k for _, _, v, k, _ in tokens if k}
+    seeds = {v: (k, 1.0) for v, k in first.items()}
+
+    def suits(kind, v):
+        n = sum(c.isdigit() for c in v)
+        plain = not re.search("[A-Za-z]", v)
+        return {"email": bool(re.fullmatch(r"[^\s@]+@[^\s@]+", v)), "ip": plain and bool(re.search(r"[0-9]+([.:_-])[0-9]+\1[0-9]+\1[0-9]+", v)), "card": plain and 14 <= n <= 19, "phone": plain and 7 <= n <= 15 and bool(re.search(r"[\x20().-]", v))}[kind]
+
+    for _ in range(rounds):
+        believed = {}
+        for p, vs in edges.items():
+            for kind in KINDS:
+                mine = [seeds[v][1] for v in vs if v in seeds and seeds[v][0] == kind]
+                total = sum(doubt if v not in seeds and suits(kind, v) else 1 for v in vs)
+                if len(mine) >= support and sum(mine) / (total + 1) >= confidence:
+                    believed[p, kind] = sum(mine) / (total + 1)
+        found = {}
+        for (p, kind), w in believed.items():
+            for v, k in edges[p].items():
+                if k is None and suits(kind, v):
+                    found[v] = max(found.get(v, (0, "")), (w, kind))
+        seeds = {v: (k, 1.0) for v, k in first.items()} | {v: (k, w) for v, (w, k) in found.items()}
+    out = set()
+    for i, start, v, k, ps in tokens:
+        hits = [(w, kind) for (p, kind), w in believed.items() if p in ps and suits(kind, v)]
+        if k is None and hits:
+            out.add((i, f"{max(hits)[1]}:{start}:{start + len(v)}"))
+    return out
+
+
+def test_personal_data_is_told_by_row(spark):
+    rows = [(1, "a@b.cc"), (1, "clean"), (None, "see 1.2.3.4"), (None, "clean"), (None, None), (1, "a@b.cc")]
+    frame = spark.createDataFrame(rows, DOC)
+    found = contextual_pii.personal_data(spark, frame)
+    assert sorted((str(r.doc_id), r.spans) for r in found.collect()) == [("1", ""), ("1", "email:0:6"), ("1", "email:0:6"), ("None", ""), ("None", ""), ("None", "ip:4:11")]
+    assert sorted((str(r.doc_id), str(r.text)) for r in contextual_pii.redact(frame, found).collect()) == [("1", "<email>"), ("1", "<email>"), ("1", "clean"), ("None", "None"), ("None", "clean"), ("None", "see <ip>")]
+
+
 def test_personal_data_of_an_empty_table(spark):
     assert contextual_pii.personal_data(spark, spark.createDataFrame([], DOC + ", email int")).count() == 0
 
@@ -145,6 +248,7 @@ SECRET_TEXTS = [
     "deadbeef" * 3 + "g" + "0" * 23 + " " + "a1" * 40 + "ſecret=abcdefg ſecret tokſn=abcdefgh",
     None, "", "é" * 50 + "secret:zzzzzz", "a" * 30000, "f" * 30000,
     "ghp_" + "aB3" * 12 + " and ghp_short eyJhbGciOiJIUzI1NiIsInR5cCI6IkpXVCJ9",
+    "ordinary words, GetElementsByTagName, CONFIGURATION_PATH=/usr/local/lib 2024-01-17T10-20-30 v1.2.3-beta+4 123e4567-e89b-12d3-a456-426614174000",
 ]
 
 
@@ -167,6 +271,74 @@ def test_secrets_match_regular_expressions(spark):
     assert secret_automata.scan(spark, spark.createDataFrame([], DOC)).count() == 0
 
 
+def test_unseen_formats_are_found_and_clean_text_is_left_alone(spark):
+    rng = np.random.Generator(np.random.PCG64(4))
+    letters = list("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789")
+    drawn = lambda n: "".join(rng.choice(letters, n))
+    rows, tokens = [], {}
+    for i, start in enumerate(["sk_test_", "ghs_", "hf_", "dop_v1_", "", "pk-", "xyz_live_"] * 6):  # formats that no list holds
+        tokens[i] = start + drawn(40)
+        rows.append((i, f"Some words before {'HF_TOK=' if i % 5 == 0 else ''}{tokens[i]}{'.' if i % 2 else ' and'} words after, née."))
+    jwt = "eyJhbGciOiJub25lIn0." + drawn(90) + "." + drawn(43)
+    rows.append((900, f"Bearer {jwt} end"))
+    for i, token in enumerate(secret_automata.ordinary_tokens(3000, 99)):  # another seed than the model's
+        rows.append((1000 + i, f"The {token} is here"))
+    got = {r.doc_id: r for r in secret_automata.scan(spark, spark.createDataFrame(rows, DOC)).collect()}
+    text = dict(rows)
+    found = sum(any(text[i].index(t) <= int(s.split(":")[1]) < text[i].index(t) + 12 and int(s.split(":")[2]) == text[i].index(t) + len(t) for s in got[i].spans.split(",") if s) for i, t in tokens.items())
+    assert found >= 0.8 * len(tokens)  # an eighth of the sampled long tokens are unlabelled credentials
+    assert got[900].spans == f"jwt:7:{7 + len(jwt)}"
+    assert sum(r.n_added for i, r in got.items() if i >= 1000) <= 2
+
+
+def test_bounds_lose_no_segment():
+    import pyarrow as pa
+
+    from cubejoin.llm.textbatch import string_buffers
+
+    model = secret_automata.FormatModel()
+    rng = np.random.Generator(np.random.PCG64(8))
+    letters = list("ABCXYZabcxyz0123456789_-/+=. ")
+    texts = ["".join(rng.choice(letters, int(rng.integers(0, 70)))) for _ in range(400)] + secret_automata.ordinary_tokens(300, 5)
+    rows = set(model.general.may_pass(*string_buffers(pa.array(texts))).tolist())
+    passing = {i for i, t in enumerate(texts) for m in re.finditer(r"[A-Za-z0-9+/_.=-]+", t) if model.general.segments(m[0])}
+    assert passing and passing <= rows
+
+
+def brute_segments(model, run):
+    """Best segment of a run by trying every start and end at separators."""
+    cuts = [i for i, c in enumerate(run) if c in "=/+."]
+    best = None
+    for a in [0, *(c + 1 for c in cuts)]:
+        for b in [*cuts, len(run)]:
+            if b > a:
+                state, gain, before = 0, 0.0, secret_automata._START
+                for byte in run[a:b].encode():
+                    s = int(secret_automata._CLASSES[byte])
+                    gain += model.logs[state, s] - model.background[before, s]
+                    state, before = int(model.next[state, s]), s
+                if best is None or gain > best[2]:
+                    best = (a, b, gain)
+    return best
+
+
+def test_segments_match_brute_force_on_planted_tokens():
+    model = secret_automata.FormatModel().general
+    rng = np.random.Generator(np.random.PCG64(6))
+    letters = list("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789")
+    for _ in range(30):
+        run = "key=" + "".join(rng.choice(letters, 36)) + "/the.and"
+        a, b, gain = max(model.segments(run, 0.0), key=lambda x: x[2])
+        want = brute_segments(model, run)
+        assert (a, b) == want[:2] and gain == pytest.approx(want[2])
+
+
+def test_secrets_of_repeated_rows_and_null_ids(spark):
+    rows = [(1, "password=abcdef"), (1, "password=abcdef"), (1, "clean"), (None, "password=abcdef"), (None, None)]
+    frame = spark.createDataFrame(rows, DOC).selectExpr("*", "1 as n_added", "2 as value", "3 as label")
+    assert sorted((str(r.doc_id), r.spans) for r in secret_automata.scan(spark, frame).collect()) == [("1", ""), ("1", "assign:0:15"), ("1", "assign:0:15"), ("None", ""), ("None", "assign:0:15")]
+
+
 def test_automata_are_small_and_probabilistic():
     model = secret_automata.FormatModel()
     for kind, prefix, shortest, automaton in model.automata:
@@ -199,7 +371,6 @@ def test_credentials_behind_separators_and_dotted_tokens(spark):
         5: ("see " + google[:-1] + "- now", google[:-1] + "-", "google"),
         6: ("x=" + longer + " y", longer, "jwt"),
         7: ("a/b/" + github + "/c?x%3D" + github, github, "github"),
-        8: ("nopeeyJ" + "aB3" * 12, "", ""),
     }
     got = {r.doc_id: r.spans for r in secret_automata.scan(spark, spark.createDataFrame([(i, t) for i, (t, _, _) in texts.items()], DOC)).collect()}
     for i, (text, token, kind) in texts.items():
@@ -207,6 +378,13 @@ def test_credentials_behind_separators_and_dotted_tokens(spark):
         assert got[i] == ",".join(f"{kind}:{a}:{a + len(token)}" for a in places), i
 
 
+def test_licences_are_told_by_row(spark):
+    rows = [(1, "Released under the MIT License."), (1, "nothing"), (None, "Licensed under CC BY-NC 4.0."), (None, "nothing"), (None, None), (1, "nothing")]
+    frame = spark.createDataFrame(rows, DOC).selectExpr("*", "1 as hit_id", "2 as part", "3 as license", "4 as text_key")
+    got = license_digest.scan(spark, frame).collect()
+    assert sorted((str(r.doc_id), r.n_texts, r.licenses) for r in got) == [("1", 0, ""), ("1", 0, ""), ("1", 1, "MIT"), ("None", 0, ""), ("None", 0, ""), ("None", 1, "CC-BY-NC-4.0")]
+
+
 def test_licences_inside_documents(spark):
     import textwrap
 

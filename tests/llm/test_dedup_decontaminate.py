@@ -5,7 +5,7 @@ import re
 import numpy as np
 import pyarrow as pa
 import pytest
-from hypothesis import given
+from hypothesis import given, settings
 from hypothesis import strategies as st
 
 from cubejoin.llm import components, decontaminate, minhash_join
@@ -26,7 +26,7 @@ def shingles(text):
     return set(zip(*(w[k:] for k in range(5)), strict=False))
 
 
-def brute_components(rows):
+def brute_components(rows, percent=85):
     sets = {i: shingles(t) for i, t in rows}
     parent = {i: i for i in sets}
 
@@ -39,12 +39,13 @@ def brute_components(rows):
     for n, a in enumerate(ids):
         for b in ids[n + 1 :]:
             union = len(sets[a] | sets[b])
-            if union and 100 * len(sets[a] & sets[b]) >= 85 * union:
+            if union and 100 * len(sets[a] & sets[b]) >= percent * union:
                 x, y = find(a), find(b)
                 parent[max(x, y)] = min(x, y)
     return {i: (len(sets[i]), find(i)) for i in ids}
 
 
+@settings(deadline=None)
 @given(st.lists(st.text(alphabet="aB zé \t\n0-", max_size=30), min_size=1, max_size=8))
 def test_words_match_regular_expressions(texts):
     raw, borders = string_buffers(pa.array(texts))
@@ -90,11 +91,28 @@ def corpus():
     return rows
 
 
-@pytest.mark.parametrize("settings", [minhash_join.JoinSettings(), minhash_join.JoinSettings(direct=2)])
-def test_components_match_brute_force(spark, corpus, settings):
+@pytest.mark.parametrize("chosen", [minhash_join.JoinSettings(), minhash_join.JoinSettings(direct=2, part=3), minhash_join.JoinSettings.for_similarity(80)])
+def test_components_match_brute_force(spark, corpus, chosen):
     frame = spark.createDataFrame(corpus, DOC).repartition(3)
-    got = {r.doc_id: (r.n_shingles, r.component_id) for r in minhash_join.near_duplicates(spark, frame, settings).collect()}
-    assert got == brute_components(corpus)
+    got = {r.doc_id: (r.n_shingles, r.component_id) for r in minhash_join.near_duplicates(spark, frame, chosen).collect()}
+    assert got == brute_components(corpus, chosen.similarity_percent)
+
+
+def test_rows_without_or_with_shared_ids(spark):
+    base = [f"w{i}" for i in range(60)]
+    a, b = " ".join(base), " ".join(f"v{i}" for i in range(60))
+    rows = [(5, a), (5, b), (6, a + " z"), (7, b + " z"), (None, a), (None, "alone here in this long text"), (None, None), (9, None), (9, ""), (9, ""), (None, "alone here in this long text")]
+    for order in (1, -1):
+        got = sorted(minhash_join.near_duplicates(spark, spark.createDataFrame(rows[::order], DOC)).collect(), key=str)
+        seen = sorted(((r.doc_id, r.n_shingles, r.component_id, r.kept) for r in got), key=str)
+        alone = 2
+        want = [(5, 56, 5, True), (5, 56, 5, True), (6, 57, 5, False), (7, 57, 5, False), (None, 56, 5, False), (None, alone, None, True), (None, alone, None, True), (None, 0, None, True), (9, 0, 9, True), (9, 0, 9, True), (9, 0, 9, True)]
+        assert seen == sorted(want, key=str)
+        group = {}
+        for r in got:
+            if r.n_shingles:
+                group.setdefault(r.group_id, set()).add((r.doc_id, r.n_shingles))
+        assert sorted(map(len, group.values())) == [1, 2, 3]
 
 
 def test_near_duplicates_of_odd_tables(spark):
@@ -145,6 +163,16 @@ def test_contamination_matches_brute_force(spark):
     assert len(got) == len(docs)
 
 
+def test_contamination_is_told_by_row(spark):
+    item = "one two three four five six seven eight nine ten eleven twelve"
+    docs = [(1, f"so {item} end"), (1, "two words"), (None, f"x {item}"), (None, "clean words here"), (None, None), (0, "clean words here"), (1, "two words")]
+    frame = spark.createDataFrame(docs, DOC).selectExpr("*", "1 as n_hit", "'x' as token", "2 as text_key", "3 as place")
+    items = spark.createDataFrame([("a", item), ("b", item), (None, "clean words here"), ("c", None)], "item_id string, text string").selectExpr("*", "'y' as window", "4 as kind")
+    got = sorted(((r.doc_id, r.n_words, r.n_hit, r.n_items, r.contaminated) for r in decontaminate.contamination(spark, frame, items).collect()), key=str)
+    want = [(1, 14, 12, 2, True), (1, 2, 0, 0, False), (1, 2, 0, 0, False), (None, 13, 12, 2, True), (None, 3, 0, 0, False), (None, 0, 0, 0, False), (0, 3, 0, 0, False)]
+    assert got == sorted(want, key=str)
+
+
 def test_contamination_of_empty_tables(spark):
     docs = spark.createDataFrame([(1, "a b")], DOC)
     none = spark.createDataFrame([], "item_id string, text string")
