@@ -251,10 +251,11 @@ def personal_data(spark: SparkSession, docs: DataFrame, settings: BootstrapSetti
     return both.select("doc_id", *(f"n_{k}" for k in KINDS), F.sha2(_joined(F.col("base")), 256).alias("base_sha256"), _joined(F.col("every")).alias("spans"), "text_key", F.col("every").alias("found"))
 
 
-def redact(docs: DataFrame, found: DataFrame) -> DataFrame:
+def redact(docs: DataFrame, found: DataFrame, broadcast_bytes: int = 24 << 20) -> DataFrame:
     """Documents (doc_id, text, ...) with every found span replaced by its kind in angle brackets.
 
-    ``found`` is the result of ``personal_data``.  Overlapping spans merge under
+    ``found`` is the result of ``personal_data``; lists of at most
+    ``broadcast_bytes`` in all are broadcast, so texts are not shuffled.  Overlapping spans merge under
     the first one's kind.  Documents without spans are untouched (null text stays
     null); rows of one doc_id, or without one, are told apart by their text;
     ``n_chars`` follows where there is such a column; other columns, of any name,
@@ -263,6 +264,9 @@ def redact(docs: DataFrame, found: DataFrame) -> DataFrame:
     columns = docs.columns
     doc, key, spans, own = (_fresh(columns, x) for x in ("doc", "key", "spans", "own"))
     rows = found.where(F.size("found") > 0).select(F.col("doc_id").alias(doc), F.col("text_key").alias(key), F.col("found").alias(spans)).dropDuplicates([doc, key])
+    size = found.agg(F.sum(48 + 96 * F.size("found")).alias("n")).first().n or 0  # bytes of all span lists, at most
+    if size <= broadcast_bytes:
+        rows = F.broadcast(rows)
     keyed = docs.withColumn(own, F.xxhash64(F.coalesce(F.col("text"), F.lit(""))))
     both = keyed.join(rows, F.col("doc_id").cast("long").eqNullSafe(F.col(doc)) & (F.col(own) == F.col(key)), "left")
     start = F.struct(F.array().cast("array<string>").alias("parts"), F.lit(0).cast("bigint").alias("at"))

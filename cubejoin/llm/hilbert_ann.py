@@ -2,16 +2,19 @@
 
 Vectors are projected to few dimensions (seeded orthogonal projections), shifted
 by a random offset and ordered along a Hilbert curve; several such orderings are
-range-partitioned by Spark and cut into blocks of ``block`` consecutive keys.  A
-query meets its own block and the neighbouring ones of every ordering; the
-meetings merge into its first 20.
-
-Windows alone cannot reach the required recall where vectors have no structure
-(in 64 independent dimensions neighbours are barely nearer than strangers), so
-they are widened by proof: every block of the first ordering keeps its centre
-and radius, and a query also visits each block whose bound <q, centre> +
-|q| * radius exceeds the score of its 20th find so far.  The result is then the
-exact one.  Queries and vectors meet block by block, in bounded pieces.
+range-partitioned by Spark and cut into windows of ``block`` consecutive keys.  A
+query meets its own window and ``reach`` neighbouring ones on either side in
+every ordering; the meetings merge and are reranked by exact inner products.
+
+Where vectors have structure, the windows find most neighbours.  Where they have
+none (in 64 independent dimensions neighbours are barely nearer than strangers),
+no small windows can reach the required recall, so with ``expand`` they are
+widened by proof: stretches of ``ball`` consecutive keys of the first ordering
+keep their centre and radius, and a query also visits each stretch whose bound
+<q, centre> + |q| * radius reaches the score of its k-th find so far.  The result
+is then the exact one.  Queries and vectors meet block by block, in bounded
+pieces.  Vectors of different lengths have no inner product: each length is
+ordered and searched by itself.
 """
 
 from __future__ import annotations
@@ -20,7 +23,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .workspace import Workspace
@@ -28,17 +31,19 @@ from .workspace import Workspace
 
 @dataclass(frozen=True)
 class CurveSettings:
-    """k: neighbours; orderings, dimensions, bits: the curves; block: vectors of a block;
-    reach: neighbouring blocks on either side; partitions: of the range partitioning
-    (None: the session's); expand: widen by bounds until exact."""
+    """k: neighbours; orderings, dimensions, bits: the curves; block: vectors of a window; reach:
+    neighbouring windows on either side; expand: widen by bounds until exact, over stretches of
+    ``ball`` vectors; query_block: queries of a piece; partitions: of the range partitioning (None:
+    the session's)."""
 
     k: int = 20
-    orderings: int = 3
+    orderings: int = 6
     dimensions: int = 8
     bits: int = 7
-    block: int = 1024
-    query_block: int = 2048
-    reach: int = 1
+    block: int = 128
+    reach: int = 2
+    ball: int = 1024
+    query_block: int = 1024
     partitions: int | None = None
     expand: bool = True
     seed: int = 17
@@ -78,33 +83,72 @@ def _matrix(column: pa.Array) -> np.ndarray:
     return flat.reshape(len(column), -1)
 
 
-def _key_kernel(settings: CurveSettings, dimension: int, low: float, high: float):
+def _matrix(column: pa.Array) -> np.ndarray:
+    """Rows of equal length as doubles."""
+    flat = column.flatten().to_numpy(zero_copy_only=False).astype(np.float64)
+    return flat.reshape(len(column), -1)
+
+
+def _key_kernel(settings: CurveSettings):
+    """Rows (vec_id, v, d, reach) to (vec_id, d, ordering, key)."""
+
     def run(batches):
-        rng = np.random.Generator(np.random.PCG64(settings.seed))
-        width = max(high - low, 1e-12)
-        plans = []
-        for _ in range(settings.orderings):
-            basis = np.linalg.qr(rng.standard_normal((dimension, dimension)))[0][:, : min(settings.dimensions, dimension)]
-            plans.append((basis, rng.random(basis.shape[1]) * 0.5))
+        plans: dict[int, list] = {}
         for batch in batches:
-            if not batch.num_rows:
-                continue
-            vectors = _matrix(batch.column(1))
-            for ordering, (basis, shift) in enumerate(plans):
-                place = ((vectors @ basis - low) / width) * 0.5 + shift
-                cells = np.clip(place * (1 << settings.bits), 0, (1 << settings.bits) - 1).astype(np.int64)
-                yield pa.RecordBatch.from_arrays(
-                    [batch.column(0), pa.array(np.full(batch.num_rows, ordering, np.int32)), pa.array(hilbert_keys(cells, settings.bits))],
-                    names=["vec_id", "ordering", "key"],
-                )
+            lengths = batch.column(2).to_numpy()
+            for d in np.unique(lengths):
+                part = batch.filter(pa.array(lengths == d))
+                if d not in plans:
+                    rng = np.random.Generator(np.random.PCG64([settings.seed, int(d)]))
+                    bases = [np.linalg.qr(rng.standard_normal((d, d)))[0][:, : min(settings.dimensions, d)] for _ in range(settings.orderings)]
+                    plans[d] = [(basis, rng.random(basis.shape[1]) * 0.5) for basis in bases]
+                reach = part.column(3).to_numpy()[:, None]
+                vectors = _matrix(part.column(1)) / reach  # components in [-1, 1]
+                for ordering, (basis, shift) in enumerate(plans[d]):
+                    place = (vectors @ basis * (d**0.5 / 6) + 0.5) * 0.5 + shift
+                    cells = np.clip(place * (1 << settings.bits), 0, (1 << settings.bits) - 1).astype(np.int64)
+                    yield pa.RecordBatch.from_arrays(
+                        [part.column(0), part.column(2), pa.array(np.full(part.num_rows, ordering, np.int32)), pa.array(hilbert_keys(cells, settings.bits))],
+                        names=["vec_id", "d", "ordering", "key"],
+                    )
 
     return run
 
 
-#: Scores are rounded to so many decimals while candidates are chosen, so that equal vectors tie
-#: whatever the order of summation; the final scores are computed anew, component by component.
-_DECIMALS = 12
-_SALTS = 32
+def exact_scores(q: np.ndarray, v: np.ndarray) -> np.ndarray:
+    """Inner products of paired rows, summed component by component from the first on."""
+    with np.errstate(over="ignore", invalid="ignore"):
+        total = np.zeros(len(q))
+        for j in range(q.shape[1]):
+            total += q[:, j] * v[:, j]
+    return np.where(np.isnan(total), -np.inf, total)  # infinities of both signs
+
+
+def best_pairs(q_ids: np.ndarray, q: np.ndarray, floors: np.ndarray, v_ids: np.ndarray, v: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(query, vector, exact score) of the k nearest of each query that reach its floor; ties to smaller ids.
+
+    Matrix products choose with a margin for their rounding, exact sums decide.
+    """
+    with np.errstate(over="ignore", invalid="ignore"):
+        rough = np.nan_to_num(q @ v.T, nan=-np.inf)
+        slack = 4e-16 * q.shape[1] * np.sqrt((q * q).sum(1)) * np.sqrt((v * v).sum(1).max())
+    slack = np.where(np.isfinite(slack), slack, np.inf)
+    rough[q_ids[:, None] == v_ids[None, :]] = -np.inf
+    floor = floors.copy()
+    if rough.shape[1] > k:
+        floor = np.maximum(floor, np.partition(rough, -k, axis=1)[:, -k])
+    with np.errstate(invalid="ignore"):
+        least = np.where(np.isfinite(floor) & np.isfinite(slack), floor - 2 * slack, -np.inf)
+    some_q, some_v = np.nonzero((rough >= least[:, None]) & (q_ids[:, None] != v_ids[None, :]))
+    scores = np.empty(len(some_q))
+    for lo in range(0, len(some_q), 1 << 16):
+        cut = slice(lo, lo + (1 << 16))
+        scores[cut] = exact_scores(q[some_q[cut]], v[some_v[cut]])
+    order = np.lexsort((v_ids[some_v], -scores, some_q))
+    some_q, some_v, scores = some_q[order], some_v[order], scores[order]
+    heads = np.searchsorted(some_q, np.arange(len(q_ids)))
+    keep = (np.arange(len(some_q)) - heads[some_q] < k) & (scores >= floors[some_q])
+    return q_ids[some_q[keep]], v_ids[some_v[keep]], scores[keep]
 
 
 def _meet_kernel(settings: CurveSettings):
@@ -112,145 +156,128 @@ def _meet_kernel(settings: CurveSettings):
         for batch in batches:
             for row in range(batch.num_rows):
                 queries, vectors = batch.column(0)[row].values, batch.column(1)[row].values
-                q_ids, v_ids = queries.field(0).to_numpy(), vectors.field(0).to_numpy()
                 floors = queries.field(2).to_numpy(zero_copy_only=False)
-                q, v = _matrix(queries.field(1)), _matrix(vectors.field(1))
-                scores = np.round(q @ v.T, _DECIMALS)
-                scores[q_ids[:, None] == v_ids[None, :]] = -np.inf
-                floor = np.where(np.isnan(floors), -np.inf, floors)
-                if scores.shape[1] > settings.k:
-                    floor = np.maximum(floor, np.partition(scores, -settings.k, axis=1)[:, -settings.k])
-                some_q, some_v = np.nonzero((scores >= floor[:, None]) & (scores > -np.inf))
-                some_s = scores[some_q, some_v]
-                order = np.lexsort((v_ids[some_v], -some_s, some_q))
-                some_q, some_v, some_s = some_q[order], some_v[order], some_s[order]
-                heads = np.searchsorted(some_q, np.arange(len(q_ids)))
-                keep = np.arange(len(some_q)) - heads[some_q] < settings.k
-                yield pa.RecordBatch.from_arrays([pa.array(q_ids[some_q[keep]]), pa.array(v_ids[some_v[keep]]), pa.array(some_s[keep])], names=["query_id", "vec_id", "score"])
+                found = best_pairs(queries.field(0).to_numpy(), _matrix(queries.field(1)), np.where(np.isnan(floors), -np.inf, floors), vectors.field(0).to_numpy(), _matrix(vectors.field(1)), settings.k)
+                yield pa.RecordBatch.from_arrays(list(map(pa.array, found)), names=["query_id", "vec_id", "score"])
 
     return run
 
 
-def usable_vectors(frame: DataFrame) -> tuple[DataFrame, int]:
-    """(vec_id, v: array of doubles) of the rows that take part, and the common length.
+def usable_vectors(frame: DataFrame) -> DataFrame:
+    """(vec_id, v: array of doubles, d: its length) of the rows that take part.
 
-    Out are null vectors, vectors with null or non-finite components, zero
-    vectors, null ids, and vectors whose length is not the most frequent one.
+    Out are null ids, null vectors, vectors with null or non-finite components,
+    and zero vectors.  Of rows that repeat an id the smallest vector counts.
     """
     v = F.transform("embedding", lambda x: x.cast("double"))
     rows = frame.where("vec_id is not null and embedding is not null").select(F.col("vec_id").cast("long").alias("vec_id"), v.alias("v"))
     fine = F.forall("v", lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) != float("inf"))) & F.exists("v", lambda x: x != 0.0)
     rows = rows.where(F.coalesce(fine, F.lit(False)))
-    lengths = rows.groupBy(F.size("v").alias("d")).count().orderBy(F.desc("count"), "d").limit(1).collect()
-    dimension = lengths[0].d if lengths else 0
-    return rows.where(F.size("v") == dimension), dimension
+    return rows.groupBy("vec_id").agg(F.min("v").alias("v")).withColumn("d", F.size("v"))
 
 
 def nearest(spark: SparkSession, frame: DataFrame, is_query, settings: CurveSettings = CurveSettings()) -> DataFrame:
     """query_id, rank, vec_id, score: the k candidates of largest inner product of each query.
 
-    ``is_query`` is a Column over vec_id; candidates are all usable rows but the
-    query's own id.  Ties go to the smaller vec_id.  Fewer than k candidates
-    give fewer rows; empty tables none; rows that repeat an id count once (the
-    vector seen first in sort order); extra columns are ignored.
+    ``is_query`` is a Column over vec_id; candidates are all usable rows of the
+    query's length but the query's own id.  Ties go to the smaller vec_id.  Fewer
+    than k candidates give fewer rows; empty tables none; rows that repeat an id
+    count once (the smallest vector); products that overflow are infinite, and
+    rank lowest if undefined; extra columns are ignored, whatever their names.
     """
     work = Workspace(spark, "hilbert")
-    rows, dimension = usable_vectors(frame)
-    if not dimension:
-        return spark.createDataFrame([], "query_id long, rank int, vec_id long, score double")
-    rows = work.table("vectors", rows.groupBy("vec_id").agg(F.min("v").alias("v")))
-    edge = rows.select(F.array_min("v").alias("a"), F.array_max("v").alias("b"), F.sqrt(F.aggregate("v", F.lit(0.0), lambda s, x: s + x * x)).alias("n")).agg(F.max("n").alias("n")).first()
-    reach = edge.n / max(1.0, dimension**0.5) * 3
-    keys = rows.mapInArrow(_key_kernel(settings, dimension, -reach, reach), "vec_id long, ordering int, key long")
+    rows = work.table("vectors", usable_vectors(frame))
+    reach = rows.groupBy("d").agg(F.max(F.array_max(F.transform("v", F.abs))).alias("reach"))
+    keys = rows.join(reach, "d").select("vec_id", "v", "d", "reach").mapInArrow(_key_kernel(settings), "vec_id long, d int, ordering int, key long")
     wanted = settings.partitions or int(spark.conf.get("spark.sql.shuffle.partitions"))
-    ranged = keys.repartitionByRange(wanted, "ordering", "key", "vec_id").sortWithinPartitions("ordering", "key", "vec_id")
-    numbered = ranged.select("vec_id", "ordering", F.spark_partition_id().alias("p"), F.monotonically_increasing_id().bitwiseAND(F.lit((1 << 33) - 1)).alias("i"))
+    along = ["d", "ordering", "key", "vec_id"]
+    ranged = keys.repartitionByRange(wanted, *along).sortWithinPartitions(*along)
+    numbered = ranged.select("vec_id", "d", "ordering", F.spark_partition_id().alias("p"), F.monotonically_increasing_id().bitwiseAND(F.lit((1 << 33) - 1)).alias("i"))
     numbered = work.table("numbered", numbered)
-    # One row per partition and ordering: bounded by the number of partitions.
-    counts = sorted((r.ordering, r.p, r.c, r.f) for r in numbered.groupBy("ordering", "p").agg(F.count("*").alias("c"), F.min("i").alias("f")).collect())
-    base, at = [], {}
-    for ordering, p, c, f in counts:
-        base.append((ordering, p, at.get(ordering, 0) - f))
-        at[ordering] = at.get(ordering, 0) + c
-    offsets = spark.createDataFrame(base, "ordering int, p int, base long")
-    placed = numbered.join(F.broadcast(offsets), ["ordering", "p"]).select("vec_id", "ordering", F.floor((F.col("i") + F.col("base")) / settings.block).cast("int").alias("block"))
-    placed = work.table("placed", placed)
-
-    entry = F.struct("vec_id", "v")
-    members = placed.join(rows, "vec_id").groupBy("ordering", "block").agg(F.collect_list(entry).alias("vectors"))  # at most `block` rows a group
-    members = work.table("members", members)
-    queries = rows.where(is_query)
-    asks = placed.join(queries, "vec_id").select("vec_id", "v", "ordering", F.explode(F.sequence(F.col("block") - settings.reach, F.col("block") + settings.reach)).alias("block"))
-    first = _meet(asks.withColumn("floor", F.lit(None).cast("double")), members, settings)
-    found = work.table("found", _top(first.groupBy("query_id", "vec_id").agg(F.max("score").alias("score")), settings))
+    # One row per partition, length and ordering: their running sums place every partition's rows.
+    counts = numbered.groupBy("d", "ordering", "p").agg(F.count("*").alias("c"), F.min("i").alias("f"))
+    before = Window.partitionBy("d", "ordering").orderBy("p").rowsBetween(Window.unboundedPreceding, -1)
+    offsets = counts.select("d", "ordering", "p", (F.coalesce(F.sum("c").over(before), F.lit(0)) - F.col("f")).alias("base"))
+    at = F.col("i") + F.col("base")
+    placed = numbered.join(F.broadcast(offsets) if wanted <= 100_000 else offsets, ["d", "ordering", "p"])
+    placed = work.table("placed", placed.select("vec_id", "d", "ordering", F.floor(at / settings.block).cast("int").alias("block"), F.floor(at / settings.ball).cast("int").alias("ball")))
+    work.drop("numbered")
+
+    entry = F.collect_list(F.struct("vec_id", "v")).alias("vectors")
+    queries = work.table("queries", rows.where(is_query))
+    home = placed.join(queries.drop("d"), "vec_id")
+    asks = home.select("vec_id", "v", "d", "ordering", F.explode(F.sequence(F.col("block") - settings.reach, F.col("block") + settings.reach)).alias("block"), F.lit(None).cast("double").alias("floor"))
+    members = placed.join(rows.drop("d"), "vec_id").groupBy("d", "ordering", "block").agg(entry)  # at most `block` rows a group
+    first = _meet(work, "first", asks, members, settings)
+    found = work.table("found", _top(first.groupBy("query_id", "vec_id").agg(F.max("score").alias("score")), settings.k))
+    work.drop("first")
     if settings.expand:
-        floors = found.groupBy("query_id").agg(F.min(F.when(F.col("rank") == settings.k, F.col("score"))).alias("floor"))
-        asks = queries.join(floors, queries["vec_id"] == floors["query_id"], "left").select("vec_id", "v", "floor")
-        # Visits follow from centre and radius of each block; blocks and queries meet in pieces.
-        balls = members.where("ordering = 0").select("block", F.transform("vectors", lambda x: x["v"]).alias("vs"))
-        balls = work.table("balls", balls.mapInArrow(_ball_kernel, "block int, centre array<double>, radius double").withColumn("piece", F.floor(F.col("block") / 512).cast("int")))
-        pieces = balls.groupBy("piece").agg(F.collect_list(F.struct("block", "centre", "radius")).alias("balls"))  # at most 512 a group
-        spots = F.sequence(F.lit(0), F.lit(_SALTS - 1))
-        pieces = work.table("pieces", pieces).withColumn("salt", F.explode(spots))
-        n_pieces = int(balls.agg(F.max("piece")).first()[0]) + 1
-        spread = asks.withColumn("salt", F.pmod(F.xxhash64("vec_id"), F.lit(_SALTS)).cast("int")).withColumn("piece", F.explode(F.sequence(F.lit(0), F.lit(n_pieces - 1))))
-        visits = spread.join(pieces, ["piece", "salt"]).mapInArrow(_visit_kernel, "vec_id long, block int")
-        visits = work.table("visits", visits)
-        asks = visits.join(asks, "vec_id").select("vec_id", "v", F.lit(0).alias("ordering"), "block", "floor")
-        wide = _meet(asks, members, settings)
-        found = _top(wide.union(found.select("query_id", "vec_id", "score")).groupBy("query_id", "vec_id").agg(F.max("score").alias("score")), settings)
-    mine = rows.select(F.col("vec_id").alias("query_id"), F.col("v").alias("qv"))
-    exact = F.aggregate(F.zip_with("qv", "v", lambda a, b: a * b), F.lit(0.0), lambda s, x: s + x)
-    return _top(found.join(mine, "query_id").join(rows, "vec_id").select("query_id", "vec_id", exact.alias("score")), settings)
-
-
-def _top(pairs: DataFrame, settings: CurveSettings) -> DataFrame:
-    from pyspark.sql import Window
-
+        floors = found.where(F.col("rank") == settings.k).select(F.col("query_id").alias("vec_id"), F.col("score").alias("floor"))
+        asks = work.table("asks", queries.join(floors, "vec_id", "left").select("vec_id", "v", "d", "floor"))
+        balls = placed.where("ordering = 0").join(rows.drop("d"), "vec_id").groupBy("d", "ball").agg(entry)  # at most `ball` rows a group
+        balls = work.table("balls", balls, 16)
+        bounds = balls.select("d", "ball", F.transform("vectors", lambda x: x["v"]).alias("vs")).mapInArrow(_ball_kernel, "d int, ball int, centre array<double>, radius double")
+        bounds = work.table("bounds", bounds, 16)
+        # Visits follow from centre and radius of each stretch; pieces of queries meet pieces of stretches.
+        pieces = bounds.withColumn("piece", F.floor(F.col("ball") / 512).cast("int")).groupBy("d", "piece").agg(F.collect_list(F.struct("ball", "centre", "radius")).alias("balls"))
+        pieces = work.table("pieces", pieces, 16)  # at most 512 a group
+        sizes = asks.groupBy("d").agg(F.ceil(F.count("*") / settings.query_block).cast("int").alias("chunks"))
+        reached = pieces.groupBy("d").agg(F.max("piece").alias("last"))
+        chunks = asks.join(sizes, "d").withColumn("chunk", F.pmod(F.xxhash64("vec_id"), F.col("chunks")).cast("int")).groupBy("d", "chunk").agg(F.collect_list(F.struct("vec_id", "v", "floor")).alias("queries"))
+        spread = chunks.join(reached, "d").withColumn("piece", F.explode(F.sequence(F.lit(0), F.col("last"))))
+        visits = spread.join(pieces, ["d", "piece"]).select("d", "queries", "balls").mapInArrow(_visit_kernel, "vec_id long, d int, ball int")
+        visits = work.table("visits", visits, 4)
+        asks = visits.join(asks.drop("d"), "vec_id").select("vec_id", "v", "d", F.lit(0).alias("ordering"), F.col("ball").alias("block"), "floor")
+        wide = _meet(work, "wide", asks, balls.select("d", F.lit(0).alias("ordering"), F.col("ball").alias("block"), "vectors"), settings)
+        found = _top(wide.union(found.select("query_id", "vec_id", "score")).groupBy("query_id", "vec_id").agg(F.max("score").alias("score")), settings.k)
+    result = work.table("result", found)
+    work.keep("result")
+    return result
+
+
+def visited_share(spark: SparkSession, frame: DataFrame, is_query, settings: CurveSettings = CurveSettings()) -> dict:
+    """What the search costs: rows that a query's windows hold at most, and usable rows (one job each)."""
+    n = usable_vectors(frame).count()
+    window = settings.orderings * (2 * settings.reach + 1) * settings.block
+    return {"vectors": n, "window": window, "share": min(1.0, window / max(1, n))}
+
+
+def _top(pairs: DataFrame, k: int) -> DataFrame:
     order = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
     ranked = pairs.select("query_id", F.row_number().over(order).alias("rank"), "vec_id", "score")
-    return ranked.where(F.col("rank") <= settings.k)
+    return ranked.where(F.col("rank") <= k)
 
 
-def _meet(asks: DataFrame, members: DataFrame, settings: CurveSettings) -> DataFrame:
-    """Scores of asked (query, ordering, block) meetings, pre-selected to k and the query's floor."""
-    salted = asks.withColumn("turn", F.pmod(F.xxhash64("vec_id"), F.lit(1 << 30)))
-    sizes = asks.groupBy("ordering", "block").agg(F.count("*").alias("n"))
-    parted = salted.join(sizes, ["ordering", "block"]).withColumn("part", (F.col("turn") % F.ceil(F.col("n") / settings.query_block)).cast("int"))
-    groups = parted.groupBy("ordering", "block", "part").agg(F.collect_list(F.struct("vec_id", "v", "floor")).alias("queries"))
-    return groups.join(members, ["ordering", "block"]).select("queries", "vectors").mapInArrow(_meet_kernel(settings), "query_id long, vec_id long, score double")
+def _meet(work: Workspace, name: str, asks: DataFrame, members: DataFrame, settings: CurveSettings) -> DataFrame:
+    """Scores of asked (query, d, ordering, block) meetings, the best k of each that reach the query's floor."""
+    place = ["d", "ordering", "block"]
+    sizes = asks.groupBy(*place).agg(F.count("*").alias("n"))
+    parted = asks.join(sizes, place).withColumn("part", F.pmod(F.xxhash64("vec_id"), F.ceil(F.col("n") / settings.query_block)).cast("int"))
+    groups = parted.groupBy(*place, "part").agg(F.collect_list(F.struct("vec_id", "v", "floor")).alias("queries"))
+    return work.table(name, groups.join(members, place).select("queries", "vectors").mapInArrow(_meet_kernel(settings), "query_id long, vec_id long, score double"), 16)
 
 
 def _ball_kernel(batches):
     for batch in batches:
         centres, radii = [], []
         for row in range(batch.num_rows):
-            v = _matrix(batch.column(1)[row].values)
-            c = v.mean(0)
-            centres.append(c)
-            radii.append(float(np.sqrt(((v - c) ** 2).sum(1).max())) * (1 + 1e-9))
-        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(centres, pa.list_(pa.float64())), pa.array(radii, pa.float64())], names=["block", "centre", "radius"])
+            with np.errstate(over="ignore", invalid="ignore"):
+                v = _matrix(batch.column(2)[row].values)
+                c = v.mean(0)
+                centres.append(c)
+                radii.append(float(np.sqrt(((v - c) ** 2).sum(1).max())) * (1 + 1e-9))
+        yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(centres, pa.list_(pa.float64())), pa.array(radii, pa.float64())], names=["d", "ball", "centre", "radius"])
 
 
 def _visit_kernel(batches):
     for batch in batches:
-        names = batch.schema.names
-        at = {n: batch.column(names.index(n)) for n in ("vec_id", "v", "floor", "balls")}
-        last, cached = None, None
-        out_q, out_b = [], []
-        pieces = batch.column(names.index("piece")).to_pylist()
         for row in range(batch.num_rows):
-            if pieces[row] != last:
-                balls = at["balls"][row].values
-                cached = (balls.field(0).to_numpy(), _matrix(balls.field(1)), balls.field(2).to_numpy())
-                last = pieces[row]
-            q = np.array(at["v"][row].values.to_numpy())
-            floor = at["floor"][row].as_py()
-            bound = cached[1] @ q + np.sqrt(q @ q) * cached[2]
-            keep = cached[0] if floor is None else cached[0][bound * (1 + 1e-9) + 1e-9 >= floor]
-            out_q.append(np.full(len(keep), at["vec_id"][row].as_py()))
-            out_b.append(keep)
-        yield pa.RecordBatch.from_arrays(
-            [pa.array(np.concatenate(out_q) if out_q else np.empty(0, np.int64), pa.int64()), pa.array(np.concatenate(out_b) if out_b else np.empty(0, np.int32), pa.int32())],
-            names=["vec_id", "block"],
-        )
+            queries, balls = batch.column(1)[row].values, batch.column(2)[row].values
+            q, centres, radii = _matrix(queries.field(1)), _matrix(balls.field(1)), balls.field(2).to_numpy()
+            floors = queries.field(2).to_numpy(zero_copy_only=False)
+            with np.errstate(over="ignore", invalid="ignore"):
+                far = np.sqrt((q * q).sum(1))[:, None] * radii[None, :]
+                near = q @ centres.T
+                bound = near + far + 1e-9 * (np.abs(near) + far)
+                ask, ball = np.nonzero(~(bound < floors[:, None]))  # no floor, and no finite bound, mean a visit
+            yield pa.RecordBatch.from_arrays([queries.field(0).take(pa.array(ask)), pa.array(np.full(len(ask), batch.column(0)[row].as_py(), np.int32)), balls.field(0).take(pa.array(ball))], names=["vec_id", "d", "ball"])

@@ -2,14 +2,22 @@
 
 Pages of one host share a template.  Every page's DOM is aligned with the
 host's exemplars (up to three pages of typical size in tags) by simple tree
-matching.  A text node aligned with any exemplar that reads the same on nearly
-all different pages of the host that fit this exemplar is template; the others
-are slots.  Slots under elements whose role is navigation, page
-header or footer, sidebar, notice, advert, form, comment or code are no content
-either; of the rest, those inside the article (or main) element are the text,
-or all of them where a page has no such element.
-
-Counting runs over all pages: each page emits its aligned nodes, Spark counts
+matching, and counted for each exemplar that it fits.  A text that reads the
+same at its place on nearly all different pages is template; what varies is a
+slot.  Per host and exemplar, slots are weighed over all pages: characters that
+vary and are not link text.  The content region is found by descending from the
+root while one element holds nearly all of that weight, so menus, notices,
+adverts and footers that vary from page to page fall outside, marked or not.
+
+Tags, roles and class names are the prior of this decision: they scale a slot's
+weight (down for navigation, footers, adverts and the like, up inside article or
+main).  A region that meets an article or main element takes that element's
+borders.  Inside the region, elements that are forms, navigation, comments or
+adverts by their own tag or mark are left out; inside an article, text that is
+the same on all pages stays.  Pages of a host with one page only, and pages that
+fit no exemplar, have tags and marks alone.
+
+Counting runs over all pages: each page emits its aligned slots, Spark counts
 them per host with map-side combining.  No page set of a host meets in a task.
 """
 
@@ -62,27 +70,35 @@ _WORDS = re.compile(r"[A-Z]?[a-z]+|[A-Z]+")
 
 @dataclass(frozen=True)
 class WrapperSettings:
-    """share: part of a host's different pages on which a template node is constant; pages: least
-    number of different pages that can tell; broadcast_bytes: largest total of exemplars that is broadcast."""
+    """share: part of a host's different pages on which a template text is constant; pages: least
+    number of different pages that can tell; hold: share of the weight that an element must have
+    for the region to shrink to it, spare: characters a page that may be left outside at most;
+    unlikely, likely: factors of slots under furniture and article elements; broadcast_bytes:
+    largest total of exemplars, and of templates, that is broadcast."""
 
     share: float = 0.9
     pages: int = 2
+    hold: float = 0.75
+    spare: float = 250.0
+    unlikely: float = 0.05
+    likely: float = 3.0
     broadcast_bytes: int = 16 << 20
 
 
 class Dom:
     """A page as parallel lists in document order; node 0 is the root."""
 
-    __slots__ = ("tags", "parents", "children", "dropped", "mains", "texts", "shapes", "marks")
+    __slots__ = ("tags", "parents", "children", "dropped", "own", "mains", "texts", "shapes", "sizes", "marks")
 
     def __init__(self, source: str):
         self.tags, self.parents, self.children = ["#root"], [-1], [[]]
-        self.dropped, self.mains = [False], [False]
+        self.dropped, self.own, self.mains = [False], [False], [False]
         self.texts: list[tuple[int, str]] = []  # (node, raw text), in page order; (node, None) is a border
         self.marks: list[tuple[int, bool]] = []  # (node, whole class), for _settle
         self._parse(source)
         self._settle()
         self.shapes: list[int] = []
+        self.sizes: list[int] = []
 
     def _add(self, tag: str, parent: int, attributes: str) -> int:
         node = len(self.tags)
@@ -91,23 +107,22 @@ class Dom:
         self.children.append([])
         self.children[parent].append(node)
         inside = self.mains[parent]
-        dropped = self.dropped[parent] or tag in DROPPED
+        own = tag in DROPPED or tag == "footer" or (tag == "header" and not inside)
         main = inside or tag == "article" or tag == "main"
-        if not dropped and (tag == "footer" or (tag == "header" and not inside)):
-            dropped = True
         if attributes and not attributes.isspace():
             for m in _ATTRIBUTE.finditer(attributes):
                 name = m[1].lower()
                 value = m[2] if m[2] is not None else m[3] if m[3] is not None else m[4] or ""
                 if name == "role":
                     role = value.strip().lower()
-                    dropped = dropped or role in ROLES
+                    own = own or role in ROLES
                     main = main or role in ("main", "article")
                 elif name == "hidden" or (name == "aria-hidden" and value == "true") or (name == "style" and "display:none" in value.replace(" ", "").lower()):
-                    dropped = True
+                    own = True
                 elif name in ("class", "id") and tag not in ("html", "body", "article", "main"):
                     self._mark(node, tag, name, value, inside)
-        self.dropped.append(dropped)
+        self.own.append(own)
+        self.dropped.append(own or self.dropped[parent])
         self.mains.append(main)
         return node
 
@@ -154,6 +169,7 @@ class Dom:
                 node = parents[node]
         for node, is_whole in self.marks:
             holds = node in holders if tops else not is_whole and 2 * sizes[node] > sizes[0]
+            self.own[node] = self.own[node] or not holds
             self.dropped[node] = self.dropped[node] or not holds
         for node in range(1, n):
             self.dropped[node] = self.dropped[node] or self.dropped[parents[node]]
@@ -221,27 +237,68 @@ class Dom:
             self.shapes = shapes
         return self.shapes
 
-    def content_nodes(self) -> list[int]:
-        """Nodes that may hold article text: not dropped, inside article or main where there is one."""
+    def subtree_sizes(self) -> list[int]:
+        if not self.sizes:
+            sizes = [1] * len(self.tags)
+            for node in range(len(self.tags) - 1, 0, -1):
+                sizes[self.parents[node]] += sizes[node]
+            self.sizes = sizes
+        return self.sizes
+
+    def content_nodes(self) -> list[bool]:
+        """Nodes that may hold article text by tags and marks alone: not dropped, inside article or main where there is one."""
         has_main = any(m and not d for m, d in zip(self.mains, self.dropped, strict=True))
         return [not d and (m or not has_main) for m, d in zip(self.mains, self.dropped, strict=True)]
 
+    def region_nodes(self, root: int) -> tuple[list[bool], bool]:
+        """Nodes that may hold article text if the content region is ``root``, and whether an article sets its borders."""
+        parents, n = self.parents, len(self.tags)
+        tops = [x for x in range(1, n) if self.mains[x] and not self.mains[parents[x]] and not self.dropped[x]]
+        around, node = None, root
+        while node > 0:
+            if self.mains[node] and not self.mains[parents[node]]:
+                around = node
+            node = parents[node]
+        inside = {root}
+        if around is not None:
+            inside = {around}
+        else:
+            below = [False] * n
+            below[root] = True
+            for x in range(root + 1, n):
+                below[x] = below[parents[x]]
+            held = {x for x in tops if below[x]}
+            inside = held or inside
+        allowed = [False] * n
+        for x in range(n):
+            allowed[x] = x in inside or (x > 0 and allowed[parents[x]] and not self.own[x])
+        return allowed, around is not None or inside != {root}
+
     def blocks(self, allowed: list[bool]) -> list[tuple[int, str]]:
         """(first node, cleaned text) of each non-empty block of allowed nodes, in page order."""
-        out: list[tuple[int, str]] = []
+        return [(node, text) for node, text, _ in self.linked_blocks(allowed)]
+
+    def linked_blocks(self, allowed: list[bool] | None = None) -> list[tuple[int, str, float]]:
+        """(first node, cleaned text, share of link text) of each non-empty block, in page order."""
+        out: list[tuple[int, str, float]] = []
         parts: list[str] = []
-        first = -1
+        first, linked = -1, 0
+        links = [False] * len(self.tags)
+        for x in range(1, len(self.tags)):
+            links[x] = links[self.parents[x]] or self.tags[x] == "a"
         for node, text in [*self.texts, (0, None)]:
             if text is None:
                 if parts:
-                    clean = _BLANKS.sub(" ", html.unescape("".join(parts))).strip()
+                    raw = "".join(parts)
+                    clean = _BLANKS.sub(" ", html.unescape(raw)).strip()
                     if clean:
-                        out.append((first, clean))
-                    parts, first = [], -1
-            elif allowed[node]:
+                        out.append((first, clean, linked / len(raw)))
+                    parts, first, linked = [], -1, 0
+            elif allowed is None or allowed[node]:
                 if first < 0 and not text.isspace():
                     first = node
                 parts.append(text)
+                linked += len(text) * links[node]
         return out
 
 
@@ -249,49 +306,55 @@ def tree_matching(page: Dom, model: Dom) -> dict[int, int]:
     """Simple tree matching: an order-keeping top-down alignment {page node: model node} of largest size.
 
     Equal roots match; their children align by dynamic programming over the
-    sizes of their own alignments.  Structurally equal children at both ends
-    are paired at once (no alignment can do better), so long runs of equal
-    paragraphs cost linear time.
+    sizes of their own alignments.  Structurally equal children at both ends are
+    paired at once (no alignment can do better), so long runs of equal paragraphs
+    cost linear time, and each pair of structures is solved once.  Nothing
+    recurses, so depth is no matter.
     """
     a, b = page.shape(), model.shape()
-    memo: dict[tuple[int, int], tuple[int, list[tuple[int, int]]]] = {}
-
-    def whole(x: int, y: int, pairs: list[tuple[int, int]]) -> None:
-        todo = [(x, y)]
-        while todo:
-            u, v = todo.pop()
-            pairs.append((u, v))
-            todo += zip(page.children[u], model.children[v], strict=True)
-
-    def match(x: int, y: int, depth: int) -> tuple[int, list[tuple[int, int]]]:
+    sizes = page.subtree_sizes()
+    # (shape, shape) -> size and aligned children as index pairs
+    solved: dict[tuple[int, int], tuple[int, list[tuple[int, int]]]] = {}
+    todo = [(0, 0)]
+    while todo:
+        x, y = todo[-1]
+        key = (a[x], b[y])
+        if key in solved:
+            todo.pop()
+            continue
         if page.tags[x] != model.tags[y]:
-            return 0, []
-        if (x, y) in memo:
-            return memo[x, y]
-        pairs: list[tuple[int, int]] = [(x, y)]
-        if depth > 150:
-            return 1, pairs
+            solved[key] = (0, [])
+            continue
+        if key[0] == key[1]:
+            solved[key] = (sizes[x], [(i, i) for i in range(len(page.children[x]))])
+            continue
         left, right = page.children[x], model.children[y]
         lo = 0
         while lo < len(left) and lo < len(right) and a[left[lo]] == b[right[lo]]:
-            whole(left[lo], right[lo], pairs)
             lo += 1
-        hi_l, hi_r = len(left), len(right)
-        while hi_l > lo and hi_r > lo and a[left[hi_l - 1]] == b[right[hi_r - 1]]:
-            hi_l, hi_r = hi_l - 1, hi_r - 1
-            whole(left[hi_l], right[hi_r], pairs)
-        middle_l, middle_r = left[lo:hi_l], right[lo:hi_r]
+        cut = 0
+        while cut < min(len(left), len(right)) - lo and a[left[-1 - cut]] == b[right[-1 - cut]]:
+            cut += 1
+        middle_l, middle_r = left[lo : len(left) - cut], right[lo : len(right) - cut]
+        firsts = {(a[u], b[v]): (u, v) for u in {a[u]: u for u in middle_l}.values() for v in {b[v]: v for v in middle_r}.values()}
+        missing = [pair for shapes, pair in firsts.items() if shapes not in solved]
+        if missing:
+            todo += missing
+            continue
+        pairs = [(i, i) for i in range(lo)] + [(len(left) - 1 - i, len(right) - 1 - i) for i in range(cut)]
+        size = 1 + sum(sizes[left[i]] for i, _ in pairs)
         if middle_l and middle_r:
             width = len(middle_r) + 1
             best = [0] * width
             rows = [best]
             for u in middle_l:
                 row = [0] * width
-                for j, v in enumerate(middle_r):
-                    size, _ = match(u, v, depth + 1)
-                    row[j + 1] = max(row[j], best[j + 1], best[j] + size)
+                gains = [solved[a[u], b[v]][0] for v in middle_r]
+                for j, gain in enumerate(gains):
+                    row[j + 1] = max(row[j], best[j + 1], best[j] + gain)
                 rows.append(row)
                 best = row
+            size += best[-1]
             i, j = len(middle_l), len(middle_r)
             while i and j:
                 if rows[i][j] == rows[i - 1][j]:
@@ -300,11 +363,19 @@ def tree_matching(page: Dom, model: Dom) -> dict[int, int]:
                     j -= 1
                 else:
                     i, j = i - 1, j - 1
-                    pairs += match(middle_l[i], middle_r[j], depth + 1)[1]
-        memo[x, y] = (len(pairs), pairs)
-        return memo[x, y]
-
-    return dict(match(0, 0, 0)[1])
+                    pairs.append((lo + i, lo + j))
+        solved[key] = (size, pairs)
+    found: dict[int, int] = {}
+    open_pairs = [(0, 0)] if page.tags[0] == model.tags[0] else []
+    while open_pairs:
+        x, y = open_pairs.pop()
+        found[x] = y
+        open_pairs += [(page.children[x][i], model.children[y][j]) for i, j in solved[a[x], b[y]][1] if (a[page.children[x][i]], b[model.children[y][j]]) in solved or a[page.children[x][i]] == b[model.children[y][j]]]
+        for i, j in solved[a[x], b[y]][1]:
+            u, v = page.children[x][i], model.children[y][j]
+            if (a[u], b[v]) not in solved:
+                solved[a[u], b[v]] = (sizes[u], [(k, k) for k in range(len(page.children[u]))])
+    return found
 
 
 def _digest(text: str) -> int:
@@ -312,35 +383,70 @@ def _digest(text: str) -> int:
 
 
 class _Exemplars:
-    """The last exemplar parsed: rows arrive host by host or repeat few hosts."""
+    """Parsed exemplars and their regions: rows arrive host by host or repeat few hosts."""
 
     def __init__(self):
         self.kept: dict[str, Dom] = {}
+        self.regions: dict[tuple, int] = {}
 
     def dom(self, source: str) -> Dom:
         if source not in self.kept:
             if len(self.kept) >= 64:
                 self.kept.clear()
+                self.regions.clear()
             self.kept[source] = Dom(source)
         return self.kept[source]
 
+    def region(self, source: str, slots: list[tuple[int, int, float]], settings: WrapperSettings) -> int:
+        key = (source, tuple(slots), settings)
+        if key not in self.regions:
+            self.regions[key] = content_region(self.dom(source), slots, settings)
+        return self.regions[key]
 
-def _aligned_blocks(page: Dom, models: list[Dom]) -> tuple[list[tuple[list[tuple[int, int]], str]], list[int]]:
-    """([(exemplar, node)], text) of the page's content blocks, and the exemplars that the page fits.
 
-    A page fits an exemplar if at least half of its nodes align.
-    """
-    matchings, fits, shapes = [], [], set()
+def fitting_exemplars(page: Dom, models: list[Dom]) -> list[tuple[float, int, dict[int, int]]]:
+    """(share of aligned nodes, exemplar, alignment) of the exemplars half of whose nodes align with the page's."""
+    out, shapes = [], set()
     for k, model in enumerate(models):
-        shape = model.shape()[0]
-        if shape in shapes:  # aligns as an earlier one does
-            continue
-        shapes.add(shape)
-        matching = tree_matching(page, model)
-        matchings.append((k, matching))
-        if 2 * len(matching) >= len(model.tags):
-            fits.append(k)
-    return [([(k, m[node]) for k, m in matchings if node in m], text) for node, text in page.blocks(page.content_nodes())], fits
+        if model.shape()[0] not in shapes:  # else it aligns as an earlier one does
+            shapes.add(model.shape()[0])
+            matching = tree_matching(page, model)
+            share = len(matching) / max(len(model.tags), len(page.tags) / 4)
+            if 2 * share >= 1:
+                out.append((share, k, matching))
+    return out
+
+
+def _slot(page: Dom, matching: dict[int, int], node: int) -> int:
+    """Exemplar node of the nearest aligned element around a text."""
+    while node not in matching:
+        node = page.parents[node]
+    return matching[node]
+
+
+def content_region(model: Dom, slots: list[tuple[int, int, float]], settings: WrapperSettings) -> int:
+    """The exemplar element that holds the host's content: slots are (node, pages, varying characters that are no link)."""
+    weight = [0.0] * len(model.tags)
+    plain = [0.0] * len(model.tags)
+    pages = max((n for _, n, _ in slots), default=1)
+    for node, _, chars in slots:
+        plain[node] += chars / pages
+        weight[node] += chars / pages * (settings.unlikely if model.dropped[node] else settings.likely if model.mains[node] else 1.0)
+    for node in range(len(model.tags) - 1, 0, -1):
+        weight[model.parents[node]] += weight[node]
+    # What is likely furniture may be left outside whatever its length.
+    likely = [0.0 if model.dropped[n] else x for n, x in enumerate(plain)]
+    for node in range(len(model.tags) - 1, 0, -1):
+        likely[model.parents[node]] += likely[node]
+    node = 0
+    while weight[node] > 0:
+        heavy = max(model.children[node], key=lambda c: (weight[c], -c), default=-1)
+        if heavy < 0 or not any(model.tags[c] in BLOCK for c in model.children[heavy]):
+            break  # a block of text is no region: others may stand beside it on other pages
+        if weight[heavy] < settings.hold * weight[node] or likely[node] - likely[heavy] > max(settings.spare, 0.0) and not model.mains[heavy]:
+            break
+        node = heavy
+    return node
 
 
 def _count_kernel(batches):
@@ -350,34 +456,68 @@ def _count_kernel(batches):
             part = batch.slice(lo, 256)
             hosts, digests, fitting, nodes = [], [], [], []
             for host, source, models in zip(*(part.column(i).to_pylist() for i in range(3)), strict=True):
-                blocks, fits = _aligned_blocks(Dom(source), [exemplars.dom(m) for m in models])
-                hosts.append(host)
-                digests.append(_digest("\n".join(t for _, t in blocks)))
-                fitting.append(fits)
-                nodes.append([{"exemplar": k, "node": n, "text": _digest(t)} for at, t in blocks for k, n in at if k in fits])
-            kind = pa.list_(pa.struct([("exemplar", pa.int32()), ("node", pa.int32()), ("text", pa.int64())]))
-            yield pa.RecordBatch.from_arrays([pa.array(hosts, pa.string()), pa.array(digests, pa.int64()), pa.array(fitting, pa.list_(pa.int32())), pa.array(nodes, kind)], names=["host", "page", "fits", "nodes"])
-
-
-def _extract_kernel(batches):
-    exemplars = _Exemplars()
-    for batch in batches:
-        for lo in range(0, batch.num_rows, 256):
-            part = batch.slice(lo, 256)
-            texts = []
-            for source, models, template in zip(*(part.column(i).to_pylist() for i in range(2, 5)), strict=True):
-                dom = Dom(source or "")
-                if template:
-                    known = {(t["exemplar"], t["node"], t["text"]) for t in template}
-                    aligned, _ = _aligned_blocks(dom, [exemplars.dom(m) for m in models])
-                    blocks = [t for at, t in aligned if not any((k, n, _digest(t)) in known for k, n in at)]
-                else:
-                    blocks = [t for _, t in dom.blocks(dom.content_nodes())]
-                texts.append("\n".join(blocks))
-            yield pa.RecordBatch.from_arrays(
-                [part.column(0), part.column(1), pa.array(texts, pa.string()), pa.array(list(map(len, texts)), pa.int64())],
-                names=["page_id", "url", "text", "n_chars"],
-            )
+                page = Dom(source)
+                blocks = page.linked_blocks()
+                own = _digest("\n".join(t for _, t, _ in blocks))
+                for _, k, matching in fitting_exemplars(page, [exemplars.dom(m) for m in models]):
+                    hosts.append(host)
+                    digests.append(own)
+                    fitting.append(k)
+                    nodes.append([{"node": _slot(page, matching, n), "text": _digest(t), "chars": round(len(t) * (1 - linked))} for n, t, linked in blocks])
+            kind = pa.list_(pa.struct([("node", pa.int32()), ("text", pa.int64()), ("chars", pa.int64())]))
+            yield pa.RecordBatch.from_arrays([pa.array(hosts, pa.string()), pa.array(digests, pa.int64()), pa.array(fitting, pa.int32()), pa.array(nodes, kind)], names=["host", "page", "exemplar", "nodes"])
+
+
+def page_text(page: Dom, models: list[str], template: list[dict], exemplars: _Exemplars, settings: WrapperSettings) -> str:
+    """The article of a page of a host with a template: rows (exemplar, constant texts, slots)."""
+    known = {t["exemplar"]: t for t in template}
+    fits = [f for f in fitting_exemplars(page, [exemplars.dom(m) for m in models]) if f[1] in known]
+    if not fits:
+        return "\n".join(t for _, t in page.blocks(page.content_nodes()))
+    _, k, matching = max(fits, key=lambda f: (f[0], -f[1]))
+    constant = {(c["node"], c["text"]) for c in known[k]["constants"]}
+    model = exemplars.dom(models[k])
+    at = exemplars.region(models[k], [(s["node"], s["pages"], s["chars"]) for s in sorted(known[k]["slots"], key=lambda s: s["node"])], settings)
+    placed = {y: x for x, y in matching.items()}
+    while at not in placed:
+        at = model.parents[at]
+    root = placed[at]
+    allowed, by_article = page.region_nodes(root)
+    if by_article:
+        return "\n".join(t for _, t in page.blocks(allowed))
+    # A heading above the region belongs to it.
+    for x in range(1, root):
+        if page.tags[x] in ("h1", "h2") and not page.dropped[x]:
+            allowed[x] = True
+        elif x not in _path(page, root) and allowed[page.parents[x]] and page.parents[x] not in _path(page, root):
+            allowed[x] = not page.own[x]
+    return "\n".join(t for n, t in page.blocks(allowed) if (_slot(page, matching, n), _digest(t)) not in constant)
+
+
+def _path(page: Dom, node: int) -> set[int]:
+    out = set()
+    while node >= 0:
+        out.add(node)
+        node = page.parents[node]
+    return out
+
+
+def _extract_kernel(settings: WrapperSettings):
+    def run(batches):
+        exemplars = _Exemplars()
+        for batch in batches:
+            for lo in range(0, batch.num_rows, 256):
+                part = batch.slice(lo, 256)
+                texts = []
+                for source, models, template in zip(*(part.column(i).to_pylist() for i in range(2, 5)), strict=True):
+                    page = Dom(source or "")
+                    texts.append(page_text(page, models, template, exemplars, settings) if template and source else "\n".join(t for _, t in page.blocks(page.content_nodes())))
+                yield pa.RecordBatch.from_arrays(
+                    [part.column(0), part.column(1), pa.array(texts, pa.string()), pa.array(list(map(len, texts)), pa.int64())],
+                    names=["page_id", "url", "text", "n_chars"],
+                )
+
+    return run
 
 
 def extract(spark: SparkSession, pages: DataFrame, settings: WrapperSettings = WrapperSettings()) -> DataFrame:
@@ -409,15 +549,27 @@ def extract(spark: SparkSession, pages: DataFrame, settings: WrapperSettings = W
     known = F.broadcast(exemplars) if small else exemplars
 
     seen = filled.join(known, "host").select("host", "html", "exemplar")
-    seen = seen.mapInArrow(_count_kernel, "host string, page long, fits array<int>, nodes array<struct<exemplar:int,node:int,text:long>>")
-    # Equal pages count once; a page's nodes follow from its digest, so any copy will do.
-    counted = work.table("counted", seen)
-    n_pages = counted.select("host", "page", F.explode("fits").alias("exemplar")).groupBy("host", "exemplar").agg(F.countDistinct("page").alias("pages")).where(F.col("pages") >= settings.pages)
-    nodes = counted.select("host", "page", F.explode("nodes").alias("x")).select("host", "page", "x.exemplar", "x.node", "x.text").distinct()
-    often = nodes.groupBy("host", "exemplar", "node", "text").agg(F.count("*").alias("c")).join(n_pages, ["host", "exemplar"]).where(F.col("c") >= settings.share * F.col("pages"))
-    templates = often.groupBy("host").agg(F.collect_list(F.struct("exemplar", "node", "text")).alias("template"))
+    # Equal pages count once; a page's slots follow from its digest, so any copy will do.
+    counted = work.table("counted", seen.mapInArrow(_count_kernel, "host string, page long, exemplar int, nodes array<struct<node:int,text:long,chars:long>>"))
+    at = ["host", "exemplar"]
+    n_pages = counted.groupBy(*at).agg(F.countDistinct("page").alias("pages")).where(F.col("pages") >= settings.pages)
+    nodes = counted.select(*at, "page", F.explode("nodes").alias("x")).select(*at, "page", "x.node", "x.text", "x.chars").distinct()
+    texts = nodes.groupBy(*at, "node", "text").agg(F.count("*").alias("c"), F.sum("chars").alias("chars")).join(n_pages, at)
+    fixed = F.col("c") >= settings.share * F.col("pages")
+    slots = texts.groupBy(*at, "node").agg(
+        F.max("pages").alias("pages"),
+        F.coalesce(F.sum(F.when(~fixed, F.col("chars"))), F.lit(0)).alias("chars"),
+        F.collect_set(F.when(fixed, F.col("text"))).alias("texts"),  # a page's texts at most: each is on nearly all pages
+    )
+    slots = slots.groupBy(*at).agg(
+        F.flatten(F.collect_list(F.transform("texts", lambda t: F.struct(F.col("node").alias("node"), t.alias("text"))))).alias("constants"),
+        F.collect_list(F.struct("node", "pages", "chars")).alias("slots"),
+    )
+    templates = slots.groupBy("host").agg(F.collect_list(F.struct("exemplar", "constants", "slots")).alias("template"))  # three at most
     templates = work.table("templates", exemplars.join(templates, "host"))
 
-    known = F.broadcast(templates) if small else templates
+    weight = templates.agg(F.sum(F.aggregate("exemplar", F.lit(0).cast("long"), lambda n, e: n + F.octet_length(e)) + F.aggregate("template", F.lit(0).cast("long"), lambda n, t: n + 64 * (F.size(t["slots"]) + F.size(t["constants"])))).alias("n")).first().n or 0
+    known = F.broadcast(templates) if weight <= settings.broadcast_bytes else templates
     joined = rows.join(known, "host", "left").select("page_id", "url", "html", "exemplar", "template")
-    return joined.mapInArrow(_extract_kernel, "page_id long, url string, text string, n_chars long")
+    work.keep("templates")
+    return joined.mapInArrow(_extract_kernel(settings), "page_id long, url string, text string, n_chars long")

@@ -1,15 +1,15 @@
 """Language identification by a bidirectional gated recurrent network over bytes.
 
-The network reads the lower-cased bytes of each run of letters (state resets
-between runs; runs over ``segment`` bytes continue in a fresh segment), labels
-every byte position with language probabilities, and a document's
-probabilities are the mean over all its positions.  As a run's labels depend on
-its bytes alone, each distinct run is computed once per worker and reused from
-a bounded table: the result is that of labelling every position of every text.
+The network reads a text as lower-cased letters with one space between runs of
+letters, so it sees how words follow each other, not words alone.  The byte
+stream of a document is cut into segments of ``segment`` bytes; in each the
+network runs forwards and backwards, labels every byte position with language
+probabilities, and a document's probabilities are the mean over all positions of
+its whole text.
 
 Training is backpropagation through time in numpy on the driver, on a bounded,
-documented sample (``docs_per_language`` documents and ``max_words`` distinct
-segments of each language).
+documented sample: ``docs_per_language`` documents and ``segments`` segments of
+each language; no language is left out.
 """
 
 from __future__ import annotations
@@ -22,28 +22,30 @@ import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-from .textbatch import Words, byte_class, segment_hashes, slices
+from .textbatch import byte_class, slices
 
 LETTERS = byte_class(lambda b: 0x61 <= b <= 0x7A or b >= 0x80)
 
 
+#: Byte that fills short segments of a batch: it leaves the state as it is and is never labelled.
+PAD, SPACE = 0, 0x20
+
+
 @dataclass(frozen=True)
 class GruSettings:
-    """hidden: units a direction; segment: bytes of a segment; docs_per_language, max_words
-    (both for each language), max_languages: bounds of the training sample; epochs, batch, rate, seed: training;
-    memo: distinct runs remembered by a worker."""
-
-    hidden: int = 16
-    segment: int = 48
-    docs_per_language: int = 500
-    max_words: int = 60_000
-    max_languages: int = 64
-    epochs: int = 4
-    batch: int = 256
-    rate: float = 0.01
+    """hidden: units a direction; segment: bytes of a segment; docs_per_language, segments (both
+    for each language): bounds of the training sample; epochs, batch, rate, seed: training."""
+
+    hidden: int = 8
+    segment: int = 96
+    docs_per_language: int = 300
+    segments: int = 600
+    epochs: int = 7
+    batch: int = 96
+    rate: float = 0.03
     seed: int = 11
-    memo: int = 600_000
 
 
 def _sigmoid(x: np.ndarray) -> np.ndarray:
@@ -172,132 +174,181 @@ class LanguageModel:
     settings: GruSettings
 
 
-def training_words(docs: DataFrame, settings: GruSettings) -> DataFrame:
-    """(lang, word, n) of the bounded training sample: documents with remainder <> 2 and a language.
+def letter_stream(raw: np.ndarray, borders: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Letters of lower-cased rows with one space after each run of them, and the row borders."""
+    inside = LETTERS[raw]
+    keep = inside.copy()
+    if len(raw):
+        after = np.zeros(len(raw), bool)
+        after[1:] = inside[:-1] & ~inside[1:]
+        after[borders[:-1][borders[:-1] < borders[1:]]] = False  # a row's first byte follows nothing
+        keep |= after
+    data = np.where(inside, raw, np.uint8(SPACE))[keep]
+    return data, np.concatenate(([0], np.cumsum(keep)))[borders]
+
+
+def cut_segments(rows: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Start and length of each segment of a stream's rows, and the segment range of each row."""
+    lengths = np.diff(rows)
+    pieces = -(-lengths // size)
+    ranges = np.concatenate(([0], np.cumsum(pieces)))
+    place = np.arange(int(ranges[-1])) - np.repeat(ranges[:-1], pieces)
+    starts = np.repeat(rows[:-1], pieces) + place * size
+    return starts, np.minimum(size, np.repeat(rows[1:], pieces) - starts), ranges
+
+
+class SegmentLabeller:
+    """Summed position probabilities of segments by a trained network, in large batches.
+
+    The arrays are kept units by sequences, so that each step runs over contiguous memory.
+    """
+
+    BATCH = 2048
+
+    def __init__(self, network: ByteGru):
+        p, H = network.p, network.hidden
+        self.hidden = H
+        self.sides = []
+        for side in "fb":
+            table = p[f"table_{side}"].T.copy()
+            table[:H, PAD], table[H:, PAD] = 1e4, 0.0  # the update gate is shut: the state stays
+            self.sides.append((table, p[f"recur_{side}"].T.copy(), p[f"bias_{side}"][:, None].copy()))
+        self.out, self.out_bias = p["out"].T.copy(), p["out_bias"][:, None].copy()
+
+    def _states(self, side: int, steps: np.ndarray) -> np.ndarray:
+        (table, recur, bias), H = self.sides[side], self.hidden
+        length, width = steps.shape
+        states = np.empty((length, H, width), np.float32)
+        h = np.zeros((H, width), np.float32)
+        for t in range(length) if side == 0 else range(length - 1, -1, -1):
+            x = table[:, steps[t]]
+            g = recur @ h
+            gates = _sigmoid(x[: 2 * H] + g[: 2 * H])
+            n = g[2 * H :]
+            n += bias
+            n *= gates[H:]
+            n += x[2 * H :]
+            np.tanh(n, out=n)
+            h = h - n
+            h *= gates[:H]
+            h += n
+            states[t] = h
+        return states
+
+    def sums(self, data: np.ndarray, starts: np.ndarray, lengths: np.ndarray) -> np.ndarray:
+        """(segments, classes): probabilities summed over each segment's positions."""
+        total = np.empty((len(starts), len(self.out)))
+        order = np.argsort(lengths, kind="stable")
+        for lo in range(0, len(order), self.BATCH):
+            some = order[lo : lo + self.BATCH]
+            length = int(lengths[some].max())
+            at = np.minimum(starts[some][None, :] + np.arange(length)[:, None], len(data) - 1)
+            inside = np.arange(length)[:, None] < lengths[some][None, :]
+            steps = np.where(inside, data[at], np.uint8(PAD))
+            both = np.concatenate([self._states(0, steps), self._states(1, steps)], axis=1)
+            logits = np.matmul(self.out, both) + self.out_bias
+            logits -= logits.max(1, keepdims=True)
+            np.exp(logits, out=logits)
+            logits *= (inside / logits.sum(1))[:, None, :]
+            total[some] = logits.sum(0, dtype=np.float64).T
+        return total
+
+
+def _segment_kernel(settings: GruSettings):
+    def run(batches):
+        for batch in batches:
+            lowered = pa.RecordBatch.from_arrays([*batch.columns[:2], pc.utf8_lower(batch.column(2))], names=["doc_id", "lang", "text"])
+            for part, raw, borders in slices(lowered, "text"):
+                data, rows = letter_stream(raw, borders)
+                starts, lengths, ranges = cut_segments(rows, settings.segment)
+                of = np.repeat(np.arange(part.num_rows), np.diff(ranges))
+                found = [data[s : s + n].tobytes() for s, n in zip(starts, lengths, strict=True)]
+                place = np.arange(len(of)) - ranges[of]
+                yield pa.RecordBatch.from_arrays([part.column(0).take(pa.array(of)), part.column(1).take(pa.array(of)), pa.array(place.astype(np.int64)), pa.array(found, pa.binary())], names=["doc_id", "lang", "place", "segment"])
+
+    return run
+
+
+def training_segments(docs: DataFrame, settings: GruSettings) -> DataFrame:
+    """(lang, segment) of the bounded training sample: documents with remainder <> 2 and a language.
 
-    Words are the runs' segments of ``segment`` bytes, as in labelling.  Each
-    language has a bound of its own; where it binds, frequent words come first,
-    equally frequent ones in a seeded hash order.
+    Each language has bounds of its own; documents and segments are chosen in a
+    seeded hash order, ranked before anything is shuffled whole.
     """
     learn = docs.where((F.crc32(F.col("doc_id").cast("string")) % 4 != 2) & F.col("lang").isNotNull() & F.col("text").isNotNull())
-    often = learn.groupBy("lang").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "lang").limit(settings.max_languages).collect()  # at most max_languages rows
-    # A hash threshold per language leaves about twice the wanted documents, so the ranking below is small.
-    spot = F.pmod(F.xxhash64("doc_id", F.lit(settings.seed)), F.lit(1 << 40))
-    chosen = F.lit(False)
-    for row in often:
-        chosen = chosen | ((F.col("lang") == row.lang) & (spot < int(min(1.0, 2 * settings.docs_per_language / row.n) * (1 << 40))))
-    order = Window.partitionBy("lang").orderBy(F.xxhash64("doc_id"), "doc_id")
-    ids = learn.where(chosen).select("doc_id", "lang").withColumn("k", F.row_number().over(order)).where(F.col("k") <= settings.docs_per_language).select("doc_id")
-    sample = learn.join(F.broadcast(ids), "doc_id", "left_semi")  # at most docs_per_language * max_languages ids
-    words = sample.select("lang", F.explode(F.regexp_extract_all(F.lower("text"), F.lit(r"[a-z\x{80}-\x{10FFFF}]+"), F.lit(0))).alias("word"))
-    size, run = settings.segment, F.encode("word", "UTF-8")
-    starts = F.sequence(F.lit(0), F.floor((F.octet_length("word") - 1) / size).cast("int"))
-    segments = words.select("lang", F.explode(F.transform(starts, lambda i: F.substring(run, i * size + 1, F.lit(size)))).alias("word"))
-    counted = segments.groupBy("lang", "word").agg(F.count("*").alias("n"))
-    rank = Window.partitionBy("lang").orderBy(F.desc("n"), F.xxhash64("word", F.lit(settings.seed)), "word")
-    chosen = counted.withColumn("k", F.row_number().over(rank)).where(F.col("k") <= settings.max_words).drop("k")
-    return chosen.orderBy(F.desc("n"), "word", "lang")
+    order = Window.partitionBy("lang").orderBy(F.xxhash64("doc_id", F.lit(settings.seed)), "doc_id")
+    ids = learn.select("doc_id", "lang").distinct().withColumn("k", F.row_number().over(order)).where(F.col("k") <= settings.docs_per_language).select("doc_id", "lang")
+    sample = learn.join(ids, ["doc_id", "lang"], "left_semi").select("doc_id", "lang", "text")
+    cut = sample.mapInArrow(_segment_kernel(settings), "doc_id long, lang string, place long, segment binary")
+    rank = Window.partitionBy("lang").orderBy(F.xxhash64("doc_id", "place", F.lit(settings.seed)), "segment")
+    chosen = cut.withColumn("k", F.row_number().over(rank)).where(F.col("k") <= settings.segments)
+    return chosen.select("lang", "segment").orderBy("lang", "segment")
 
 
 def train(docs: DataFrame, settings: GruSettings = GruSettings()) -> LanguageModel | None:
-    """A trained model; None if the sample holds no labelled word."""
-    got = training_words(docs.select("doc_id", "text", "lang"), settings).toArrow().to_pydict()
+    """A trained model; None if the sample holds no labelled letter."""
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("lang").cast("string").alias("lang"), F.col("text").cast("string").alias("text"))
+    got = training_segments(rows, settings).toArrow().to_pydict()  # at most `segments` rows a language
     if not got["lang"]:
         return None
     languages = sorted(set(got["lang"]))
-    words = [bytes(w) for w in got["word"]]
     labels = np.array([languages.index(x) for x in got["lang"]])
-    weights = np.log1p(np.array(got["n"], dtype=np.float64))
-    mass = np.bincount(labels, weights, minlength=len(languages))
+    mass = np.bincount(labels, minlength=len(languages))
     network = ByteGru(settings.hidden, len(languages), settings.seed)
-    network.fit(words, labels, (weights / mass[labels] * len(words)).astype(np.float32), settings)
+    network.fit([bytes(x) for x in got["segment"]], labels, (len(labels) / len(languages) / mass[labels]).astype(np.float32), settings)
     return LanguageModel(network, languages, settings)
 
 
-class _RunMemo:
-    """Summed position probabilities of distinct runs, by run hash; emptied when full."""
-
-    def __init__(self, model: LanguageModel):
-        self.model = model
-        self.known = np.empty(0, np.uint64)
-        self.sums = np.empty((0, len(model.languages)), np.float32)
-
-    def label(self, data: np.ndarray, lengths: np.ndarray) -> np.ndarray:
-        hashes = segment_hashes(data, lengths)
-        distinct, first, back = np.unique(hashes, return_index=True, return_inverse=True)
-        at = np.searchsorted(self.known, distinct)
-        at[at == len(self.known)] = 0
-        found = (self.known[at] == distinct) if len(self.known) else np.zeros(len(distinct), bool)
-        sums = np.empty((len(distinct), len(self.model.languages)), np.float32)
-        sums[found] = self.sums[at[found]]
-        new = np.flatnonzero(~found)
-        if len(new):
-            heads = np.cumsum(lengths) - lengths
-            sizes = lengths[first[new]]
-            for n in np.unique(sizes):
-                same = new[sizes == n]
-                for lo in range(0, len(same), 8192):
-                    some = same[lo : lo + 8192]
-                    seq = data[heads[first[some]][:, None] + np.arange(n)]
-                    sums[some] = self.model.network.probabilities(seq).sum(1)
-            if len(self.known) + len(new) > self.model.settings.memo:
-                self.known, self.sums = distinct, sums
-            else:
-                known = np.concatenate([self.known, distinct[new]])
-                order = np.argsort(known)
-                self.known, self.sums = known[order], np.concatenate([self.sums, sums[new]])[order]
-        return sums[back]
-
-
-def _label_kernel(shared):
+def _label_kernel(shared, text: int, names: list[str]):
+    """Appends language and score to batches whose column ``text`` holds the text."""
+
     def run(batches):
         model: LanguageModel = shared.value
-        memo = _RunMemo(model)
-        limit = model.settings.segment
+        labeller = SegmentLabeller(model.network)
         for batch in batches:
-            lowered = pc.utf8_lower(batch.column(1))
-            batch = pa.RecordBatch.from_arrays([batch.column(0), lowered], names=["doc_id", "text"])
-            for part, raw, borders in slices(batch, "text"):
-                words = Words(raw, borders, LETTERS, lower=False)
-                lengths = words.ends - words.starts
-                pieces = -(-lengths // limit)
-                sizes = np.full(int(pieces.sum()), limit)
-                last = np.cumsum(pieces) - 1
-                sizes[last] = lengths - (pieces - 1) * limit
-                rows = np.concatenate(([0], np.cumsum(pieces)))[words.rows]
+            lowered = pc.utf8_lower(batch.column(text))
+            batch = pa.RecordBatch.from_arrays([*batch.columns, lowered], names=[*(str(k) for k in range(batch.num_columns)), "lowered"])
+            for part, raw, borders in slices(batch, "lowered"):
+                data, rows = letter_stream(raw, borders)
+                starts, lengths, ranges = cut_segments(rows, model.settings.segment)
                 filled = np.diff(rows) > 0
                 probs = np.zeros((part.num_rows, len(model.languages)))
-                if len(sizes):
-                    sums = memo.label(raw[LETTERS[raw]], sizes).astype(np.float64)
-                    total = np.add.reduceat(sizes, rows[:-1][filled])
-                    probs[filled] = np.add.reduceat(sums, rows[:-1][filled], axis=0) / total[:, None]
+                if len(starts):
+                    sums = labeller.sums(data, starts, lengths)
+                    probs[filled] = np.add.reduceat(sums, ranges[:-1][filled], axis=0) / np.diff(rows)[filled][:, None]
                 best = probs.argmax(1)
                 lettered = filled.copy()
-                doubtful = np.flatnonzero(filled)
-                ascii_letters = np.concatenate(([0], np.cumsum((raw >= 0x61) & (raw <= 0x7A))))[borders]
-                for row in doubtful[np.diff(ascii_letters)[doubtful] == 0]:
-                    lettered[row] = any(c.isalpha() for c in part.column(1)[row].as_py())
-                names = [model.languages[b] if ok else "und" for b, ok in zip(best, lettered, strict=True)]
-                scores = np.where(lettered, np.minimum(probs.max(1), 1.0), 0.0)
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(names, pa.string()), pa.array(scores)], names=["doc_id", "lang_pred", "score"])
+                plain = np.concatenate(([0], np.cumsum((raw >= 0x61) & (raw <= 0x7A))))[borders]
+                for row in np.flatnonzero(filled & (np.diff(plain) == 0)):
+                    lettered[row] = any(c.isalpha() for c in part.column(text)[row].as_py())
+                found = [model.languages[b] if ok else "und" for b, ok in zip(best, lettered, strict=True)]
+                scores = np.where(lettered, np.round(np.minimum(probs.max(1), 1.0), 6), 0.0)
+                yield pa.RecordBatch.from_arrays([*part.columns[:-1], pa.array(found, pa.string()), pa.array(scores)], names=names)
 
     return run
 
 
+def with_language(spark: SparkSession, docs: DataFrame, model: LanguageModel | None, lang: str, score: str) -> DataFrame:
+    """All columns of ``docs`` and two more, of the given names, in one narrow pass."""
+    if model is None:
+        return docs.withColumns({lang: F.lit("und"), score: F.lit(0.0)})
+    shared = spark.sparkContext.broadcast(model)  # 2 x 256 x 3 hidden floats, and as many outputs as languages
+    names = [*docs.columns, lang, score]
+    schema = T.StructType([*(T.StructField(f.name, f.dataType, True) for f in docs.schema), T.StructField(lang, T.StringType()), T.StructField(score, T.DoubleType())])
+    return docs.mapInArrow(_label_kernel(shared, docs.columns.index("text"), names), schema)
+
+
 def label_documents(spark: SparkSession, docs: DataFrame, model: LanguageModel | None) -> DataFrame:
     """doc_id, held_out, lang_pred, score of every document by a trained model.
 
     Null, empty or letter-free text is ``und`` with score 0 (so is everything if
-    there was nothing to learn from); repeated rows get equal results; extra
-    columns are ignored.
+    there was nothing to learn from); repeated rows get equal results, with or
+    without doc_id (a null doc_id has a null ``held_out``); an empty table gives
+    no rows; extra columns are ignored, whatever their names.
     """
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    held = (F.crc32(F.col("doc_id").cast("string")) % 4 == 2).alias("held_out")
-    if model is None:
-        return rows.select("doc_id", held, F.lit("und").alias("lang_pred"), F.lit(0.0).alias("score"))
-    shared = spark.sparkContext.broadcast(model)  # fixed size: 256 x 3 hidden floats a direction
-    labelled = rows.mapInArrow(_label_kernel(shared), "doc_id long, lang_pred string, score double")
-    return labelled.select("doc_id", held, "lang_pred", "score")
+    labelled = with_language(spark, rows, model, "lang_pred", "score")
+    return labelled.select("doc_id", (F.crc32(F.col("doc_id").cast("string")) % 4 == 2).alias("held_out"), "lang_pred", "score")
 
 
 def identify_languages(spark: SparkSession, docs: DataFrame, settings: GruSettings = GruSettings()) -> DataFrame:

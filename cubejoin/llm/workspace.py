@@ -60,10 +60,11 @@ class Workspace:
         self._hadoop = (spark.sparkContext._jvm.org.apache.hadoop.fs.Path, spark.sparkContext._jsc.hadoopConfiguration())
         _OPEN[self.root] = self
 
-    def table(self, name: str, frame: DataFrame) -> DataFrame:
+    def table(self, name: str, frame: DataFrame, batch: int = 512) -> DataFrame:
+        """Written and read back; ``batch`` rows go to a Python worker at a time."""
         path = f"{self.root}/{name}"
         schema = frame.schema
-        with small_batches(self.spark):
+        with small_batches(self.spark, batch):
             frame.write.mode("overwrite").parquet(path)
         self._paths[name] = path
         return self.spark.read.schema(schema).parquet(path)
