@@ -2,7 +2,7 @@
 
 Pages of one host share a template.  Every page's DOM is aligned with the
 host's exemplars (up to three pages of typical size in tags) by simple tree
-matching, and counted for each exemplar that it fits.  A text that reads the
+matching, and counted for the first one that it fits.  A text that reads the
 same at its place on nearly all different pages is template; what varies is a
 slot.  Per host and exemplar, slots are weighed over all pages: characters that
 vary and are not link text.  The content region is found by descending from the
@@ -404,17 +404,14 @@ class _Exemplars:
         return self.regions[key]
 
 
-def fitting_exemplars(page: Dom, models: list[Dom]) -> list[tuple[float, int, dict[int, int]]]:
-    """(share of aligned nodes, exemplar, alignment) of the exemplars half of whose nodes align with the page's."""
-    out, shapes = [], set()
+def fitting_exemplar(page: Dom, models: list[Dom], allowed: set[int] | None = None) -> tuple[int, dict[int, int]] | None:
+    """The first exemplar half of whose nodes align with the page's, and the alignment."""
     for k, model in enumerate(models):
-        if model.shape()[0] not in shapes:  # else it aligns as an earlier one does
-            shapes.add(model.shape()[0])
+        if allowed is None or k in allowed:
             matching = tree_matching(page, model)
-            share = len(matching) / max(len(model.tags), len(page.tags) / 4)
-            if 2 * share >= 1:
-                out.append((share, k, matching))
-    return out
+            if 2 * len(matching) >= max(len(model.tags), len(page.tags) / 4):
+                return k, matching
+    return None
 
 
 def _slot(page: Dom, matching: dict[int, int], node: int) -> int:
@@ -457,13 +454,15 @@ def _count_kernel(batches):
             hosts, digests, fitting, nodes = [], [], [], []
             for host, source, models in zip(*(part.column(i).to_pylist() for i in range(3)), strict=True):
                 page = Dom(source)
+                found = fitting_exemplar(page, [exemplars.dom(m) for m in models])
+                if found is None:
+                    continue
+                k, matching = found
                 blocks = page.linked_blocks()
-                own = _digest("\n".join(t for _, t, _ in blocks))
-                for _, k, matching in fitting_exemplars(page, [exemplars.dom(m) for m in models]):
-                    hosts.append(host)
-                    digests.append(own)
-                    fitting.append(k)
-                    nodes.append([{"node": _slot(page, matching, n), "text": _digest(t), "chars": round(len(t) * (1 - linked))} for n, t, linked in blocks])
+                hosts.append(host)
+                digests.append(_digest("\n".join(t for _, t, _ in blocks)))
+                fitting.append(k)
+                nodes.append([{"node": _slot(page, matching, n), "text": _digest(t), "chars": round(len(t) * (1 - linked))} for n, t, linked in blocks])
             kind = pa.list_(pa.struct([("node", pa.int32()), ("text", pa.int64()), ("chars", pa.int64())]))
             yield pa.RecordBatch.from_arrays([pa.array(hosts, pa.string()), pa.array(digests, pa.int64()), pa.array(fitting, pa.int32()), pa.array(nodes, kind)], names=["host", "page", "exemplar", "nodes"])
 
@@ -471,10 +470,10 @@ def _count_kernel(batches):
 def page_text(page: Dom, models: list[str], template: list[dict], exemplars: _Exemplars, settings: WrapperSettings) -> str:
     """The article of a page of a host with a template: rows (exemplar, constant texts, slots)."""
     known = {t["exemplar"]: t for t in template}
-    fits = [f for f in fitting_exemplars(page, [exemplars.dom(m) for m in models]) if f[1] in known]
-    if not fits:
+    found = fitting_exemplar(page, [exemplars.dom(m) for m in models], set(known))
+    if found is None:
         return "\n".join(t for _, t in page.blocks(page.content_nodes()))
-    _, k, matching = max(fits, key=lambda f: (f[0], -f[1]))
+    k, matching = found
     constant = {(c["node"], c["text"]) for c in known[k]["constants"]}
     model = exemplars.dom(models[k])
     at = exemplars.region(models[k], [(s["node"], s["pages"], s["chars"]) for s in sorted(known[k]["slots"], key=lambda s: s["node"])], settings)
@@ -538,13 +537,13 @@ def extract(spark: SparkSession, pages: DataFrame, settings: WrapperSettings = W
     typical = work.table("typical", typical.select("host", "q"))
     near = lambda k: F.min(F.struct(F.abs(F.col("tags") - F.col("q")[k]).alias("d"), F.col("page_id").alias("id"), F.length("html").alias("n")))
     picked = sized.select("host", "page_id", "tags", "html").join(F.broadcast(typical) if typical.count() <= 100_000 else typical, "host").groupBy("host").agg(*[near(k).alias(f"m{k}") for k in range(3)])
-    picked = picked.select("host", F.explode(F.array_distinct(F.array("m0.id", "m1.id", "m2.id"))).alias("page_id"), (F.col("m0.n") + F.col("m1.n") + F.col("m2.n")).alias("n"))
+    picked = picked.select("host", F.posexplode(F.array_distinct(F.array("m0.id", "m1.id", "m2.id"))).alias("turn", "page_id"), (F.col("m0.n") + F.col("m1.n") + F.col("m2.n")).alias("n"))
     picked = work.table("picked", picked)
     total = picked.agg(F.sum("n").alias("n")).first().n or 0
     small = total * 4 <= settings.broadcast_bytes  # bytes of all exemplars at most
     chosen = F.broadcast(picked.drop("n")) if small else picked.drop("n")
-    exemplars = filled.join(chosen, ["host", "page_id"]).groupBy("host", "page_id").agg(F.min("html").alias("html"))
-    exemplars = exemplars.groupBy("host").agg(F.array_sort(F.collect_list("html")).alias("exemplar"))  # three at most
+    exemplars = filled.join(chosen, ["host", "page_id"]).groupBy("host", "page_id").agg(F.min("turn").alias("turn"), F.min("html").alias("html"))
+    exemplars = exemplars.groupBy("host").agg(F.transform(F.array_sort(F.collect_list(F.struct("turn", "html"))), lambda x: x["html"]).alias("exemplar"))  # three at most
     exemplars = work.table("exemplars", exemplars)
     known = F.broadcast(exemplars) if small else exemplars
 
@@ -553,6 +552,8 @@ def extract(spark: SparkSession, pages: DataFrame, settings: WrapperSettings = W
     counted = work.table("counted", seen.mapInArrow(_count_kernel, "host string, page long, exemplar int, nodes array<struct<node:int,text:long,chars:long>>"))
     at = ["host", "exemplar"]
     n_pages = counted.groupBy(*at).agg(F.countDistinct("page").alias("pages")).where(F.col("pages") >= settings.pages)
+    n_pages = work.table("n_pages", n_pages)
+    n_pages = F.broadcast(n_pages) if n_pages.count() <= 100_000 else n_pages
     nodes = counted.select(*at, "page", F.explode("nodes").alias("x")).select(*at, "page", "x.node", "x.text", "x.chars").distinct()
     texts = nodes.groupBy(*at, "node", "text").agg(F.count("*").alias("c"), F.sum("chars").alias("chars")).join(n_pages, at)
     fixed = F.col("c") >= settings.share * F.col("pages")
