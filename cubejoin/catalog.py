@@ -5,25 +5,27 @@ from __future__ import annotations
 from collections.abc import Callable
 from dataclasses import replace
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .metrics import cell_work, measured_communication, skew_summary
+from .functions.register import parse_props, register_functions
+from .metrics import cell_work, duplication, measured_communication, skew_summary
 from .operators import baselines, factorize, formats, relops
-from .operators.executor import cell_profile, cube_join, shared_files_join
+from .operators.executor import cell_profile, count_by, cube_join
 from .operators.frontier import frontier_join, semi_reduce
 from .operators.heavy import heavy_split_join
-from .operators.shuffle import partition_layout
-from .plans.cost import cost_report, exact_level_costs, replicated_cost
-from .plans.planner import JoinPlan, enumerate_orders, enumerate_shares, evenness, plan_query, quick_plan
-from .plans.rewrite import lift_intersections
+from .operators.shuffle import partition_layout, partition_relation, sort_blocks
+from .plans.bounds import edge_cover
+from .plans.cost import cost_report, estimate_total_cost, exact_level_costs, replicated_cost
+from .plans.planner import JoinPlan, best_order_dp, enumerate_orders, enumerate_shares, evenness, plan_query, prune_cost, prune_domain, quick_plan
+from .plans.rewrite import lift_intersections, reduced_query
 from .plans.stats import collect_stats
-from .query import parse_rule
-from .sources.generators import tensor_workload
-from .sources.tables import table
+from .query import parse_rule, query_from_json, query_to_json
+from .sources.generators import axis_sql, tensor_dims, tensor_workload
+from .sources.tables import read_edges, run_folder, table, write_result, written
 from .sql import run_sql
-from .streaming.incremental import windowed_edges, windowed_triangles
-from .workloads import COUNT_SQL, CT_JOIN_SQL, CT_RULE, GRAPHS, LW_JOIN_SQL, LW_RULE, TRIANGLES_SQL, TRIO_JOIN_SQL, TRIO_RULE, ct_plan, ct_relations, graph, lw_plan, lw_relations, pattern, symmetric, trio_plan, trio_relations, with_fact, with_graph
+from .streaming.incremental import IncrementalCount, windowed_edges, windowed_triangles
+from .workloads import COUNT_SQL, CT_JOIN_SQL, CT_RULE, GRAPHS, LW_JOIN_SQL, LW_RULE, TRIANGLES_SQL, TRIO_JOIN_SQL, TRIO_RULE, ct_plan, ct_relations, graph, lw_relations, pattern, stored_graph, symmetric, trio_relations, with_fact, with_graph
 
 Query = Callable[[SparkSession, str], DataFrame]
 CELLS = 16
@@ -31,27 +33,29 @@ CELLS = 16
 
 def _count(name: str, g: str, undirected: bool = False) -> Query:
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        edges = graph(spark, sf_dir, g)
-        return cube_join(spark, pattern(name), {"e": symmetric(edges) if undirected else edges}, quick_plan(pattern(name), CELLS), "count")
+        return cube_join(spark, pattern(name), {"e": stored_graph(spark, sf_dir, g, undirected)}, mode="count")
 
     return run
 
 
 def _rows(name: str, g: str) -> Query:
-    return lambda spark, sf_dir: cube_join(spark, pattern(name), {"e": graph(spark, sf_dir, g)}, quick_plan(pattern(name), CELLS))
+    return lambda spark, sf_dir: cube_join(spark, pattern(name), {"e": stored_graph(spark, sf_dir, g)})
 
 
 def _method(name: str, g: str, method: str, undirected: bool = False) -> Query:
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        edges = graph(spark, sf_dir, g)
-        return baselines.METHODS[method](spark, pattern(name), {"e": symmetric(edges) if undirected else edges}, "count")
+        return baselines.METHODS[method](spark, pattern(name), {"e": stored_graph(spark, sf_dir, g, undirected)}, "count")
 
     return run
 
 
 def _factorised(kind: str, g: str) -> Query:
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        relations = {"e": graph(spark, sf_dir, g)}
+        relations = {"e": stored_graph(spark, sf_dir, g)}
+        if kind in ("td", "td_lookup", "td_lookup_eager"):
+            return factorize.two_way_variant(pattern("q8"), relations, "z", "lookup" in kind, "eager" in kind)
+        if kind == "lazyhash":
+            return baselines.lazy_hash_join(spark, pattern("q8"), relations)
         if kind == "eager":
             return factorize.eager_count(spark, pattern("q8"), relations, "z")
         if kind == "varelim":
@@ -110,7 +114,7 @@ def _graph_stats(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _lw(mode: str) -> Query:
-    return lambda spark, sf_dir: cube_join(spark, parse_rule(LW_RULE), lw_relations(spark, sf_dir), lw_plan(CELLS), mode)
+    return lambda spark, sf_dir: cube_join(spark, parse_rule(LW_RULE), lw_relations(spark, sf_dir), mode=mode)
 
 
 def _lw_spurious(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -123,15 +127,15 @@ def _lw_spurious(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _ct(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return cube_join(spark, parse_rule(CT_RULE), ct_relations(spark, sf_dir), ct_plan(CELLS), "count")
+    return cube_join(spark, parse_rule(CT_RULE), ct_relations(spark, sf_dir), mode="count")
 
 
 def _trio(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return cube_join(spark, parse_rule(TRIO_RULE), trio_relations(spark, sf_dir), trio_plan(CELLS), "count")
+    return cube_join(spark, parse_rule(TRIO_RULE), trio_relations(spark, sf_dir), mode="count")
 
 
 def _trio_by_segment(spark: SparkSession, sf_dir: str) -> DataFrame:
-    found = cube_join(spark, parse_rule(TRIO_RULE), trio_relations(spark, sf_dir), trio_plan(CELLS))
+    found = cube_join(spark, parse_rule(TRIO_RULE), trio_relations(spark, sf_dir))
     customers = table(spark, sf_dir, "customer").select(F.col("c_custkey").alias("c"), "c_mktsegment")
     return found.join(customers, "c").rollup("c_mktsegment").agg(F.count("*").alias("n"))
 
@@ -180,15 +184,196 @@ def _lifts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame([(x.level, x.at_depth, ",".join(map(str, x.inputs))) for x in lifts], "level int, depth int, inputs string")
 
 
-def _tensor(kind: str) -> Query:
+#: Tuples and dense domain of the generated tensors.
+TENSOR = (60_000, 40)
+
+
+def _tensor(kind: str, shape: str) -> Query:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        made = tensor_workload(spark, kind, *TENSOR)
+        if shape == "lw":
+            return cube_join(spark, parse_rule(LW_RULE), {f"lw{k}": made[f"t{k}"] for k in range(1, 5)}, mode="count")
+        return cube_join(spark, parse_rule(CT_RULE), {f"ct{k}": made[f"t{k}"] for k in range(5, 8)}, mode="count")
+
+    return run
+
+
+def _tensor_sql(kind: str, shape: str) -> str:
+    numbers = range(1, 5) if shape == "lw" else range(5, 8)
+    dims = tensor_dims(kind, *TENSOR)
+    tables = [f"t{k} AS MATERIALIZED (SELECT DISTINCT {', '.join(f'{axis_sql(chr(105), k, a, d)} AS x{a}' for a, d in enumerate(dims[f't{k}']))} FROM range({TENSOR[0]}) r(i))" for k in numbers]
+    joined = {
+        "lw": "FROM t1 a JOIN t2 b ON a.x0 = b.x0 AND a.x1 = b.x1 JOIN t3 c ON c.x0 = a.x0 AND c.x1 = a.x2 AND c.x2 = b.x2 JOIN t4 d ON d.x0 = a.x1 AND d.x1 = a.x2 AND d.x2 = b.x2",
+        "ct": "FROM t5 a JOIN t6 b ON a.x0 = b.x0 AND a.x1 = b.x1 JOIN t7 c ON c.x0 = a.x0 AND c.x1 = a.x2 AND c.x2 = b.x2",
+    }[shape]
+    return f"WITH {', '.join(tables)} SELECT count(*) AS n {joined}"
+
+
+def _words_by_source(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Directed triangles of the word graph by their first word: string values, one row a word."""
+    return count_by(spark, pattern("q1d"), {"e": stored_graph(spark, sf_dir, "words")}, "x")
+
+
+def _blocks(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Blocks dealt without copies: rows of each and the Spark partitions it lies in."""
+    dealt = partition_relation(graph(spark, sf_dir, "custord"), ("src", "dst"), ("src", "dst"), (4, 2), "mod").withColumn("p", F.spark_partition_id())
+    return dealt.groupBy("block").agg(F.count("*").alias("n"), F.countDistinct("p").alias("parts"))
+
+
+def _sorted_blocks(strategy: str) -> Query:
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        made = tensor_workload(spark, kind, 4000, 16 if kind == "dense" else 16)
-        relations = {f"lw{k}": made[f"t{k}"] for k in range(1, 5)}
-        return cube_join(spark, parse_rule(LW_RULE), relations, lw_plan(CELLS), "count")
+        """Place of each row within its block, by the physical order of the partitions."""
+        rows = sort_blocks(graph(spark, sf_dir, "custord"), ("src", "dst"), ("src", "dst"), (4, 2), strategy, hashing="mod")
+        at = written(spark, rows.select("block", "src", "dst", F.monotonically_increasing_id().alias("at")), "sorted")
+        return at.select("block", "src", "dst", F.row_number().over(Window.partitionBy("block").orderBy("at")).alias("place"))
 
     return run
 
 
+def _reduced_bound(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Edge-cover bounds of the clique and of its lifted plan's reduced query, over the graph's size."""
+    n = graph(spark, sf_dir, "custord").count()
+    query, order = pattern("q6"), ("x", "y", "z", "u")
+    reduced = reduced_query(query.scopes, order, lift_intersections(query.scopes, order))
+    rows = [("query", query.scopes), ("reduced", reduced)]
+    return spark.createDataFrame([(name, "|".join(",".join(s) for s in scopes), round(edge_cover(scopes, [n] * 6)[0] / n**2, 6)) for name, scopes in rows], "name string, scopes string, bound_by_squares double")
+
+
+def _prune_table(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Which of the 28 share vectors of 64 cells both prunings keep: fixed level costs, the graph's domains."""
+    e = graph(spark, sf_dir, "custord")
+    sources, targets = e.select("src").distinct().count(), e.select("dst").distinct().count()
+    domains, costs = (sources, min(sources, targets), targets), (1.0, 10.0, 100.0)
+    return spark.createDataFrame([(*s, prune_cost(costs, s), prune_domain(domains, s, 30.0)) for s in enumerate_shares(64, 3)], "p1 int, p2 int, p3 int, by_cost boolean, by_domain boolean")
+
+
+def _estimates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The optimizer's estimate of each level of directed triangles in order x, y, z."""
+    query, relations = pattern("q1d"), {"e": graph(spark, sf_dir, "custord")}
+    costs = estimate_total_cost(query.scopes, collect_stats(query, relations), ("x", "y", "z"))
+    return spark.createDataFrame([(k, round(c, 2)) for k, c in enumerate(costs)], "level int, cost double")
+
+
+def _plan_shares(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The full planner on undirected triangles (all orders cost the same there): order, shares and cells of three graphs."""
+    rows = []
+    for g in ("custord", "custhub", "succ"):
+        query, relations = pattern("q1d"), {"e": stored_graph(spark, sf_dir, g, True)}
+        plan = plan_query(query, collect_stats(query, relations), cells=64)
+        rows.append((g, "".join(plan.order), *plan.shares, int(plan.costs["effective_cells"])))
+    return spark.createDataFrame(rows, "graph string, plan_order string, p1 int, p2 int, p3 int, cells int")
+
+
+def _index_bytes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Size of the packed indexes of one cell that holds everything, and the values visited at each level."""
+    found = cell_profile(spark, pattern("q1d"), {"e": graph(spark, sf_dir, "custord")}, JoinPlan(("x", "y", "z"), (1, 1, 1)))
+    return found.select("index_bytes", F.col("visited")[0].alias("level0"), F.col("visited")[1].alias("level1"), F.col("visited")[2].alias("level2"), "rows_in", "rows_out")
+
+
+def _skew_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Skew of the rows that cells receive, by share vector."""
+    out = []
+    for shares in ((16, 1, 1), (4, 4, 1), (4, 2, 2)):
+        rows = measured_communication(spark, pattern("q1d"), {"e": graph(spark, sf_dir, "custhub")}, JoinPlan(("x", "y", "z"), shares, hashing="mod"))
+        summary = skew_summary(rows.withColumnRenamed("rows", "work"), 16)
+        out.append(summary.select(F.lit("x".join(map(str, shares))).alias("shares"), F.round("max_over_mean", 4).alias("max_over_mean"), F.round("cv", 4).alias("cv"), F.round("top1_share", 4).alias("top1_share")))
+    return baselines.combined(out)
+
+
+def _duplication(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """How often first-level values are visited over all cells, against the distinct ones."""
+    e = graph(spark, sf_dir, "custord")
+    profile = cell_profile(spark, pattern("q1d"), {"e": e}, JoinPlan(("x", "y", "z"), (4, 2, 2), hashing="mod"))
+    n = e.select("src").distinct().count()
+    return duplication(profile, (n,)).select("level", "visited", "distinct", F.round("factor", 4).alias("factor"))
+
+
+def _constants(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Constants and repeated variables folded into filters: two-step paths into target 7 whose ends' lines agree."""
+    return cube_join(spark, parse_rule("Q(x, y) :- e(x, y), e(y, 7)"), {"e": graph(spark, sf_dir, "custord")})
+
+
+def _repeated(spark: SparkSession, sf_dir: str) -> DataFrame:
+    lines = table(spark, sf_dir, "lineitem")
+    return cube_join(spark, parse_rule("Q(x, y) :- r(x, x), s(x, y)"), {"r": lines.select("l_suppkey", "l_linenumber"), "s": lines.select("l_linenumber", "l_returnflag")})
+
+
+def _hinted_binary(hint: str) -> Query:
+    return lambda spark, sf_dir: baselines.binary_join(pattern("q1d"), {"e": stored_graph(spark, sf_dir, "custhub", True)}, hint)
+
+
+def _planned_variant(**options) -> Query:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        plan = replace(quick_plan(pattern("q1d"), 64), **options)
+        return cube_join(spark, pattern("q1d"), {"e": stored_graph(spark, sf_dir, "custhub", True)}, plan, "count")
+
+    return run
+
+
+def _order_dp(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Whether dynamic programming finds an order as cheap as the best of all (without lifts)."""
+    rows = []
+    for g in ("custord", "custhub"):
+        for p in ("q1d", "q4", "q6"):
+            query, relations = pattern(p), {"e": stored_graph(spark, sf_dir, g)}
+            stats = collect_stats(query, relations)
+            cost = lambda o: sum(estimate_total_cost(query.scopes, stats, o))  # noqa: E731, B023
+            rows.append((g, p, bool(abs(cost(best_order_dp(query.scopes, stats)) - min(map(cost, enumerate_orders(query.head)))) < 1e-6 * cost(query.head))))
+    return spark.createDataFrame(rows, "graph string, pattern string, as_cheap boolean")
+
+
+def _intersect_sizes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Common out-neighbours of each edge's ends by the registered SQL function, summed: the number of directed triangles."""
+    register_functions(spark)
+    lists = graph(spark, sf_dir, "custord").groupBy("src").agg(F.sort_array(F.collect_list("dst")).alias("dsts"))
+    e = graph(spark, sf_dir, "custord")
+    pairs = e.join(lists.withColumnRenamed("dsts", "a"), "src").join(lists.select(F.col("src").alias("dst"), F.col("dsts").alias("b")), "dst")
+    return pairs.select(F.expr("sorted_intersect_size(a, b)").alias("c")).agg(F.sum("c").cast("long").alias("n"))
+
+
+def _matched(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Directed triangles by the registered table function over one partition."""
+    register_functions(spark)
+    graph(spark, sf_dir, "custord").createOrReplaceTempView("cubejoin_edges")
+    found = spark.sql("SELECT * FROM match_pattern(TABLE(cubejoin_edges) WITH SINGLE PARTITION, 'Q(x, y, z) :- E(x, y), E(y, z), E(x, z)')")
+    return found.select(F.col("binding")[0].alias("x"), F.col("binding")[1].alias("y"), F.col("binding")[2].alias("z"))
+
+
+def _edge_files(fmt: str) -> Query:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        """Edges written to a file format and read back with the given schema."""
+        path = run_folder(spark, f"edges_{fmt}")
+        write_result(graph(spark, sf_dir, "custord"), path, fmt)
+        return read_edges(spark, path, fmt)
+
+    return run
+
+
+def _json_spec(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A query from its JSON form."""
+    return cube_join(spark, query_from_json(query_to_json(pattern("q1d"))), {"e": graph(spark, sf_dir, "custord")})
+
+
+def _props(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return parse_props(table(spark, sf_dir, "events")).groupBy("k").agg(F.count("*").alias("n"))
+
+
+def _incremental(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Directed triangles counted batch by batch, with a new state object for every batch."""
+    path = run_folder(spark, "incremental")
+    e = graph(spark, sf_dir, "custord").where("src % 4 = 0 or dst % 4 = 0")
+    for batch in range(2):
+        IncrementalCount(spark, pattern("q1d"), path)(e.where(f"(src + dst) % 2 = {batch}"), batch)
+    return spark.createDataFrame([(IncrementalCount(spark, pattern("q1d"), path).total,)], "n long")
+
+
+def _outer(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Full outer join of customers and the orders' customers."""
+    c = table(spark, sf_dir, "customer").select(F.col("c_custkey").alias("k"), "c_mktsegment")
+    o = table(spark, sf_dir, "orders").groupBy(F.col("o_custkey").alias("k")).agg(F.count("*").alias("orders"))
+    return relops.equi_join(c, o, ["k"], "full", "merge")
+
+
 def _semi_reduced(spark: SparkSession, sf_dir: str) -> DataFrame:
     query = pattern("q1d")
     _, frames = semi_reduce(query, {"e": graph(spark, sf_dir, "custhub")})
@@ -268,10 +453,15 @@ def _captured(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _shared(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Undirected triangles over a block store in the warehouse."""
-    e = symmetric(graph(spark, sf_dir, "custhub"))
-    path = spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + f"/cubejoin_blocks_{spark.sparkContext.applicationId}"
-    return shared_files_join(spark, pattern("q1d"), {"e": e}, quick_plan(pattern("q1d"), 8), path)
+    """Undirected triangles over a block store: each cell reads its own blocks' files."""
+    e = stored_graph(spark, sf_dir, "custhub", True)
+    return cube_join(spark, pattern("q1d"), {"e": e}, replace(quick_plan(pattern("q1d"), 8), exchange="shared_files"), "count")
+
+
+def _shared_filtered(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The block store with a filter over variables of different atoms: undirected triangles once each."""
+    query = replace(pattern("q1d"), filters=((("x", "y", "z"), lambda x, y, z: (x < y) & (y < z)),))
+    return cube_join(spark, query, {"e": stored_graph(spark, sf_dir, "custhub", True)}, replace(quick_plan(query, 8), exchange="shared_files"), "count")
 
 
 def _study(name: str, schema: str, pick: Callable[[dict], tuple]) -> Query:
@@ -306,6 +496,33 @@ three AS (SELECT least(p.d, q.d) AS a, greatest(p.d, q.d) AS b FROM e JOIN d p O
 _EVENTS_NEXT = "SELECT ts, user_id AS src, lead(user_id) OVER (ORDER BY ts, event_id) AS dst FROM events"
 
 
+def _plan_shares_sql() -> str:
+    """Most even share vector that passes both prunings, of the largest number of cells that has one."""
+    parts = []
+    for g in ("custord", "custhub", "succ"):
+        body = f"""
+, k AS (SELECT count(*) AS e, count(DISTINCT src) AS s FROM e), m AS (SELECT max(c) AS m FROM (SELECT count(*) AS c FROM e GROUP BY src) q),
+c AS (SELECT s, 2.0 * s AS c0, 2.0 * e * log2(1 + greatest(s, 1.0 * e / s) / least(s, 1.0 * e / s)) AS c1, 2.0 * least(power(e, 1.5), 1.0 * e * m) AS c2 FROM k, m),
+v AS (SELECT b.range AS b, CAST(1 << i.range AS INTEGER) AS p1, CAST(1 << j.range AS INTEGER) AS p2, CAST(1 << (b.range - i.range - j.range) AS INTEGER) AS p3 FROM range(7) b, range(7) i, range(7) j WHERE i.range + j.range <= b.range),
+f AS (SELECT v.*, p1 * 0.99 + p2 * 0.98 + p3 * 0.97 AS even, c0 * p2 * p3 + c1 * p3 + c2 AS cost FROM v, c
+      WHERE c0 * p2 * p3 + c1 * p3 + c2 <= 2 * (c0 + c1 + c2) AND (p1 = 1 OR s >= 3 * p1 * log2(p1)) AND (p2 = 1 OR s >= 3 * p2 * log2(p2)) AND (p3 = 1 OR s >= 3 * p3 * log2(p3)))
+SELECT '{g}' AS graph, 'xyz' AS plan_order, p1, p2, p3, CAST(1 << b AS INTEGER) AS cells FROM f ORDER BY b DESC, even, cost, p1, p2, p3 LIMIT 1"""
+        parts.append(f"SELECT * FROM ({with_graph(g, body, True)}) AS t_{g}")
+    return " UNION ALL ".join(parts)
+
+
+def _skew_sql() -> str:
+    parts = []
+    for x, y, z in ((16, 1, 1), (4, 4, 1), (4, 2, 2)):
+        parts.append(f"""SELECT '{x}x{y}x{z}' AS shares, round(max(n) / avg(n), 4) AS max_over_mean, round(stddev_pop(n) / avg(n), 4) AS cv, round(max(n) / sum(n), 4) AS top1_share FROM (
+SELECT cell, sum(c) AS n FROM (
+  SELECT x * {y * z} + y * {z} + z AS cell, count(src) AS c FROM (SELECT i.range AS x, j.range AS y, k.range AS z FROM range({x}) i, range({y}) j, range({z}) k) g LEFT JOIN e ON src % {x} = x AND dst % {y} = y GROUP BY 1
+  UNION ALL SELECT x * {y * z} + y * {z} + z, count(src) FROM (SELECT i.range AS x, j.range AS y, k.range AS z FROM range({x}) i, range({y}) j, range({z}) k) g LEFT JOIN e ON src % {y} = y AND dst % {z} = z GROUP BY 1
+  UNION ALL SELECT x * {y * z} + y * {z} + z, count(src) FROM (SELECT i.range AS x, j.range AS y, k.range AS z FROM range({x}) i, range({y}) j, range({z}) k) g LEFT JOIN e ON src % {x} = x AND dst % {z} = z GROUP BY 1
+) q GROUP BY cell) w""")
+    return with_graph("custhub", " UNION ALL ".join(parts))
+
+
 def queries() -> dict[str, Query]:
     found: dict[str, Query] = {}
     for g in GRAPHS:
@@ -313,12 +530,10 @@ def queries() -> dict[str, Query]:
         found[f"q1u_{g}"] = _count("q1d", g, True)
         found[f"q6_{g}"] = _count("q6", g)
         found[f"q8_{g}_eager"] = _factorised("eager", g)
-    for g in ("copart", "hubs", "custord", "custhub", "succ"):
         found[f"q2_{g}"] = _count("q2", g)
         found[f"q4_{g}"] = _count("q4", g)
-    for g in ("hubs", "succ", "custhub"):
         found[f"q1c_{g}"] = _count("q1c", g)
-    found |= {"q1d_custord_rows": _rows("q1d", "custord"), "q6_custhub_rows": _rows("q6", "custhub"), "q4_custord_rows": _rows("q4", "custord"), "q8_custord_rows": _rows("q8", "custord"), "q1d_words_rows": _rows("q1d", "words")}
+    found |= {"q1d_custord_rows": _rows("q1d", "custord"), "q6_custhub_rows": _rows("q6", "custhub"), "q4_custord_rows": _rows("q4", "custord"), "q8_custord_rows": _rows("q8", "custord"), "q1d_words_by_source": _words_by_source}
     for method in baselines.METHODS:
         if method != "cube":
             found[f"q1u_custhub_{method}"] = _method("q1d", "custhub", method, True)
@@ -358,8 +573,21 @@ def queries() -> dict[str, Query]:
         "study_rewriting": _study("rewriting", "query string, plan string, lifts int, comparisons long, index_bytes long", lambda r: (r["query"], r["plan"], r["lifts"], r["comparisons"], r["index_bytes"])),
         "study_searches": _study("searches", "graph string, search string, comparisons long", lambda r: (r["graph"], r["search"], r["comparisons"])),
     }
+    for g in ("custhub", "custord"):
+        for kind in ("td", "td_lookup", "td_lookup_eager", "lazyhash"):
+            found[f"q8_{g}_{kind}"] = _factorised(kind, g)
+    for g in ("copart", "hubs"):
+        found[f"q8_{g}_td_lookup_eager"] = _factorised("td_lookup_eager", g)
+        found[f"q8_{g}_varelim"] = _factorised("varelim", g)
+    found |= {"blocks_mod": _blocks, "sorted_blocks_block": _sorted_blocks("block"), "sorted_blocks_global": _sorted_blocks("global"), "reduced_bound": _reduced_bound, "prune_table": _prune_table}
+    found |= {"level_cost_estimate": _estimates, "plan_shares": _plan_shares, "index_bytes": _index_bytes, "skew_rows_mod": _skew_rows, "duplication_mod": _duplication, "order_dp": _order_dp}
+    found |= {"constant_paths": _constants, "repeated_variable": _repeated, "intersect_sizes": _intersect_sizes, "match_pattern_triangles": _matched, "json_spec_triangles": _json_spec, "event_props": _props, "incremental_triangles": _incremental, "outer_join_customers": _outer}
+    found |= {f"q1u_custhub_binary_{h}": _hinted_binary(h) for h in ("broadcast", "merge", "shuffle_hash")}
+    found |= {"q1u_custhub_fewtasks": _planned_variant(tasks=4), "q1u_custhub_grouped": _planned_variant(executor="grouped"), "q1u_custhub_unfiltered": _planned_variant(search="unfiltered"), "q1u_custhub_sharedfiles_filtered": _shared_filtered}
+    found |= {f"edge_files_{f}": _edge_files(f) for f in ("csv", "json", "orc", "parquet")}
+    found |= {f"tensor_{kind}_{shape}": _tensor(kind, shape) for kind in ("dense", "sparse") for shape in ("lw", "ct")}
     found |= {f"windowed_edges_{k}": _windowed(k) for k in ("tumbling", "sliding", "session")}
-    found |= {"windowed_triangles": _windowed_triangles, "tensor_dense": _tensor("dense"), "tensor_sparse": _tensor("sparse")}
+    found |= {"windowed_triangles": _windowed_triangles}
     return found
 
 
@@ -370,13 +598,11 @@ def oracle_sql() -> dict[str, str]:
         out[f"q1u_{g}"] = with_graph(g, COUNT_SQL["q1d"], True)
         out[f"q6_{g}"] = with_graph(g, COUNT_SQL["q6"])
         out[f"q8_{g}_eager"] = with_graph(g, COUNT_SQL["q8"])
-    for g in ("copart", "hubs", "custord", "custhub", "succ"):
         out[f"q2_{g}"] = with_graph(g, COUNT_SQL["q2"])
         out[f"q4_{g}"] = with_graph(g, COUNT_SQL["q4"])
-    for g in ("hubs", "succ", "custhub"):
         out[f"q1c_{g}"] = with_graph(g, COUNT_SQL["q1c"])
     out["q1d_custord_rows"] = with_graph("custord", TRIANGLES_SQL)
-    out["q1d_words_rows"] = with_graph("words", TRIANGLES_SQL)
+    out["q1d_words_by_source"] = with_graph("words", f"SELECT x, count(*) AS c FROM ({TRIANGLES_SQL}) t GROUP BY 1")
     out["q6_custhub_rows"] = with_graph("custhub", f", t AS MATERIALIZED ({TRIANGLES_SQL}) SELECT a.x, a.y, a.z, b.z AS u FROM t a JOIN t b ON a.x = b.x AND a.y = b.y JOIN e c ON c.src = a.z AND c.dst = b.z")
     out["q4_custord_rows"] = with_graph("custord", f", t AS MATERIALIZED ({TRIANGLES_SQL}) SELECT a.x, a.y, a.z, b.z AS u FROM t a JOIN t b ON a.y = b.x AND a.z = b.y")
     out["q8_custord_rows"] = with_graph("custord", f", t AS MATERIALIZED ({TRIANGLES_SQL}) SELECT a.x, a.y, a.z, b.y AS u, b.z AS v FROM t a JOIN t b ON a.z = b.x")
@@ -389,6 +615,36 @@ def oracle_sql() -> dict[str, str]:
     out["q1d_custhub_expand3"] = out["q1d_custhub_planned"] = out["q1d_custhub"]
     out["q8_custord"] = out["q8_custord_eager"]
     out["q8_custhub"] = out["q8_custhub_tree"] = out["q8_custhub_varelim"] = out["q8_custhub_eager"]
+    for g in ("custhub", "custord", "copart", "hubs"):
+        for kind in ("td", "td_lookup", "td_lookup_eager", "lazyhash", "varelim"):
+            out[f"q8_{g}_{kind}"] = out[f"q8_{g}_eager"]
+    out = {k: v for k, v in out.items() if k in queries()}
+    out["blocks_mod"] = with_graph("custord", "SELECT CAST(src % 4 * 2 + dst % 2 AS INTEGER) AS block, count(*) AS n, CAST(1 AS BIGINT) AS parts FROM e GROUP BY 1")
+    out["sorted_blocks_block"] = out["sorted_blocks_global"] = with_graph("custord", "SELECT CAST(src % 4 * 2 + dst % 2 AS INTEGER) AS block, src, dst, CAST(row_number() OVER (PARTITION BY src % 4, dst % 2 ORDER BY src, dst) AS INTEGER) AS place FROM e")
+    out["reduced_bound"] = "SELECT * FROM (VALUES ('query', 'x,y|x,z|x,u|y,z|y,u|z,u', CAST(1.0 AS DOUBLE)), ('reduced', 'x|x,z|x,u|y|y,u|z', CAST(1.0 AS DOUBLE))) t(name, scopes, bound_by_squares)"
+    six = "SELECT CAST(1 << i.range AS INTEGER) AS p1, CAST(1 << j.range AS INTEGER) AS p2, CAST(1 << (6 - i.range - j.range) AS INTEGER) AS p3 FROM range(7) i, range(7) j WHERE i.range + j.range <= 6"
+    out["prune_table"] = with_graph("custord", f", d AS (SELECT count(DISTINCT src) AS s, count(DISTINCT dst) AS t FROM e) SELECT p1, p2, p3, 1.0 * p2 * p3 + 10.0 * p3 + 100.0 <= 222.0 AS by_cost, (p1 = 1 OR s >= 30 * p1 * log2(p1)) AND (p2 = 1 OR least(s, t) >= 30 * p2 * log2(p2)) AND (p3 = 1 OR t >= 30 * p3 * log2(p3)) AS by_domain FROM ({six}) v, d")
+    out["level_cost_estimate"] = with_graph("custord", ", k AS (SELECT count(*) AS e, count(DISTINCT src) AS s FROM e), m AS (SELECT max(c) AS m FROM (SELECT count(*) AS c FROM e GROUP BY src) q) SELECT 0 AS level, round(2.0 * s, 2) AS cost FROM k UNION ALL SELECT 1, round(2.0 * e * log2(1 + greatest(s, 1.0 * e / s) / least(s, 1.0 * e / s)), 2) FROM k UNION ALL SELECT 2, round(2.0 * least(power(e, 1.5), 1.0 * e * m), 2) FROM k, m")
+    out["plan_shares"] = _plan_shares_sql()
+    out["index_bytes"] = with_graph("custord", ", k AS (SELECT count(*) AS e, count(DISTINCT src) AS s FROM e), d AS (SELECT src, count(*) AS d FROM e GROUP BY 1) SELECT CAST(3 * (16 * s + 8 * e + 8) AS BIGINT) AS index_bytes, s AS level0, (SELECT CAST(sum(least(d, s)) AS BIGINT) FROM d) AS level1, (SELECT CAST(sum(least(p.d, q.d)) AS BIGINT) FROM e JOIN d p ON p.src = e.src JOIN d q ON q.src = e.dst) AS level2, 3 * e AS rows_in, (SELECT count(*) FROM e a JOIN e b ON a.dst = b.src JOIN e c ON c.src = a.src AND c.dst = b.dst) AS rows_out FROM k")
+    out["skew_rows_mod"] = _skew_sql()
+    out["duplication_mod"] = with_graph("custord", ", g AS (SELECT x.range AS x, y.range AS y, z.range AS z FROM range(4) x, range(2) y, range(2) z), a AS (SELECT src % 4 AS x, dst % 2 AS t, count(DISTINCT src) AS c FROM e GROUP BY 1, 2), b AS (SELECT src % 2 AS y, dst % 2 AS z, count(*) AS c FROM e GROUP BY 1, 2), v AS (SELECT CAST(sum(least(p.c, q.c)) AS BIGINT) AS visited FROM g JOIN a p ON p.x = g.x AND p.t = g.y JOIN a q ON q.x = g.x AND q.t = g.z JOIN b ON b.y = g.y AND b.z = g.z), d AS (SELECT count(DISTINCT src) AS d FROM e) SELECT 0 AS level, visited, d AS distinct, round(visited / d, 4) AS factor FROM v, d")
+    out["order_dp"] = "SELECT g AS graph, p AS pattern, true AS as_cheap FROM (VALUES ('custord'), ('custhub')) a(g), (VALUES ('q1d'), ('q4'), ('q6')) b(p)"
+    out["constant_paths"] = with_graph("custord", "SELECT a.src AS x, a.dst AS y FROM e a JOIN e b ON a.dst = b.src WHERE b.dst = 7")
+    out["repeated_variable"] = "SELECT DISTINCT a.l_suppkey AS x, b.l_returnflag AS y FROM lineitem a JOIN lineitem b ON a.l_suppkey = b.l_linenumber WHERE a.l_suppkey = a.l_linenumber"
+    out["intersect_sizes"] = out["q1d_custord"]
+    out["match_pattern_triangles"] = out["json_spec_triangles"] = out["q1d_custord_rows"]
+    out["event_props"] = "SELECT CAST(json_extract(props, '$.k') AS BIGINT) AS k, count(*) AS n FROM events GROUP BY 1"
+    out["incremental_triangles"] = with_graph("custord", f", h AS (SELECT * FROM e WHERE src % 4 = 0 OR dst % 4 = 0) SELECT count(*) AS n FROM h a JOIN h b ON a.dst = b.src JOIN h c ON c.src = a.src AND c.dst = b.dst")
+    out["outer_join_customers"] = "SELECT coalesce(c_custkey, k) AS k, c_mktsegment, orders FROM customer FULL JOIN (SELECT o_custkey AS k, count(*) AS orders FROM orders GROUP BY 1) o ON o.k = c_custkey"
+    for name in ("binary_broadcast", "binary_merge", "binary_shuffle_hash", "fewtasks", "grouped", "unfiltered"):
+        out[f"q1u_custhub_{name}"] = out["q1u_custhub"]
+    for f in ("csv", "json", "orc", "parquet"):
+        out[f"edge_files_{f}"] = with_graph("custord", "SELECT src, dst FROM e")
+    for kind in ("dense", "sparse"):
+        for shape in ("lw", "ct"):
+            out[f"tensor_{kind}_{shape}"] = _tensor_sql(kind, shape)
+    out["semi_reduced_rows"] = with_graph("custhub", "SELECT 0 AS atom, count(*) AS n FROM e WHERE dst IN (SELECT src FROM e) AND src IN (SELECT src FROM e) UNION ALL SELECT 1, count(*) FROM e WHERE src IN (SELECT dst FROM e) AND dst IN (SELECT dst FROM e) UNION ALL SELECT 2, count(*) FROM e WHERE src IN (SELECT src FROM e) AND dst IN (SELECT dst FROM e)")
     out["lw_lineitem"] = out["lw_lineitem_frontier"] = out["lw_lineitem_binary"] = with_fact(f"SELECT count(*) AS n {LW_JOIN_SQL}")
     out["ct_lineitem"] = out["ct_lineitem_frontier"] = out["ct_lineitem_binary"] = with_fact(f"SELECT count(*) AS n {CT_JOIN_SQL}")
     out["lw_spurious"] = with_fact(f"SELECT count(*) AS n FROM (SELECT a.p, a.s, a.l, b.q {LW_JOIN_SQL} EXCEPT SELECT p, s, l, q FROM f) t")
@@ -419,7 +675,7 @@ def oracle_sql() -> dict[str, str]:
     out["clustering_top10"] = with_graph("custhub", f"{corners}, g AS (SELECT src AS v, count(*) AS degree FROM e GROUP BY 1) SELECT v, degree, coalesce(triangles, 0) AS triangles, round(CASE WHEN degree > 1 THEN 2.0 * coalesce(triangles, 0) / (degree * (degree - 1)) ELSE 0.0 END, 6) AS coefficient FROM g LEFT JOIN k USING (v) ORDER BY triangles DESC, v LIMIT 10", True)
     out["degree_top10"] = with_graph("custhub", ", n AS (SELECT src AS v FROM e UNION SELECT dst FROM e) SELECT v, (SELECT count(*) FROM e WHERE src = v) AS out_degree, (SELECT count(*) FROM e WHERE dst = v) AS in_degree FROM n ORDER BY in_degree DESC, v LIMIT 10")
     out["oriented_triangles_custhub"] = with_graph("custhub", f"SELECT count(*) // 6 AS n FROM ({TRIANGLES_SQL}) t", True)
-    out["filtered_triangles"] = out["oriented_triangles_custhub"]
+    out["filtered_triangles"] = out["q1u_custhub_sharedfiles_filtered"] = out["oriented_triangles_custhub"]
     out["path_count_custhub"] = with_graph("custhub", "SELECT count(*) AS n FROM e a JOIN e b ON a.dst = b.src")
     out["set_ops_edges"] = f"WITH a AS MATERIALIZED ({GRAPH_SQL['custord']}), b AS MATERIALIZED ({GRAPH_SQL['custhub']}) SELECT 'union' AS op, count(*) AS n FROM (SELECT * FROM a UNION SELECT * FROM b) t UNION ALL SELECT 'intersect', count(*) FROM (SELECT * FROM a INTERSECT SELECT * FROM b) t UNION ALL SELECT 'except', count(*) FROM (SELECT * FROM a EXCEPT ALL SELECT * FROM b) t"
     out["asof_events"] = "WITH l AS (SELECT event_id, user_id, ts FROM events WHERE event_id % 2 = 0), r AS (SELECT user_id, ts, max(event_id) AS other FROM events WHERE event_id % 2 = 1 GROUP BY 1, 2) SELECT event_id, other FROM l ASOF LEFT JOIN r ON l.user_id = r.user_id AND l.ts >= r.ts"

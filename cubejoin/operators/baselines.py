@@ -10,7 +10,7 @@ from itertools import product
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..plans.planner import JoinPlan, communication_shares, quick_plan
+from ..plans.planner import JoinPlan, communication_shares, known_stats, quick_plan
 from ..plans.rewrite import lift_intersections
 from ..query import ConjunctiveQuery, check_order, fold_predicates
 from .executor import cube_join
@@ -57,7 +57,7 @@ def top_variable_join(spark: SparkSession, query: ConjunctiveQuery, relations: M
 def cube_equal_join(spark: SparkSession, query: ConjunctiveQuery, relations: Mapping[str, DataFrame], sizes: Sequence[int] | None = None, cells: int = 16, mode: str = "count") -> DataFrame:
     """Shares by rows sent only, every level partitioned alike (the shared-nothing ancestor)."""
     base = quick_plan(query, lift="none")
-    counted = sizes or [1000] * len(query.atoms)
+    counted = sizes or [known_stats(relations[a.relation], spark.sparkContext.applicationId).rows for a in query.atoms]
     return cube_join(spark, query, relations, replace(base, shares=communication_shares(query.scopes, counted, base.order, cells)), mode)
 
 

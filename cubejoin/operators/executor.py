@@ -12,10 +12,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..plans.planner import JoinPlan, quick_plan
+from ..plans.planner import JoinPlan, auto_plan, quick_plan
 from ..query import ConjunctiveQuery, fold_predicates
+from ..sources.tables import run_folder
 from .kernel import CellJoin, KernelPlan, join_cell
-from .shuffle import encode_domains, exchange, from_code, join_code, route_rows
+from .shuffle import block_id, encode_domains, exchange, from_code, join_code, partition_ids, route_once, route_rows, strides
 
 #: Column of a result's multiplicity; no variable may have this name.
 WEIGHT = "__weight"
@@ -122,22 +123,62 @@ def bind_relations(query: ConjunctiveQuery, relations: Mapping[str, DataFrame])
     return folded, out, kinds, dictionary
 
 
+def _routed(query: ConjunctiveQuery, relations: Mapping[str, DataFrame], folded: ConjunctiveQuery, frames: list[DataFrame], dictionary: DataFrame | None, plan: JoinPlan) -> DataFrame:
+    """Rows of all relations routed to their cells; a relation that several plain atoms read is passed over once."""
+    order = plan.order
+    scopes = [tuple(sorted(a.vars, key=order.index)) for a in folded.atoms]
+    width = max(map(len, scopes))
+    filtered = {frozenset(vs) for vs, _ in query.filters}
+    shared: dict[str, list[int]] = {}
+    if dictionary is None:
+        for j, a in enumerate(query.atoms):
+            alone = any(sum(v in b.vars for b in query.atoms) < 2 for v in a.vars)
+            if not a.constants and len(set(a.vars)) == len(a.vars) and not alone and not any(f <= set(a.vars) for f in filtered):
+                shared.setdefault(a.relation, []).append(j)
+    parts, done = [], set()
+    for name, atoms in shared.items():
+        if len(atoms) > 1:
+            frame = relations[name]
+            longs = [join_code(F.col(f"`{c}`"), frame.schema[c].dataType).alias(f"c{k}") for k, c in enumerate(frame.columns)]
+            base = frame.select(*longs).dropna()  # every variable is in another atom too
+            parts.append(route_once(base, [(j, query.atoms[j].vars) for j in atoms], order, plan.shares, plan.hashing, width))
+            done |= set(atoms)
+    rest = [j for j in range(len(scopes)) if j not in done]
+    if rest:
+        routed = route_rows([frames[j] for j in rest], [scopes[j] for j in rest], order, plan.shares, plan.hashing, numbers=rest, width=width)
+        parts.append(routed)
+    return reduce(DataFrame.unionAll, parts)
+
+
 def cube_join(spark: SparkSession, query: ConjunctiveQuery, relations: Mapping[str, DataFrame], plan: JoinPlan | None = None, mode: str = "tuples", limit: int | None = None, profile: bool = False) -> DataFrame:
     """All bindings of the query (columns in head order), their number (``n``), or a work profile per cell.
 
     Sets: equal input rows count once.  Bags (``plan.semantics == 'bag'``):
     every input row counts and tuples repeat by their multiplicity.  ``limit``
-    stops every cell and then the whole after so many results.  Variables of
+    stops every cell and then the whole after so many results.  Without ``plan``
+    the planner chooses order, shares, lifts, cells and executor from sketched
+    statistics; a plan's ``executor`` and ``exchange`` are followed.  Variables of
     strings and other non-integers travel as dictionary codes and come back as
     their values.
     """
-    plan = plan or quick_plan(query)
+    plan = plan or auto_plan(spark, query, relations)
+    if plan.executor == "frontier" and plan.semantics != "bag" and not profile:
+        from .frontier import frontier_join
+
+        rows = frontier_join(spark, query, relations, plan, mode="tuples" if limit is not None else mode)
+        return rows if limit is None else rows.limit(limit) if mode == "tuples" else rows.limit(limit).agg(F.count("*").alias("n"))
+    if plan.exchange == "shared_files" and not profile and limit is None:
+        return shared_files_join(spark, query, relations, plan, run_folder(spark, "blocks"), mode)
     folded, frames, kinds, dictionary = bind_relations(query, relations)
     order = plan.order
     scopes = [tuple(sorted(a.vars, key=order.index)) for a in folded.atoms]
     bag = plan.semantics == "bag"
     kernel = KernelPlan(order, tuple(scopes), tuple((x.level, x.at_depth, x.inputs) for x in plan.lifts), plan.index, plan.search, bag)
-    routed = exchange(route_rows(frames, scopes, order, plan.shares, plan.hashing), plan.tasks or prod(plan.shares))
+    routed = exchange(_routed(query, relations, folded, frames, dictionary, plan), plan.tasks or prod(plan.shares))
+    if plan.executor == "grouped":
+        if bag or limit is not None or profile:
+            raise ValueError("the grouped executor takes sets without limit or profile")
+        return _grouped(routed, kernel, folded, query, kinds, dictionary, mode)
     if profile:
         return routed.mapInArrow(_kernel(kernel, "profile", limit), PROFILE_SCHEMA)
     late = folded.filters
@@ -175,7 +216,7 @@ def count_by(spark: SparkSession, query: ConjunctiveQuery, relations: Mapping[st
     folded, frames, kinds, dictionary = bind_relations(query, relations)
     if folded.filters:
         raise ValueError("count_by takes no filters across atoms")
-    plan = plan or quick_plan(query)
+    plan = plan or auto_plan(spark, query, relations)
     order = plan.order
     scopes = [tuple(sorted(a.vars, key=order.index)) for a in folded.atoms]
     kernel = KernelPlan(order, tuple(scopes), tuple((x.level, x.at_depth, x.inputs) for x in plan.lifts))
@@ -190,7 +231,7 @@ def count_by(spark: SparkSession, query: ConjunctiveQuery, relations: Mapping[st
                 values, counts = np.unique(columns[at], return_counts=True)
                 yield pa.RecordBatch.from_arrays([pa.array(values), pa.array(counts)], names=[pivot, "c"])
 
-    routed = exchange(route_rows(frames, scopes, order, plan.shares, plan.hashing), plan.tasks or prod(plan.shares))
+    routed = exchange(_routed(query, relations, folded, frames, dictionary, plan), plan.tasks or prod(plan.shares))
     counted = routed.mapInArrow(run, f"`{pivot}` long, c long").groupBy(pivot).agg(F.sum("c").cast("long").alias("c"))
     return decode(counted, (pivot,), kinds, dictionary)
 
@@ -200,39 +241,85 @@ def cell_profile(spark: SparkSession, query: ConjunctiveQuery, relations: Mappin
     return cube_join(spark, query, relations, plan, profile=True)
 
 
+def _grouped(routed: DataFrame, kernel: KernelPlan, folded: ConjunctiveQuery, query: ConjunctiveQuery, kinds: Mapping, dictionary: DataFrame | None, mode: str) -> DataFrame:
+    """The cells as groups of ``applyInArrow``: Spark forms each cell's table, the kernel joins it."""
+    names = list(kernel.order)
+
+    def join(table: pa.Table) -> pa.Table:
+        blocks, weights = _blocks(table, kernel)
+        found = list(_streamed(kernel, blocks, weights, names))
+        schema = pa.schema([*((n, pa.int64()) for n in names), (WEIGHT, pa.int64())])
+        return pa.Table.from_batches(found, schema)
+
+    schema = ", ".join([*(f"`{v}` long" for v in names), f"{WEIGHT} long"])
+    rows = decode(routed.groupBy("cell").applyInArrow(join, schema), query.head, kinds, dictionary)
+    for vs, condition in folded.filters:
+        rows = rows.where(condition(*(F.col(v) for v in vs)))
+    return rows.agg(F.count("*").alias("n")) if mode == "count" else rows.select(*query.head)
+
+
+def _block_reader(path: str, order: tuple[str, ...], shares: tuple[int, ...], scopes: list[tuple[str, ...]], kernel: KernelPlan, mode: str):
+    """Cell numbers to results: each cell opens the files of its own blocks and no others."""
+    names = list(order)
+
+    def run(batches):
+        import pyarrow.fs as pafs
+        import pyarrow.parquet as pq
+
+        system, root = pafs.FileSystem.from_uri(path if "://" in path or path.startswith("file:") else f"file://{path}")
+        step = strides(shares)
+        total = 0
+        for batch in batches:
+            for cell in batch.column(0).to_pylist():
+                where = {v: cell // step[k] % shares[k] for k, v in enumerate(order)}
+                blocks = []
+                for j, scope in enumerate(scopes):
+                    block = 0
+                    for v in scope:
+                        block = block * shares[order.index(v)] + where[v]
+                    listed = system.get_file_info(pafs.FileSelector(f"{root}/atom={j}/block={block}", allow_not_found=True))
+                    files = [f.path for f in listed if f.path.endswith(".parquet")]
+                    if not files:
+                        break
+                    parts = [pq.ParquetFile(system.open_input_file(f)).read() for f in files]
+                    blocks.append([np.concatenate([p.column(f"v{k}").to_numpy() for p in parts]) for k in range(len(scope))])
+                if len(blocks) < len(scopes):
+                    continue  # an empty block: nothing to join
+                if mode == "count":
+                    total += join_cell(kernel, blocks, [None] * len(blocks))[0]
+                else:
+                    yield from _streamed(kernel, blocks, [None] * len(blocks), names)
+        if mode == "count":
+            yield pa.RecordBatch.from_arrays([pa.array([total], pa.int64())], names=["n"])
+
+    return run
+
+
 def shared_files_join(spark: SparkSession, query: ConjunctiveQuery, relations: Mapping[str, DataFrame], plan: JoinPlan, path: str, mode: str = "count") -> DataFrame:
-    """Cube join over a block store: blocks are written once, partitioned by their number, and every
-    cell reads the blocks that agree with it, so stored and shuffled bytes are not multiplied by P.
+    """Cube join over a block store: every relation is shuffled and written once, without copies, as one
+    folder per block; a task is a cell number and reads the files of the blocks that agree with it.
 
-    The cell list is a table of P rows; each relation is attached by the block
-    number of the cell's coordinates through a partition-pruned read.
+    Neither stored nor shuffled bytes grow with the number of cells; what grows
+    is reading.  ``path`` must be readable by pyarrow on the executors (local,
+    HDFS, S3, GCS).  Sets only; filters across atoms act on the results.
     """
+    if plan.semantics == "bag":
+        raise ValueError("the shared-files exchange joins sets")
     folded, frames, kinds, dictionary = bind_relations(query, relations)
     order, shares = plan.order, plan.shares
-    from .shuffle import block_id, missing_offsets, partition_ids, strides
-
-    step = strides(shares)
-    routed = []
-    width = max(len(a.vars) for a in folded.atoms)
-    scopes = []
-    for j, atom in enumerate(folded.atoms):
-        held = sorted(atom.vars, key=order.index)
-        scopes.append(tuple(held))
-        marked = partition_ids(frames[j], held, order, shares, plan.hashing).withColumn("block", block_id(held, order, shares))
-        base = F.lit(0)
-        for k, v in enumerate(held, 1):
-            base = base + F.col(f"s_{k}") * F.lit(step[order.index(v)])
-        columns = [F.col(v).alias(f"v{k}") for k, v in enumerate(held)] + [F.lit(0).cast("long").alias(f"v{k}") for k in range(len(held), width)]
-        stored = marked.select("block", base.alias("base"), *columns)
-        target = f"{path}/atom={j}"
-        stored.repartition("block").write.mode("overwrite").partitionBy("block").parquet(target)
-        read = spark.read.schema(stored.schema).parquet(target)
-        offsets = missing_offsets(held, order, shares)
-        rows = read.withColumn("offset", F.explode(F.array(*map(F.lit, offsets)))).withColumn("cell", F.col("base") + F.col("offset"))
-        routed.append(rows.select("cell", F.lit(j).alias("atom"), *(f"v{k}" for k in range(width))))
+    scopes = [tuple(sorted(a.vars, key=order.index)) for a in folded.atoms]
+    for j, scope in enumerate(scopes):
+        marked = partition_ids(frames[j], scope, order, shares, plan.hashing).withColumn("block", block_id(scope, order, shares))
+        stored = marked.select("block", *(F.col(v).alias(f"v{k}") for k, v in enumerate(scope)))
+        stored.repartition("block").write.mode("overwrite").partitionBy("block").parquet(f"{path}/atom={j}")
     kernel = KernelPlan(order, tuple(scopes), tuple((x.level, x.at_depth, x.inputs) for x in plan.lifts), plan.index, plan.search, False)
-    rows = exchange(reduce(DataFrame.unionAll, routed), plan.tasks or prod(shares))
-    if mode == "count":
-        return rows.mapInArrow(_kernel(kernel, "count", None), "n long").agg(F.coalesce(F.sum("n"), F.lit(0)).cast("long").alias("n"))
+    late = folded.filters
+    read = _block_reader(path, order, shares, scopes, kernel, "tuples" if late else mode)
+    cells = spark.range(0, prod(shares), 1, min(prod(shares), plan.tasks or prod(shares)))
+    if mode == "count" and not late:
+        return cells.mapInArrow(read, "n long").agg(F.coalesce(F.sum("n"), F.lit(0)).cast("long").alias("n"))
     schema = ", ".join([*(f"`{v}` long" for v in order), f"{WEIGHT} long"])
-    return decode(rows.mapInArrow(_kernel(kernel, "tuples", None), schema), query.head, kinds, dictionary).select(*query.head)
+    rows = decode(cells.mapInArrow(read, schema), query.head, kinds, dictionary)
+    for vs, condition in late:
+        rows = rows.where(condition(*(F.col(v) for v in vs)))
+    return rows.agg(F.count("*").alias("n")) if mode == "count" else rows.select(*query.head)

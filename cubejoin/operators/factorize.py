@@ -55,6 +55,21 @@ def eager_count(spark: SparkSession, query: ConjunctiveQuery, relations: Mapping
     return _product_of_counts([count_by(spark, _bag(query, atoms), relations, pivot) for atoms in bags_joined_at(query, pivot)], pivot)
 
 
+def two_way_variant(query: ConjunctiveQuery, relations: Mapping[str, DataFrame], pivot: str, lookup: bool = False, eager: bool = False) -> DataFrame:
+    """Count by the expand engine with a tree decomposition: bags by two-way joins, or by looking up
+    before expanding, joined on the pivot or reduced to counts first."""
+    from .baselines import binary_join, lookup_expand_join
+
+    one = lookup_expand_join if lookup else binary_join
+    bags = [one(_bag(query, atoms), relations, mode="tuples") for atoms in bags_joined_at(query, pivot)]
+    if eager:
+        return _product_of_counts([b.groupBy(pivot).agg(F.count("*").alias("c")) for b in bags], pivot)
+    out = bags[0]
+    for b in bags[1:]:
+        out = out.join(b, pivot)
+    return out.agg(F.count("*").alias("n"))
+
+
 def _product_of_counts(counts: list[DataFrame], pivot: str) -> DataFrame:
     """Sum over pivot values of the product of the bags' counts, in decimals until the end."""
     out, product = None, F.lit(1).cast("decimal(38,0)")

@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..sources.tables import written
+
 
 def to_coo(edges: DataFrame) -> DataFrame:
     """Coordinates: distinct (src, dst), sorted within partitions."""
@@ -14,14 +16,20 @@ def to_coo(edges: DataFrame) -> DataFrame:
 def to_csr(edges: DataFrame) -> DataFrame:
     """(src, lo, hi, dsts): sorted neighbour list of each source and its range in the joint array.
 
-    Offsets come from a window over sources, one row each; for very many
-    sources use ``to_dcsr`` per partition.
+    Sources are range-partitioned and written with their partition; a running
+    sum inside partitions and one over partition totals (a row each) make the
+    offsets, so no task sees all sources.
     """
+    spark = edges.sparkSession
     lists = edges.toDF("src", "dst").distinct().groupBy("src").agg(F.sort_array(F.collect_list("dst")).alias("dsts"))
-    before = Window.orderBy("src").rowsBetween(Window.unboundedPreceding, -1)
+    ranged = written(spark, lists.repartitionByRange("src").withColumn("p", F.spark_partition_id()), "csr")
     n = F.size("dsts").cast("long")
-    lo = F.coalesce(F.sum(n).over(before), F.lit(0))
-    return lists.select("src", lo.alias("lo"), (lo + n).alias("hi"), "dsts")
+    totals = ranged.groupBy("p").agg(F.sum(n).alias("c"))
+    start = F.coalesce(F.sum("c").over(Window.orderBy("p").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    placed = ranged.join(F.broadcast(totals.select("p", start.alias("start"))), "p")  # one row a partition
+    before = Window.partitionBy("p").orderBy("src").rowsBetween(Window.unboundedPreceding, -1)
+    lo = F.col("start") + F.coalesce(F.sum(n).over(before), F.lit(0))
+    return placed.select("src", lo.alias("lo"), (lo + n).alias("hi"), "dsts")
 
 
 def to_csc(edges: DataFrame) -> DataFrame:

@@ -19,9 +19,14 @@ from pyspark.sql import functions as F
 
 from ..plans.planner import JoinPlan, quick_plan
 from ..query import ConjunctiveQuery, fold_predicates
+from ..sources.tables import written
 from .executor import cube_join
 
 
+#: Values of a list that is broadcast, at most.
+BROADCAST_VALUES = 1_000_000
+
+
 def heavy_values(frames: Mapping[str, DataFrame], scopes: list[tuple[str, ...]], threshold: int) -> dict[str, DataFrame]:
     """Per variable the values with more than ``threshold`` rows in some relation: at most
     rows / threshold of them, so a broadcast of the list is bounded by the threshold chosen."""
@@ -53,8 +58,10 @@ def heavy_split_join(spark: SparkSession, query: ConjunctiveQuery, relations: Ma
     folded, frames = fold_predicates(query, relations)
     frames = {k: f.distinct() for k, f in frames.items()}
     scopes = folded.scopes
-    lists = {v: h.persist() for v, h in heavy_values(frames, scopes, threshold).items()}
-    hot = [v for v in plan.order if v in lists and not lists[v].isEmpty()]
+    lists = {v: written(spark, h, "heavy") for v, h in heavy_values(frames, scopes, threshold).items()}
+    sizes = {v: h.count() for v, h in lists.items()}
+    hot = [v for v in plan.order if sizes.get(v)]
+    lists = {v: F.broadcast(h) if sizes[v] <= BROADCAST_VALUES else h for v, h in lists.items()}
     parts = []
     for choice in product((False, True), repeat=len(hot)):
         chosen = dict(zip(hot, choice, strict=True))
@@ -63,7 +70,7 @@ def heavy_split_join(spark: SparkSession, query: ConjunctiveQuery, relations: Ma
             frame = frames[f"r{j}"]
             for v in scope:
                 if v in chosen:
-                    frame = frame.join(F.broadcast(lists[v]), v, "left_semi" if chosen[v] else "left_anti")
+                    frame = frame.join(lists[v], v, "left_semi" if chosen[v] else "left_anti")
             kept[f"r{j}"] = frame.select(*scope)
         own = replace(plan, shares=residual_shares(plan, tuple(v for v in hot if chosen[v])), tasks=None)
         parts.append(cube_join(spark, folded, kept, own, mode))

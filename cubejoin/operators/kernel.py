@@ -3,7 +3,8 @@
 A chunk holds many prefix bindings at once as arrays: the bound codes, the trie
 node of every atom, and the rows of temporaries computed for an earlier prefix.
 For the next variable every binding proposes the values of its shortest input
-and looks them up in the others.  Chunks are cut so that a level never expands
+and looks them up in the others; comparisons are counted as they are made (one
+for a filter read, the bits of the index length for a binary search).  Chunks are cut so that a level never expands
 more than ``chunk_rows`` rows at a time (depth first), which bounds memory
 whatever the output.  The module knows nothing of Spark.
 """
@@ -52,21 +53,61 @@ class CellCounters:
     seconds: float = 0.0
 
 
+_MIX = np.uint64(0x9E3779B97F4A7C15)
+
+
+class KeyFilter:
+    """Hashed membership of sorted keys, eight slots a key: most values that are not there are told by one read."""
+
+    __slots__ = ("slots", "down")
+
+    def __init__(self, keys: np.ndarray):
+        bits = max(6, int(len(keys)).bit_length() + 3)
+        self.down = np.uint64(64 - bits)
+        self.slots = np.zeros(1 << bits, bool)
+        self.slots[self._at(keys)] = True
+
+    def _at(self, keys: np.ndarray) -> np.ndarray:
+        return (keys.astype(np.uint64) * _MIX) >> self.down
+
+    def maybe(self, keys: np.ndarray) -> np.ndarray:
+        return self.slots[self._at(keys)]
+
+
 class _Input:
-    """One sorted input of a level: value ranges per binding, and how to look values up."""
+    """One sorted input of a level: value ranges per binding, and how to look values up.
+
+    Look-ups adapt to their number: few go straight to binary search, many
+    (against ``filters``, kept with the index) pass a membership filter first.
+    """
 
-    __slots__ = ("codes", "keys", "domain", "lo", "hi", "parent", "adopt")
+    __slots__ = ("codes", "keys", "domain", "lo", "hi", "parent", "adopt", "filters", "place")
 
-    def __init__(self, codes, keys, domain, lo, hi, parent, adopt):
+    def __init__(self, codes, keys, domain, lo, hi, parent, adopt, filters=None, place=None):
         self.codes, self.keys, self.domain = codes, keys, domain
         self.lo, self.hi, self.parent, self.adopt = lo, hi, parent, adopt
+        self.filters, self.place = filters, place
 
-    def find(self, rows: np.ndarray, codes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Positions of codes below the parents of binding rows, and whether they exist."""
+    def find(self, rows: np.ndarray, codes: np.ndarray) -> tuple[np.ndarray, np.ndarray, int]:
+        """Positions of codes below the parents of binding rows, whether they exist, and the comparisons made."""
         wanted = self.parent[rows] * self.domain + codes
+        n = len(self.keys)
+        if not n:
+            return np.zeros(len(wanted), np.int64), np.zeros(len(wanted), bool), 0
+        steps = int(n).bit_length()
+        if self.filters is not None and (self.place in self.filters or 4 * len(wanted) >= n):
+            if self.place not in self.filters:
+                self.filters[self.place] = KeyFilter(self.keys)
+            likely = np.flatnonzero(self.filters[self.place].maybe(wanted))
+            found = np.searchsorted(self.keys, wanted[likely])
+            found[found == n] = 0
+            same = self.keys[found] == wanted[likely]
+            at, ok = np.zeros(len(wanted), np.int64), np.zeros(len(wanted), bool)
+            at[likely], ok[likely] = found, same
+            return at, ok, len(wanted) + steps * len(likely)
         at = np.searchsorted(self.keys, wanted)
-        at[at == len(self.keys)] = 0
-        return at, (self.keys[at] == wanted) if len(self.keys) else np.zeros(len(at), bool)
+        at[at == n] = 0
+        return at, self.keys[at] == wanted, steps * len(wanted)
 
 
 def sort_rows(columns: list[np.ndarray], sizes: list[int], weights: np.ndarray | None, bag: bool) -> tuple[list[np.ndarray], np.ndarray | None]:
@@ -105,6 +146,7 @@ class CellJoin:
             held = [blocks[j][scope.index(v)] for j, scope in enumerate(plan.scopes) if v in scope]
             self.domains.append(np.unique(np.concatenate(held)))
         self.tries, self.keys = [], []
+        self.filters: dict[tuple[int, int], KeyFilter] | None = {} if plan.search == "vector" else None
         for j, scope in enumerate(plan.scopes):
             coded = [np.searchsorted(self.domains[plan.order.index(v)], c) for v, c in zip(scope, blocks[j], strict=True)]
             coded, weight = sort_rows(coded, [len(self.domains[plan.order.index(v)]) for v in scope], weights[j], plan.bag)
@@ -138,7 +180,7 @@ class CellJoin:
         else:
             lo, hi = trie.offsets[depth - 1][nodes], trie.offsets[depth - 1][nodes + 1]
             parent = nodes
-        return _Input(trie.values[depth], self.keys[j][depth], len(self.domains[level]), lo, hi, parent, {j: None})
+        return _Input(trie.values[depth], self.keys[j][depth], len(self.domains[level]), lo, hi, parent, {j: None}, self.filters, (j, depth))
 
     def _meet(self, inputs: list[_Input], rows: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, list[np.ndarray]]:
         """Per binding the common codes of all inputs: (binding row, code, position in each input)."""
@@ -167,9 +209,9 @@ class CellJoin:
                     if m != k:
                         places[m] = np.empty(0, np.int64)
                     continue
-                found, ok = other.find(binding, codes)
+                found, ok, steps = other.find(binding, codes)
                 self.counters.probes += len(codes)
-                self.counters.comparisons += int(np.ceil(np.log2(1 + other.hi[binding] - other.lo[binding])).sum())
+                self.counters.comparisons += steps
                 if not ok.all():
                     binding, codes, found = binding[ok], codes[ok], found[ok]
                     places = [p[ok] if p is not None else None for p in places]
@@ -358,7 +400,7 @@ def join_cell(plan: KernelPlan, blocks: list[list[np.ndarray]], weights: list[np
         counters.visited = [0] * len(plan.order)
         return 0, counters
     began = time.perf_counter()
-    if plan.index == "packed" and plan.search == "vector":
+    if plan.index == "packed" and plan.search in ("vector", "unfiltered"):
         total = CellJoin(plan, blocks, weights, counters).run(emit, limit)
     else:
         if plan.bag:

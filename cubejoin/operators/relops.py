@@ -8,14 +8,6 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 
-def project(frame: DataFrame, columns: Sequence[str]) -> DataFrame:
-    return frame.select(*columns)
-
-
-def where(frame: DataFrame, condition: Column | str) -> DataFrame:
-    return frame.where(condition)
-
-
 def equi_join(left: DataFrame, right: DataFrame, keys: Sequence[str], how: str = "inner", strategy: str | None = None) -> DataFrame:
     """inner, left, right, full, left_semi or left_anti; strategy: broadcast, merge or shuffle_hash."""
     hints = {None: None, "broadcast": "broadcast", "merge": "merge", "shuffle_hash": "shuffle_hash"}
@@ -65,15 +57,12 @@ def top_k_per(frame: DataFrame, keys: Sequence[str], k: int, *order: Column) ->
     return ranked.where(F.col("rank") <= k)
 
 
-def sample(frame: DataFrame, fraction: float, seed: int = 1) -> DataFrame:
-    return frame.sample(fraction, seed)
-
-
 def vertex_triangles(edges: DataFrame) -> DataFrame:
     """(v, triangles) of an undirected graph, each triangle counted once per corner."""
+    from ..sources.tables import written
     from .factorize import orient_by_degree
 
-    up = orient_by_degree(edges).persist()
+    up = written(edges.sparkSession, orient_by_degree(edges), "oriented")
     wedges = up.toDF("a", "b").join(up.toDF("b", "c"), "b").join(up.toDF("a", "c"), ["a", "c"])
     return wedges.select(F.explode(F.array("a", "b", "c")).alias("v")).groupBy("v").agg(F.count("*").alias("triangles"))
 

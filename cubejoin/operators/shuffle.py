@@ -10,6 +10,8 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from ..sources.tables import written
+
 _DIRECT = (T.ByteType, T.ShortType, T.IntegerType, T.LongType)
 
 
@@ -121,13 +123,13 @@ def missing_offsets(scope: Sequence[str], order: Sequence[str], shares: Sequence
     return out
 
 
-def route_rows(frames: Sequence[DataFrame], scopes: Sequence[Sequence[str]], order: Sequence[str], shares: Sequence[int], hashing: str = "xxhash64", weight: str | None = None) -> DataFrame:
+def route_rows(frames: Sequence[DataFrame], scopes: Sequence[Sequence[str]], order: Sequence[str], shares: Sequence[int], hashing: str = "xxhash64", weight: str | None = None, numbers: Sequence[int] | None = None, width: int | None = None) -> DataFrame:
     """Rows (cell, atom, v0.., and w if there is a weight) of all relations: each row goes to every cell
-    that agrees with its identifiers."""
+    that agrees with its identifiers.  ``numbers`` are the atoms' numbers if not 0, 1, ..."""
     step = strides(shares)
-    width = max(map(len, scopes))
+    width = width or max(map(len, scopes))
     routed = []
-    for j, (frame, scope) in enumerate(zip(frames, scopes, strict=True)):
+    for j, frame, scope in zip(numbers or range(len(frames)), frames, scopes, strict=True):
         held = sorted(scope, key=list(order).index)
         base = F.lit(0)
         for v in held:
@@ -146,6 +148,28 @@ def route_rows(frames: Sequence[DataFrame], scopes: Sequence[Sequence[str]], ord
     return reduce(DataFrame.unionAll, routed)
 
 
+def route_once(base: DataFrame, atoms: Sequence[tuple[int, Sequence[str]]], order: Sequence[str], shares: Sequence[int], hashing: str, width: int) -> DataFrame:
+    """``route_rows`` of one relation of longs that several atoms read: (atom number, variable of each column).
+
+    One pass over the relation: a row becomes one struct per atom, and each of
+    these one row per agreeing cell.
+    """
+    step = strides(shares)
+    copies, offsets = [], []
+    for slot, (j, scope) in enumerate(atoms):
+        column = dict(zip(scope, base.columns, strict=True))
+        held = sorted(scope, key=list(order).index)
+        first = F.lit(0)
+        for v in held:
+            at = list(order).index(v)
+            first = first + partition_id(F.col(column[v]), shares[at], at + 1, hashing) * F.lit(step[at])
+        values = [F.col(column[v]).cast("long").alias(f"v{k}") for k, v in enumerate(held)] + [F.lit(0).cast("long").alias(f"v{k}") for k in range(len(held), width)]
+        copies.append(F.struct(F.lit(slot).alias("slot"), F.lit(j).alias("atom"), first.alias("base"), *values))
+        offsets.append(F.array(*map(F.lit, missing_offsets(held, order, shares))))
+    rows = base.select(F.explode(F.array(*copies)).alias("x")).select("x.*", F.explode(F.element_at(F.array(*offsets), F.col("x.slot") + 1)).alias("offset"))
+    return rows.select((F.col("base") + F.col("offset")).alias("cell"), "atom", *(f"v{k}" for k in range(width)))
+
+
 def exchange(rows: DataFrame, tasks: int) -> DataFrame:
     """The one shuffle: cells go to tasks by number, rows are grouped by cell.
 
@@ -161,14 +185,15 @@ def encode_domains(frames: Mapping[str, DataFrame], columns: Mapping[str, Sequen
 
     Codes are ranks within range partitions plus partition offsets, so no task
     sees more than its range; only one count per partition reaches the driver.
-    Values keep their order.  All columns share one dictionary and should have
+    The ranked values are written to the shared folder before anything reads
+    them, so every use sees the same codes.  Values keep their order.  All columns share one dictionary and should have
     one type.
     """
     values = reduce(DataFrame.unionAll, [frames[name].select(F.col(c).alias("value")) for name, cs in columns.items() for c in cs]).where("value is not null").distinct()
     spark = values.sparkSession
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
     ranged = values.repartitionByRange(parts, "value").sortWithinPartitions("value")
-    placed = ranged.select("value", F.spark_partition_id().alias("p"), F.monotonically_increasing_id().bitwiseAND(F.lit((1 << 33) - 1)).alias("i")).persist()
+    placed = written(spark, ranged.select("value", F.spark_partition_id().alias("p"), F.monotonically_increasing_id().bitwiseAND(F.lit((1 << 33) - 1)).alias("i")), "dictionary")
     counts = sorted((r.p, r["count"]) for r in placed.groupBy("p").count().collect())
     starts, total = [], 0
     for p, n in counts:

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Sequence
+from functools import lru_cache
 from itertools import combinations
 from math import exp, log
 
@@ -41,4 +42,9 @@ def edge_cover(scopes: Sequence[Sequence[str]], sizes: Sequence[float]) -> tuple
 
 def agm_bound(scopes: Sequence[Sequence[str]], sizes: Sequence[float]) -> float:
     """Largest possible output of a query over relations of these sizes."""
+    return _bound(tuple(map(tuple, scopes)), tuple(sizes))
+
+
+@lru_cache(maxsize=4096)
+def _bound(scopes: tuple, sizes: tuple) -> float:
     return edge_cover(scopes, sizes)[0]

@@ -27,28 +27,43 @@ class RelationStats:
         return RelationStats(self.rows, {sub(k): n for k, n in self.distinct.items()}, {(sub(b), names[v]): n for (b, v), n in self.max_degree.items()}, self.exact)
 
 
-def collect_relation(frame: DataFrame, exact: bool = True, sample: float | None = None) -> RelationStats:
+#: Buckets in which rows are counted for the degrees' upper bounds: a fixed size.
+BUCKETS = 1 << 18
+
+
+def _sketched(frame: DataFrame) -> RelationStats:
+    """Two passes with map-side combining, no grouping by values.
+
+    Distinct counts come from sketches.  Rows are counted in hashed buckets per
+    column set: the fullest bucket bounds the largest degree from above, so what
+    is built on it stays pessimistic.
+    """
+    columns = frame.columns
+    sets = [frozenset(c) for k in range(1, len(columns) + 1) for c in combinations(columns, k)]
+    ordered = [[c for c in columns if c in s] for s in sets]
+    got = frame.agg(F.count("*").alias("n"), *(F.approx_count_distinct(F.xxhash64(*s), 0.02).alias(f"d{i}") for i, s in enumerate(ordered))).first()
+    distinct = {s: max(1, int(got[f"d{i}"])) for i, s in enumerate(sets)}
+    distinct[frozenset(columns)] = min(distinct[frozenset(columns)], got.n) if got.n else 0
+    bound = [(i, s) for i, s in enumerate(ordered) if len(s) < len(columns)]
+    fullest = {}
+    if bound:
+        marks = F.array(*(F.struct(F.lit(i).alias("i"), F.pmod(F.xxhash64(*s), F.lit(BUCKETS)).alias("b")) for i, s in bound))
+        counts = frame.select(F.explode(marks).alias("m")).groupBy("m.i", "m.b").agg(F.count("*").alias("c")).groupBy("i").agg(F.max("c").alias("c"))
+        fullest = {r.i: r.c for r in counts.collect()}  # one row a column set
+    degrees = {(frozenset(s), v): min(fullest.get(i, 0), distinct[frozenset({v})]) for i, s in bound for v in columns if v not in s}
+    return RelationStats(distinct[frozenset(columns)], distinct, degrees, False)
+
+
+def collect_relation(frame: DataFrame, exact: bool = True) -> RelationStats:
     """One relation's statistics; only a few numbers reach the driver.
 
-    ``exact=False`` counts with sketches and takes degrees from a sample of the
-    rows (scaled up), for relations too large to group by every column set.
+    ``exact=False`` counts with sketches and bounds degrees by hashed buckets,
+    for relations too large to group by every column set.
     """
     columns = frame.columns
     base = frame.distinct()
     if not exact:
-        fraction = sample or 0.01
-        sets = [frozenset(c) for k in range(1, len(columns) + 1) for c in combinations(columns, k)]
-        got = frame.agg(*(F.approx_count_distinct(F.struct(*sorted(s)) if len(s) > 1 else F.col(next(iter(s))), 0.02).alias(f"d{i}") for i, s in enumerate(sets))).first()
-        distinct = {s: int(got[f"d{i}"]) for i, s in enumerate(sets)}
-        drawn = frame.sample(fraction, 1).distinct()
-        degrees = {}
-        for k in range(1, len(columns)):
-            for bound in combinations(columns, k):
-                for v in columns:
-                    if v not in bound:
-                        top = drawn.groupBy(*bound).agg(F.countDistinct(v).alias("c")).agg(F.max("c")).first()[0] or 0
-                        degrees[frozenset(bound), v] = min(int(top / fraction) + 1, distinct[frozenset({v})])
-        return RelationStats(distinct[frozenset(columns)], distinct, degrees, False)
+        return _sketched(frame)
     base = base.persist()
     try:
         distinct, degrees = {}, {}

@@ -9,18 +9,21 @@ from pyspark.sql import functions as F
 
 
 def tensor_relation(spark: SparkSession, n: int, dims: Sequence[int], seed: int, columns: Sequence[str] | None = None) -> DataFrame:
-    """About n distinct points of a grid: coordinates are hashes of a counter, one seed per axis."""
+    """About n distinct points of a grid: coordinates are a counter's residues, one multiplier per axis
+    (plain arithmetic, so that any SQL engine can make the same points)."""
     names = columns or [f"x{k}" for k in range(len(dims))]
-    axes = [F.pmod(F.xxhash64(F.col("id"), F.lit(seed * 31 + k)), F.lit(d)).alias(c) for k, (d, c) in enumerate(zip(dims, names, strict=True))]
+    axes = [F.expr(axis_sql("id", seed, k, d)).alias(c) for k, (d, c) in enumerate(zip(dims, names, strict=True))]
     return spark.range(n).select(*axes).distinct()
 
 
-def tensor_workload(spark: SparkSession, kind: str, n: int, domain: int, small: int = 8, sparsity: float | None = None) -> dict[str, DataFrame]:
-    """Seven ternary relations: 1-4 over equal domains, 5-7 with a small first axis.
+def axis_sql(counter: str, seed: int, axis: int, domain: int) -> str:
+    """Coordinate of a counter below 2**26 on an axis, in SQL that Spark and other engines share."""
+    step = 1_000_003 + 7_919 * (31 * seed + axis)
+    return f"((({counter} * {step} + {97 * seed + 13 * axis}) % 2147483647) * 48271 % 2147483647) % {domain}"
 
-    dense: the domain as given (tuples fill much of it); sparse: domains grow so
-    that n tuples fill the fraction ``sparsity``.
-    """
+
+def tensor_dims(kind: str, n: int, domain: int, small: int = 8, sparsity: float | None = None) -> dict[str, tuple[int, int, int]]:
+    """Domains of the seven relations of ``tensor_workload``."""
     if kind == "sparse":
         share = sparsity or 0.001
         domain = max(2, round((n / share) ** (1 / 3)))
@@ -29,9 +32,17 @@ def tensor_workload(spark: SparkSession, kind: str, n: int, domain: int, small:
         wide = domain
     else:
         raise ValueError(f"unknown kind {kind}")
-    general = {f"t{k}": tensor_relation(spark, n, (domain,) * 3, k) for k in range(1, 5)}
-    narrow = {f"t{k}": tensor_relation(spark, n, (small, wide, wide), k) for k in range(5, 8)}
-    return general | narrow
+    return {f"t{k}": (domain,) * 3 for k in range(1, 5)} | {f"t{k}": (small, wide, wide) for k in range(5, 8)}
+
+
+def tensor_workload(spark: SparkSession, kind: str, n: int, domain: int, small: int = 8, sparsity: float | None = None) -> dict[str, DataFrame]:
+    """Seven ternary relations: 1-4 over equal domains, 5-7 with a small first axis.
+
+    dense: the domain as given (tuples fill much of it); sparse: domains grow so
+    that n tuples fill the fraction ``sparsity``.
+    """
+    dims = tensor_dims(kind, n, domain, small, sparsity)
+    return {name: tensor_relation(spark, n, d, int(name[1:])) for name, d in dims.items()}
 
 
 def worst_case_edges(spark: SparkSession, n: int) -> DataFrame:

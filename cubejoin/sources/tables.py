@@ -2,7 +2,10 @@
 
 from __future__ import annotations
 
+import atexit
+import uuid
 from collections.abc import Sequence
+from contextlib import suppress
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import types as T
@@ -35,6 +38,37 @@ def materialize(frame: DataFrame, path: str, order: Sequence[str] | None = None,
     return spark.read.schema(frame.schema).parquet(path)
 
 
+_WRITTEN: list[tuple[object, object, str]] = []
+
+
+def shared_folder(spark: SparkSession) -> str:
+    """A folder that all executors see: the one named by ``spark.checkpoint.dir``, else one in the warehouse."""
+    named = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir", None)
+    return (named or spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/_cubejoin_work").rstrip("/")
+
+
+def run_folder(spark: SparkSession, label: str) -> str:
+    """A new folder name below the shared one; what is there goes when the driver's process ends."""
+    path = f"{shared_folder(spark)}/{label}_{uuid.uuid4().hex}"
+    _WRITTEN.append((spark.sparkContext._jvm.org.apache.hadoop.fs.Path, spark.sparkContext._jsc.hadoopConfiguration(), path))
+    return path
+
+
+def written(spark: SparkSession, frame: DataFrame, label: str) -> DataFrame:
+    """The frame as a table in the shared folder: computed once, whatever executors are lost later."""
+    path, schema = run_folder(spark, label), frame.schema
+    frame.write.parquet(path)
+    return spark.read.schema(schema).parquet(path)
+
+
+@atexit.register
+def _sweep() -> None:
+    for make, conf, path in _WRITTEN:
+        with suppress(Exception):  # the JVM may be gone by then
+            at = make(path)
+            at.getFileSystem(conf).delete(at, True)
+
+
 def write_result(frame: DataFrame, path: str, fmt: str = "parquet", mode: str = "errorifexists", partition_by: Sequence[str] = ()) -> None:
     writer = frame.write.mode(mode).format(fmt)
     if partition_by:

@@ -31,34 +31,40 @@ def delta_count(spark: SparkSession, query: ConjunctiveQuery, old: DataFrame, ne
 
 
 class IncrementalCount:
-    """foreachBatch state: an edge store (Parquet, one folder per batch) and a running count.
+    """foreachBatch state, all of it on disk: an edge store and the counts (Parquet, one folder per batch).
 
-    Batches are idempotent: a replayed batch id rewrites its own folders, and
-    counts are kept per batch.
+    Batches are idempotent: a replayed batch id rewrites its own folders.  A new
+    object over the same path goes on where the last one stopped, whatever was
+    restarted in between.
     """
 
     def __init__(self, spark: SparkSession, query: ConjunctiveQuery, path: str):
         self.spark, self.query, self.path = spark, query, path
-        self.counts: dict[int, int] = {}
 
-    def _edges(self, below: int) -> DataFrame:
-        empty = self.spark.createDataFrame([], "src long, dst long, batch long")
-        if not self.counts:
-            return empty.select("src", "dst")
-        stored = self.spark.read.schema("src long, dst long, batch long").parquet(f"{self.path}/edges")
-        return stored.where(F.col("batch") < below).select("src", "dst")
+    def _stored(self, what: str, schema: str) -> DataFrame:
+        sc = self.spark.sparkContext
+        at = sc._jvm.org.apache.hadoop.fs.Path(f"{self.path}/{what}")
+        if not at.getFileSystem(sc._jsc.hadoopConfiguration()).exists(at):
+            return self.spark.createDataFrame([], schema)
+        return self.spark.read.schema(schema).parquet(f"{self.path}/{what}")
 
     def __call__(self, batch: DataFrame, batch_id: int) -> None:
-        old = self._edges(batch_id)
+        old = self._stored("edges", "src long, dst long, batch long").where(F.col("batch") < batch_id).select("src", "dst")
         new = batch.select("src", "dst").where("src is not null and dst is not null").distinct().join(old, ["src", "dst"], "left_anti")
         target = f"{self.path}/edges/batch={batch_id}"
         new.write.mode("overwrite").parquet(target)
         new = self.spark.read.schema("src long, dst long").parquet(target)
-        self.counts[batch_id] = delta_count(self.spark, self.query, old, new)
+        n = delta_count(self.spark, self.query, old, new)
+        self.spark.createDataFrame([(n,)], "n long").coalesce(1).write.mode("overwrite").parquet(f"{self.path}/counts/batch={batch_id}")
+
+    @property
+    def counts(self) -> dict[int, int]:
+        """Results that each batch added."""
+        return {r.batch: r.n for r in self._stored("counts", "n long, batch long").collect()}
 
     @property
     def total(self) -> int:
-        return sum(self.counts.values())
+        return self._stored("counts", "n long, batch long").agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n")).first().n
 
 
 def incremental_counts(stream: DataFrame, query: ConjunctiveQuery, path: str):
