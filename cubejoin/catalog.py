@@ -17,7 +17,7 @@ from .operators.heavy import heavy_split_join
 from .operators.shuffle import partition_layout, partition_relation, sort_blocks
 from .plans.bounds import edge_cover
 from .plans.cost import cost_report, estimate_total_cost, exact_level_costs, replicated_cost
-from .plans.planner import JoinPlan, best_order_dp, enumerate_orders, enumerate_shares, evenness, plan_query, prune_cost, prune_domain, quick_plan
+from .plans.planner import JoinPlan, auto_plan, best_order_dp, enumerate_orders, enumerate_shares, evenness, plan_query, prune_cost, prune_domain, quick_plan
 from .plans.rewrite import lift_intersections, reduced_query
 from .plans.stats import collect_stats
 from .query import parse_rule, query_from_json, query_to_json
@@ -298,6 +298,12 @@ def _repeated(spark: SparkSession, sf_dir: str) -> DataFrame:
     return cube_join(spark, parse_rule("Q(x, y) :- r(x, x), s(x, y)"), {"r": lines.select("l_suppkey", "l_linenumber"), "s": lines.select("l_linenumber", "l_returnflag")})
 
 
+def _unlifted(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The clique without lifted intersections, under the planner's order and shares."""
+    query, relations = pattern("q6"), {"e": stored_graph(spark, sf_dir, "custhub")}
+    return cube_join(spark, query, relations, auto_plan(spark, query, relations, lift="none"), "count")
+
+
 def _hinted_binary(hint: str) -> Query:
     return lambda spark, sf_dir: baselines.binary_join(pattern("q1d"), {"e": stored_graph(spark, sf_dir, "custhub", True)}, hint)
 
@@ -583,7 +589,7 @@ def queries() -> dict[str, Query]:
     found |= {"level_cost_estimate": _estimates, "plan_shares": _plan_shares, "index_bytes": _index_bytes, "skew_rows_mod": _skew_rows, "duplication_mod": _duplication, "order_dp": _order_dp}
     found |= {"constant_paths": _constants, "repeated_variable": _repeated, "intersect_sizes": _intersect_sizes, "match_pattern_triangles": _matched, "json_spec_triangles": _json_spec, "event_props": _props, "incremental_triangles": _incremental, "outer_join_customers": _outer}
     found |= {f"q1u_custhub_binary_{h}": _hinted_binary(h) for h in ("broadcast", "merge", "shuffle_hash")}
-    found |= {"q1u_custhub_fewtasks": _planned_variant(tasks=4), "q1u_custhub_grouped": _planned_variant(executor="grouped"), "q1u_custhub_unfiltered": _planned_variant(search="unfiltered"), "q1u_custhub_sharedfiles_filtered": _shared_filtered}
+    found |= {"q6_custhub_plainlevels": _unlifted, "q1u_custhub_fewtasks": _planned_variant(tasks=4), "q1u_custhub_grouped": _planned_variant(executor="grouped"), "q1u_custhub_unfiltered": _planned_variant(search="unfiltered"), "q1u_custhub_sharedfiles_filtered": _shared_filtered}
     found |= {f"edge_files_{f}": _edge_files(f) for f in ("csv", "json", "orc", "parquet")}
     found |= {f"tensor_{kind}_{shape}": _tensor(kind, shape) for kind in ("dense", "sparse") for shape in ("lw", "ct")}
     found |= {f"windowed_edges_{k}": _windowed(k) for k in ("tumbling", "sliding", "session")}
@@ -639,6 +645,7 @@ def oracle_sql() -> dict[str, str]:
     out["outer_join_customers"] = "SELECT coalesce(c_custkey, k) AS k, c_mktsegment, orders FROM customer FULL JOIN (SELECT o_custkey AS k, count(*) AS orders FROM orders GROUP BY 1) o ON o.k = c_custkey"
     for name in ("binary_broadcast", "binary_merge", "binary_shuffle_hash", "fewtasks", "grouped", "unfiltered"):
         out[f"q1u_custhub_{name}"] = out["q1u_custhub"]
+    out["q6_custhub_plainlevels"] = out["q6_custhub"]
     for f in ("csv", "json", "orc", "parquet"):
         out[f"edge_files_{f}"] = with_graph("custord", "SELECT src, dst FROM e")
     for kind in ("dense", "sparse"):

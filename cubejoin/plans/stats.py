@@ -28,7 +28,7 @@ class RelationStats:
 
 
 #: Buckets in which rows are counted for the degrees' upper bounds: a fixed size.
-BUCKETS = 1 << 18
+BUCKETS = 1 << 16
 
 
 def _sketched(frame: DataFrame) -> RelationStats:
@@ -41,7 +41,7 @@ def _sketched(frame: DataFrame) -> RelationStats:
     columns = frame.columns
     sets = [frozenset(c) for k in range(1, len(columns) + 1) for c in combinations(columns, k)]
     ordered = [[c for c in columns if c in s] for s in sets]
-    got = frame.agg(F.count("*").alias("n"), *(F.approx_count_distinct(F.xxhash64(*s), 0.02).alias(f"d{i}") for i, s in enumerate(ordered))).first()
+    got = frame.agg(F.count("*").alias("n"), *(F.approx_count_distinct(F.xxhash64(*s), 0.05).alias(f"d{i}") for i, s in enumerate(ordered))).first()
     distinct = {s: max(1, int(got[f"d{i}"])) for i, s in enumerate(sets)}
     distinct[frozenset(columns)] = min(distinct[frozenset(columns)], got.n) if got.n else 0
     bound = [(i, s) for i, s in enumerate(ordered) if len(s) < len(columns)]

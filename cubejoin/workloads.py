@@ -79,6 +79,14 @@ def stored_graph(spark: SparkSession, sf_dir: str, name: str, undirected: bool =
 
 
 def fact(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Lines with their order's customer, as a table in the shared folder: several relations project it."""
+    key = (spark.sparkContext.applicationId, sf_dir, "fact")
+    if key not in _STORED:
+        _STORED[key] = written(spark, _fact(spark, sf_dir), "fact")
+    return _STORED[key]
+
+
+def _fact(spark: SparkSession, sf_dir: str) -> DataFrame:
     lines = table(spark, sf_dir, "lineitem").select("l_orderkey", "l_partkey", "l_suppkey", "l_linenumber", F.col("l_quantity").cast("int").alias("qty"), "l_returnflag")
     orders = table(spark, sf_dir, "orders").select("o_orderkey", "o_custkey")
     return lines.join(orders, F.col("l_orderkey") == F.col("o_orderkey"))
