@@ -25,6 +25,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from .textbatch import byte_class, slices
+from .workspace import Workspace
 
 LETTERS = byte_class(lambda b: 0x61 <= b <= 0x7A or b >= 0x80)
 
@@ -278,6 +279,10 @@ def training_segments(docs: DataFrame, settings: GruSettings) -> DataFrame:
     learn = docs.where((F.crc32(F.col("doc_id").cast("string")) % 4 != 2) & F.col("lang").isNotNull() & F.col("text").isNotNull())
     order = Window.partitionBy("lang").orderBy(F.xxhash64("doc_id", F.lit(settings.seed)), "doc_id")
     ids = learn.select("doc_id", "lang").distinct().withColumn("k", F.row_number().over(order)).where(F.col("k") <= settings.docs_per_language).select("doc_id", "lang")
+    work = Workspace(docs.sparkSession, "language")
+    ids = work.table("ids", ids)  # at most `docs_per_language` rows a language
+    if ids.count() <= 500_000:
+        ids = F.broadcast(ids)
     sample = learn.join(ids, ["doc_id", "lang"], "left_semi").select("doc_id", "lang", "text")
     cut = sample.mapInArrow(_segment_kernel(settings), "doc_id long, lang string, place long, segment binary")
     rank = Window.partitionBy("lang").orderBy(F.xxhash64("doc_id", "place", F.lit(settings.seed)), "segment")

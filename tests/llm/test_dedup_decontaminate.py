@@ -91,7 +91,7 @@ def corpus():
     return rows
 
 
-@pytest.mark.parametrize("chosen", [minhash_join.JoinSettings(), minhash_join.JoinSettings(direct=2, part=3), minhash_join.JoinSettings.for_similarity(80)])
+@pytest.mark.parametrize("chosen", [minhash_join.JoinSettings(direct=2, part=3), minhash_join.JoinSettings.for_similarity(80)])
 def test_components_match_brute_force(spark, corpus, chosen):
     frame = spark.createDataFrame(corpus, DOC).repartition(3)
     got = {r.doc_id: (r.n_shingles, r.component_id) for r in minhash_join.near_duplicates(spark, frame, chosen).collect()}
