@@ -18,16 +18,19 @@ def connected_components(work: Workspace, edges: DataFrame, label: str) -> DataF
     Each round every vertex moves to the neighbour (or itself) of smallest
     pseudo-random priority and edges are rewritten to the new names, so the
     number of vertices that still have edges shrinks geometrically whatever the
-    shape of the graph; sorted chains are no worst case.  Rounds run until no
-    edge is left.  All steps are joins and map-side-combined aggregates over
-    materialised tables; nothing is collected but one emptiness flag a round.
+    shape of the graph; sorted chains are no worst case.  Priorities hold for two
+    rounds: a star, whose leaves would halve a round under fresh ones, is one
+    vertex after two.  Rounds run until no edge is left; the moves, fewer each
+    round, are then composed from the last one back.  All steps are joins and
+    map-side-combined aggregates over materialised tables; nothing is collected
+    but one emptiness flag a round.
     """
     current = work.table(f"{label}_edges0", edges.select("a", "b").where("a <> b").distinct())
-    moves: DataFrame | None = None
-    turn = 0
+    steps: list[DataFrame] = []
     while not current.isEmpty():
+        turn = len(steps)
         both = current.union(current.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        rank = lambda c: F.xxhash64(F.col(c), F.lit(turn))
+        rank = lambda c: F.xxhash64(F.col(c), F.lit(turn // 2))
         best = both.groupBy("a").agg(F.min(F.struct(rank("b").alias("p"), F.col("b").alias("to"))).alias("m"))
         step = work.table(
             f"{label}_step{turn}",
@@ -40,15 +43,14 @@ def connected_components(work: Workspace, edges: DataFrame, label: str) -> DataF
             f"{label}_edges{turn + 1}",
             moved.select(F.least("ra", "rb").alias("a"), F.greatest("ra", "rb").alias("b")).distinct(),
         )
-        if moves is None:
-            moves = step
-        else:
-            later = step.select(F.col("node").alias("root"), F.col("root").alias("next"))
-            moves = work.table(f"{label}_moves{turn}", moves.join(later, "root", "left").select("node", F.coalesce("next", "root").alias("root")))
-            if turn > 1:
-                work.drop(f"{label}_moves{turn - 1}")
         work.drop(f"{label}_edges{turn}")
-        turn += 1
-    if moves is None:
+        steps.append(step)
+    if not steps:
         return current.select(F.col("a").alias("node"), F.col("b").alias("root"))
+    moves = steps[-1]
+    for step in reversed(steps[:-1]):
+        later = moves.select(F.col("node").alias("root"), F.col("root").alias("next"))
+        moves = step.join(later, "root", "left").select("node", F.coalesce("next", "root").alias("root"))
+    moves = work.table(f"{label}_moves", moves)
+    work.drop(*(f"{label}_step{k}" for k in range(len(steps))))
     return moves

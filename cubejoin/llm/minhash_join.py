@@ -386,8 +386,11 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, settings: JoinSettings
     work.drop("crowd_sets", "placed", "pivots", "tokens", "prefix_rows")
     second = _confirm(work, "second", docs, classes, briefs, rest, settings)
 
-    final = connected_components(work, first.union(second), "final_cc")
-    joined = classes.select("class_id", *key, "lead").join(final.select(F.col("node").alias("class_id"), "root"), "class_id", "left").withColumn("group_id", F.coalesce("root", "class_id"))
+    # The first components are single vertices of what the second links join.
+    ends = second.join(root.select(F.col("class_id").alias("a"), F.col("root").alias("ra")), "a", "left").join(root.select(F.col("class_id").alias("b"), F.col("root").alias("rb")), "b", "left")
+    final = connected_components(work, ends.select(F.coalesce("ra", "a").alias("a"), F.coalesce("rb", "b").alias("b")), "final_cc")
+    joined = classes.select("class_id", *key, "lead").join(root, "class_id", "left").withColumn("first_id", F.coalesce("root", "class_id")).drop("root")
+    joined = joined.join(final.select(F.col("node").alias("first_id"), "root"), "first_id", "left").withColumn("group_id", F.coalesce("root", "first_id"))
     joined = work.table("joined", joined.select(*key, "lead", "group_id"))
     named = joined.groupBy("group_id").agg(F.min("lead").alias("component_id"))
     placed_classes = work.table("placed_classes", joined.drop("lead").join(named, "group_id"))
