@@ -11,7 +11,7 @@ that share at least ``match`` of ``coordinates`` tokens share one within their
 first ``coordinates - match + 1``, so only those are posted.
 
 *skip*: a posting list first joins its members to one pivot (its most typical
-member); of its pivots a member tries the one it collides with most.  Members
+member); of its pivots a member tries the ``tries`` it collides with most.  Members
 which fall into the pivot's component need no further comparison with each
 other; only the others meet the rest of the list, and a one-bit sketch drops
 most of these meetings inside the join.  In lists of more than ``direct``
@@ -19,7 +19,7 @@ members the others meet through the exact shingle sets instead: each set's
 rarest shingles (the necessary prefix of its Jaccard bound) are posted, a shared
 shingle counts only where its positions leave room for the overlap that a link
 needs, and long lists meet in parts of ``part`` members, each a task of its own.
-No list is cut short and no group emits all pairs.  ``direct`` and ``part``
+No list is cut short and no group emits all pairs.  ``tries``, ``direct`` and ``part``
 decide where the work is done, never which links are found.
 
 *count*: a candidate pair is kept if its signatures agree in at least ``match``
@@ -59,6 +59,7 @@ class JoinSettings:
     coordinates / match: signature length and the collisions that make a candidate.
     sketch_distance: largest Hamming distance of the 64 one-bit sketches of a candidate.
     bucket_bits: size (2**bits counters, fixed) of the frequency sketches.
+    tries: pivots that a member is compared with before lists meet; the rest meets all the same.
     direct: posting lists up to this length compare their stray members directly.
     part: members of a part of a long list of set tokens.
     """
@@ -68,6 +69,7 @@ class JoinSettings:
     match: int = 36
     sketch_distance: int = 18
     bucket_bits: int = 20
+    tries: int = 3
     direct: int = 16
     part: int = 512
     seed: int = 7
@@ -364,7 +366,9 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, settings: JoinSettings
     pivots = posted.groupBy("token").agg(F.max(F.struct("typical", "id", "n", "sketch")).alias("p"), F.count("*").alias("held")).where("held > 1")
     pivots = work.table("pivots", pivots.select("token", F.col("p.id").alias("pivot"), F.col("p.n").alias("pivot_n"), F.col("p.sketch").alias("pivot_sketch"), "held"))
     stars = posted.select("token", "id", "n", "sketch").join(pivots, "token").where((F.col("id") != F.col("pivot")) & alike("sketch", "pivot_sketch", "n", "pivot_n"))
-    best = stars.groupBy("id", "pivot").agg(F.count("*").alias("c")).groupBy("id").agg(F.max(F.struct("c", "pivot")).alias("m"))
+    # An id has at most one pivot for each posted coordinate.
+    tried = stars.groupBy("id", "pivot").agg(F.count("*").alias("c")).groupBy("id").agg(F.sort_array(F.collect_list(F.struct("c", "pivot")), asc=False).alias("m"))
+    best = tried.select("id", F.explode(F.slice("m", 1, settings.tries)).alias("m"))
     stars = work.table("stars", best.select(F.least("id", "m.pivot").alias("a"), F.greatest("id", "m.pivot").alias("b")).distinct())
     first = _confirm(work, "first", docs, classes, briefs, stars, settings)
     grouped = connected_components(work, first, "first_cc")
