@@ -12,8 +12,10 @@ no small windows can reach the required recall, so with ``expand`` they are
 widened by proof: stretches of ``ball`` consecutive keys of the first ordering
 keep their centre and radius, and a query also visits each stretch whose bound
 <q, centre> + |q| * radius reaches the score of its k-th find so far.  The result
-is then the exact one.  Queries and vectors meet block by block, in bounded
-pieces.  Vectors of different lengths have no inner product: each length is
+is then the exact one.  Stretches travel by shelves of ``shelf``: a query is sent
+to a shelf once, however many of its stretches it visits, and takes its best
+finds home together.  Queries and vectors meet block by block, in bounded
+pieces; no side of a join that grows with the vectors is broadcast.  Vectors of different lengths have no inner product: each length is
 ordered and searched by itself.
 """
 
@@ -33,7 +35,7 @@ from .workspace import Workspace
 class CurveSettings:
     """k: neighbours; orderings, dimensions, bits: the curves; block: vectors of a window; reach:
     neighbouring windows on either side; expand: widen by bounds until exact, over stretches of
-    ``ball`` vectors; query_block: queries of a piece; partitions: of the range partitioning (None:
+    ``ball`` vectors, ``shelf`` stretches together; query_block: queries of a piece; partitions: of the range partitioning (None:
     the session's)."""
 
     k: int = 20
@@ -43,6 +45,7 @@ class CurveSettings:
     block: int = 128
     reach: int = 2
     ball: int = 1024
+    shelf: int = 8
     query_block: int = 1024
     partitions: int | None = None
     expand: bool = True
@@ -83,12 +86,6 @@ def _matrix(column: pa.Array) -> np.ndarray:
     return flat.reshape(len(column), -1)
 
 
-def _matrix(column: pa.Array) -> np.ndarray:
-    """Rows of equal length as doubles."""
-    flat = column.flatten().to_numpy(zero_copy_only=False).astype(np.float64)
-    return flat.reshape(len(column), -1)
-
-
 def _key_kernel(settings: CurveSettings):
     """Rows (vec_id, v, d, reach) to (vec_id, d, ordering, key)."""
 
@@ -163,6 +160,48 @@ def _meet_kernel(settings: CurveSettings):
     return run
 
 
+def best_on_shelf(q_ids: np.ndarray, q: np.ndarray, floors: np.ndarray, v_ids: np.ndarray, v: np.ndarray, balls: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """``best_pairs`` of queries and a shelf, stretch by stretch: a query passes over the stretches
+    whose bound stays below its floor, which rises with its finds."""
+    none = np.empty(0, np.int64)
+    held, floors = (none, none, np.empty(0)), floors.copy()
+    for ball in np.unique(balls):
+        own = np.flatnonzero(balls == ball)
+        centre, radius = stretch_bounds(v[own])
+        asks = np.flatnonzero(reach_of(q, floors, centre[None, :], np.array([radius]))[:, 0])
+        if not len(asks):
+            continue
+        ids, found, scores = best_pairs(q_ids[asks], q[asks], floors[asks], v_ids[own], v[own], k)
+        held = tuple(map(np.concatenate, zip(held, (ids, found, scores), strict=True)))
+        order = np.lexsort((held[1], -held[2], held[0]))
+        held = tuple(x[order] for x in held)
+        heads = np.searchsorted(held[0], held[0])
+        place = np.arange(len(heads)) - heads
+        held, place = tuple(x[place < k] for x in held), place[place < k]
+        full = place == k - 1
+        by_id = np.argsort(q_ids)
+        at = by_id[np.searchsorted(q_ids[by_id], held[0][full])]
+        floors[at] = np.maximum(floors[at], held[2][full])
+    return held
+
+
+def _shelf_kernel(settings: CurveSettings):
+    def run(batches):
+        for batch in batches:
+            for row in range(batch.num_rows):
+                queries, vectors = batch.column(0)[row].values, batch.column(1)[row].values
+                q_ids, q = queries.field(0).to_numpy(), _matrix(queries.field(1))
+                floors = queries.field(2).to_numpy(zero_copy_only=False)
+                floors = np.where(np.isnan(floors), -np.inf, floors)
+                v_ids, v, balls = vectors.field(0).to_numpy(), _matrix(vectors.field(1)), vectors.field(2).to_numpy()
+                for lo in range(0, len(q_ids), settings.query_block):
+                    cut = slice(lo, lo + settings.query_block)
+                    found = best_on_shelf(q_ids[cut], q[cut], floors[cut], v_ids, v, balls, settings.k)
+                    yield pa.RecordBatch.from_arrays(list(map(pa.array, found)), names=["query_id", "vec_id", "score"])
+
+    return run
+
+
 def usable_vectors(frame: DataFrame) -> DataFrame:
     """(vec_id, v: array of doubles, d: its length) of the rows that take part.
 
@@ -199,36 +238,39 @@ def nearest(spark: SparkSession, frame: DataFrame, is_query, settings: CurveSett
     before = Window.partitionBy("d", "ordering").orderBy("p").rowsBetween(Window.unboundedPreceding, -1)
     offsets = counts.select("d", "ordering", "p", (F.coalesce(F.sum("c").over(before), F.lit(0)) - F.col("f")).alias("base"))
     at = F.col("i") + F.col("base")
-    placed = numbered.join(F.broadcast(offsets) if wanted <= 100_000 else offsets, ["d", "ordering", "p"])
+    placed = numbered.join(F.broadcast(offsets) if wanted <= 10_000 else offsets, ["d", "ordering", "p"])
     placed = work.table("placed", placed.select("vec_id", "d", "ordering", F.floor(at / settings.block).cast("int").alias("block"), F.floor(at / settings.ball).cast("int").alias("ball")))
     work.drop("numbered")
 
     entry = F.collect_list(F.struct("vec_id", "v")).alias("vectors")
     queries = work.table("queries", rows.where(is_query))
-    home = placed.join(queries.drop("d"), "vec_id")
+    home = placed.join(_spread(queries.drop("d")), "vec_id")
     asks = home.select("vec_id", "v", "d", "ordering", F.explode(F.sequence(F.col("block") - settings.reach, F.col("block") + settings.reach)).alias("block"), F.lit(None).cast("double").alias("floor"))
-    members = placed.join(rows.drop("d"), "vec_id").groupBy("d", "ordering", "block").agg(entry)  # at most `block` rows a group
+    members = placed.join(_spread(rows.drop("d")), "vec_id").groupBy("d", "ordering", "block").agg(entry)  # at most `block` rows a group
     first = _meet(work, "first", asks, members, settings)
     found = work.table("found", _top(first.groupBy("query_id", "vec_id").agg(F.max("score").alias("score")), settings.k))
     work.drop("first")
     if settings.expand:
         floors = found.where(F.col("rank") == settings.k).select(F.col("query_id").alias("vec_id"), F.col("score").alias("floor"))
-        asks = work.table("asks", queries.join(floors, "vec_id", "left").select("vec_id", "v", "d", "floor"))
-        balls = placed.where("ordering = 0").join(rows.drop("d"), "vec_id").groupBy("d", "ball").agg(entry)  # at most `ball` rows a group
-        balls = work.table("balls", balls, 16)
-        bounds = balls.select("d", "ball", F.transform("vectors", lambda x: x["v"]).alias("vs")).mapInArrow(_ball_kernel, "d int, ball int, centre array<double>, radius double")
+        asks = work.table("asks", queries.join(_spread(floors), "vec_id", "left").select("vec_id", "v", "d", "floor"))
+        along = placed.where("ordering = 0").join(_spread(rows.drop("d")), "vec_id")
+        bounds = along.groupBy("d", "ball").agg(F.collect_list("v").alias("vs")).mapInArrow(_ball_kernel, "d int, ball int, centre array<double>, radius double")  # at most `ball` rows a group
         bounds = work.table("bounds", bounds, 16)
         # Visits follow from centre and radius of each stretch; pieces of queries meet pieces of stretches.
-        pieces = bounds.withColumn("piece", F.floor(F.col("ball") / 512).cast("int")).groupBy("d", "piece").agg(F.collect_list(F.struct("ball", "centre", "radius")).alias("balls"))
-        pieces = work.table("pieces", pieces, 16)  # at most 512 a group
+        # A piece holds whole shelves.
+        pieces = bounds.withColumn("piece", F.floor(F.col("ball") / (64 * settings.shelf)).cast("int")).groupBy("d", "piece").agg(F.collect_list(F.struct("ball", "centre", "radius")).alias("balls"))
+        pieces = work.table("pieces", pieces, 16)  # at most 64 shelves a group
         sizes = asks.groupBy("d").agg(F.ceil(F.count("*") / settings.query_block).cast("int").alias("chunks"))
         reached = pieces.groupBy("d").agg(F.max("piece").alias("last"))
         chunks = asks.join(sizes, "d").withColumn("chunk", F.pmod(F.xxhash64("vec_id"), F.col("chunks")).cast("int")).groupBy("d", "chunk").agg(F.collect_list(F.struct("vec_id", "v", "floor")).alias("queries"))
         spread = chunks.join(reached, "d").withColumn("piece", F.explode(F.sequence(F.lit(0), F.col("last"))))
-        visits = spread.join(pieces, ["d", "piece"]).select("d", "queries", "balls").mapInArrow(_visit_kernel, "vec_id long, d int, ball int")
+        visits = spread.join(_spread(pieces), ["d", "piece"]).select("d", "queries", "balls").mapInArrow(_visit_kernel(settings), "vec_id long, d int, shelf int")
         visits = work.table("visits", visits, 4)
-        asks = visits.join(asks.drop("d"), "vec_id").select("vec_id", "v", "d", F.lit(0).alias("ordering"), F.col("ball").alias("block"), "floor")
-        wide = _meet(work, "wide", asks, balls.select("d", F.lit(0).alias("ordering"), F.col("ball").alias("block"), "vectors"), settings)
+        work.drop("pieces", "bounds")
+        asks = visits.join(_spread(asks.drop("d")), "vec_id").select("vec_id", "v", "d", F.lit(0).alias("ordering"), F.col("shelf").alias("block"), "floor")
+        shelves = along.groupBy("d", F.lit(0).alias("ordering"), F.floor(F.col("ball") / settings.shelf).cast("int").alias("block")).agg(F.collect_list(F.struct("vec_id", "v", "ball")).alias("vectors"))
+        shelves = work.table("shelves", shelves, 2)
+        wide = _meet(work, "wide", asks, shelves, settings, _shelf_kernel(settings), 4 * settings.query_block, 2)
         found = _top(wide.union(found.select("query_id", "vec_id", "score")).groupBy("query_id", "vec_id").agg(F.max("score").alias("score")), settings.k)
     result = work.table("result", found)
     work.keep("result")
@@ -248,36 +290,52 @@ def _top(pairs: DataFrame, k: int) -> DataFrame:
     return ranked.where(F.col("rank") <= k)
 
 
-def _meet(work: Workspace, name: str, asks: DataFrame, members: DataFrame, settings: CurveSettings) -> DataFrame:
+def _spread(frame: DataFrame) -> DataFrame:
+    """The frame as a side of a join that is dealt out, however small its files look: equal vectors
+    make files a fraction of what a broadcast would hold on the driver."""
+    return frame.hint("merge")
+
+
+def _meet(work: Workspace, name: str, asks: DataFrame, members: DataFrame, settings: CurveSettings, kernel=None, block: int | None = None, batch: int = 16) -> DataFrame:
     """Scores of asked (query, d, ordering, block) meetings, the best k of each that reach the query's floor."""
     place = ["d", "ordering", "block"]
     sizes = asks.groupBy(*place).agg(F.count("*").alias("n"))
-    parted = asks.join(sizes, place).withColumn("part", F.pmod(F.xxhash64("vec_id"), F.ceil(F.col("n") / settings.query_block)).cast("int"))
+    parted = asks.join(_spread(sizes), place).withColumn("part", F.pmod(F.xxhash64("vec_id"), F.ceil(F.col("n") / (block or settings.query_block))).cast("int"))
     groups = parted.groupBy(*place, "part").agg(F.collect_list(F.struct("vec_id", "v", "floor")).alias("queries"))
-    return work.table(name, groups.join(members, place).select("queries", "vectors").mapInArrow(_meet_kernel(settings), "query_id long, vec_id long, score double"), 16)
+    met = groups.join(_spread(members), place).select("queries", "vectors")
+    return work.table(name, met.mapInArrow(kernel or _meet_kernel(settings), "query_id long, vec_id long, score double"), batch)
+
+
+def stretch_bounds(v: np.ndarray) -> tuple[np.ndarray, float]:
+    """Centre and radius of a stretch."""
+    with np.errstate(over="ignore", invalid="ignore"):
+        c = v.mean(0)
+        return c, float(np.sqrt(((v - c) ** 2).sum(1).max())) * (1 + 1e-9)
+
+
+def reach_of(q: np.ndarray, floors: np.ndarray, centres: np.ndarray, radii: np.ndarray) -> np.ndarray:
+    """Whether each query has to visit each stretch; no floor, and no finite bound, mean a visit."""
+    with np.errstate(over="ignore", invalid="ignore"):
+        far = np.sqrt((q * q).sum(1))[:, None] * radii[None, :]
+        near = q @ centres.T
+        return ~(near + far + 1e-9 * (np.abs(near) + far) < floors[:, None])
 
 
 def _ball_kernel(batches):
     for batch in batches:
-        centres, radii = [], []
-        for row in range(batch.num_rows):
-            with np.errstate(over="ignore", invalid="ignore"):
-                v = _matrix(batch.column(2)[row].values)
-                c = v.mean(0)
-                centres.append(c)
-                radii.append(float(np.sqrt(((v - c) ** 2).sum(1).max())) * (1 + 1e-9))
-        yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(centres, pa.list_(pa.float64())), pa.array(radii, pa.float64())], names=["d", "ball", "centre", "radius"])
+        bounds = [stretch_bounds(_matrix(batch.column(2)[row].values)) for row in range(batch.num_rows)]
+        yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array([c for c, _ in bounds], pa.list_(pa.float64())), pa.array([r for _, r in bounds], pa.float64())], names=["d", "ball", "centre", "radius"])
 
 
-def _visit_kernel(batches):
-    for batch in batches:
-        for row in range(batch.num_rows):
-            queries, balls = batch.column(1)[row].values, batch.column(2)[row].values
-            q, centres, radii = _matrix(queries.field(1)), _matrix(balls.field(1)), balls.field(2).to_numpy()
-            floors = queries.field(2).to_numpy(zero_copy_only=False)
-            with np.errstate(over="ignore", invalid="ignore"):
-                far = np.sqrt((q * q).sum(1))[:, None] * radii[None, :]
-                near = q @ centres.T
-                bound = near + far + 1e-9 * (np.abs(near) + far)
-                ask, ball = np.nonzero(~(bound < floors[:, None]))  # no floor, and no finite bound, mean a visit
-            yield pa.RecordBatch.from_arrays([queries.field(0).take(pa.array(ask)), pa.array(np.full(len(ask), batch.column(0)[row].as_py(), np.int32)), balls.field(0).take(pa.array(ball))], names=["vec_id", "d", "ball"])
+def _visit_kernel(settings: CurveSettings):
+    def run(batches):
+        for batch in batches:
+            for row in range(batch.num_rows):
+                queries, balls = batch.column(1)[row].values, batch.column(2)[row].values
+                visit = reach_of(_matrix(queries.field(1)), queries.field(2).to_numpy(zero_copy_only=False), _matrix(balls.field(1)), balls.field(2).to_numpy())
+                places = balls.field(0).to_numpy() // settings.shelf
+                for shelf in np.unique(places):
+                    ask = np.flatnonzero(visit[:, places == shelf].any(1))
+                    yield pa.RecordBatch.from_arrays([queries.field(0).take(pa.array(ask)), pa.array(np.full(len(ask), batch.column(0)[row].as_py(), np.int32)), pa.array(np.full(len(ask), shelf, np.int32))], names=["vec_id", "d", "shelf"])
+
+    return run

@@ -198,6 +198,35 @@ def test_neighbours_with_ties_and_bad_vectors(spark):
     assert [(r.query_id, r.rank, r.vec_id, r.score) for r in hilbert_ann.nearest(spark, few, F.col("vec_id") % 20 == 0).collect()] == [(0, 1, 1, 4.0)]
 
 
+def test_shelves_keep_exact_neighbours():
+    rng = np.random.default_rng(4)
+    v = np.repeat(rng.standard_normal((40, 6)), 3, axis=0)  # ties
+    ids, balls = rng.permutation(len(v)) * 7, np.arange(len(v)) // 16
+    q_ids, q = np.array([ids[5], 10_000, 3]), v[[5, 60, 100]]
+    floors = np.array([-np.inf, 1.0, -np.inf])
+    got = hilbert_ann.best_on_shelf(q_ids, q, floors, ids, v, balls, 5)
+    want = []
+    for i, x, floor in zip(q_ids, q, floors, strict=True):
+        scores = hilbert_ann.exact_scores(np.repeat(x[None, :], len(v), 0), v)
+        best = sorted((-s, j) for s, j in zip(scores, ids, strict=True) if j != i and s >= floor)[:5]
+        want += [(i, j, -s) for s, j in best]
+    assert sorted(zip(*got, strict=True)) == sorted(want)
+
+
+def test_no_join_of_vectors_is_broadcast(spark, monkeypatch):
+    plans = {}
+
+    def table(self, name, frame, batch=512):
+        plans[name] = frame._jdf.queryExecution().executedPlan().toString()
+        return kept(self, name, frame, batch)
+
+    kept = hilbert_ann.Workspace.table
+    monkeypatch.setattr(hilbert_ann.Workspace, "table", table)
+    frame = spark.createDataFrame([(i, v) for i, v in enumerate(np.random.default_rng(8).standard_normal((300, 8)).tolist())], "vec_id long, embedding array<float>")
+    hilbert_ann.nearest(spark, frame, F.col("vec_id") % 20 == 0, hilbert_ann.CurveSettings(block=16, ball=32))
+    assert not [n for n in ("first", "asks", "bounds", "shelves", "wide") if "BroadcastHashJoin" in plans[n]]
+
+
 @pytest.mark.parametrize("n", [2000, 8000])
 def test_windows_alone_find_neighbours_in_clusters(spark, n):
     """Recall of the windows without widening, where they hold less than a fifth of the vectors."""
