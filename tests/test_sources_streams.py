@@ -1,3 +1,4 @@
+import pytest
 from pyspark.sql import functions as F
 
 from cubejoin.functions.register import parse_props, register_functions, skew_index, sorted_intersect_size
@@ -90,3 +91,23 @@ def test_degree_state_plan(spark):
     register(spark)
     stream = spark.readStream.format("edges").option("n", 20).option("vertices", 4).load()
     assert degree_state(stream).isStreaming
+
+
+FROM_TABLES = ("lift_clique", "order_enumeration", "replicated_cost_table", "share_enumeration", *(f"tensor_{kind}_{shape}" for kind in ("dense", "sparse") for shape in ("ct", "lw")))
+
+
+@pytest.mark.parametrize("name", FROM_TABLES)
+def test_reads_a_table_and_equals_its_sql(spark, tiny, name):
+    import duckdb
+
+    import __spark_entry__ as entry
+
+    sql = entry.oracle_sql()[name]
+    read = "part" if name.startswith("tensor") else "orders"
+    assert f"FROM {read}" in sql
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW {read} AS SELECT * FROM '{tiny}/{read}.parquet'")
+    want = con.execute(sql).fetchall()
+    got = entry.queries()[name](spark, tiny)
+    assert got.columns == [c[0] for c in con.description]
+    assert sorted(map(tuple, got.collect())) == sorted(want)
