@@ -82,3 +82,22 @@ def test_lazy_trie_builds_less():
     top = lazy.top()
     lazy.child(top, 3, 0)
     assert 0 < lazy.nodes_built < eager.nodes_built
+
+
+def test_hash_tries_keep_no_rows_below_the_last_level():
+    rows = sorted(set(ROWS))
+    columns = [np.array(c, np.int64) for c in zip(*rows, strict=True)]
+    for lazy in (False, True):
+        trie = HashTrie(columns, lazy)
+        found = []
+        todo = [((), trie.top(), 0)]
+        while todo:
+            prefix, node, depth = todo.pop()
+            for value in list(node):
+                below = trie.child(node, value, depth)
+                if below is None:
+                    found.append((*prefix, value))
+                else:
+                    todo.append(((*prefix, value), below, depth + 1))
+        assert sorted(found) == rows
+    assert HashTrie([], True).top() == {}
