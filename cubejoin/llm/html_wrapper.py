@@ -64,7 +64,6 @@ IMPLIED = {
 }
 _TAG = re.compile(r"""<!--(?:>|->|.*?(?:--!?>|\Z))|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:[^>"']+|"[^"]*"|'[^']*'|["'])*?)(?:>|\Z)""", re.S)
 _ATTRIBUTE = re.compile(r"""([^\s=/"'>]+)(?:\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s"'>]+)))?""")
-_BLANKS = re.compile(r"\s+")
 _WORDS = re.compile(r"[A-Z]?[a-z]+|[A-Z]+")
 
 
@@ -176,20 +175,22 @@ class Dom:
 
     def _parse(self, source: str) -> None:
         at, open_node = 0, 0
-        tags, parents, texts = self.tags, self.parents, self.texts
+        tags, parents, texts, search = self.tags, self.parents, self.texts, _TAG.search
         end = len(source)
         while at < end:
-            m = _TAG.search(source, at)
+            m = search(source, at)
             if m is None:
                 texts.append((open_node, source[at:]))
                 break
-            if m.start() > at:
-                texts.append((open_node, source[at : m.start()]))
-            at = m.end()
-            if m[2] is None:
+            start, after = m.span()
+            if start > at:
+                texts.append((open_node, source[at:start]))
+            at = after
+            closing, name, attributes = m.group(1, 2, 3)
+            if name is None:
                 continue
-            tag = m[2].lower()
-            if m[1]:
+            tag = name.lower()
+            if closing:
                 node = open_node
                 while node > 0 and tags[node] != tag:
                     node = parents[node]
@@ -215,12 +216,12 @@ class Dom:
                     node = parents[node]
                 if found > 0:
                     open_node = parents[found]
-            node = self._add(tag, open_node, m[3])
+            node = self._add(tag, open_node, attributes)
             if tag in BLOCK:
                 texts.append((node, None))
             if tag == "br":
                 texts.append((node, " "))
-            if tag in VOID or m[3].endswith("/") and tag not in BLOCK and tag not in RAW:
+            if tag in VOID or attributes.endswith("/") and tag not in BLOCK and tag not in RAW:
                 continue
             if tag in RAW:
                 close = re.compile(f"</{re.escape(tag)}(?=[\\s/>])[^>]*(?:>|\\Z)", re.I).search(source, at)
@@ -232,8 +233,9 @@ class Dom:
         """A number per node, equal for subtrees of equal structure."""
         if not self.shapes:
             shapes = [0] * len(self.tags)
-            for node in range(len(self.tags) - 1, -1, -1):
-                shapes[node] = hash((self.tags[node], tuple(shapes[c] for c in self.children[node])))
+            tags, children = self.tags, self.children
+            for node in range(len(tags) - 1, -1, -1):
+                shapes[node] = hash((tags[node], tuple([shapes[c] for c in children[node]])))
             self.shapes = shapes
         return self.shapes
 
@@ -283,14 +285,14 @@ class Dom:
         out: list[tuple[int, str, float]] = []
         parts: list[str] = []
         first, linked = -1, 0
-        links = [False] * len(self.tags)
-        for x in range(1, len(self.tags)):
-            links[x] = links[self.parents[x]] or self.tags[x] == "a"
+        links: list[bool] = []
+        for tag, parent in zip(self.tags, self.parents, strict=True):
+            links.append(tag == "a" or (parent >= 0 and links[parent]))
         for node, text in [*self.texts, (0, None)]:
             if text is None:
                 if parts:
                     raw = "".join(parts)
-                    clean = _BLANKS.sub(" ", html.unescape(raw)).strip()
+                    clean = " ".join(html.unescape(raw).split())
                     if clean:
                         out.append((first, clean, linked / len(raw)))
                     parts, first, linked = [], -1, 0
@@ -370,11 +372,11 @@ def tree_matching(page: Dom, model: Dom) -> dict[int, int]:
     while open_pairs:
         x, y = open_pairs.pop()
         found[x] = y
-        open_pairs += [(page.children[x][i], model.children[y][j]) for i, j in solved[a[x], b[y]][1] if (a[page.children[x][i]], b[model.children[y][j]]) in solved or a[page.children[x][i]] == b[model.children[y][j]]]
-        for i, j in solved[a[x], b[y]][1]:
-            u, v = page.children[x][i], model.children[y][j]
-            if (a[u], b[v]) not in solved:
-                solved[a[u], b[v]] = (sizes[u], [(k, k) for k in range(len(page.children[u]))])
+        left, right = page.children[x], model.children[y]
+        if a[x] == b[y]:  # equal structures align child by child
+            open_pairs += zip(left, right, strict=True)
+        else:
+            open_pairs += [(left[i], right[j]) for i, j in solved[a[x], b[y]][1]]
     return found
 
 

@@ -1,5 +1,6 @@
 import functools
 import random
+import re
 import zlib
 
 import numpy as np
@@ -383,3 +384,29 @@ def test_tree_matching_is_optimal_on_small_trees():
         found = html_wrapper.tree_matching(a, b)
         assert len(found) == size(a, b)
         assert len(set(found.values())) == len(found)
+
+
+def test_aligned_nodes_are_read_once():
+    """Subtrees of one structure are walked child by child, not pair by pair."""
+    reads = []
+
+    class Counted(list):
+        def __getitem__(self, at):
+            reads.append(at)
+            return super().__getitem__(at)
+
+    page = html_wrapper.Dom("<div>" + "<p><b>a</b> x<i>y</i></p>" * 30 + "<h1>t</h1></div><ul><li>a</ul>")
+    model = html_wrapper.Dom("<div>" + "<p><b>c</b> z<i>w</i></p>" * 30 + "<h1>u</h1></div>")
+    page.shape(), page.subtree_sizes()
+    page.children = Counted(page.children)
+    assert html_wrapper.tree_matching(page, model) == {k: k for k in range(len(model.tags))}
+    assert len(reads) <= 2 * len(page.tags)
+
+
+def test_blanks_inside_a_block_are_one_space():
+    import sys
+
+    from cubejoin.llm.html_wrapper import Dom
+
+    blanks = "".join(c for c in map(chr, range(1, sys.maxunicode + 1)) if re.fullmatch(r"\s", c))
+    assert [t for _, t, _ in Dom(f"<p>{blanks}a{blanks}&nbsp;b{blanks}</p>").linked_blocks()] == ["a b"]
