@@ -18,7 +18,10 @@ most of these meetings inside the join.  In lists of more than ``direct``
 members the others meet through the exact shingle sets instead: each set's
 rarest shingles (the necessary prefix of its Jaccard bound) are posted, a shared
 shingle counts only where its positions leave room for the overlap that a link
-needs, and long lists meet in parts of ``part`` members, each a task of its own.
+needs and the sets' parities (the sum modulo 2 of the images of a set in
+``PARITY_BITS`` places, of which two sets differ in no more places than they have
+shingles apart) do not exclude it, and long lists meet in parts of ``part``
+members, each a task of its own.  Both bounds are exact and act inside the join.
 No list is cut short and no group emits all pairs.  ``tries``, ``direct`` and ``part``
 decide where the work is done, never which links are found.
 
@@ -37,7 +40,9 @@ from __future__ import annotations
 
 import hashlib
 from dataclasses import dataclass
+from functools import reduce
 from math import ceil, sqrt
+from operator import add
 
 import numpy as np
 import pyarrow as pa
@@ -49,6 +54,8 @@ from .textbatch import NON_BLANK, Words, gram_hashes, mix, slices
 from .workspace import Workspace, small_batches
 
 SHINGLE_WORDS = 5
+#: Fixed value: places of a set's parity, a multiple of 64.
+PARITY_BITS = 1024
 
 
 @dataclass(frozen=True)
@@ -266,6 +273,19 @@ def _set_prefix_kernel(settings: JoinSettings, frequencies):
     return run
 
 
+def _parity_kernel(batches):
+    """(id, one long for each 64 places) of sets."""
+    words = PARITY_BITS // 64
+    for batch in batches:
+        ids, ends, values = _set_rows(batch)
+        places = (values & np.uint64(PARITY_BITS - 1)).astype(np.int64)
+        parities = np.zeros((len(ids), words), np.int64)
+        for row in range(len(ids)):
+            odd = np.bincount(places[ends[row] : ends[row + 1]], minlength=PARITY_BITS) & 1
+            parities[row] = np.packbits(odd.astype(np.uint8)).view(np.int64)
+        yield pa.RecordBatch.from_arrays([pa.array(ids), *(pa.array(parities[:, k].copy()) for k in range(words))], names=["id", *(f"p{k}" for k in range(words))])
+
+
 def _sketch(spark: SparkSession, counted: DataFrame, settings: JoinSettings):
     """Broadcast counters of a (bucket, n) frame: a fixed size, whatever the corpus."""
     with small_batches(spark):
@@ -290,7 +310,7 @@ def _sets_of(docs: DataFrame, classes: DataFrame, wanted: DataFrame) -> DataFram
 
 
 def _set_prefix_pairs(work: Workspace, sets: DataFrame, roots: DataFrame, settings: JoinSettings) -> DataFrame:
-    """Pairs (a, b) of different roots which the exact prefix and position bounds cannot exclude."""
+    """Pairs (a, b) of different roots which the exact prefix, position and parity bounds cannot exclude."""
     spark = work.spark
     frequencies = _sketch(spark, sets.mapInArrow(_set_frequency_kernel(settings), "bucket int, n long"), settings)
     rows = sets.mapInArrow(_set_prefix_kernel(settings, frequencies), "token long, id long, rank int, n long")
@@ -299,14 +319,18 @@ def _set_prefix_pairs(work: Workspace, sets: DataFrame, roots: DataFrame, settin
     major = held.groupBy("token").agg(F.max(F.struct("c", "root")).alias("m"), F.count("*").alias("roots"), F.sum("c").alias("members")).where("roots > 1")
     parts = F.ceil(F.col("members") / settings.part).cast("int")
     major = work.table("majors", major.select("token", F.col("m.root").alias("major"), parts.alias("parts")))
-    marked = rows.join(major, "token")
-    stray = marked.where("root <> major").select("token", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"), F.col("id").alias("sid"), F.col("n").alias("sn"), F.col("rank").alias("srank"), F.col("root").alias("sroot"))
+    words = [f"p{k}" for k in range(PARITY_BITS // 64)]
+    parities = sets.mapInArrow(_parity_kernel, f"id long, {', '.join(f'{w} long' for w in words)}")
+    marked = work.table("marked_rows", rows.join(major, "token").join(parities, "id"))
+    stray = marked.where("root <> major").select("token", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"), F.col("id").alias("sid"), F.col("n").alias("sn"), F.col("rank").alias("srank"), F.col("root").alias("sroot"), *(F.col(w).alias(f"s{w}") for w in words))
     marked = marked.withColumn("part", F.pmod(F.xxhash64("id"), F.col("parts")).cast("int"))
     p = settings.similarity_percent
     room = F.least(F.col("n") - F.col("rank"), F.col("sn") - F.col("srank"))  # the shared shingle and all after it
     fits = (100 + p) * room >= p * (F.col("n") + F.col("sn"))
     sized = 100 * F.least("n", "sn") >= p * F.greatest("n", "sn")
-    meets = (F.col("sroot") != F.col("root")) & ((F.col("root") == F.col("major")) | (F.col("sid") < F.col("id"))) & sized & fits
+    apart = reduce(add, (F.bit_count(F.col(w).bitwiseXOR(F.col(f"s{w}"))) for w in words))  # no more than the shingles in one set only
+    near = (100 + p) * apart <= (100 - p) * (F.col("n") + F.col("sn"))
+    meets = (F.col("sroot") != F.col("root")) & ((F.col("root") == F.col("major")) | (F.col("sid") < F.col("id"))) & sized & fits & near
     return marked.join(stray, ["token", "part"]).where(meets).select(F.least("id", "sid").alias("a"), F.greatest("id", "sid").alias("b")).distinct()
 
 
@@ -387,7 +411,7 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, settings: JoinSettings
     crowd_sets = work.table("crowd_sets", _sets_of(docs, classes, crowd))
     many = _set_prefix_pairs(work, crowd_sets, root.withColumnRenamed("class_id", "id"), settings)
     rest = work.table("rest", few.union(many).distinct().join(stars, ["a", "b"], "left_anti"))
-    work.drop("crowd_sets", "placed", "pivots", "tokens", "prefix_rows")
+    work.drop("crowd_sets", "placed", "pivots", "tokens", "prefix_rows", "marked_rows")
     second = _confirm(work, "second", docs, classes, briefs, rest, settings)
 
     # The first components are single vertices of what the second links join.

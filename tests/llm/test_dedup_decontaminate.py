@@ -98,6 +98,24 @@ def test_components_match_brute_force(spark, corpus, chosen):
     assert got == brute_components(corpus, chosen.similarity_percent)
 
 
+def test_crowds_of_distant_copies_make_few_pairs(spark):
+    rng = random.Random(9)
+    base = [f"w{i}" for i in range(150)]
+    rows = []
+    for i in range(150):  # most have two edits of their own and link with nobody
+        copy = list(base)
+        for at in rng.sample(range(5, 145), 1 if i % 30 == 0 else 2):
+            copy[at] = f"new{rng.randrange(10**6)}"
+        rows.append((i, " ".join(copy)))
+    exact = {i: shingles(t) for i, t in rows}
+    links = {(a, b) for a in exact for b in exact if a < b and 100 * len(exact[a] & exact[b]) >= 85 * len(exact[a] | exact[b])}
+    sets = spark.createDataFrame(rows, "id long, text string").mapInArrow(minhash_join._set_kernel("text"), "id long, shingles array<long>")
+    roots = spark.createDataFrame([], "id long, root long")
+    chosen = minhash_join.JoinSettings()
+    pairs = {(r.a, r.b) for r in minhash_join._set_prefix_pairs(Workspace(spark, "t"), sets, roots, chosen).collect()}
+    assert links <= pairs and len(pairs) < len(links) + 1500  # of 11,175
+
+
 def test_rows_without_or_with_shared_ids(spark):
     base = [f"w{i}" for i in range(60)]
     a, b = " ".join(base), " ".join(f"v{i}" for i in range(60))
