@@ -4,7 +4,10 @@ Labelled credentials are gathered in a prefix tree with counts.  States whose
 outgoing frequencies agree within a Hoeffding bound (recursively) are merged,
 which turns the tree into a small probabilistic automaton.  Labels come from two
 sources: credentials drawn by a seeded generator from published formats, and
-the values of base spans in a bounded sample of the corpus.
+the values of base spans of the whole corpus.  Of the corpus only tables of fixed
+size reach the driver: the prefix tree's nodes that are frequent enough to be told
+apart, what follows below them pooled by pairs of neighbouring classes, the pairs of
+ordinary tokens, and a histogram of the gains of those that were held out.
 
 Two kinds of automata are inferred.  *Format automata* read a format's first
 ``literal`` places literally and character classes after that; they name known
@@ -26,7 +29,8 @@ import bisect
 import hashlib
 import math
 import re
-from dataclasses import dataclass, field
+from collections import Counter
+from dataclasses import dataclass, field, replace
 
 import numpy as np
 import pyarrow as pa
@@ -42,6 +46,8 @@ HEX = re.compile(r"[0-9a-f]+")
 KINDS = ("assign", "access", "hex")
 _CUES = (b"password", b"passwd", b"secret", b"token", b"api_key", b"apikey")
 _TOKEN = re.compile(r"[A-Za-z0-9+/_.=-]+")
+#: What every text with a base span holds.
+_HINT = re.compile(r"AKIA|[0-9a-f]{24}|password|passwd|secret|token|api_?key", re.A | re.I)
 _TOKEN_ALPHABET = "+/_.=-"
 #: Signs after which a credential may begin and before which it may end.
 _SEPARATORS = "=/+."
@@ -74,8 +80,9 @@ _PREFIX = re.compile("|".join(re.escape(prefix) for _, prefix, _, _ in FORMATS))
 class AutomatonSettings:
     """examples: labelled credentials per format; alpha: confidence parameter of the merge test;
     literal: places read literally; threshold: bits per character over the background that a known
-    format needs; documents, labelled, ordinary: bounds of the training sample (documents, distinct
-    values of base spans, distinct other tokens); margin: bits that the general automaton's
+    format needs; labelled: weight, in examples, of all the corpus's values of base spans together where
+    they are more; depth: places of the prefix tree (later ones are pooled); ordinary: generated
+    ordinary tokens; margin: bits that the general automaton's
     threshold lies above held-out ordinary tokens; trusted: share of the corpus's tokens that are
     taken for ordinary; miss: bits lost where it has no transition; seed."""
 
@@ -83,8 +90,8 @@ class AutomatonSettings:
     alpha: float = 0.05
     literal: int = 4
     threshold: float = 0.25
-    documents: int = 500
     labelled: int = 200
+    depth: int = 200
     ordinary: int = 6000
     margin: float = 4.0
     trusted: float = 0.97
@@ -107,11 +114,29 @@ class _State:
     next: dict = field(default_factory=dict)
 
 
+@dataclass(frozen=True)
+class Corpus:
+    """What training takes from the corpus, counted over all of it, in tables of fixed size.
+
+    nodes: (passed, ended) of the kept prefixes of labelled values, one letter a class; exits:
+    steps from a kept prefix (and a class) to one that is not kept; tail: steps after that, by two
+    neighbouring classes (-1: the end); pairs: neighbouring classes of ordinary tokens; gains:
+    (bin, tokens) of the best segments of the ordinary tokens held out.
+    """
+
+    nodes: dict[str, tuple[float, float]] = field(default_factory=dict)
+    exits: dict[tuple[str, int], float] = field(default_factory=dict)
+    tail: dict[tuple[int, int], float] = field(default_factory=dict)
+    pairs: np.ndarray | None = None
+    gains: tuple[tuple[int, int], ...] = ()
+
+
 class Automaton:
     """A probabilistic automaton; state 0 is the start."""
 
-    def __init__(self, samples: list[list[str]], alpha: float):
+    def __init__(self, samples: list[list[str]], alpha: float, corpus: Corpus | None = None):
         self.states = [_State()]
+        self.pooled: dict[int, int] = {}
         for sample in samples:
             at = 0
             self.states[0].passed += 1
@@ -124,14 +149,44 @@ class Automaton:
                 at = edge[0]
                 self.states[at].passed += 1
             self.states[at].ends += 1
-        self.bound = math.sqrt(0.5 * math.log(2 / alpha))
+        if corpus:
+            self._graft(corpus)
+        self.bound = merge_bound(alpha)
         self._merge_all()
 
+    def _graft(self, corpus: Corpus) -> None:
+        """Adds the corpus's tree; its pooled tails are states of their own, one a class."""
+        for c in {c for _, c in corpus.exits}.union(*corpus.tail) - {-1}:
+            self.pooled[c] = len(self.states)
+            self.states.append(_State())
+        where = {"": 0}
+        for prefix, (passed, ends) in sorted(corpus.nodes.items(), key=lambda x: (len(x[0]), x[0])):
+            if prefix:
+                following = self.states[where[prefix[:-1]]].next
+                edge = following.get(_class_at(prefix[-1]))
+                if edge is None:
+                    edge = following[_class_at(prefix[-1])] = [len(self.states), 0]
+                    self.states.append(_State())
+                edge[1] += passed
+                where[prefix] = edge[0]
+            self.states[where[prefix]].passed += passed
+            self.states[where[prefix]].ends += ends
+        for (prefix, c), n in sorted(corpus.exits.items()):
+            self.states[where[prefix]].next.setdefault(c, [self.pooled[c], 0])[1] += n
+        for (c, d), n in sorted(corpus.tail.items()):
+            state = self.states[self.pooled[c]]
+            state.passed += n
+            if d < 0:
+                state.ends += n
+            else:
+                state.next.setdefault(d, [self.pooled[d], 0])[1] += n
+
     def _differ(self, a: int, n: int, b: int, m: int) -> bool:
         return abs(a / n - b / m) > self.bound * (1 / math.sqrt(n) + 1 / math.sqrt(m))
 
     def _compatible(self, red: int, blue: int) -> bool:
         todo = [(red, blue)]
+        met = set(todo)
         while todo:
             i, j = todo.pop()
             p, q = self.states[i], self.states[j]
@@ -143,12 +198,14 @@ class Automaton:
                 e, f = p.next.get(s), q.next.get(s)
                 if self._differ(e[1] if e else 0, p.passed, f[1] if f else 0, q.passed):
                     return False
-                if e and f and e[0] != f[0]:
+                if e and f and e[0] != f[0] and (e[0], f[0]) not in met:  # pooled states may lead back
+                    met.add((e[0], f[0]))
                     todo.append((e[0], f[0]))
         return True
 
     def _fold(self, red: int, blue: int) -> None:
         todo = [(red, blue)]
+        pooled = set(self.pooled.values())
         while todo:
             i, j = todo.pop()
             p, q = self.states[i], self.states[j]
@@ -157,13 +214,13 @@ class Automaton:
             for s, (to, n) in q.next.items():
                 if s in p.next:
                     p.next[s][1] += n
-                    if p.next[s][0] != to:
+                    if p.next[s][0] != to and to not in pooled:  # those keep their own counts
                         todo.append((p.next[s][0], to))
                 else:
                     p.next[s] = [to, n]
 
     def _merge_all(self) -> None:
-        red = [0]
+        red = [0, *self.pooled.values()]
         while True:
             marked = set(red)
             blue = [(r, s) for r in red for s in sorted(self.states[r].next) if self.states[r].next[s][0] not in marked]
@@ -194,6 +251,11 @@ class Automaton:
         return total + math.log2(state.ends / state.passed) if state.ends else -math.inf
 
 
+def merge_bound(alpha: float) -> float:
+    """Factor of the Hoeffding bound; states passed by no more than its square cannot be told apart."""
+    return math.sqrt(0.5 * math.log(2 / alpha))
+
+
 def _class_of(byte: int) -> int:
     """Digit 0, upper 1, lower 2, the signs of ``_TOKEN_ALPHABET`` from 3 on, anything else -1."""
     c = chr(byte)
@@ -204,6 +266,34 @@ def _class_of(byte: int) -> int:
 
 _CLASSES = np.array([_class_of(b) for b in range(256)], np.int8)
 _START = 3 + len(_TOKEN_ALPHABET)
+_LETTERS = "abcdefghijklmnopqrstuvwxyz"
+#: Bins of a bit, and their number, of the histogram of gains.
+_BINS, _MOST_BINS = 64, 1 << 16
+
+
+def _class_at(letter: str) -> int:
+    return _LETTERS.index(letter)
+
+
+def _classes_of(token: str) -> np.ndarray:
+    return _CLASSES[np.frombuffer(token.encode(), np.uint8)].astype(np.int64)
+
+
+def _pattern(token: str) -> str:
+    """One letter a class."""
+    return "".join(map(_LETTERS.__getitem__, _classes_of(token).tolist()))
+
+
+def _pairs(tokens) -> np.ndarray:
+    """Counts of neighbouring classes (the start first) in tokens."""
+    counts = np.zeros((_START + 1, _START), np.int64)
+    for token in tokens:
+        at = np.concatenate(([_START], _classes_of(token)))
+        if (at >= 0).all():
+            np.add.at(counts, (at[:-1], at[1:]), 1)
+    return counts
+
+
 _SEPARATING = frozenset(3 + _TOKEN_ALPHABET.index(c) for c in _SEPARATORS)
 
 
@@ -241,9 +331,9 @@ def ordinary_tokens(n: int, seed: int) -> list[str]:
 class GeneralModel:
     """The automaton of all labelled credentials, the background of ordinary tokens, and the threshold."""
 
-    def __init__(self, credentials: list[str], ordinary: list[str], settings: AutomatonSettings):
+    def __init__(self, credentials: list[str], settings: AutomatonSettings, corpus: Corpus = Corpus()):
         kept = [c for c in credentials if c and all(_CLASSES[b] >= 0 for b in c.encode())]
-        automaton = Automaton([_CLASSES[np.frombuffer(c.encode(), np.uint8)].tolist() for c in kept], settings.alpha)
+        automaton = Automaton([_CLASSES[np.frombuffer(c.encode(), np.uint8)].tolist() for c in kept], settings.alpha, corpus)
         width, miss = _START, -settings.miss
         reach, todo = {0: 0}, [0]
         while todo:
@@ -265,18 +355,17 @@ class GeneralModel:
                     self.next[q, s] = first_next[s]
                     self.logs[q, s] = min(miss, miss + first_logs[s]) if first_logs[s] > miss - 4.0 else miss - 4.0
         made = ordinary_tokens(settings.ordinary, settings.seed)
-        learn = made[::2] + ordinary[::2]
-        counts = np.full((width + 1, width), 0.5)
-        for token in learn:
-            at = np.concatenate(([_START], _CLASSES[np.frombuffer(token.encode(), np.uint8)]))
-            if (at >= 0).all():
-                np.add.at(counts, (at[:-1], at[1:]), 1)
+        counts = 0.5 + _pairs(made[::2]) + (0 if corpus.pairs is None else corpus.pairs)
         self.background = np.log2(counts / counts.sum(1, keepdims=True))
         self._walk = self.next.tolist(), self.logs.tolist(), self.background.tolist()
-        best = lambda tokens: sorted(max((gain for _, _, gain in self.segments(t, 0.0)), default=0.0) for t in tokens)
+        self.threshold = max(map(self.best, made[1::2]), default=0.0) + settings.margin
         # Some of the corpus's own tokens may be credentials that no base span labels, so its best ones set no bar.
-        bars = [x[int(q * (len(x) - 1))] for x, q in ((best(made[1::2]), 1.0), (best(ordinary[1::2]), settings.trusted)) if x]
-        self.threshold = max(bars, default=0.0) + settings.margin
+        rank = int(settings.trusted * (sum(n for _, n in corpus.gains) - 1))
+        for at, n in sorted(corpus.gains):
+            if rank < n:
+                self.threshold = max(self.threshold, at / _BINS + settings.margin)
+                break
+            rank -= n
         # The most that a class can gain after another one, over all states that the walk may be in.
         entered = {s: {0} if s in _SEPARATING or s == _START else set() for s in range(width + 1)}
         for q in range(self.size):
@@ -284,6 +373,10 @@ class GeneralModel:
                 entered[s].add(int(self.next[q, s]))
         self.most = np.array([[max((self.logs[q, t] for q in entered[s]), default=-np.inf) - self.background[s, t] for t in range(width)] for s in range(width + 1)])
 
+    def best(self, token: str) -> float:
+        """The largest gain of a segment of a token."""
+        return max((gain for _, _, gain in self.segments(token, 0.0)), default=0.0)
+
     def segments(self, run: str, threshold: float | None = None) -> list[tuple[int, int, float]]:
         """(start, end, gain) of the best segments of a run of token characters, left to right.
 
@@ -337,10 +430,10 @@ class GeneralModel:
 class FormatModel:
     """One automaton per format kind and literal start, the general automaton, and the background.
 
-    ``labelled`` (values of base spans) and ``ordinary`` (other tokens) come from the corpus.
+    ``corpus`` holds what is counted in the corpus.
     """
 
-    def __init__(self, settings: AutomatonSettings = AutomatonSettings(), labelled: tuple[str, ...] = (), ordinary: tuple[str, ...] = ()):
+    def __init__(self, settings: AutomatonSettings = AutomatonSettings(), corpus: Corpus = Corpus()):
         self.settings = settings
         rng = np.random.Generator(np.random.PCG64(settings.seed))
         grouped: dict[tuple[str, str], list[str]] = {}
@@ -353,7 +446,7 @@ class FormatModel:
         self.dotted, self.dotted_shortest, dotted = self._dotted_jwt(rng)
         self.automata = [(kind, prefix, min(map(len, texts)), Automaton([symbols(t, max(settings.literal, len(prefix))) for t in texts], settings.alpha)) for (kind, prefix), texts in grouped.items()]
         some = [t for texts in grouped.values() for t in texts[: settings.examples // 4]] + dotted[: settings.examples // 4]
-        self.general = GeneralModel(some + list(labelled), list(ordinary), settings)
+        self.general = GeneralModel(some, settings, corpus)
 
     def _dotted_jwt(self, rng: np.random.Generator) -> tuple[Automaton, int, list[str]]:
         """Automaton of header.payload.signature tokens; each letter is met at the literal places."""
@@ -517,41 +610,112 @@ def _scan_kernel(shared):
     return run
 
 
-def _sample_kernel(batches):
-    """(label, value): values of base spans (1) and other tokens (0) of sampled documents."""
+def _token_kernel(batches):
+    """(label, value): values of base spans (1) and other tokens (0), those of a batch once."""
     for batch in batches:
-        found = set()
+        labelled, other = set(), set()
         for text in batch.column(0).to_pylist():
-            base = base_spans(text)
+            base = base_spans(text) if _HINT.search(text) else []
+            if not base:
+                other.update(_TOKEN.findall(text))
+                continue
             taken = _Spans(base)
-            for m in ASSIGN.finditer(text):
-                if len(m[2]) >= 6:
-                    found.add((1, m[2]))
-            found |= {(1, text[s:e]) for s, rank, e in base if rank}
-            found |= {(0, m[0]) for m in _TOKEN.finditer(text) if not taken.meets(m.start(), m.end())}
-        found = sorted(x for x in found if len(x[1]) <= 200)  # a bound of the sample only
-        yield pa.RecordBatch.from_arrays([pa.array([x[0] for x in found], pa.int32()), pa.array([x[1] for x in found], pa.string())], names=["label", "value"])
+            labelled.update(m[2] for m in ASSIGN.finditer(text) if len(m[2]) >= 6)
+            labelled.update(text[s:e] for s, rank, e in base if rank)
+            other.update(m[0] for m in _TOKEN.finditer(text) if not taken.meets(m.start(), m.end()))
+        yield pa.RecordBatch.from_arrays([pa.array([1] * len(labelled) + [0] * len(other), pa.int32()), pa.array([*labelled, *other], pa.string())], names=["label", "value"])
 
 
-def train(spark: SparkSession, docs: DataFrame, settings: AutomatonSettings = AutomatonSettings()) -> FormatModel:
-    """A model inferred from the formats and from a bounded sample of the corpus.
+def _pair_kernel(batches):
+    counts = np.zeros((_START + 1, _START), np.int64)
+    for batch in batches:
+        counts += _pairs(batch.column(0).to_pylist())
+    at = np.flatnonzero(counts)
+    yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), pa.array(counts.ravel()[at])], names=["at", "n"])
+
+
+def _prefix_kernel(depth: int):
+    """(prefix, passed, ended) of the first ``depth`` places of labelled values."""
+
+    def run(batches):
+        for batch in batches:
+            passed, ended = Counter(), Counter()
+            for value in batch.column(0).to_pylist():
+                pattern = _pattern(value)
+                passed.update(pattern[:k] for k in range(min(len(pattern), depth) + 1))
+                if len(pattern) <= depth:
+                    ended[pattern] += 1
+            yield pa.RecordBatch.from_arrays([pa.array([*passed], pa.string()), pa.array([*passed.values()], pa.int64()), pa.array([ended[p] for p in passed], pa.int64())], names=["prefix", "passed", "ended"])
+
+    return run
+
+
+def _tail_kernel(shared):
+    """(prefix, c, d, n): steps out of the kept prefixes (d is null) and what follows them (prefix is null; d is -1 at the end)."""
+
+    def run(batches):
+        kept: frozenset[str] = shared.value
+        for batch in batches:
+            exits, tail = Counter(), Counter()
+            for value in batch.column(0).to_pylist():
+                pattern = _pattern(value)
+                k = 0
+                while k < len(pattern) and pattern[: k + 1] in kept:
+                    k += 1
+                if k < len(pattern):
+                    rest = [_class_at(c) for c in pattern[k:]]
+                    exits[pattern[:k], rest[0]] += 1
+                    tail.update(zip(rest, [*rest[1:], -1], strict=True))
+            rows = [(p, c, None, n) for (p, c), n in exits.items()] + [(None, c, d, n) for (c, d), n in tail.items()]
+            yield pa.RecordBatch.from_arrays([pa.array([r[k] for r in rows], t) for k, t in enumerate((pa.string(), pa.int32(), pa.int32(), pa.int64()))], names=["prefix", "c", "d", "n"])
+
+    return run
+
+
+def _gain_kernel(shared):
+    def run(batches):
+        model: GeneralModel = shared.value
+        found = Counter()
+        for batch in batches:
+            found.update(min(math.ceil(model.best(t) * _BINS), _MOST_BINS) for t in batch.column(0).to_pylist())
+        yield pa.RecordBatch.from_arrays([pa.array([*found], pa.int32()), pa.array([*found.values()], pa.int64())], names=["at", "n"])
+
+    return run
 
-    The ``documents`` of smallest hashed doc_id are read; of their distinct base
-    values and other tokens the ``labelled`` and ``ordinary`` of smallest hash
-    (and at most 200 characters) reach the driver.  Deterministic; an empty
-    corpus leaves the formats and the generated ordinary tokens.
+
+def train(spark: SparkSession, docs: DataFrame, settings: AutomatonSettings = AutomatonSettings()) -> FormatModel:
+    """A model inferred from the formats and from the whole corpus.
+
+    Every distinct value of a base span and every distinct other token of every
+    text counts, of the latter half for the background and half (told by their
+    hash) for the threshold.  The corpus's labelled values weigh as ``labelled``
+    examples together where they are more, and a prefix that so many cannot tell
+    from others is not a node of its own; so at most about a hundred nodes a place
+    are kept.  Deterministic; an empty corpus leaves the formats and the generated
+    ordinary tokens.
     """
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    order = [F.xxhash64("doc_id", F.lit(settings.seed)), F.col("doc_id")]
-    ids = rows.select("doc_id").where("doc_id is not null").distinct().orderBy(*order).limit(settings.documents)
-    sample = rows.where("text is not null").join(F.broadcast(ids), "doc_id", "left_semi")  # at most `documents` ids
     work = Workspace(spark, "secrets")
-    seen = work.table("seen", sample.select("text").mapInArrow(_sample_kernel, "label int, value string").distinct())
-    spread = F.xxhash64("value", F.lit(settings.seed))
-    picked = [seen.where(f"label = {k}").orderBy(spread, "value").limit(n).select("value") for k, n in ((1, settings.labelled), (0, settings.ordinary))]
-    labelled, ordinary = (tuple(r.value for r in x.collect()) for x in picked)
+    texts = docs.select(F.col("text").cast("string").alias("text")).where("text is not null")
+    seen = work.table("seen", texts.mapInArrow(_token_kernel, "label int, value string").distinct())
+    labelled = seen.where("label = 1").select("value")
+    half = lambda k: seen.where("label = 0").where(F.pmod(F.xxhash64("value", F.lit(settings.seed)), F.lit(2)) == k).select("value")
+    pairs = np.zeros((_START + 1) * _START, np.int64)
+    for r in half(0).mapInArrow(_pair_kernel, "at int, n long").groupBy("at").agg(F.sum("n").alias("n")).collect():
+        pairs[r.at] = r.n
+    total = labelled.count()
+    weight = min(1.0, settings.labelled / max(1, total))
+    counted = labelled.mapInArrow(_prefix_kernel(settings.depth), "prefix string, passed long, ended long").groupBy("prefix").agg(F.sum("passed").alias("passed"), F.sum("ended").alias("ended"))
+    least = merge_bound(settings.alpha) ** 2 / weight if total > settings.labelled else 0.0
+    nodes = {r.prefix: (weight * r.passed, weight * r.ended) for r in counted.where((F.col("passed") > least) | (F.col("prefix") == "")).collect()}
+    kept = spark.sparkContext.broadcast(frozenset(nodes))
+    steps = labelled.mapInArrow(_tail_kernel(kept), "prefix string, c int, d int, n long").groupBy("prefix", "c", "d").agg(F.sum("n").alias("n")).collect()
+    exits = {(r.prefix, r.c): weight * r.n for r in steps if r.d is None}
+    tail = {(r.c, r.d): weight * r.n for r in steps if r.d is not None}
+    corpus = Corpus(nodes, exits, tail, pairs.reshape(_START + 1, _START))
+    shared = spark.sparkContext.broadcast(FormatModel(settings, corpus).general)
+    gains = half(1).mapInArrow(_gain_kernel(shared), "at int, n long").groupBy("at").agg(F.sum("n").alias("n")).collect()
     work.close()
-    return FormatModel(settings, labelled, ordinary)
+    return FormatModel(settings, replace(corpus, gains=tuple((r.at, r.n) for r in gains)))
 
 
 def scan(spark: SparkSession, docs: DataFrame, settings: AutomatonSettings = AutomatonSettings(), model: FormatModel | None = None) -> DataFrame:
@@ -560,10 +724,10 @@ def scan(spark: SparkSession, docs: DataFrame, settings: AutomatonSettings = Aut
     Null text counts as empty; documents without spans have zero counts, the
     digest of the empty string and empty spans; repeated rows give equal rows,
     with or without doc_id; an empty table gives none; extra columns are
-    ignored, whatever their names.  One narrow pass after the training sample.
+    ignored, whatever their names.  One narrow pass after the training.
     """
     model = model or train(spark, docs, settings)
-    shared = spark.sparkContext.broadcast(model)  # a few automata: the sample's bounds bound its size
+    shared = spark.sparkContext.broadcast(model)  # a few automata of bounded size
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     schema = "doc_id long, n_assign long, n_access long, n_hex long, base_sha256 string, spans string, n_added long"
     return rows.mapInArrow(_scan_kernel(shared), schema)

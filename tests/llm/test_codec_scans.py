@@ -291,6 +291,36 @@ def test_unseen_formats_are_found_and_clean_text_is_left_alone(spark):
     assert sum(r.n_added for i, r in got.items() if i >= 1000) <= 2
 
 
+def test_secret_training_counts_the_whole_corpus(spark):
+    kinds = secret_automata
+    rows = [(i, f"Line {i} holds password=ab{i:05d}X and x{i}-{i % 7}") for i in range(900)] + [(None, "password=" + "Zz9" * 150), (None, None)]
+    chosen = kinds.AutomatonSettings(labelled=50, depth=20)
+    seen = {}
+    original = kinds.FormatModel.__init__
+
+    def spy(self, settings=chosen, corpus=kinds.Corpus()):
+        seen["corpus"] = corpus
+        original(self, settings, corpus)
+
+    kinds.FormatModel.__init__ = spy
+    try:
+        model = kinds.train(spark, spark.createDataFrame(rows, DOC), chosen)
+    finally:
+        kinds.FormatModel.__init__ = original
+    corpus = seen["corpus"]
+    weight = 50 / 901
+    assert corpus.nodes[""] == pytest.approx((901 * weight, 0))  # every value, weighed as fifty
+    assert corpus.nodes["ccaaaaab"] == pytest.approx((900 * weight, 900 * weight))
+    ended = sum(e for _, e in corpus.nodes.values()) + sum(n for (_, d), n in corpus.tail.items() if d < 0)
+    assert ended == pytest.approx(901 * weight)
+    assert sum(n for (_, c), n in corpus.exits.items()) == pytest.approx(weight)  # the long one
+    assert sum(n for (_, d), n in corpus.tail.items()) == pytest.approx(450 * weight)
+    words = {t for _, x in rows if x and "Line" in x for t in re.findall(r"[A-Za-z0-9+/_.=-]+", x) if "password" not in t}
+    assert corpus.pairs[kinds._START].sum() + sum(n for _, n in corpus.gains) == len(words)
+    assert all(sum(n for _, n in s.next.values()) + s.ends <= s.passed + 1e-6 for s in kinds.Automaton([], 0.05, corpus).states)
+    assert model.general.threshold > chosen.margin
+
+
 def test_bounds_lose_no_segment():
     import pyarrow as pa
 
